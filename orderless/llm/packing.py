@@ -224,7 +224,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     plan = plan[order]
     held = spark.sparkContext.broadcast(plan)  # bounded by capacity, not by the corpus: a row per step of the packing
     names = [*ranked.columns, "sequence_id", "offset"]
-    keep = [c for c in names if c != "rank"]
+    keep, had = [c for c in names if c != "rank"], ranked.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         p = held.value
@@ -235,7 +235,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
             rank, length = b.column("rank").to_numpy(), b.column("length").to_numpy()
             at = np.searchsorted(key, length * span + rank, side="right") - 1
             assert (at >= at_length[length]).all()
-            cols = {c: b.column(c) for c in ranked.columns} | {"sequence_id": pa.array(p[at, 3] + rank - p[at, 1]), "offset": pa.array(p[at, 4])}
+            cols = {c: b.column(c) for c in had} | {"sequence_id": pa.array(p[at, 3] + rank - p[at, 1]), "offset": pa.array(p[at, 4])}
             yield pa.RecordBatch.from_arrays([cols[c] for c in keep], keep)
 
     kinds = dict(ranked.dtypes) | {"sequence_id": "long", "offset": "long"}
