@@ -11,7 +11,7 @@ a group is large. A round's survivors are written to the shared folder.
 
 Defined results: a null text counts as empty, and all empty texts are equal to each other. A null key sorts after
 all others. Among rows with the same key and text one, the first read, is kept. Extra columns of any name
-travel inside `row`. The input must be a deterministic plan, such as a table scan, since it is read more than once.
+travel along under names of the operator's own. The input must be a deterministic plan, such as a table scan, since it is read more than once.
 """
 
 from __future__ import annotations
@@ -30,37 +30,36 @@ def normalised(text: Column) -> Column:
     return F.regexp_replace(common.clean_text(text), r"[\x09-\x0D][ \x09-\x0D]*| [ \x09-\x0D]+", " ")
 
 
-def exact_groups(docs: DataFrame, text: str = "text", key: str = "doc_id", first: int = FIRST, widen: int = WIDEN) -> DataFrame:
-    """One row per input row: row (struct of its columns), keep_key, group_size, kept."""
-    rows = docs.select(
-        F.struct(*[common.col(c) for c in docs.columns]).alias("row"),
-        F.monotonically_increasing_id().alias("rid"),
-    )
-    body = lambda r: normalised(r["row"].getField(text)).cast("binary")
-    width, done, spare = first, [], None
+def exact_groups(docs: DataFrame, text: str = "text", key: str = "doc_id", digest: bool = False, first: int = FIRST, widen: int = WIDEN) -> DataFrame:
+    """One row per input row: its columns as p0, p1, ..., then keep_key, group_size, kept (and text_sha256).
+
+    Columns that a caller drops afterwards are not shuffled.
+    """
+    kept_as = {c: f"p{i}" for i, c in enumerate(docs.columns)}
+    words, who = F.col(kept_as[text]), F.col(kept_as[key])
+    rows = docs.select(*[common.col(c).alias(p) for c, p in kept_as.items()], F.monotonically_increasing_id().alias("rid"))
+    extra = {"text_sha256": F.sha2(normalised(words).cast("binary"), 256)} if digest else {}
+    width, done = first, []
     while True:
-        cut = rows.withColumn("head", F.substring(body(rows), 1, width))
-        who = F.col("row").getField(key)
-        groups = cut.groupBy("head").agg(
-            F.count(F.lit(1)).alias("n"), F.min(F.struct(who.isNull().alias("none"), who.alias("key"), F.col("rid").alias("rid"))).alias("best")
-        )
+        cut = rows.withColumn("head", F.substring(normalised(words).cast("binary"), 1, width))
+        best = F.min(F.struct(who.isNull().alias("none"), who.alias("key"), F.col("rid").alias("rid")))
+        groups = cut.groupBy("head").agg(F.count(F.lit(1)).alias("n"), best.alias("best"))
         crowded = common.stage(groups.filter("n > 1"), "radix-groups")
         # a row that is alone finds no crowded group; its own values stand for the group's
-        alone = cut.join(crowded.withColumnRenamed("head", "head2"), F.col("head") == F.col("head2"), "left")
-        ended = F.col("n").isNull() | (F.length("head2") < width)
+        alone = cut.withColumns(extra).join(crowded.withColumnRenamed("head", "head2"), F.col("head") == F.col("head2"), "left")
         done.append(
-            alone.filter(ended).select(
-                "row",
+            alone.filter(F.col("n").isNull() | (F.length("head2") < width)).select(
+                *kept_as.values(),
                 F.when(F.col("n").isNull(), who).otherwise(F.col("best.key")).alias("keep_key"),
                 F.coalesce("n", F.lit(1)).cast("long").alias("group_size"),
                 F.coalesce(F.col("best.rid") == F.col("rid"), F.lit(True)).alias("kept"),
+                *extra,
             )
         )
         open_groups = crowded.filter(F.length("head") >= width).select("head")
         if open_groups.isEmpty():
             break
-        again = cut.join(open_groups, "head").select("row", "rid")
-        rows = common.stage(again, "radix-rows")
+        rows = common.stage(cut.join(open_groups, "head").select(*kept_as.values(), "rid"), "radix-rows")
         common.sweep(docs.sparkSession)
         width *= widen
     out = done[0]
@@ -72,19 +71,13 @@ def exact_groups(docs: DataFrame, text: str = "text", key: str = "doc_id", first
 def kept_documents(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """The rows that stay, with the columns of docs."""
     out = exact_groups(docs, text, key).filter("kept")
-    return out.select(*[F.col("row").getField(c).alias(c) for c in docs.columns])
+    return out.select(*[F.col(f"p{i}").alias(c) for i, c in enumerate(docs.columns)])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    got = exact_groups(docs)
-    return got.select(
-        F.col("row.doc_id").alias("doc_id"),
-        F.col("keep_key").alias("keep_id"),
-        "group_size",
-        "kept",
-        F.sha2(normalised(F.col("row.text")).cast("binary"), 256).alias("text_sha256"),
-    )
+    got = exact_groups(docs, digest=True)
+    return got.select(F.col("p0").alias("doc_id"), F.col("keep_key").alias("keep_id"), "group_size", "kept", "text_sha256")
 
 
 SQL = r"""
