@@ -6,13 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, exact_dedup, packing
+from . import byte_bpe, exact_dedup, packing, pii, quality
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_best_fit_packing": packing.query,
+        "op5_pii": pii.query,
         "op6_exact_dedup": exact_dedup.query,
+        "op8_quality": quality.query,
         "op9_byte_bpe": byte_bpe.query,
     }
 
