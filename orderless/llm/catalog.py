@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, exact_dedup, packing, pii, quality
+from . import byte_bpe, exact_dedup, packing, pii, quality, secrets
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,6 +14,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_best_fit_packing": packing.query,
         "op5_pii": pii.query,
         "op6_exact_dedup": exact_dedup.query,
+        "op7_secrets": secrets.query,
         "op8_quality": quality.query,
         "op9_byte_bpe": byte_bpe.query,
     }
