@@ -23,11 +23,11 @@ from pyspark.sql import DataFrame, SparkSession
 from . import common
 
 VOCABULARY = "byte_bpe_50k.json"
-#: Words a worker remembers before it starts anew.
-CACHE_WORDS = 150_000
+#: Words a worker remembers (about 200 bytes each) before it starts anew.
+CACHE_WORDS = 600_000
 
 
-def _byte_letters() -> dict[int, str]:
+def byte_letters() -> dict[int, str]:
     """The printable letter that stands for each byte in byte-level vocabularies."""
     plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
     letters = {b: chr(b) for b in plain}
@@ -35,13 +35,78 @@ def _byte_letters() -> dict[int, str]:
     return letters
 
 
+class MergeTable:
+    """The merges of a vocabulary as sorted pair keys, run over many words at once."""
+
+    def __init__(self, vocab: dict[str, int], merges: list, size: int):
+        pairs = [m.split(" ") if isinstance(m, str) else m for m in merges]
+        self.size = size
+        key = np.array([vocab[a] * size + vocab[b] for a, b in pairs], np.int64)
+        order = np.argsort(key, kind="stable")
+        self.keys, self.rank = np.r_[key[order], np.iinfo(np.int64).max], np.r_[order, 0].astype(np.int32)
+        self.made = np.array([vocab[a + b] for a, b in pairs], np.int64)
+
+    def _ranks(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        key = left * self.size + right
+        at = np.searchsorted(self.keys, key)
+        return np.where(self.keys[at] == key, self.rank[at], len(self.made))
+
+    def run(self, sym: np.ndarray, lens: np.ndarray) -> list[bytes]:
+        """Ids of each word as little-endian 32-bit integers; sym holds the words' first symbols one after the other."""
+        none, owner = np.int32(len(self.made)), np.repeat(np.arange(len(lens), dtype=np.int32), lens)
+        sym = sym.astype(np.int64)
+        rank = np.full(len(sym), none, np.int32)  # of the pair that begins at each symbol
+        inner = np.flatnonzero(owner[:-1] == owner[1:])
+        rank[inner] = self._ranks(sym[inner], sym[inner + 1])
+        ids, owners = [], []
+        while len(sym):
+            starts = np.flatnonzero(np.r_[True, owner[1:] != owner[:-1]])
+            best = np.minimum.reduceat(rank, starts)
+            per = np.diff(np.r_[starts, len(sym)])
+            over = best == none
+            if over.any():  # words that can merge no further leave the array
+                out = np.repeat(over, per)
+                ids.append(sym[out])
+                owners.append(owner[out])
+                sym, owner, rank, best, per = sym[~out], owner[~out], rank[~out], best[~over], per[~over]
+                if not len(sym):
+                    break
+            at = np.flatnonzero(rank == np.repeat(best, per))
+            # of overlapping occurrences of one pair (x x x) every second counts, from the left
+            near = np.diff(at) == 1
+            if near.any():
+                new = np.flatnonzero(np.r_[True, ~near | (owner[at[1:]] != owner[at[:-1]])])
+                place = np.arange(len(at)) - np.repeat(new, np.diff(np.r_[new, len(at)]))
+                at = at[place % 2 == 0]
+            sym[at] = self.made[rank[at]]
+            keep = np.ones(len(sym), bool)
+            keep[at + 1] = False
+            at -= np.arange(len(at))
+            sym, owner, rank = sym[keep], owner[keep], rank[keep]
+            # only pairs beside a merge have changed
+            near = np.zeros(len(sym), bool)
+            near[at] = True
+            near[at[at > 0] - 1] = True
+            touched = np.flatnonzero(near)
+            rank[touched] = none
+            touched = touched[touched + 1 < len(sym)]
+            touched = touched[owner[touched] == owner[touched + 1]]
+            rank[touched] = self._ranks(sym[touched], sym[touched + 1])
+        if not ids:
+            return [b""] * len(lens)
+        who = np.concatenate(owners)
+        flat = np.concatenate(ids)[np.argsort(who, kind="stable")].astype("<u4").tobytes()
+        ends = np.cumsum(np.bincount(who, minlength=len(lens))) * 4
+        return [flat[a:b] for a, b in zip(np.r_[0, ends[:-1]].tolist(), ends.tolist(), strict=True)]
+
+
 class ByteBpe:
     """A byte-level BPE vocabulary with batched encoding and table decoding."""
 
     def __init__(self, path: str, pattern: str):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
-        back = {v: k for k, v in _byte_letters().items()}
+        back = {v: k for k, v in byte_letters().items()}
         vocab = spec["model"]["vocab"]
         special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         size = max([*vocab.values(), *special.values()]) + 1
@@ -51,58 +116,14 @@ class ByteBpe:
         for word, i in special.items():
             self.token[i] = word.encode()
         self.special = {w: np.uint32(i).tobytes() for w, i in special.items()}
-        self.first = np.array([vocab[_byte_letters()[b]] for b in range(256)], np.int64)
-        pairs = [m.split(" ") if isinstance(m, str) else m for m in spec["model"]["merges"]]
-        self.size = size
-        key = np.array([vocab[a] * size + vocab[b] for a, b in pairs], np.int64)
-        made = np.array([vocab[a + b] for a, b in pairs], np.int64)
-        order = np.argsort(key, kind="stable")
-        self.keys, self.rank, self.made_by_rank = key[order], order.astype(np.int64), made
+        self.first = np.array([vocab[byte_letters()[b]] for b in range(256)], np.int64)
+        self.table = MergeTable(vocab, spec["model"]["merges"], size)
         self.split = regex.compile(pattern)
         self.cut_special = regex.compile("(" + "|".join(map(regex.escape, special)) + ")") if special else None
         self.known: dict[str, bytes] = {}
 
     def merge(self, words: list[bytes]) -> list[bytes]:
-        """Ids of each word as little-endian 32-bit integers."""
-        lens = np.fromiter(map(len, words), np.int64, len(words))
-        sym = self.first[np.frombuffer(b"".join(words), np.uint8)]
-        owner = np.repeat(np.arange(len(words)), lens)
-        ids, owners = [], []
-        none = len(self.rank)
-        while len(sym):
-            key = sym[:-1] * self.size + sym[1:]
-            at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
-            hit = (self.keys[at] == key) & (owner[:-1] == owner[1:])
-            rank = np.full(len(sym), none, np.int64)
-            rank[:-1][hit] = self.rank[at[hit]]
-            starts = np.flatnonzero(np.r_[True, owner[1:] != owner[:-1]])
-            best = np.minimum.reduceat(rank, starts)
-            per = np.diff(np.r_[starts, len(sym)])
-            if (best == none).any():  # words that can merge no further leave the array
-                over = np.repeat(best == none, per)
-                ids.append(sym[over])
-                owners.append(owner[over])
-                sym, owner, rank, best = sym[~over], owner[~over], rank[~over], best[best != none]
-                per = per[np.minimum.reduceat(~over, starts)] if len(sym) else per[:0]
-                if not len(sym):
-                    break
-            take = rank == np.repeat(best, per)
-            # of overlapping occurrences of one pair (x x x) every second counts, from the left
-            run = np.flatnonzero(take)
-            if len(run) > 1:
-                new = np.r_[True, (np.diff(run) > 1) | (owner[run[1:]] != owner[run[:-1]])]
-                place = np.arange(len(run)) - np.repeat(np.flatnonzero(new), np.diff(np.r_[np.flatnonzero(new), len(run)]))
-                run = run[place % 2 == 0]
-            sym[run] = self.made_by_rank[rank[run]]
-            keep = np.ones(len(sym), bool)
-            keep[run + 1] = False
-            sym, owner = sym[keep], owner[keep]
-        out = np.concatenate(ids) if ids else np.zeros(0, np.int64)
-        who = np.concatenate(owners) if owners else np.zeros(0, np.int64)
-        order = np.argsort(who, kind="stable")
-        flat = out[order].astype("<u4").tobytes()
-        ends = np.cumsum(np.bincount(who, minlength=len(words))) * 4
-        return [flat[a:b] for a, b in zip(np.r_[0, ends[:-1]].tolist(), ends.tolist(), strict=True)]
+        return self.table.run(self.first[np.frombuffer(b"".join(words), np.uint8)], np.fromiter(map(len, words), np.int64, len(words)))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian 32-bit integers."""
@@ -121,7 +142,7 @@ class ByteBpe:
         new: set[str] = set()
         for words in cut:
             new.update(words)
-        new.difference_update(known)
+        new = {w for w in new if w not in known}
         for s in self.special.keys() & new:
             known[s] = self.special[s]
             new.discard(s)

@@ -13,6 +13,7 @@ A hot length needs no shuffle of rows: ranks come from counts.
 
 from __future__ import annotations
 
+import json
 import os
 import zlib
 from collections.abc import Iterator
@@ -23,19 +24,22 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common
+from .byte_bpe import MergeTable, byte_letters
 
 VOCABULARY = "word_bpe_49k.json"
 CAPACITY = 4096
 END_ID = 1
-CACHE_WORDS = 150_000
+#: Words a worker remembers (about 200 bytes each) before it starts anew.
+CACHE_WORDS = 1_000_000
 #: Marks that end words; a run of them is cut from the letters before it. The apostrophe isn't one: it joins contractions.
 MARKS = ".,;:!?*&%$#|-()[]"
 
 
 class WordBpe:
-    """Encodes through the tokenizers library, word by word, with a bounded cache.
+    """Encodes as the tokenizers library does, word by word, with a bounded cache.
 
-    The vocabulary drops white space and cuts at it, so a text's ids are those of its words in a row.
+    The vocabulary drops white space and cuts at it, so a text's ids are those of its words in a row. Words of plain
+    letters go through batched merge rounds, all others through the library.
     """
 
     def __init__(self, path: str):
@@ -49,6 +53,12 @@ class WordBpe:
         self.cut = regex.compile(r"\s+").split
         self.odd = regex.compile(r"[\x1c-\x1f]").search
         self.known: dict[str, bytes] = {"": b""}
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        vocab, letters = spec["model"]["vocab"], byte_letters()
+        self.table = MergeTable(vocab, spec["model"]["merges"], len(vocab) + len(spec["added_tokens"]))
+        inner, last = ([vocab[letters[b] + tail] for b in range(256)] for tail in ("", spec["model"]["end_of_word_suffix"]))
+        self.inner, self.last = np.array(inner), np.array(last)
         self.between = "<|startoftext|>"
         self.between_id = self.lib.token_to_id(self.between)
 
@@ -60,6 +70,15 @@ class WordBpe:
         starts, ends = np.r_[0, (cut + 1) * 4].tolist(), np.r_[cut * 4, len(flat)].tolist()
         return [flat[a:b] for a, b in zip(starts, ends, strict=True)]
 
+    def _letters(self, words: list[bytes]) -> list[bytes]:
+        """Ids of words of lower-case letters alone, by batched merge rounds."""
+        lens = np.fromiter(map(len, words), np.int64, len(words))
+        data = np.frombuffer(b"".join(words), np.uint8)
+        sym = self.inner[data]
+        ends = np.cumsum(lens) - 1
+        sym[ends] = self.last[data[ends]]
+        return self.table.run(sym, lens)
+
     def encode(self, texts: list[str]) -> list[bytes]:
         words = [self.cut(t) if self.odd(t) else t.split() for t in texts]
         if len(self.known) > CACHE_WORDS:
@@ -68,27 +87,32 @@ class WordBpe:
         new: set[str] = set()
         for w in words:
             new.update(w)
-        new.difference_update(known)
-        if new:
+        unknown = [w for w in new if w not in known]
+        if unknown:
             # "Word," is "word" and ","; the vocabulary has lower case only and cuts between letters and marks
-            split, odd, need = [], [], set()
-            for w in new:
+            split, odd, need, plain = [], [], set(), set()
+            for w in unknown:
                 if "<|" in w:
                     odd.append(w)
                     continue
                 body = w.rstrip(MARKS)
                 if body and body[-1].isalpha():
                     tail = w[len(body) :]
-                    body = body.lower() if body.isascii() else body
+                    if body.isalpha() and max(body) < "\u0100":  # normal forms leave these as they are
+                        body = body.lower()
+                        plain.add(body)
+                    else:
+                        need.add(body)
                     split.append((w, body, tail))
-                    need.add(body)
                     need.add(tail)
                 else:
                     need.add(w)
-            need.difference_update(known)
-            if need:
-                fresh = list(need)
+            fresh = [w for w in need if w not in known]
+            if fresh:
                 known.update(zip(fresh, self._fresh(fresh), strict=True))
+            fresh = [w for w in plain if w not in known]
+            if fresh:
+                known.update(zip(fresh, self._letters([w.encode() for w in fresh]), strict=True))
             for w, body, tail in split:
                 known[w] = known[body] + known[tail]
             for w in odd:
@@ -115,7 +139,7 @@ def tokenised(docs: DataFrame, path: str, capacity: int = CAPACITY, end: int = E
         bpe, last = _LOADED[path], np.array([end], "<u4").tobytes()
         seen = np.zeros(capacity + 1, np.int64)
         for whole in batches:
-            for b in common.slices(whole, 1):
+            for b in common.slices(whole, 1, 8 << 20):
                 at, piece, start, length, crc, local, held = [], [], [], [], [], [], []
                 for row, code in enumerate(bpe.encode(b.column(1).to_pylist())):
                     code += last
