@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, exact_dedup, packing, pii, quality, secrets
+from . import byte_bpe, exact_dedup, near_dedup, packing, pii, quality, secrets
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -17,6 +17,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_secrets": secrets.query,
         "op8_quality": quality.query,
         "op9_byte_bpe": byte_bpe.query,
+        "op10_ngram_jaccard": near_dedup.query,
     }
 
 

@@ -177,3 +177,73 @@ def word_spans(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarra
     end = np.flatnonzero(last) + 1
     row = np.searchsorted(off, start, side="right") - 1
     return start, end, row
+
+
+def whole_groups(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[pa.RecordBatch]:
+    """Regroups sorted batches so that none cuts a group; the first `keys` columns, integers, name the group."""
+    held: list[pa.RecordBatch] = []
+
+    def joined(some: list[pa.RecordBatch]) -> pa.RecordBatch:
+        return some[0] if len(some) == 1 else pa.Table.from_batches(some).combine_chunks().to_batches()[0]
+
+    for b in batches:
+        if not b.num_rows:
+            continue
+        key = [b.column(k).to_numpy(zero_copy_only=False) for k in range(keys)]
+        last = np.ones(b.num_rows, bool)
+        for k in key:
+            last &= k == k[-1]
+        cut = int(np.flatnonzero(~last)[-1]) + 1 if not last.all() else 0
+        same = bool(held) and all(held[-1].column(k)[-1].as_py() == int(key[k][0]) for k in range(keys))
+        if held and not (cut == 0 and same):
+            # the held group ends within this batch or before it
+            end = cut if same else 0
+            yield joined([*held, *([b.slice(0, end)] if end else [])])
+            if end:
+                b, cut = b.slice(end), 0
+            held = []
+        if cut:
+            yield b.slice(0, cut)
+            b = b.slice(cut)
+        held.append(b)
+    if held:
+        yield joined(held)
+
+
+def star_edges(p: np.ndarray, q: np.ndarray, n: int) -> np.ndarray:
+    """Least member of each of n local nodes' components under the links p-q."""
+    label = np.arange(n)
+    while True:
+        low = np.minimum(label[p], label[q])
+        new = label.copy()
+        np.minimum.at(new, label[p], low)
+        np.minimum.at(new, label[q], low)
+        new = new[new]
+        new = np.minimum(new, label)
+        if (new == label).all():
+            return label
+        label = new
+
+
+def components(edges: DataFrame) -> DataFrame:
+    """node, comp (the least node reachable) of every node in edges (a long, b long); distributed, any size.
+
+    Labels fall to the least neighbour's and then jump to their label's label, until none changes.
+    """
+    spark = edges.sparkSession
+    both = stage(edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "cc-edges")
+    label = stage(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("l")).withColumnRenamed("a", "v"), "cc-labels")
+    while True:
+        near = both.join(label, both["b"] == label["v"]).groupBy("a").agg(F.min("l").alias("m"))
+        fell = label.join(near, label["v"] == near["a"]).select("v", F.col("l").alias("was"), F.least("l", "m").alias("l"))
+        step = stage(fell, "cc-step")
+        to = step.select(F.col("v").alias("t"), F.col("l").alias("tl"))
+        new = stage(step.join(to, step["l"] == to["t"], "left").select("v", "was", F.least("l", F.coalesce("tl", "l")).alias("l")), "cc-labels")
+        done = new.filter("l <> was").isEmpty()
+        unstage(label)
+        unstage(step)
+        label = stage(new.select("v", "l"), "cc-labels") if not done else new.select("v", "l")
+        if done:
+            unstage(both)
+            sweep(spark)
+            return label.select(F.col("v").alias("node"), F.col("l").alias("comp"))
