@@ -23,6 +23,8 @@ from . import common
 
 #: Bytes in the first digit string, and how much longer each next one is.
 FIRST, WIDEN = 64, 16
+#: Hash buckets of crowded groups, by which rows are sifted before they are shuffled.
+BUCKETS = 1 << 20
 
 
 def normalised(text: Column) -> Column:
@@ -46,7 +48,7 @@ def exact_groups(docs: DataFrame, text: str = "text", key: str = "doc_id", diges
         groups = cut.groupBy("head").agg(F.count(F.lit(1)).alias("n"), best.alias("best"))
         crowded = common.stage(groups.filter("n > 1"), "radix-groups")
         # a row that is alone finds no crowded group; its own values stand for the group's
-        alone = cut.withColumns(extra).join(crowded.withColumnRenamed("head", "head2"), F.col("head") == F.col("head2"), "left")
+        alone = cut.withColumns(extra).join(crowded.withColumnRenamed("head", "head2").hint("merge"), F.col("head") == F.col("head2"), "left")
         done.append(
             alone.filter(F.col("n").isNull() | (F.length("head2") < width)).select(
                 *kept_as.values(),
@@ -59,7 +61,10 @@ def exact_groups(docs: DataFrame, text: str = "text", key: str = "doc_id", diges
         open_groups = crowded.filter(F.length("head") >= width).select("head")
         if open_groups.isEmpty():
             break
-        rows = common.stage(cut.join(open_groups, "head").select(*kept_as.values(), "rid"), "radix-rows")
+        # rows outside the buckets of crowded groups stay where they are; at most BUCKETS numbers are broadcast
+        bucket = F.pmod(F.xxhash64("head"), F.lit(BUCKETS))
+        likely = cut.join(F.broadcast(open_groups.select(bucket.alias("bucket")).distinct()), bucket == F.col("bucket"), "left_semi")
+        rows = common.stage(likely.join(open_groups.hint("merge"), "head").select(*kept_as.values(), "rid"), "radix-rows")
         common.sweep(docs.sparkSession)
         width *= widen
     out = done[0]
