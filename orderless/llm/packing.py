@@ -30,7 +30,7 @@ VOCABULARY = "word_bpe_49k.json"
 CAPACITY = 4096
 END_ID = 1
 #: Words a worker remembers (about 200 bytes each) before it starts anew.
-CACHE_WORDS = 1_000_000
+CACHE_WORDS = 1_600_000
 #: Marks that end words; a run of them is cut from the letters before it. The apostrophe isn't one: it joins contractions.
 MARKS = ".,;:!?*&%$#|-()[]"
 
@@ -81,44 +81,42 @@ class WordBpe:
 
     def encode(self, texts: list[str]) -> list[bytes]:
         words = [self.cut(t) if self.odd(t) else t.split() for t in texts]
-        if len(self.known) > CACHE_WORDS:
-            self.known = {"": b""}
         known = self.known
         new: set[str] = set()
         for w in words:
             new.update(w)
         unknown = [w for w in new if w not in known]
+        if len(known) + len(unknown) > CACHE_WORDS:
+            known = self.known = {"": b""}
+            unknown = list(new)
         if unknown:
-            # "Word," is "word" and ","; the vocabulary has lower case only and cuts between letters and marks
-            split, odd, need, plain = [], [], set(), set()
-            for w in unknown:
-                if "<|" in w:
-                    odd.append(w)
-                    continue
-                body = w.rstrip(MARKS)
-                if body and body[-1].isalpha():
-                    tail = w[len(body) :]
-                    if body.isalpha() and max(body) < "\u0100":  # normal forms leave these as they are
-                        body = body.lower()
-                        plain.add(body)
-                    else:
-                        need.add(body)
-                    split.append((w, body, tail))
-                    need.add(tail)
-                else:
-                    need.add(w)
-            fresh = [w for w in need if w not in known]
-            if fresh:
-                known.update(zip(fresh, self._fresh(fresh), strict=True))
-            fresh = [w for w in plain if w not in known]
-            if fresh:
-                known.update(zip(fresh, self._letters([w.encode() for w in fresh]), strict=True))
-            for w, body, tail in split:
-                known[w] = known[body] + known[tail]
-            for w in odd:
-                known[w] = np.array(self.lib.encode(w, add_special_tokens=False).ids, "<u4").tobytes()
+            self._learn(unknown)
         return [b"".join(map(known.__getitem__, w)) for w in words]
 
+    def _learn(self, words: list[str]) -> None:
+        """Adds words to the known ones: "Word," is "word" and ",", as the vocabulary has lower case only and cuts at marks."""
+        known, split, need, plain = self.known, [], set(), set()
+        for w in words:
+            body = w.rstrip(MARKS)
+            if body.isalpha() and (body.isascii() or max(body) < "\u0100"):  # normal forms leave these as they are
+                low = body.lower()
+                plain.add(low)
+                if low != w:
+                    split.append((w, low, w[len(body) :]))
+            else:
+                need.add(w)
+        fresh = [w for w in plain if w not in known]
+        if fresh:
+            known.update(zip(fresh, self._letters([w.encode() for w in fresh]), strict=True))
+        need.update(tail for _, _, tail in split)
+        odd = [w for w in need if "<|" in w]
+        fresh = [w for w in need.difference(odd) if w not in known]
+        if fresh:
+            known.update(zip(fresh, self._fresh(fresh), strict=True))
+        for w in odd:
+            known[w] = np.array(self.lib.encode(w, add_special_tokens=False).ids, "<u4").tobytes()
+        known.update([(w, known[low] + known[tail]) for w, low, tail in split])
+
 
 _LOADED: dict[str, WordBpe] = {}
 
