@@ -247,3 +247,30 @@ def components(edges: DataFrame) -> DataFrame:
             unstage(both)
             sweep(spark)
             return label.select(F.col("v").alias("node"), F.col("l").alias("comp"))
+
+
+def identified(docs: DataFrame, key: str, keep: list[str]) -> DataFrame:
+    """uid (unique and stable), ord (the key as a long, null last) and the columns named.
+
+    Where keys are unique, as they should be, the key itself is the uid. Otherwise rows are numbered and written to the
+    shared folder, since a number given anew at each read could change when executors come and go.
+    """
+    k = col(key).cast("long")
+    order = F.coalesce(k, F.lit((1 << 63) - 1))
+    again = docs.select(k.alias("k")).groupBy("k").agg(F.count(F.lit(1)).alias("n")).filter("n > 1 OR k IS NULL")
+    if again.isEmpty():
+        return docs.select(k.alias("uid"), order.alias("ord"), *[col(c) for c in keep])
+    return stage(docs.select(F.monotonically_increasing_id().alias("uid"), order.alias("ord"), *[col(c) for c in keep]), "identified")
+
+
+SIEVE = 1 << 20
+
+
+def sieve(wanted: DataFrame, key: str) -> DataFrame:
+    """Hash buckets of the wanted keys: at most SIEVE numbers, so a broadcast of them has a fixed bound."""
+    return F.broadcast(wanted.select(F.pmod(F.xxhash64(col(key)), F.lit(SIEVE)).alias("bucket")).distinct())
+
+
+def sifted(rows: DataFrame, key: str, buckets: DataFrame, how: str = "left_semi") -> DataFrame:
+    """Rows whose bucket is (left_semi) or isn't (left_anti) among those of `sieve`: a filter before a shuffle, not a result."""
+    return rows.join(buckets, F.pmod(F.xxhash64(col(key)), F.lit(SIEVE)) == buckets["bucket"], how)
