@@ -173,8 +173,9 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
     # step 2: crowded buckets, then tiles of their members
     placed = nodes.select("node", F.explode("bands").alias("bucket"))
     crowded = common.stage(placed.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).filter("size > 1"), "near-buckets")
-    met = placed.join(crowded, "bucket").groupBy("node").agg(F.collect_list(F.struct("bucket", "size")).alias("met"))  # at most BANDS a node
-    members = met.join(nodes.select("node", "sig"), "node").select("node", "sig", F.explode("met").alias("m")).select("m.bucket", "m.size", "node", "sig")
+    met = placed.join(crowded.hint("merge"), "bucket").groupBy("node").agg(F.collect_list(F.struct("bucket", "size")).alias("met"))  # at most BANDS a node
+    met = common.stage(met, "near-met")
+    members = common.sifted(nodes.select("node", "sig"), "node", common.sieve(met, "node")).join(met.hint("merge"), "node").select("node", "sig", F.explode("met").alias("m")).select("m.bucket", "m.size", "node", "sig")
     placed2 = tiles(members, "bucket", "size", "node").select("bucket", "i", "j", "block", "node", "sig")
 
     def connect(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -208,7 +209,7 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
                 pick = pa.array(row)
                 yield pa.RecordBatch.from_arrays([*[b.column(c).take(pick) for c in (1, 2, 3, 4)], pa.array([sig[r].tobytes() for r in row], pa.binary()), pa.array(sets, pa.binary())], ["comp", "size", "node", "copies", "sig", "grams"])
 
-    full = texts.join(near, "rep").select("text", "comp", "size", "node", "copies", "k1", "k2")
+    full = common.sifted(texts, "rep", common.sieve(near, "rep")).join(near.hint("merge"), "rep").select("text", "comp", "size", "node", "copies", "k1", "k2")
     full = full.mapInArrow(prepare, "comp long, size long, node long, copies long, sig binary, grams binary").dropDuplicates(["node"])
     full = common.stage(full, "near-sets")
     blocks = tiles(full, "comp", "size", "node").select("comp", "i", "j", "block", "node", "copies", "sig", "grams")
@@ -240,7 +241,7 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
     named = told.join(least_id, "comp").select("k1", "k2", "class_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).cast("long").alias("n_links"))
     named = common.stage(named, "near-named")
     common.sweep(spark)
-    return seen.select("doc_id", "k1", "k2").join(named, ["k1", "k2"]).select("doc_id", "class_id", "n_links")
+    return seen.select("doc_id", "k1", "k2").join(named.hint("merge"), ["k1", "k2"]).select("doc_id", "class_id", "n_links")
 
 
 def verified(h: np.ndarray, first: np.ndarray, sig: np.ndarray, block: np.ndarray, cross: bool, least: dict[int, int], threshold: float) -> tuple[np.ndarray, np.ndarray]:
