@@ -241,7 +241,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     plan = best_fit_plan(counts, capacity)
     ahead = Window.partitionBy("length").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     before = per.select("part", "length", F.coalesce(F.sum("n").over(ahead), F.lit(0)).alias("before"))
-    ranked = pieces.join(before, ["part", "length"]).withColumn("rank", F.col("local") + F.col("before")).drop("part", "local", "before")
+    ranked = pieces.join(before.hint("merge"), ["part", "length"]).withColumn("rank", F.col("local") + F.col("before")).drop("part", "local", "before")
     order = np.lexsort((plan[:, 1], plan[:, 0]))
     plan = plan[order]
     held = spark.sparkContext.broadcast(plan)  # bounded by capacity, not by the corpus: a row per step of the packing
