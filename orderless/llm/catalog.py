@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, exact_dedup, near_dedup, packing, pii, quality, secrets, substring_dedup
+from . import byte_bpe, exact_dedup, fingerprints, near_dedup, packing, pii, quality, secrets, substring_dedup
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_best_fit_packing": packing.query,
+        "op2_fingerprints": fingerprints.query,
         "op3_suffix_array": substring_dedup.query,
         "op5_pii": pii.query,
         "op6_exact_dedup": exact_dedup.query,
