@@ -51,8 +51,8 @@ class MergeTable:
         at = np.searchsorted(self.keys, key)
         return np.where(self.keys[at] == key, self.rank[at], len(self.made))
 
-    def run(self, sym: np.ndarray, lens: np.ndarray) -> list[bytes]:
-        """Ids of each word as little-endian 32-bit integers; sym holds the words' first symbols one after the other."""
+    def run(self, sym: np.ndarray, lens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all words in a row and each word's n; sym holds the words' first symbols one after the other."""
         none, owner = np.int32(len(self.made)), np.repeat(np.arange(len(lens), dtype=np.int32), lens)
         sym = sym.astype(np.int64)
         rank = np.full(len(sym), none, np.int32)  # of the pair that begins at each symbol
@@ -92,12 +92,9 @@ class MergeTable:
             touched = touched[touched + 1 < len(sym)]
             touched = touched[owner[touched] == owner[touched + 1]]
             rank[touched] = self._ranks(sym[touched], sym[touched + 1])
-        if not ids:
-            return [b""] * len(lens)
-        who = np.concatenate(owners)
-        flat = np.concatenate(ids)[np.argsort(who, kind="stable")].astype("<u4").tobytes()
-        ends = np.cumsum(np.bincount(who, minlength=len(lens))) * 4
-        return [flat[a:b] for a, b in zip(np.r_[0, ends[:-1]].tolist(), ends.tolist(), strict=True)]
+        who = np.concatenate(owners) if owners else np.zeros(0, np.int32)
+        flat = np.concatenate(ids)[np.argsort(who, kind="stable")] if ids else np.zeros(0, np.int64)
+        return flat, np.bincount(who, minlength=len(lens))
 
 
 class ByteBpe:
@@ -123,7 +120,10 @@ class ByteBpe:
         self.known: dict[str, bytes] = {}
 
     def merge(self, words: list[bytes]) -> list[bytes]:
-        return self.table.run(self.first[np.frombuffer(b"".join(words), np.uint8)], np.fromiter(map(len, words), np.int64, len(words)))
+        """Ids of each word as little-endian 32-bit integers."""
+        flat, count = self.table.run(self.first[np.frombuffer(b"".join(words), np.uint8)], np.fromiter(map(len, words), np.int64, len(words)))
+        code, ends = flat.astype("<u4").tobytes(), np.cumsum(count) * 4
+        return [code[a:b] for a, b in zip(np.r_[0, ends[:-1]].tolist(), ends.tolist(), strict=True)]
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian 32-bit integers."""

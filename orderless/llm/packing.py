@@ -29,93 +29,146 @@ from .byte_bpe import MergeTable, byte_letters
 VOCABULARY = "word_bpe_49k.json"
 CAPACITY = 4096
 END_ID = 1
-#: Words a worker remembers (about 200 bytes each) before it starts anew.
-CACHE_WORDS = 1_600_000
-#: Marks that end words; a run of them is cut from the letters before it. The apostrophe isn't one: it joins contractions.
-MARKS = ".,;:!?*&%$#|-()[]"
+#: Slots of a worker's table of known units (27 bytes each), and ids a unit may have to be kept there.
+SLOTS, INLINE = 1 << 21, 8
+
+# classes of bytes: 0 white space, 1 letter, 2 digit, 3 mark; a word with an odd byte goes to the library whole
+_CLASS = np.full(256, 3, np.uint8)
+_CLASS[[9, 10, 11, 12, 13, 32]] = 0
+_CLASS[list(b"abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ")] = 1
+_CLASS[list(b"0123456789")] = 2
+_CLASS[128:] = 1
+_ODD = np.zeros(256, bool)
+_ODD[:32] = True
+_ODD[[9, 10, 11, 12, 13]] = False
+_ODD[[39, 127]] = True  # the apostrophe joins contractions
+_ODD[128:] = True
+_LOWER = np.arange(256, dtype=np.uint8)
+_LOWER[65:91] += 32
 
 
 class WordBpe:
-    """Encodes as the tokenizers library does, word by word, with a bounded cache.
+    """Encodes as the tokenizers library does with a vocabulary that lowers case, drops white space and marks ends of words.
 
-    The vocabulary drops white space and cuts at it, so a text's ids are those of its words in a row. Words of plain
-    letters go through batched merge rounds, all others through the library.
+    Units (runs of letters, runs of marks, single digits) are told apart and hashed in numpy; new ones are merged together in
+    batched rounds and kept in a table where a new unit takes the place of another of its slot, so its size is fixed.
+    Words with bytes beyond ASCII and the Latin-1 letters, or with apostrophes, go to the library whole.
     """
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        import regex
         from tokenizers import Tokenizer
 
         self.lib = Tokenizer.from_file(path)
         self.lib.no_truncation()
         self.lib.no_padding()
-        self.cut = regex.compile(r"\s+").split
-        self.odd = regex.compile(r"[\x1c-\x1f]").search
-        self.known: dict[str, bytes] = {"": b""}
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         vocab, letters = spec["model"]["vocab"], byte_letters()
         self.table = MergeTable(vocab, spec["model"]["merges"], len(vocab) + len(spec["added_tokens"]))
         inner, last = ([vocab[letters[b] + tail] for b in range(256)] for tail in ("", spec["model"]["end_of_word_suffix"]))
         self.inner, self.last = np.array(inner), np.array(last)
-        self.between = "<|startoftext|>"
-        self.between_id = self.lib.token_to_id(self.between)
-
-    def _fresh(self, words: list[str]) -> list[bytes]:
-        """Ids of words in one call: the words stand between start tokens, which cut text and stay whole."""
-        out = np.array(self.lib.encode_batch_fast([self.between.join(words)], add_special_tokens=False)[0].ids, "<u4")
-        cut = np.flatnonzero(out == self.between_id)
-        flat = out.tobytes()
-        starts, ends = np.r_[0, (cut + 1) * 4].tolist(), np.r_[cut * 4, len(flat)].tolist()
-        return [flat[a:b] for a, b in zip(starts, ends, strict=True)]
-
-    def _letters(self, words: list[bytes]) -> list[bytes]:
-        """Ids of words of lower-case letters alone, by batched merge rounds."""
-        lens = np.fromiter(map(len, words), np.int64, len(words))
-        data = np.frombuffer(b"".join(words), np.uint8)
+        self.key, self.count, self.ids = np.zeros(SLOTS, np.uint64), np.zeros(SLOTS, np.uint8), np.zeros((SLOTS, INLINE), np.uint16)
+
+    def _units(self, data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Bytes with letters lowered, starts and ends of units, and which are odd words."""
+        n = len(data)
+        kind, odd = _CLASS[data], _ODD[data]
+        lead = np.flatnonzero(data[:-1] == 0xC3)
+        tail = data[lead + 1]
+        fine = lead[(tail >= 0x80) & (tail <= 0xBF) & (tail != 0x97) & (tail != 0xB7)]  # the letters of Latin-1, not the two signs among them
+        odd[fine] = odd[fine + 1] = False
+        odd[:-1] |= (data[:-1] == 60) & (data[1:] == 124)  # what may begin a special token
+        solid = kind > 0
+        first = solid.copy()
+        first[1:] &= ~solid[:-1]
+        edge = off[(off > 0) & (off < n)]
+        first[edge] = solid[edge]
+        start = np.flatnonzero(first)
+        strange = np.logical_or.reduceat(odd, start) if len(start) else np.zeros(0, bool)
+        mine = np.zeros(n, bool)  # bytes of odd words
+        if strange.any():
+            word = np.cumsum(first) - 1
+            mine = strange[np.maximum(word, 0)] & solid
+        low = _LOWER[data]
+        low[fine + 1] += np.where(data[fine + 1] <= 0x9E, 32, 0).astype(np.uint8)
+        low = np.where(mine, data, low)
+        new = first.copy()
+        new[1:] |= solid[1:] & ~mine[1:] & ((kind[1:] != kind[:-1]) | (kind[1:] == 2))
+        begin = np.flatnonzero(new)
+        stop = ~solid
+        stop |= new
+        stop = np.flatnonzero(np.r_[stop, True])
+        end = stop[np.searchsorted(stop, begin, side="right")]
+        return low, begin, end, mine[begin]
+
+    def encode_bytes(self, data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of concatenated texts and the n+1 positions of the texts among them."""
+        if not len(data):
+            return np.zeros(0, "<u4"), np.zeros(len(off), np.int64)
+        low, begin, end, strange = self._units(data, off)
+        h = common.span_hash(common.prefix_hash(low), begin, end)
+        h[strange] ^= np.uint64(0x5851F42D4C957F2D)
+        h |= np.uint64(1)  # 0 is an empty slot
+        slot = (h >> np.uint64(64 - SLOTS.bit_length() + 1)).astype(np.int64)
+        hit = self.key[slot] == h
+        count = self.count[slot].astype(np.int64)
+        miss = np.flatnonzero(~hit)
+        if len(miss):
+            unit, one, which = np.unique(h[miss], return_index=True, return_inverse=True)
+            one = miss[one]
+            flat, size = self._encode_units(low, begin[one], end[one], strange[one])
+            at = np.r_[0, np.cumsum(size)]
+            count[miss] = size[which]
+        place = np.r_[0, np.cumsum(count)]
+        out = np.zeros(place[-1], "<u4")
+
+        def spread(units: np.ndarray, source: np.ndarray, values: np.ndarray) -> None:
+            n = count[units]
+            ahead = np.cumsum(n) - n
+            step = np.arange(int(n.sum()))
+            out[np.repeat(place[units] - ahead, n) + step] = values[np.repeat(source - ahead, n) + step]
+
+        known = np.flatnonzero(hit)
+        spread(known, slot[known] * INLINE, self.ids.ravel())
+        if len(miss):
+            spread(miss, at[which], flat)
+            keep = np.flatnonzero(size <= INLINE)
+            to = (unit[keep] >> np.uint64(64 - SLOTS.bit_length() + 1)).astype(np.int64)
+            to, only = np.unique(to, return_index=True)
+            keep = keep[only]
+            self.key[to], self.count[to] = unit[keep], size[keep]
+            for j in range(INLINE):
+                some = size[keep] > j
+                self.ids[to[some], j] = flat[at[keep[some]] + j]
+        return out, place[np.searchsorted(begin, off)]
+
+    def _encode_units(self, low: np.ndarray, begin: np.ndarray, end: np.ndarray, strange: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        size = np.zeros(len(begin), np.int64)
+        plain = np.flatnonzero(~strange)
+        lens = (end - begin)[plain]
+        ahead = np.cumsum(lens) - lens
+        data = low[np.repeat(begin[plain] - ahead, lens) + np.arange(int(lens.sum()))]
         sym = self.inner[data]
-        ends = np.cumsum(lens) - 1
-        sym[ends] = self.last[data[ends]]
-        return self.table.run(sym, lens)
+        sym[ahead + lens - 1] = self.last[data[ahead + lens - 1]]
+        flat, size[plain] = self.table.run(sym, lens)
+        odd = np.flatnonzero(strange)
+        if not len(odd):
+            return flat, size
+        words = [low[a:b].tobytes().decode() for a, b in zip(begin[odd].tolist(), end[odd].tolist(), strict=True)]
+        codes = [e.ids for e in self.lib.encode_batch_fast(words, add_special_tokens=False)]
+        size[odd] = [len(c) for c in codes]
+        at = np.r_[0, np.cumsum(size)]
+        out = np.zeros(at[-1], np.int64)
+        fits = np.repeat(~strange, size)
+        out[fits] = flat
+        for k, c in zip(odd.tolist(), codes, strict=True):
+            out[at[k] : at[k + 1]] = c
+        return out, size
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        words = [self.cut(t) if self.odd(t) else t.split() for t in texts]
-        known = self.known
-        new: set[str] = set()
-        for w in words:
-            new.update(w)
-        unknown = [w for w in new if w not in known]
-        if len(known) + len(unknown) > CACHE_WORDS:
-            known = self.known = {"": b""}
-            unknown = list(new)
-        if unknown:
-            self._learn(unknown)
-        return [b"".join(map(known.__getitem__, w)) for w in words]
-
-    def _learn(self, words: list[str]) -> None:
-        """Adds words to the known ones: "Word," is "word" and ",", as the vocabulary has lower case only and cuts at marks."""
-        known, split, need, plain = self.known, [], set(), set()
-        for w in words:
-            body = w.rstrip(MARKS)
-            if body.isalpha() and (body.isascii() or max(body) < "\u0100"):  # normal forms leave these as they are
-                low = body.lower()
-                plain.add(low)
-                if low != w:
-                    split.append((w, low, w[len(body) :]))
-            else:
-                need.add(w)
-        fresh = [w for w in plain if w not in known]
-        if fresh:
-            known.update(zip(fresh, self._letters([w.encode() for w in fresh]), strict=True))
-        need.update(tail for _, _, tail in split)
-        odd = [w for w in need if "<|" in w]
-        fresh = [w for w in need.difference(odd) if w not in known]
-        if fresh:
-            known.update(zip(fresh, self._fresh(fresh), strict=True))
-        for w in odd:
-            known[w] = np.array(self.lib.encode(w, add_special_tokens=False).ids, "<u4").tobytes()
-        known.update([(w, known[low] + known[tail]) for w, low, tail in split])
+        ids, at = self.encode_bytes(*common.raw(pa.array(texts, pa.string())))
+        return [ids[a:b].tobytes() for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
 
 
 _LOADED: dict[str, WordBpe] = {}
@@ -137,10 +190,11 @@ def tokenised(docs: DataFrame, path: str, capacity: int = CAPACITY, end: int = E
         bpe, last = _LOADED[path], np.array([end], "<u4").tobytes()
         seen = np.zeros(capacity + 1, np.int64)
         for whole in batches:
-            for b in common.slices(whole, 1, 8 << 20):
+            for b in common.slices(whole, 1):
                 at, piece, start, length, crc, local, held = [], [], [], [], [], [], []
-                for row, code in enumerate(bpe.encode(b.column(1).to_pylist())):
-                    code += last
+                flat, place = bpe.encode_bytes(*common.raw(b.column(1)))
+                for row in range(b.num_rows):
+                    code = flat[place[row] : place[row + 1]].tobytes() + last
                     for k, lo in enumerate(range(0, len(code), capacity * 4)):
                         some = code[lo : lo + capacity * 4]
                         n = len(some) // 4
