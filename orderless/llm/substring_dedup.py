@@ -31,7 +31,7 @@ from . import common
 WINDOW, ANCHOR = 50, 20
 SPAN = WINDOW - ANCHOR + 1
 #: Anchors a task gathers before it sends them.
-FLUSH = 1_200_000
+FLUSH = 400_000
 _MOST = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
@@ -161,7 +161,7 @@ def deal(buckets: int):
             return _batch(out, _DEALT)
 
         for whole in batches:
-            for b in common.slices(whole, 2):
+            for b in common.slices(whole, 2, 1 << 20):
                 a = anchors(*common.raw(b.column(2)))
                 a["doc"] = a.pop("row") + docs
                 held.append(a)
@@ -222,7 +222,7 @@ def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The bytes of the spans to look at: h, ord, uid, at, back, ahead, span."""
     for whole in batches:
-        for b in common.slices(whole, 2):
+        for b in common.slices(whole, 2, 1 << 20):
             uid, order = b.column(0).to_numpy(), b.column(1).to_numpy()
             out = {k: [] for k in ("h", "ord", "uid", "at", "back", "ahead", "span")}
             for r in range(b.num_rows):
