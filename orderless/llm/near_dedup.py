@@ -149,7 +149,7 @@ def sketch(docs: DataFrame, text: str, key: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for b in common.slices(whole, 1):
+            for b in common.slices(whole, 1, 2 << 20):
                 h, first, k1, k2 = shingles(*common.raw(b.column(1)))
                 sig = signatures(h, first)
                 keys = np.where((np.diff(first) > 0)[:, None], band_keys(sig), 0)
@@ -200,7 +200,7 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
 
     def prepare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for b in common.slices(whole, 0):
+            for b in common.slices(whole, 0, 2 << 20):
                 h, at, k1, k2 = shingles(*common.raw(b.column(0)))
                 sig = signatures(h, at)
                 fits = (b.column(5).to_numpy() == k1.view(np.int64)) & (b.column(6).to_numpy() == k2.view(np.int64))
