@@ -6,7 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, exact_dedup, fingerprints, near_dedup, packing, pii, quality, secrets, substring_dedup
+from . import byte_bpe, exact_dedup, fingerprints, licenses, near_dedup, packing, pii, quality, secrets, substring_dedup
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,14 +20,16 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_best_fit_packing": packing.query,
         "op2_fingerprints": fingerprints.query,
         "op3_suffix_array": substring_dedup.query,
+        "op4_license_scan": licenses.query,
         "op5_pii": pii.query,
         "op6_exact_dedup": exact_dedup.query,
         "op7_secrets": secrets.query,
         "op8_quality": quality.query,
         "op9_byte_bpe": byte_bpe.query,
         "op10_ngram_jaccard": near_dedup.query,
+        "pipeline": pipeline,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_exact_dedup": exact_dedup.SQL}
+    return {"op4_license_scan": licenses.SQL, "op6_exact_dedup": exact_dedup.SQL}
