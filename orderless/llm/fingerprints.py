@@ -59,8 +59,8 @@ def changed_sections(a: Column, b: Column) -> Column:
 
 
 def successors(ids: DataFrame) -> DataFrame:
-    """uid, next_uid in descending (ord, uid), the last followed by the first; windows over ranges of ids, not over all."""
-    own = F.struct("ord", "uid")
+    """ids without ord, and next_uid, in descending (ord, uid), the last followed by the first; windows over ranges of ids, not over all."""
+    own, keep = F.struct("ord", "uid"), [c for c in ids.columns if c != "ord"]
     ids = ids.withColumn("b", F.shiftright("ord", 10))
     heads = common.stage(ids.groupBy("b").agg(F.max(own).alias("head")), "print-heads").withColumn("bb", F.shiftright("b", 10))
     tops = heads.groupBy("bb").agg(F.max("head").alias("top"))
@@ -70,20 +70,20 @@ def successors(ids: DataFrame) -> DataFrame:
     heads = heads.join(tops, "bb").crossJoin(F.broadcast(first))  # one row
     heads = heads.select("b", F.coalesce("head_next", "top_next", "first").alias("lower"))
     after = F.lead(own).over(Window.partitionBy("b").orderBy(F.desc("ord"), F.desc("uid")))
-    return ids.withColumn("after", after).join(heads, "b").select("uid", "n_chars", F.coalesce(F.col("after.uid"), F.col("lower.uid")).alias("next_uid"))
+    return ids.withColumn("after", after).join(heads, "b").select(*keep, F.coalesce(F.col("after.uid"), F.col("lower.uid")).alias("next_uid"))
 
 
 def compare_with_edits(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """Fingerprints of all texts and of their edited forms, with likenesses to both the edited text and the successor."""
     rows = docs.select(common.col(key).cast("long").alias("doc_id"), common.clean_text(common.col(text)).alias("text"))
     rows = common.identified(rows, "doc_id", ["doc_id", "text"])
-    texts = rows.select("uid", "doc_id", "text")
-    links = common.stage(successors(rows.select("uid", "ord", F.length("text").cast("long").alias("n_chars"))), "print-links")
+    texts = rows.select("uid", "text")
+    links = common.stage(successors(rows.select("uid", "ord", "doc_id", F.length("text").cast("long").alias("n_chars"))), "print-links")
     cut = F.floor(F.col("n_chars") / 3).cast("int")
-    # both joins read the same exchange of the texts
-    wanted = links.select(F.col("next_uid").alias("uid"), F.col("uid").alias("by"), cut.alias("cut")).hint("merge")
+    # both joins read the same exchange of the texts, so both take the same columns of them
+    wanted = links.select(F.col("next_uid").alias("uid"), F.col("uid").alias("by"), "doc_id", cut.alias("cut")).hint("merge")
     given = texts.join(wanted, "uid").select(
-        F.col("by").alias("uid"), "cut", F.substring("text", F.lit(1), F.col("cut")).alias("patch"), leaf_set(tree(F.col("text"))).alias("next_leaves")
+        F.col("by").alias("uid"), "doc_id", "cut", F.substring("text", F.lit(1), F.col("cut")).alias("patch"), leaf_set(tree(F.col("text"))).alias("next_leaves")
     )
     both = texts.join(given.hint("merge"), "uid").withColumn("n_chars", F.length("text").cast("long"))
     both = both.withColumn("edited", F.concat(F.substring("text", F.lit(1), (F.col("n_chars") - F.col("cut")).cast("int")), F.col("patch")))
