@@ -60,8 +60,9 @@ def anchors(data: np.ndarray, off: np.ndarray) -> dict[str, np.ndarray]:
     new = np.flatnonzero(np.r_[True, (place[1:] != place[:-1]) | (valid[1:] != valid[:-1] + 1)])
     lo, hi, at = valid[new], valid[np.r_[new[1:], len(valid)] - 1], place[new]
     row = np.searchsorted(off, at, side="right") - 1
+    # the least of many hashes is a small number: h is scrambled anew, so that its top bits deal evenly
     x = common.span_hash(p, lo, hi + WINDOW) ^ common.mix((at - lo).astype(np.uint64))
-    return {"row": row, "at": at - off[row], "back": at - lo, "ahead": at - hi, "h": g[at], "x": x & np.uint64(0xFFFFFFFFFFFF)}
+    return {"row": row, "at": at - off[row], "back": at - lo, "ahead": at - hi, "h": common.mix(g[at] + np.uint64(common.BASE)), "x": x & np.uint64(0xFFFFFFFFFFFF)}
 
 
 _FIELDS = (("h", "<u8"), ("x4", "<u4"), ("x2", "<u2"), ("doc", "<u4"), ("at", "<u4"), ("back", "u1"), ("ahead", "u1"))
@@ -161,7 +162,7 @@ def deal(buckets: int):
             return _batch(out, _DEALT)
 
         for whole in batches:
-            for b in common.slices(whole, 2, 1 << 20):
+            for b in common.slices(whole, 2):
                 a = anchors(*common.raw(b.column(2)))
                 a["doc"] = a.pop("row") + docs
                 held.append(a)
@@ -222,7 +223,7 @@ def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The bytes of the spans to look at: h, ord, uid, at, back, ahead, span."""
     for whole in batches:
-        for b in common.slices(whole, 2, 1 << 20):
+        for b in common.slices(whole, 2):
             uid, order = b.column(0).to_numpy(), b.column(1).to_numpy()
             out = {k: [] for k in ("h", "ord", "uid", "at", "back", "ahead", "span")}
             for r in range(b.num_rows):
