@@ -84,7 +84,7 @@ def clean_text(text: Column) -> Column:
     return F.coalesce(text.cast("string"), F.lit(""))
 
 
-def slices(batch: pa.RecordBatch, text: int, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, text: int, most: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """Cuts a batch so that each piece holds about `most` bytes of text; a longer text stands alone."""
     arr = batch.column(text)
     n = batch.num_rows
