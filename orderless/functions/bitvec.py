@@ -40,14 +40,15 @@ class Flat:
         if not self.n:
             return np.zeros(len(at), np.int64)
         k = np.minimum(at // self.EVERY, max(0, len(self.counts) - 2))
-        ones = self.counts[k] + np.where(np.arange(self.EVERY) < (at - k * self.EVERY)[:, None], self._block(k), 0).sum(1)
+        ones = self.counts[k].astype(np.int64) + np.where(np.arange(self.EVERY) < (at - k * self.EVERY)[:, None], self._block(k), 0).sum(1, dtype=np.int64)
         return ones if bit else at - ones
 
     def select(self, i: np.ndarray, bit: int = 1) -> np.ndarray:
         """The place of the i-th (from 0) bit that equals bit."""
         i = np.asarray(i, np.int64)
         blocks = np.arange(len(self.counts))
-        have = self.counts.astype(np.int64) if bit else np.minimum(blocks * self.EVERY, self.n) - self.counts
+        ones = self.counts.astype(np.int64)
+        have = ones if bit else np.minimum(blocks * self.EVERY, self.n) - ones
         k = np.searchsorted(have, i, side="right") - 1
         run = np.cumsum(self._block(k) == bit, 1)
         return k * self.EVERY + (run <= (i - have[k])[:, None]).sum(1)

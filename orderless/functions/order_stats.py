@@ -44,7 +44,7 @@ class SortedRanks:
     """A sorted multiset in blocks: insert and rank in about the square root of its size."""
 
     def __init__(self, block: int = 512):
-        self.block, self.parts, self.lows = block, [[]], []
+        self.block, self.parts, self.size = block, [[]], 0
 
     def rank(self, value) -> int:
         """How many members are smaller."""
@@ -57,6 +57,7 @@ class SortedRanks:
         return out
 
     def insert(self, value) -> None:
+        self.size += 1
         for i, part in enumerate(self.parts):
             if not part or value <= part[-1] or i == len(self.parts) - 1:
                 bisect.insort(part, value)
