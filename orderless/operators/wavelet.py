@@ -143,7 +143,8 @@ def _by_shard(asked: DataFrame, index: DataFrame, read, schema: str, shard_bits:
         got = read(_open(shard.slice(0, 1).to_pylist()[0]), q, key[0].as_py() << shard_bits)
         return q.append_column("got", pa.array(got, pa.int64())).drop(["shard", "local"])
 
-    return asked.groupBy("shard").cogroup(index.groupBy("shard")).applyInArrow(run, schema)
+    own = index.select(*[F.col(c).alias(c) for c in index.columns])  # asked may stem from the same index
+    return asked.groupBy("shard").cogroup(own.groupBy("shard")).applyInArrow(run, schema)
 
 
 def select(index: DataFrame, asked: DataFrame, shard_bits: int = 20) -> DataFrame:
