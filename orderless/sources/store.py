@@ -122,5 +122,7 @@ class _Reader(DataSourceReader):
 
 
 def register(spark: SparkSession) -> None:
+    """Makes format("idlists") known, and lets Spark hand it filters."""
     arrow.importable(spark)
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     spark.dataSource.register(IdLists)
