@@ -152,7 +152,7 @@ def walk(x: np.ndarray, read, q: np.ndarray, k: int, explore: int, start: int) -
 
 
 def find(q: DataFrame, db: DataFrame, lists: DataFrame, k: int, explore: int = 16, shards: int = 1) -> DataFrame:
-    """qid, rank, id, dist by beam search in each shard over compressed friend lists, decoded as nodes are visited."""
+    """qid, rank, id, dist by beam search in each shard over compressed friend lists, decoded once per batch of queries."""
     spark, out = db.sparkSession, None
     arrow.importable(spark)
     nodes = _shards(db, shards).join(lists.filter("seg = 0").select(F.col("k").alias("id"), "n", "codec", "universe", "payload"), "id", "left")
@@ -170,10 +170,17 @@ def _searcher(held, k: int, explore: int):
         opened: dict[int, list[int]] = {}
 
         def read(i: int) -> list[int]:
-            if i not in opened:  # a list is decoded at the first visit
-                got = listcodecs.codec(codec[i], universe[i]).decode([payload[i]], np.array([n[i]])) if n[i] else np.zeros(0, np.int64)
-                at = np.searchsorted(ids, got)
-                opened[i] = at[(at < len(ids)) & (ids[np.minimum(at, len(ids) - 1)] == got)].tolist()
+            if not opened:  # all queries of the batch meet here, so the shard's lists are decoded once, in lockstep
+                opened.update(dict.fromkeys(range(len(ids)), ()))
+                have = [j for j in range(len(ids)) if n[j]]
+                for kind in sorted({(codec[j], universe[j]) for j in have}):
+                    mine = [j for j in have if (codec[j], universe[j]) == kind]
+                    size = np.array([n[j] for j in mine])
+                    got = listcodecs.codec(*kind).decode([payload[j] for j in mine], size)
+                    at = np.searchsorted(ids, got)
+                    fits = (at < len(ids)) & (ids[np.minimum(at, len(ids) - 1)] == got)
+                    for j, x_, f in zip(mine, np.split(at, np.cumsum(size)[:-1]), np.split(fits, np.cumsum(size)[:-1]), strict=True):
+                        opened[j] = x_[f].tolist()
             return opened[i]
 
         start = medoid(x)
