@@ -129,7 +129,7 @@ def encode_lists(nodes: list[tuple[int, list[int]]], window: int = 32, min_run:
             state.push(a, b - a, PRECISION)
     raw = pack_bits(np.array([r for *_, r, _ in tokens], np.uint64), np.array([n for *_, n in tokens], np.int64))
     used = np.argwhere(hist > 0)
-    table = np.array([[c * TOKENS + t, hist[c, t]] for c, t in used], "<u4")
+    table = np.array([[c * TOKENS + t, hist[c, t]] for c, t in used], "<u4").reshape(-1, 2)
     body = state.to_bytes()
     bits = state.bits + sum(n for *_, n in tokens) + sum(8 + 7 * max(1, -(-int(h).bit_length() // 7)) for h in table[:, 1])
     return np.array([len(table), len(body)], "<u4").tobytes() + table.tobytes() + body + raw, bits

@@ -165,7 +165,7 @@ def pq_search(spark: SparkSession, sf_dir: str) -> DataFrame:
 Q["pq_search"] = pq_search
 SQL["pq_search"] = f"""WITH {_PQ}, t AS (SELECT q.id AS qid, q.sub, b.id AS code, list_distance(q.y, b.y) ** 2 AS d FROM s q JOIN s b ON b.sub = q.sub AND b.id < {1 << BITS} WHERE q.id % 10 = 0),
 d AS (SELECT t.qid, c.id, sum(t.d) AS dist FROM code c JOIN t ON t.sub = c.sub AND t.code = c.code GROUP BY ALL), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY round(dist, 9), id) AS rank FROM d)
-SELECT qid, rank, id, round(dist, 6) AS dist FROM r WHERE rank <= {NEAREST}"""
+SELECT qid, rank, id, round(round(dist, 9), 6) AS dist FROM r WHERE rank <= {NEAREST}"""
 
 
 def pq_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
