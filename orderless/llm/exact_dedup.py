@@ -10,7 +10,7 @@ per task), then a join of the counts of crowded groups back to the rows, which a
 a group is large. A round's survivors are written to the shared folder.
 
 Defined results: a null text counts as empty, and all empty texts are equal to each other. A null key sorts after
-all others. Among rows with the same key and text one, the first read, is kept. Extra columns of any name
+all others. Among rows with the same key and text one is kept. Extra columns of any name
 travel along under names of the operator's own. The input must be a deterministic plan, such as a table scan, since it is read more than once.
 """
 
@@ -39,7 +39,8 @@ def exact_groups(docs: DataFrame, text: str = "text", key: str = "doc_id", diges
     """
     kept_as = {c: f"p{i}" for i, c in enumerate(docs.columns)}
     words, who = F.col(kept_as[text]), F.col(kept_as[key])
-    rows = docs.select(*[common.col(c).alias(p) for c, p in kept_as.items()], F.monotonically_increasing_id().alias("rid"))
+    own = docs.select(*[common.col(c).alias(p) for c, p in kept_as.items()])
+    rows = common.identified(own, kept_as[key], list(kept_as.values())).withColumnRenamed("uid", "rid").drop("ord")
     extra = {"text_sha256": F.sha2(normalised(words).cast("binary"), 256)} if digest else {}
     width, done = first, []
     while True:
