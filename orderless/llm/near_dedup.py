@@ -191,6 +191,8 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
 
     linked = placed2.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j").mapInArrow(connect, "a long, b long")
     first = common.components(linked.distinct())
+    common.unstage(crowded)
+    common.unstage(met)
 
     # step 3: exact verification within components
     sizes = common.stage(first.groupBy("comp").agg(F.count(F.lit(1)).alias("size")), "near-sizes")
@@ -212,6 +214,8 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
     full = common.sifted(texts, "rep", common.sieve(near, "rep")).join(near.hint("merge"), "rep").select("text", "comp", "size", "node", "copies", "k1", "k2")
     full = full.mapInArrow(prepare, "comp long, size long, node long, copies long, sig binary, grams binary").dropDuplicates(["node"])
     full = common.stage(full, "near-sets")
+    common.unstage(near)
+    common.unstage(sizes)
     blocks = tiles(full, "comp", "size", "node").select("comp", "i", "j", "block", "node", "copies", "sig", "grams")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -233,6 +237,7 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
 
     exact = blocks.repartition("comp", "i", "j").sortWithinPartitions("comp", "i", "j").mapInArrow(verify, "a long, b long, links long")
     exact = common.stage(exact, "near-links")
+    common.unstage(full)
     final = common.components(exact.filter("a <> b").select("a", "b"))
     links = exact.groupBy(F.col("a").alias("node")).agg(F.sum("links").alias("links"))
     told = nodes.select("node", "k1", "k2", "rep", "copies").join(final, "node", "left").join(links, "node", "left")
@@ -240,6 +245,8 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
     least_id = common.stage(told.groupBy("comp").agg(F.min("rep").alias("class_id")), "near-classes")
     named = told.join(least_id, "comp").select("k1", "k2", "class_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).cast("long").alias("n_links"))
     named = common.stage(named, "near-named")
+    for old in (exact, told, least_id, nodes):
+        common.unstage(old)
     common.sweep(spark)
     return seen.select("doc_id", "k1", "k2").join(named.hint("merge"), ["k1", "k2"]).select("doc_id", "class_id", "n_links")
 
