@@ -145,3 +145,17 @@ def project(n: int, clusters: int) -> dict[str, float]:
         "partition": (log2_factorial(n) - clusters * log2_factorial(size)) / n,
         "relabel_gain": log2_factorial(clusters) / n,
     }
+
+
+def redundancy(bits: float, model_bits: float, steps: int) -> float:
+    """Bits per step over what the model asks for."""
+    return (bits - model_bits) / max(1, steps)
+
+
+def initial_bits_overhead(bits: float, n: int, universe: int) -> float:
+    """Bits per id of one list over its set bound: what the first draws cost, spread over the list."""
+    return (bits - (n * math.log2(universe) - log2_factorial(n))) / max(1, n)
+
+
+def slowdown(seconds: float, base: float) -> float:
+    return seconds / base

@@ -23,7 +23,7 @@ CELLS = 1 << 21
 
 
 def encode_lists(df: DataFrame, key: str, id: str, codec: str, universe: int, segment_bits: int | None = None) -> DataFrame:
-    """Codes distinct (key, id) rows; ids lie in 0..universe-1, nulls and others raise an error.
+    """Codes (key, id) rows, repeated ones once; ids lie in 0..universe-1, nulls and others raise an error.
 
     With segment_bits, ids are cut into ranges of 2**segment_bits and coded within their range.
     """
@@ -33,12 +33,15 @@ def encode_lists(df: DataFrame, key: str, id: str, codec: str, universe: int, se
     ids = F.col(id).cast("long")
     checked = F.when(ids.isNull() | F.col(key).isNull() | (ids < 0) | (ids >= universe), F.raise_error(F.lit("ids must be present and inside the universe"))).otherwise(ids)
     seg = F.lit(0) if segment_bits is None else F.shiftright(ids, segment_bits).cast("int")
-    rows = df.select(F.col(key).alias("k"), seg.alias("seg"), checked.alias("id")).distinct()
+    rows = df.select(F.col(key).alias("k"), seg.alias("seg"), checked.alias("id"))
     rows = rows.repartition("k", "seg").sortWithinPartitions("k", "seg", "id")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = listcodecs.codec(codec, own)
         for b in arrow.whole_groups(batches, 2):
+            first = arrow.edges([b.column(0), b.column(1), b.column(2)])[:-1]
+            if len(first) < b.num_rows:  # rows that repeat stand side by side
+                b = b.take(pa.array(first))
             at = arrow.edges([b.column(0), b.column(1)])
             lo = b.column(1).to_numpy().astype(np.int64)[at[:-1]] * (0 if segment_bits is None else own)
             ids = b.column(2).to_numpy() - np.repeat(lo, np.diff(at))

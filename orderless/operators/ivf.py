@@ -96,3 +96,14 @@ def id_bits(ix: Ivf) -> DataFrame:
 def permute(db: DataFrame, factor: int, n: int) -> DataFrame:
     """The same vectors under renumbered ids, id -> id * factor mod n (factor coprime to n): a check that order doesn't matter."""
     return db.withColumn("id", F.pmod(F.col("id") * factor, F.lit(n)))
+
+
+def size(ix: Ivf) -> DataFrame:
+    """One row: bytes of ids, codes (as stored symbols of 2**bits, or 32-bit floats) and centroids, and their sum."""
+    rows = ix.tree if ix.tree is not None else ix.lists
+    ids = rows.agg((F.sum("bits") / 8).alias("id_bytes"), F.sum("n").alias("n"))
+    books = getattr(ix.scorer, "books", None)
+    per = ix.centroids.shape[1] * 4 if books is None else books.shape[0] * (books.shape[1] - 1).bit_length() / 8
+    fixed = ix.centroids.size * 4 + (0 if books is None else books.size * 4)
+    out = ids.select(F.lit(ix.codec).alias("codec"), F.round("id_bytes", 1).alias("id_bytes"), F.round(F.col("n") * float(per), 1).alias("code_bytes"), F.lit(float(fixed)).alias("model_bytes"))
+    return out.withColumn("bytes", F.round(F.col("id_bytes") + F.col("code_bytes") + F.col("model_bytes"), 1))

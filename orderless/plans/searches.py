@@ -8,7 +8,8 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import edgecodec, frames, graph, ivf, quantizers, reflist, search
+from ..functions import measures
+from ..operators import codecodec, edgecodec, frames, graph, ivf, quantizers, reflist, search, wavelet
 from ..sources import tables
 
 Q: dict = {}
@@ -241,6 +242,68 @@ def graph_offline(spark: SparkSession, sf_dir: str) -> DataFrame:
 Q["graph_offline"] = graph_offline
 
 
+def ivf_bits_table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bits per id by number of clusters and codec, on trained clusters: fewer, longer lists cost less."""
+    db, out = vectors(spark, sf_dir), None
+    for clusters in (8, 16, 32):
+        c = quantizers.kmeans(db, clusters, 4)
+        for codec in ("raw", "packed", "ef", "wt", "wt1", "roc", "roc_exact"):
+            r = ivf.id_bits(ivf.build(db, c, codec)).select(F.lit(clusters).cast("long").alias("clusters"), "codec", "bits_per_id")
+            out = r if out is None else out.union(r)
+    return out
+
+
+Q["ivf_bits_table"] = ivf_bits_table
+
+
+def index_size(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes of a whole index with raw and with coded ids, vectors as 8-byte residual codes."""
+    db, out = vectors(spark, sf_dir), None
+    c, rq = quantizers.kmeans(db, CLUSTERS, 3), quantizers.ResidualQuantizer.train(db, 8, 8, iters=1)
+    for codec in ("raw", "packed", "ef", "roc"):
+        r = ivf.size(ivf.build(db, c, codec, rq))
+        out = r if out is None else out.union(r)
+    return out
+
+
+Q["index_size"] = index_size
+
+
+def regimes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What access costs: bits per id of events by user, read at random, per list, or only as a whole."""
+    df, out = tables.id_lists(spark, sf_dir, "user_event").select(F.col("k").cast("long").alias("k"), "id"), None
+    u, k = tables.universe(df), tables.universe(df, "k")
+    rows = [("random", "packed"), ("random", "wt"), ("random", "wt1"), ("per list", "ef"), ("per list", "roc"), ("per list", "roc_exact")]
+    for regime, codec in rows:
+        e = wavelet.build(df, "id", "k", k, "flat" if codec == "wt" else "rrr") if codec[0] == "w" else frames.encode_lists(df, "k", "id", codec, u)
+        r = e.agg(F.round(F.sum("bits") / F.sum("n"), 4).alias("bits_per_id")).select(F.lit(regime).alias("regime"), F.lit(codec).alias("codec"), "bits_per_id")
+        out = r if out is None else out.union(r)
+    edges = df.select(F.col("k").alias("src"), (F.col("id") + k).alias("dst"))
+    whole = edgecodec.encode(edges, k + u).agg(F.round(F.sum("bits") / F.sum("n_edges"), 4).alias("bits_per_id"))
+    return out.union(whole.select(F.lit("whole").alias("regime"), F.lit("edge_coding").alias("codec"), "bits_per_id"))
+
+
+Q["regimes"] = regimes
+
+
+def pq_code_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Product codes under running counts, conditioned on the cluster and not, measured and by the closed form."""
+    db, out = vectors(spark, sf_dir), None
+    c = quantizers.kmeans(db, CLUSTERS, 3)
+    for m in (4, 16):
+        ix = ivf.build(db, c, "packed", quantizers.ProductQuantizer.train(db, m, 4, iters=2))
+        long = ix.codes.select("k", F.col("off").alias("id"), F.posexplode("code").alias("sub", "code"))
+        for name, rows in (("conditioned", long), ("unconditioned", long.withColumn("id", F.col("k") * (1 << 40) + F.col("id")).withColumn("k", F.lit(0)))):
+            coded = codecodec.encode(rows, alphabet=16).agg(F.sum("bits").alias("bits"), F.sum("n").alias("n"))
+            form = measures.adaptive_code_bits(rows, ["k", "sub"], "code", 16).agg(F.sum("bits").alias("form"))
+            r = coded.crossJoin(form).select(F.lit(f"pq{m}x4").alias("codes"), F.lit(name).alias("model"), F.round(F.col("bits") / F.col("n"), 4).alias("measured"), F.round(F.col("form") / F.col("n"), 4).alias("closed_form"))
+            out = r if out is None else out.union(r)
+    return out
+
+
+Q["pq_code_bits"] = pq_code_bits
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """An index with random-order coded ids, searched with ids resolved for the winners only."""
     db = vectors(spark, sf_dir)

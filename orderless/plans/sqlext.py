@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
@@ -55,7 +56,9 @@ def ids_contains(data: pa.Array, id: pa.Array) -> pa.Array:
     return pa.array([None if d is None or i is None else bool(np.isin(i, _decode(d))) for d, i in zip(data.to_pylist(), id.to_pylist(), strict=True)], pa.bool_())
 
 
-ids_encode_agg = F.pandas_udf(lambda ids, universe: _encode(ids.tolist(), int(universe.iloc[0]), "roc"), T.BinaryType(), F.PandasUDFType.GROUPED_AGG)
+@F.pandas_udf(T.BinaryType())
+def ids_encode_agg(ids: pd.Series, universe: pd.Series) -> bytes:
+    return _encode(ids.tolist(), int(universe.iloc[0]), "roc")
 
 
 @udtf(returnType=T.StructType([T.StructField("id", T.LongType())]))

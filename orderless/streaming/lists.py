@@ -89,6 +89,22 @@ def probe_static(stream: DataFrame, static: DataFrame, on: str) -> DataFrame:
     return stream.join(static, on)
 
 
+def upsert(stream: DataFrame, path: str, key: str = "user_id") -> None:
+    """Writes each micro-batch's rows under its batch number, so that a batch run twice leaves one copy; readers take all batches."""
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number:012d}")
+
+    w = stream.writeStream.foreachBatch(put).trigger(availableNow=True).option("checkpointLocation", f"{path}/_checkpoint")
+    w.start().awaitTermination()
+
+
+def split_late(stream: DataFrame, seen_until: F.Column, late: str = "1 hour") -> tuple[DataFrame, DataFrame]:
+    """Rows in time, and late ones for a dead-letter table: those older than `late` before the time seen."""
+    old = F.col("ts") < seen_until - F.expr(f"INTERVAL {late}")
+    return stream.filter(~old), stream.filter(old)
+
+
 class GrowingList(StatefulProcessor):
     """Per user, an open tail of ids; every `seal` ids it is sealed as an Elias-Fano segment, and the segment is told."""
 

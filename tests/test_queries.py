@@ -11,7 +11,7 @@ from orderless.plans import catalog, searches
 from orderless.sources import store, tables
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"graph_search", "graph_offline", "pq_recall"}
+SLOW = {"graph_search", "graph_offline", "pq_recall", "ivf_bits_table", "index_size"}
 
 
 @pytest.fixture(scope="session")
