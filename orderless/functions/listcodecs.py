@@ -179,7 +179,31 @@ class ExactRandomOrder:
         return np.array(out, np.int64)
 
 
-CODECS = {c.name: c for c in (Raw, Packed, EliasFano, RandomOrder, ExactRandomOrder)}
+class BucketedRandomOrder:
+    """Random-order coding with counts of some 64 id ranges in place of exact ranks, on exact states. Scalar."""
+
+    name = "roc_buckets"
+
+    def __init__(self, universe: int, buckets: int = 64):
+        self.universe, self.shift = universe, max(0, width_of(universe) - (buckets - 1).bit_length())
+
+    def encode(self, flat: np.ndarray, at: np.ndarray) -> tuple[list[bytes], np.ndarray]:
+        out, bits = [], []
+        for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+            state = setcodec.ExactState(0)
+            setcodec.encode_bucketed(state, flat[a:b].tolist(), self.universe, self.shift)
+            out.append(state.to_bytes())
+            bits.append(state.bits)
+        return out, np.array(bits, np.int64)
+
+    def decode(self, payload: list[bytes], size: np.ndarray) -> np.ndarray:
+        out: list[int] = []
+        for p, n in zip(payload, np.asarray(size).tolist(), strict=True):
+            out += setcodec.decode_bucketed(setcodec.ExactState.from_bytes(p), n, self.universe, self.shift)
+        return np.array(out, np.int64)
+
+
+CODECS = {c.name: c for c in (Raw, Packed, EliasFano, RandomOrder, ExactRandomOrder, BucketedRandomOrder)}
 CODECS["raw32"] = lambda universe: Raw(universe, 32)
 CODECS["ef_ceil"] = lambda universe: EliasFano(universe, "ceil")
 CODECS["roc_seeded"] = lambda universe: RandomOrder(universe, 7)

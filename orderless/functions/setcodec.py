@@ -79,6 +79,36 @@ def decode_multiset(state: ExactState, n: int, universe: int) -> list[int]:
     return list(got)
 
 
+def encode_bucketed(state: ExactState, ids: list[int], universe: int, shift: int) -> None:
+    """A set whose latent is only the order of id ranges of 2**shift: counts over few ranges stand in for exact ranks.
+
+    Within a range the order is fixed, so its log2(count!) bits aren't saved; ranks cost less to keep.
+    """
+    stacks: dict[int, list[int]] = {}
+    for v in sorted(ids):
+        stacks.setdefault(v >> shift, []).append(v)
+    tree = Fenwick(((universe - 1) >> shift) + 1)
+    for b, s in stacks.items():
+        tree.add(b, len(s))
+    for i in range(len(ids), 0, -1):
+        b = tree.find(state.slot(i))
+        state.pop(tree.below(b), len(stacks[b]), i)
+        tree.add(b, -1)
+        state.push_uniform(stacks[b].pop(), universe)
+
+
+def decode_bucketed(state: ExactState, n: int, universe: int, shift: int) -> list[int]:
+    tree, got = Fenwick(((universe - 1) >> shift) + 1), []
+    for i in range(1, n + 1):
+        value = state.pop_uniform(universe)
+        b = value >> shift
+        tree.add(b)
+        start = tree.below(b)
+        state.push(start, tree.below(b + 1) - start, i)
+        got.append(value)
+    return sorted(got)
+
+
 def _pop_id(state: WordStateBatch, n: int, universe: int) -> np.ndarray:
     if universe <= 1 << 26:
         return state.pop_uniform(n, universe)

@@ -13,7 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.ans import WordStateBatch
+from ..functions import setcodec
+from ..functions.ans import ExactState, WordStateBatch
 from . import arrow
 
 
@@ -106,3 +107,36 @@ def decode(encoded: DataFrame) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([part.column(0).take(pick), part.column(1).take(pick), pa.array(off), pa.array(np.concatenate(got).astype(np.int32))], ["k", "sub", "off", "code"])
 
     return encoded.select("k", "sub", "n", "alphabet", "payload").mapInArrow(run, "k long, sub int, off long, code int")
+
+
+def encode_sets(rows: DataFrame, alphabet: int = 256) -> DataFrame:
+    """Rows (k, code) with code an array of symbols, to (k, n, width, alphabet, payload, bits): each cluster's codes as one multiset.
+
+    Where ids are implied by nothing but the codes' order, that order goes too, and log2(n!) bits with it. Scalar, exact states;
+    a cluster is one group, so clusters should be bounded.
+    """
+    arrow.importable(rows.sparkSession)
+
+    def run(key: tuple, t: pa.Table) -> pa.Table:
+        codes = t["code"].to_pylist()
+        width = len(codes[0])
+        values = [sum(int(c) * alphabet**j for j, c in enumerate(row)) for row in codes]
+        state = ExactState(0)
+        setcodec.encode_multiset(state, values, alphabet**width)
+        return pa.table({"k": [key[0].as_py()], "n": [len(values)], "width": pa.array([width], pa.int32()), "alphabet": pa.array([alphabet], pa.int32()), "payload": pa.array([state.to_bytes()], pa.binary()), "bits": [state.bits]})
+
+    return rows.select(F.col("k").cast("long").alias("k"), "code").groupBy("k").applyInArrow(run, "k long, n long, width int, alphabet int, payload binary, bits long")
+
+
+def decode_sets(encoded: DataFrame) -> DataFrame:
+    """(k, code) of coded multisets, in ascending order of the codes."""
+    arrow.importable(encoded.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for r in b.to_pylist():
+                values = setcodec.decode_multiset(ExactState.from_bytes(r["payload"]), r["n"], r["alphabet"] ** r["width"])
+                codes = [[v // r["alphabet"] ** j % r["alphabet"] for j in range(r["width"])] for v in values]
+                yield pa.RecordBatch.from_arrays([pa.array([r["k"]] * len(codes), pa.int64()), pa.array(codes, pa.list_(pa.int32()))], ["k", "code"])
+
+    return encoded.mapInArrow(run, "k long, code array<int>")

@@ -27,7 +27,7 @@ for _codec in ("raw", "packed", "ef", "ef_ceil", "roc", "roc_seeded"):
         Q[f"roundtrip_{_codec}_{_name}"] = partial(_lists, _name, _codec, None)
 for _name in ("supplier_order", "type_event", "type_part"):
     Q[f"roundtrip_roc_segmented_{_name}"] = partial(_lists, _name, "roc", 8)
-for _codec in ("roc_exact", "roc_distinct"):
+for _codec in ("roc_exact", "roc_distinct", "roc_buckets"):
     Q[f"roundtrip_{_codec}_customer_order"] = partial(_lists, "customer_order", _codec, None)
 for _q in list(Q):
     SQL[_q] = tables.lists_sql(next(n for n in sorted(tables.LISTS, key=len, reverse=True) if _q.endswith(n)))
@@ -156,6 +156,18 @@ Q["roundtrip_adaptive_order"] = roundtrip_adaptive_order
 SQL["roundtrip_adaptive_order"] = "SELECT user_id % 16 AS k, row_number() OVER (PARTITION BY user_id % 16 ORDER BY event_id) - 1 AS off, CAST(((user_id % 16) * 37 + (event_id * 7919) % 8) % 256 AS INT) AS code FROM events"
 
 
+def roundtrip_code_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two-column codes of each supplier's lines (quantity, line number) as multisets, and back; counts per code."""
+    df = tables.table(spark, sf_dir, "lineitem", ["l_suppkey", "l_quantity", "l_linenumber"])
+    rows = df.select(F.col("l_suppkey").alias("k"), F.array(F.col("l_quantity").cast("int"), F.col("l_linenumber").cast("int")).alias("code"))
+    back = codecodec.decode_sets(codecodec.encode_sets(rows, 64))
+    return back.groupBy("k", F.col("code")[0].alias("quantity"), F.col("code")[1].alias("line")).agg(F.count(F.lit(1)).cast("long").alias("n"))
+
+
+Q["roundtrip_code_sets"] = roundtrip_code_sets
+SQL["roundtrip_code_sets"] = "SELECT l_suppkey AS k, CAST(l_quantity AS INT) AS quantity, l_linenumber AS line, count(*) AS n FROM lineitem GROUP BY ALL"
+
+
 def _get(codec: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     """The middle order of each customer, read from the compressed list alone."""
     df = tables.id_lists(spark, sf_dir, "customer_order")

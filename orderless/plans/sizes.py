@@ -235,7 +235,7 @@ def measured_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What each codec really takes for orders by customer, beside the bounds' names; measured, so it has no SQL."""
     df, out = tables.id_lists(spark, sf_dir, "customer_order"), None
     u = tables.universe(df)
-    for codec in ("raw", "packed", "ef", "roc", "roc_exact", "roc_seeded"):
+    for codec in ("raw", "packed", "ef", "roc", "roc_exact", "roc_buckets", "roc_seeded"):
         r = frames.bits_per_id(frames.encode_lists(df, "k", "id", codec, u))
         out = r if out is None else out.union(r)
     return out
