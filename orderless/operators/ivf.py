@@ -11,7 +11,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from . import frames, quantizers, search, wavelet
+from . import frames, graph, quantizers, search, wavelet
 
 
 @dataclass
@@ -51,6 +51,17 @@ def probe(q: np.ndarray, centroids: np.ndarray, nprobe: int) -> np.ndarray:
     return np.argsort(d, 1, kind="stable")[:, : min(nprobe, len(centroids))]
 
 
+def probe_by_graph(q: np.ndarray, centroids: np.ndarray, nprobe: int, explore: int = 64, links: list[list[int]] | None = None) -> np.ndarray:
+    """The same by beam search on a graph over the centroids, for indexes with very many clusters; links as graph.monotone makes them."""
+    links = graph.monotone(centroids, 16, 32) if links is None else links
+    start, n = graph.medoid(centroids), min(nprobe, len(centroids))
+    out = np.zeros((len(q), n), np.int64)
+    for row, v in enumerate(q):
+        found = [j for _, j in graph.walk(centroids, links.__getitem__, v, n, max(explore, n), start)]
+        out[row] = found + [j for j in range(len(centroids)) if j not in set(found)][: n - len(found)] if len(found) < n else found
+    return out
+
+
 def resolve(ix: Ivf, found: DataFrame) -> DataFrame:
     """Ids of found (k, off, ...) rows, only these: by select on the tree, or by reading the lists of the clusters that won."""
     if ix.tree is not None:
@@ -60,11 +71,14 @@ def resolve(ix: Ivf, found: DataFrame) -> DataFrame:
     return found.join(ids, ["k", "off"])
 
 
-def find(q: DataFrame, ix: Ivf, k: int, nprobe: int = 16, ids: str = "deferred") -> DataFrame:
-    """qid, rank, id, dist. deferred carries (cluster, offset) and resolves the winners; eager decodes all probed lists first."""
-    out = None
+def find(q: DataFrame, ix: Ivf, k: int, nprobe: int = 16, ids: str = "deferred", centroid_explore: int = 0) -> DataFrame:
+    """qid, rank, id, dist. deferred carries (cluster, offset) and resolves the winners; eager decodes all probed lists first.
+
+    With centroid_explore, clusters are chosen by a beam search of that width on a graph over the centroids.
+    """
+    out, links = None, graph.monotone(ix.centroids, 16, 32) if centroid_explore else None
     for qid, qmat in search.query_blocks(q):
-        probes = probe(qmat, ix.centroids, nprobe)
+        probes = probe_by_graph(qmat, ix.centroids, nprobe, centroid_explore, links) if links else probe(qmat, ix.centroids, nprobe)
         if ids == "eager":
             if ix.lists is None:
                 raise wavelet.UnsupportedError("a wavelet tree has no lists to decode; ask for deferred ids")

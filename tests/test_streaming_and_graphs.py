@@ -99,3 +99,14 @@ def test_index_sizes_shrink(spark, sf):
     c = searches.first_rows(db, 8)
     raw, coded = (ivf.size(ivf.build(db, c, codec)).first() for codec in ("raw", "roc"))
     assert coded.id_bytes < raw.id_bytes / 5 and coded.code_bytes == raw.code_bytes
+
+
+def test_clusters_found_on_a_centroid_graph(spark, sf):
+    x = np.random.default_rng(3).normal(size=(400, 12))
+    q = np.random.default_rng(4).normal(size=(30, 12))
+    a, b = ivf.probe(q, x, 8), ivf.probe_by_graph(q, x, 8)
+    assert np.mean([len(set(i) & set(j)) / 8 for i, j in zip(a.tolist(), b.tolist(), strict=True)]) > 0.9
+    db = searches.vectors(spark, sf)
+    ix = ivf.build(db, searches.first_rows(db, 8), "ef")
+    found = [ivf.find(searches.batch(db), ix, 5, 8, centroid_explore=e).select("qid", "id") for e in (0, 64)]
+    assert frames.lost_or_added(*found).count() == 0
