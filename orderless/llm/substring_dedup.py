@@ -31,9 +31,7 @@ from . import common
 WINDOW, ANCHOR = 50, 20
 SPAN = WINDOW - ANCHOR + 1
 #: Anchors a task gathers before it sends them.
-FLUSH = 250_000
-#: Ranges that a comparing task gathers before it tells them, and buckets per shuffle partition.
-TELL, BUCKETS = 400_000, 4
+FLUSH = 400_000
 _MOST = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
@@ -183,10 +181,8 @@ def deal(buckets: int):
 def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Buckets of anchors to ranges (a smaller document has the same span) and spans to look at (it has the anchor only)."""
     bucket, held = None, []
-    # results of several buckets, so that a document gets few rows; (uid, columns) by kind
-    told: dict[int, list[tuple[np.ndarray, ...]]] = {CUT: [], LOOK: []}
 
-    def settle() -> None:
+    def settle() -> Iterator[pa.RecordBatch]:
         if not held:
             return
         rows = {k: np.concatenate([a[k] for a in held]) for k in held[0]}
@@ -196,23 +192,18 @@ def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         by_h, by_x = _edges(rows["h"]), _edges(rows["h"], rows["x"])
         least = rows["ord"][np.flatnonzero(by_x)][np.cumsum(by_x) - 1]
         over = rows["ord"] > least
-        at = rows["at"].astype(np.int32)
-        told[CUT].append((rows["uid"][over], (at - rows["back"])[over], (at - rows["ahead"] + np.int32(WINDOW))[over]))
+        at, out = rows["at"].astype(np.int64), []
+        for uid, blob in _by_doc(rows["uid"][over], (at - rows["back"])[over], (at - rows["ahead"] + WINDOW)[over]):
+            out.append((CUT, uid, blob))
         number = np.cumsum(by_h) - 1
         first = np.flatnonzero(by_h)
         low, high = np.minimum.reduceat(rows["ord"], first), np.maximum.reduceat(rows["ord"], first)
         look = (np.bincount(number, by_x) > 1) & (high > low)
         pick = look[number] & ~over
-        h = np.ascontiguousarray(rows["h"][pick]).view(np.int32).reshape(-1, 2)
-        told[LOOK].append((rows["uid"][pick], h[:, 0], h[:, 1], at[pick], rows["back"][pick].astype(np.int32), rows["ahead"][pick].astype(np.int32)))
-
-    def tell(kind: int) -> pa.RecordBatch:
-        uid, *columns = (np.concatenate(c) for c in zip(*told[kind], strict=True))
-        told[kind] = []
-        return _batch([(kind, u, blob) for u, blob in _by_doc(uid, *columns)], _TOLD)
-
-    def full(least: int) -> list[int]:
-        return [k for k, v in told.items() if sum(len(c[0]) for c in v) > least]
+        h = rows["h"][pick]
+        for uid, blob in _by_doc(rows["uid"][pick], (h & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32), (h >> np.uint64(32)).astype(np.uint32).view(np.int32), at[pick], rows["back"][pick].astype(np.int64), rows["ahead"][pick].astype(np.int64)):
+            out.append((LOOK, uid, blob))
+        yield _batch(out, _TOLD)
 
     for b in batches:
         passed = []
@@ -221,16 +212,12 @@ def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 passed.append((kind, uid, blob))
                 continue
             if k != bucket:
-                settle()
+                yield from settle()
                 bucket = k
-                for some in full(TELL):
-                    yield tell(some)
             held.append(_unpack(blob))
         if passed:
             yield _batch(passed, _TOLD)
-    settle()
-    for some in full(0):
-        yield tell(some)
+    yield from settle()
 
 
 def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -412,7 +399,7 @@ def ranges(docs: DataFrame) -> DataFrame:
     """uid and the ranges to cut (list of packed pairs) of documents (uid, ord, text)."""
     spark = docs.sparkSession
     common.importable(spark)
-    buckets = BUCKETS * common.parts(spark)
+    buckets = 2 * common.parts(spark)
     dealt = docs.select("uid", "ord", "text").mapInArrow(deal(buckets), "bucket int, kind int, uid long, blob binary")
     told = dealt.repartition("bucket").sortWithinPartitions("bucket", "kind").mapInArrow(compare, "kind int, uid long, blob binary")
     told = common.stage(told, "passages-told")
