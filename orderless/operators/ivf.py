@@ -8,9 +8,10 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..sources import store
 from . import frames, graph, quantizers, search, wavelet
 
 
@@ -121,3 +122,33 @@ def size(ix: Ivf) -> DataFrame:
     fixed = ix.centroids.size * 4 + (0 if books is None else books.size * 4)
     out = ids.select(F.lit(ix.codec).alias("codec"), F.round("id_bytes", 1).alias("id_bytes"), F.round(F.col("n") * float(per), 1).alias("code_bytes"), F.lit(float(fixed)).alias("model_bytes"))
     return out.withColumn("bytes", F.round(F.col("id_bytes") + F.col("code_bytes") + F.col("model_bytes"), 1))
+
+
+def save(ix: Ivf, path: str, buckets: int = 16) -> None:
+    """A new folder with the index: one row of settings and models, codes by cluster bucket in canonical order, ids in their coded form."""
+    spark, books = ix.codes.sparkSession, getattr(ix.scorer, "books", None)
+    kind = f"flat:{ix.scorer.metric}" if books is None else type(ix.scorer).__name__
+    meta = (ix.codec, ix.universe, ix.shard_bits, buckets, kind, list(ix.centroids.shape), ix.centroids.ravel().tolist(), [] if books is None else list(books.shape), [] if books is None else books.ravel().tolist())
+    spark.createDataFrame([meta], META).coalesce(1).write.parquet(f"{path}/meta")
+    rows = ix.codes.withColumn("bucket", F.pmod(F.xxhash64("k"), F.lit(buckets)).cast("int"))
+    rows.repartition("bucket").sortWithinPartitions("bucket", "k", "off").write.partitionBy("bucket").parquet(f"{path}/codes")
+    if ix.lists is not None:
+        store.save_index(ix.lists, f"{path}/lists", buckets)
+    else:
+        ix.tree.write.parquet(f"{path}/tree")
+
+
+META = "codec string, universe long, shard_bits int, buckets int, scorer string, shape array<int>, centroids array<double>, book_shape array<int>, books array<double>"
+
+
+def load(spark: SparkSession, path: str) -> Ivf:
+    """The index that save wrote; codes and ids are read when a search asks for them."""
+    m = spark.read.schema(META).parquet(f"{path}/meta").first()
+    if m.scorer.startswith("flat:"):
+        scorer = search.Flat(m.scorer[5:])
+    else:
+        scorer = {c.__name__: c for c in (quantizers.ProductQuantizer, quantizers.ResidualQuantizer)}[m.scorer](np.array(m.books).reshape(m.book_shape))
+    coded = m.codec in ("wt", "wt1")
+    lists = None if coded else store.open_index(spark, f"{path}/lists", buckets=m.buckets)
+    tree = spark.read.parquet(f"{path}/tree") if coded else None
+    return Ivf(np.array(m.centroids).reshape(m.shape), spark.read.parquet(f"{path}/codes").drop("bucket"), lists, tree, m.universe, m.codec, scorer, m.shard_bits)

@@ -110,3 +110,14 @@ def test_clusters_found_on_a_centroid_graph(spark, sf):
     ix = ivf.build(db, searches.first_rows(db, 8), "ef")
     found = [ivf.find(searches.batch(db), ix, 5, 8, centroid_explore=e).select("qid", "id") for e in (0, 64)]
     assert frames.lost_or_added(*found).count() == 0
+
+
+@pytest.mark.parametrize("codec", ["roc", "wt1"])
+def test_saved_index_answers_alike(spark, sf, tmp_path, codec):
+    db = searches.vectors(spark, sf)
+    for name, quantizer in (("flat", None), ("pq", quantizers.ProductQuantizer.train(db, 8, 4, iters=1))):
+        ix = ivf.build(db, searches.first_rows(db, 8), codec, quantizer)
+        ivf.save(ix, f"{tmp_path}/{name}")
+        again = ivf.load(spark, f"{tmp_path}/{name}")
+        q = searches.batch(db)
+        assert frames.lost_or_added(ivf.find(q, ix, 5, 3), ivf.find(q, again, 5, 3)).count() == 0
