@@ -1,19 +1,21 @@
 """Secret scans: every candidate and its surroundings judged by a character convolutional network in numpy.
 
 Candidates are the valid matches of the base patterns, which always count, and long mixed tokens from a looser
-generator. The network embeds the characters of a window (candidate and context), convolves, pools the maximum and
-gives a logit; it is trained on labelled findings, calibrated on held-out ones, and its threshold is the highest that
-still reaches the wanted recall there. Findings are drawn by rule from a fixed seed (no table labels secrets), so the
+generator (dots included, of any length). The network embeds the characters of a window, convolves, pools the maximum and
+gives a logit; a candidate is as suspicious as its worst window, and its windows cover all its characters and the context on
+both sides. It is trained on labelled findings, calibrated on held-out ones, and its threshold is the highest that still reaches
+the wanted recall there. Findings are drawn by rule from a fixed seed (no table labels secrets), so the
 model has a fixed size at every size of the corpus. Everything is narrow; only texts with a
 candidate leave bytes.
 
-Defined results: a null or empty text has no spans. Offsets are in code points, ends exclusive. Repeated rows are each scanned.
+Defined results: a candidate of the network that lies within a base span gives no span of its own. A null or empty text has no spans. Offsets are in code points, ends exclusive. Repeated rows are each scanned.
 """
 
 from __future__ import annotations
 
 import random
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,11 +33,13 @@ _ASSIGN = re.compile(r"""([Pp][Aa][Ss][Ss][Ww][Oo][Rr][Dd]|[Pp][Aa][Ss][Ss][Ww][
 _ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 _HEX = re.compile(r"[0-9a-f]{32,}")
 _KEYWORDS = (b"password", b"passwd", b"secret", b"token", b"apikey", b"api_key")
-#: The looser generator: tokens of 20 characters or more with letters and digits.
-_LONG = re.compile(r"(?<![A-Za-z0-9+/_=.-])[A-Za-z0-9+/_=-]{20,200}(?![A-Za-z0-9+/_=-])")
+#: The looser generator: tokens of 20 characters or more with letters and digits, single dots inside allowed.
+_RUN = re.compile(r"[A-Za-z0-9+/_=.-]{20,}")
+_LONG = re.compile(r"[A-Za-z0-9+/_=-]+(?:\.[A-Za-z0-9+/_=-]+)*")
 _DIGIT, _LETTER = re.compile(r"[0-9]"), re.compile(r"[A-Za-z]")
 
 WINDOW, WIDTH, FILTERS, KERNEL = 96, 8, 24, 5
+LEAD, STEP, BLOCK = 32, 48, 2048
 RECALL = 0.995
 
 
@@ -46,7 +50,8 @@ def base_spans(t: str) -> list[tuple[str, int, int]]:
 
 
 def candidates(t: str) -> list[tuple[str, int, int]]:
-    return [("other", *m.span()) for m in _LONG.finditer(t) if _DIGIT.search(m[0]) and _LETTER.search(m[0])]
+    found = [m for run in _RUN.finditer(t) for m in _LONG.finditer(t, *run.span())]
+    return [("other", *m.span()) for m in found if len(m[0]) >= 20 and _DIGIT.search(m[0]) and _LETTER.search(m[0])]
 
 
 def ordered(rows: list[tuple[str, int, int]]) -> list[tuple[str, int, int]]:
@@ -61,16 +66,18 @@ for _i, _c in enumerate("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ012
 SYMBOLS = 2 * (int(_CLASS.max()) + 1)  # once for context, once for the candidate itself
 
 
-def window(t: str, a: int, b: int) -> np.ndarray:
-    """Character numbers of a candidate of any length with its context; a long one shows its first part."""
-    lead = 32
-    first = max(0, a - lead)
-    shift = lead - (a - first)
-    codes = _CLASS[np.frombuffer(t[first : first + WINDOW - shift].encode("latin-1", "replace"), np.uint8)]
-    at = np.arange(len(codes)) + first
-    out = np.zeros(WINDOW, np.int64)
-    out[shift : shift + len(codes)] = codes + (SYMBOLS // 2) * ((at >= a) & (at < b))
-    return out
+def windows(t: str, a: int, b: int) -> Iterator[np.ndarray]:
+    """Character numbers of a candidate of any length with its context, in windows of one width; some windows at a time."""
+    last = max(a - LEAD, b + LEAD - WINDOW)
+    for lo in range(a - LEAD, last + STEP, STEP * BLOCK):
+        first = np.unique(np.minimum(lo + STEP * np.arange(BLOCK), last))
+        begin, end = max(0, int(first[0])), min(len(t), int(first[-1]) + WINDOW)
+        codes = _CLASS[np.frombuffer(t[begin:end].encode("latin-1", "replace"), np.uint8)]
+        at = first[:, None] + np.arange(WINDOW)
+        real = (at >= 0) & (at < len(t))
+        out = np.zeros(at.shape, np.int64)
+        out[real] = codes[at[real] - begin] + (SYMBOLS // 2) * ((at[real] >= a) & (at[real] < b))
+        yield out
 
 
 class CharConv:
@@ -126,9 +133,13 @@ def findings(n: int, seed: int) -> tuple[list[tuple[str, int, int]], np.ndarray]
         good = r.random() < 0.5
         if good:
             s = r.choice([lambda: some(low + up + dig, r.randint(24, 48)), lambda: some(low + up + dig + "+/", r.randint(30, 60)) + "==", lambda: r.choice(["sk_live_", "ghp_", "xoxb-", "AIza"]) + some(low + up + dig, 32), lambda: some("0123456789abcdef", r.choice([32, 40, 64])), lambda: "AKIA" + some(up + dig, 16)])()
+            if r.random() < 0.25:  # long ones: blobs, tokens of dotted parts
+                s = r.choice([lambda: some(low + up + dig + "+/", r.randint(65, 700)) + r.choice(["", "=", "=="]), lambda: some(low + up + dig + "-_", r.randint(65, 400)), lambda: "eyJ" + some(low + up + dig, r.randint(17, 60)) + "." + some(low + up + dig + "-_", r.randint(40, 300)) + "." + some(low + up + dig + "-_", 43)])()
             cue = r.choice(["key = ", "Bearer ", "token: ", "secret=", "auth: \"", "", "credentials ", "Authorization: "])
         else:
             s = r.choice([lambda: w() + w() + w() + w() + some(dig, 1) + w(), lambda: "/".join(w() for _ in range(6)) + some(dig, 2), lambda: "-".join(w() for _ in range(6)) + "-" + some(dig, 4), lambda: "_".join([w(), w(), w(), w(), some(dig, 2)]), lambda: f"{r.randint(1990, 2040)}-{some(dig, 2)}-{some(dig, 2)}T{some(dig, 6)}Z-{w()}", lambda: w().upper() + "-" + some(dig, 10) + "-" + w().upper() + some(dig, 6)])()
+            if r.random() < 0.25:  # long ones: paths, dotted and hyphened names
+                s = r.choice(["/", ".", "-", "_", "/"]).join(w() for _ in range(r.randint(5, 80))) + r.choice(["", "-", "."]) + some(dig, r.randint(1, 4))
             cue = r.choice(["", "file ", "see ", "path: ", "version ", "page ", "name = "])
         s = s if len(s) >= 20 else s + w() + some(dig, 20 - len(s))
         head = " ".join(w() for _ in range(r.randint(0, 8))) + " " + cue
@@ -142,17 +153,36 @@ class Judge:
 
     def __init__(self, recall: float = RECALL, seed: int = 5):
         rows, y = findings(2400, seed)
-        x = np.stack([window(*f) for f in rows])
         fit = np.arange(len(y)) % 3 > 0
-        self.net = CharConv().fit(x[fit], y[fit])
-        f = self.net.logit(x[~fit])
+        x = [np.concatenate(list(windows(*f))) for f in rows]
+        some = np.flatnonzero(fit)
+        self.net = CharConv().fit(np.concatenate([x[i] for i in some]), np.repeat(y[fit], [len(x[i]) for i in some]))
+        f = self.logits([rows[i] for i in np.flatnonzero(~fit)])
         self.slope, self.offset = calibrate(f, y[~fit])
         p = np.sort(sigmoid(self.slope * f + self.offset)[y[~fit] > 0])
-        self.least = float(max(0.5, p[int((1 - recall) * len(p))]))
+        self.least = float(p[int((1 - recall) * len(p))])
+
+    def logits(self, rows: list[tuple[str, int, int]]) -> np.ndarray:
+        """The largest logit of each candidate's windows; rows: text, start, end."""
+        out, held, who, count = np.full(len(rows), -np.inf), [], [], 0
+
+        def flush() -> None:
+            if held:
+                np.maximum.at(out, np.concatenate(who), self.net.logit(np.concatenate(held)))
+
+        for i, row in enumerate(rows):
+            for x in windows(*row):
+                held.append(x)
+                who.append(np.full(len(x), i))
+                count += len(x)
+                if count >= BLOCK:
+                    flush()
+                    held, who, count = [], [], 0
+        flush()
+        return out
 
     def chances(self, t: str, proposed: list[tuple[str, int, int]]) -> np.ndarray:
-        x = np.stack([window(t, a, b) for _, a, b in proposed]) if proposed else np.zeros((0, WINDOW), np.int64)
-        return sigmoid(self.slope * self.net.logit(x) + self.offset)
+        return sigmoid(self.slope * self.logits([(t, a, b) for _, a, b in proposed]) + self.offset)
 
 
 def spans(t: str, model: Judge) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int]]]:
@@ -160,18 +190,17 @@ def spans(t: str, model: Judge) -> tuple[list[tuple[str, int, int]], list[tuple[
     base = ordered(base_spans(t))
     proposed = base + candidates(t)
     chance = model.chances(t, proposed)[len(base) :]
-    extra, free = [], 0
     taken = sorted((a, b) for _, a, b in base)
+    start, reach = [a for a, _ in taken], np.maximum.accumulate(np.array([0, *[b for _, b in taken]]))
+    extra = []
     for (k, a, b), p in zip(proposed[len(base) :], chance, strict=True):
-        while free < len(taken) and taken[free][1] <= a:
-            free += 1
-        if p >= model.least and not any(s < b and a < e for s, e in taken[max(0, free - 1) : free + 2]):
+        if p >= model.least and reach[bisect_right(start, a)] < b:
             extra.append((k, a, b))
     return base, ordered(base + extra)
 
 
 _TOKEN = np.zeros(256, bool)
-_TOKEN[list(b"ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-")] = True
+_TOKEN[list(b"ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=.-")] = True
 _HEXA = np.zeros(256, bool)
 _HEXA[list(b"0123456789abcdef")] = True
 
@@ -190,6 +219,8 @@ def suspects(data: np.ndarray, off: np.ndarray) -> list[int]:
         gap = np.flatnonzero(np.r_[True, ~kind[data], True])
         long = np.diff(gap) > least
         at += gap[:-1][long].tolist()
+        begin = off[:-1]  # a run may go on over the end of a text
+        at += begin[gap[np.searchsorted(gap, begin, side="right").clip(max=len(gap) - 1)] - begin > least].tolist()
     return np.unique(np.searchsorted(off, np.array(at, np.int64), side="right") - 1).tolist()
 
 
