@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import frames
+from ..operators import arrow, frames
 from ..sources import tables
 from ..streaming import lists
 
@@ -75,5 +75,22 @@ def stream_growing_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
     return frames.decode_lists(rows)
 
 
+def stream_whole_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Users' whole lists: the sealed segments decoded, and the open tails as the state holds them at the end of the run."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    had = spark.conf.get(key, None)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        got, tails = lists.run_with_state(lists.growing_lists(lists.events(spark, sf_dir)), "tail")
+        tails = arrow.stage(tails.select("key.user_id", F.explode("value.ids").alias("event_id")), "open-tails")
+    finally:
+        spark.conf.unset(key) if had is None else spark.conf.set(key, had)
+    rows = got.select(F.col("user_id").alias("k"), "seg", "n", F.lit(0).cast("long").alias("lo"), "universe", F.lit("ef").alias("codec"), "payload", "bits")
+    sealed = frames.decode_lists(rows).select(F.col("k").alias("user_id"), F.col("id").alias("event_id"))
+    return sealed.unionByName(tails)
+
+
+Q["stream_whole_lists"], SQL["stream_whole_lists"] = stream_whole_lists, "SELECT user_id, event_id FROM events"
+
 for _f in (stream_tumbling_sets, stream_sliding_sets, stream_session_sets, stream_growing_lists):
     Q[_f.__name__] = _f

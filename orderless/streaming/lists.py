@@ -39,6 +39,16 @@ def run(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.table(name)
 
 
+def run_with_state(stream: DataFrame, state: str) -> tuple[DataFrame, DataFrame]:
+    """What `run` gives in append mode, and the named state variable as it stands at that end (key, value)."""
+    spark = stream.sparkSession
+    base = f"{_shared(spark)}/orderless-streams/s{uuid.uuid4().hex}"
+    w = stream.writeStream.outputMode("append").trigger(availableNow=True).option("checkpointLocation", f"{base}/checkpoint")
+    w.format("parquet").start(f"{base}/out").awaitTermination()
+    held = spark.read.format("statestore").option("stateVarName", state).load(f"{base}/checkpoint")
+    return spark.read.schema(stream.schema).parquet(f"{base}/out"), held.select("key", "value")
+
+
 def _shared(spark: SparkSession) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None)
     if base:
