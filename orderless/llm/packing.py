@@ -274,16 +274,26 @@ def best_fit_plan(counts: dict[int, int], capacity: int = CAPACITY) -> np.ndarra
                 fresh += bins + (1 if rest else 0)
                 left = 0
                 continue
+            # a sequence that took a piece is the tightest as long as it takes more: it is filled before the next
             first, some = runs[room].pop()
-            take = min(left, some)
-            if some > take:
-                runs[room].append((first + take, some - take))
-            tree.add(room, -take)
-            plan.append((length, rank, take, first, capacity - room))
-            runs.setdefault(room - length, []).append((first, take))
-            tree.add(room - length, take)
-            rank += take
-            left -= take
+            per = room // length
+            full, rest = min(some, left // per), 0
+            if full < some:
+                rest = left - full * per
+                used = full + (1 if rest else 0)
+                if used < some:
+                    runs[room].append((first + used, some - used))
+            tree.add(room, -full - (1 if rest else 0))
+            for j in range(per):
+                count = full + (1 if j < rest else 0)
+                if count:
+                    plan.append((length, rank, count, first, capacity - room + j * length))
+                    rank += count
+                    left -= count
+            for count, held, at in ((full, per, first), (1 if rest else 0, rest, first + full)):
+                if count:
+                    runs.setdefault(room - held * length, []).append((at, count))
+                    tree.add(room - held * length, count)
     return np.array(plan, np.int64).reshape(-1, 5)
 
 
