@@ -289,10 +289,19 @@ def verified(h: np.ndarray, first: np.ndarray, sig: np.ndarray, block: np.ndarra
 
 
 def kept_documents(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """One document of each near-duplicate class, the one with the least id; columns of docs."""
-    drop = near_links(docs, text, key).filter("doc_id <> class_id").select("doc_id").distinct()
-    drop = common.stage(drop.withColumnRenamed("doc_id", "near_copy"), "near-drop")
-    return docs.join(drop, common.col(key) == F.col("near_copy"), "left_anti")
+    """One row of each near-duplicate class, the one with the least id; columns of docs. Of equal ids one row, null ids last."""
+    kept_as = {c: f"p{i}" for i, c in enumerate(docs.columns)}
+    flat = docs.select(common.col(key).cast("long").alias("k"), common.col(text).alias("t"), *[common.col(c).alias(p) for c, p in kept_as.items()])
+    rows = common.identified(flat, "k", ["t", *kept_as.values()])
+    links = near_links(rows, "t", "uid")
+    if hasattr(rows, "_staged_path"):  # ids are repeated or null: uids are row numbers, and the row to keep is looked up
+        ranked = common.stage(links.join(rows.select("uid", "ord"), F.col("doc_id") == F.col("uid")).select("uid", "ord", "class_id"), "near-ranked")
+        stays = ranked.groupBy("class_id").agg(F.min(F.struct("ord", "uid")).alias("best"))
+        drop = ranked.join(stays, "class_id").filter("uid <> best.uid").select("uid")
+    else:
+        drop = links.filter("doc_id <> class_id").select(F.col("doc_id").alias("uid"))
+    drop = common.stage(drop.withColumnRenamed("uid", "near_copy"), "near-drop")
+    return rows.join(drop, F.col("uid") == F.col("near_copy"), "left_anti").select(*[F.col(p).alias(c) for c, p in kept_as.items()])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
