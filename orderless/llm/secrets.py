@@ -8,7 +8,8 @@ the wanted recall there. Findings are drawn by rule from a fixed seed (no table
 model has a fixed size at every size of the corpus. Everything is narrow; only texts with a
 candidate leave bytes.
 
-Defined results: a candidate of the network that lies within a base span gives no span of its own. A null or empty text has no spans. Offsets are in code points, ends exclusive. Repeated rows are each scanned.
+Defined results: a candidate of the network that lies within a base span gives no span of its own. A null or empty text has no spans.
+Offsets are in code points, ends exclusive. Repeated rows are each scanned. Texts of a batch don't see each other's ends.
 """
 
 from __future__ import annotations
@@ -41,6 +42,8 @@ _DIGIT, _LETTER = re.compile(r"[0-9]"), re.compile(r"[A-Za-z]")
 WINDOW, WIDTH, FILTERS, KERNEL = 96, 8, 24, 5
 LEAD, STEP, BLOCK = 32, 48, 2048
 RECALL = 0.995
+#: Stands in place of a secret; it must not match a base pattern itself.
+MARK = "[secret]"
 
 
 def base_spans(t: str) -> list[tuple[str, int, int]]:
@@ -255,23 +258,37 @@ def find_secrets(docs: DataFrame, text: str = "text", key: str = "doc_id") -> Da
     return rows.mapInArrow(run, f"doc_id long, base {span}, spans {span}")
 
 
-def redactor(spark: SparkSession, mark: str = "[secret]"):
+def replaced(t: str, found: list[tuple[str, int, int]], mark: str) -> str:
+    """t with each span, in order of start, replaced by the mark; spans that overlap share one."""
+    parts, free = [], 0
+    for _, a, b in found:
+        if b > free:
+            parts += [t[free:a], mark] if a >= free else []
+            free = b
+    return "".join(parts) + t[free:]
+
+
+def redacted(texts: pa.Array, model: Judge, mark: str = MARK) -> pa.Array:
+    """Texts with their secrets replaced; null where nothing was found.
+
+    What a replacement brings to light (a keyword that a longer token had swallowed) is replaced too, until no base secret is left.
+    """
+    out: list[str | None] = [None] * len(texts)
+    for row, t, _, both in _verdicts(texts, model):
+        while both:
+            out[row] = t = replaced(t, both, mark)
+            both = ordered(base_spans(t))
+    return pa.array(out, pa.string())
+
+
+def redactor(spark: SparkSession, mark: str = MARK):
     """A column function: the text with each secret replaced by a mark; null where nothing was found."""
     common.importable(spark)
     held = spark.sparkContext.broadcast(Judge())
 
     @F.arrow_udf("string")
     def redact(texts: pa.Array) -> pa.Array:
-        out: list[str | None] = [None] * len(texts)
-        for row, t, _, both in _verdicts(texts, held.value):
-            parts, free = [], 0
-            for _, a, b in both:
-                if b > free:
-                    parts += [t[free:a], mark] if a >= free else []
-                    free = b
-            if parts:
-                out[row] = "".join(parts) + t[free:]
-        return pa.array(out, pa.string())
+        return redacted(texts, held.value, mark)
 
     return lambda text: redact(common.clean_text(text))
 

@@ -337,7 +337,7 @@ def pii_brute(t):
         out[kind] = []
         for m in re.finditer(p, t):
             d = re.sub("[^0-9]", "", m[0])
-            if kind == "email" or (kind == "ip" and all(int(x) <= 255 for x in m[0].split("."))) or (kind == "card" and 13 <= len(d) <= 19 and pii.luhn(d)) or (kind == "phone" and 9 <= len(d) <= 15):
+            if kind == "email" or (kind == "ip" and all(int(x.lstrip("0")[:4] or 0) <= 255 for x in m[0].split("."))) or (kind == "card" and 13 <= len(d) <= 19 and pii.luhn(d)) or (kind == "phone" and 9 <= len(d) <= 15):
                 out[kind].append(m.span())
     return out
 
