@@ -10,8 +10,9 @@
    same way, then verified exactly. Verified links are counted per node and connect the final classes.
 
 Defined results: a null or empty text has no shingles; such texts are copies of each other and link to nothing else. A text of
-one to four words has one shingle, all its words. Words are what stands between ASCII white space. Rows with a null
-id keep their copies' class but bring no text to step 3. Repeated rows are copies. Similarity is over sets.
+one to four words has one shingle, all its words. Words are what stands between ASCII white space. Repeated rows are copies.
+Rows with a null or repeated id are rows like any other: where ids aren't unique, rows are numbered and written first. A class is named
+by its least id, nulls aside; it is null only where no row of the class has an id. Similarity is over sets.
 """
 
 from __future__ import annotations
@@ -144,30 +145,38 @@ def _matrix(arr: pa.Array, width: int) -> np.ndarray:
     return data.view(np.uint32).reshape(-1, width)
 
 
-def sketch(docs: DataFrame, text: str, key: str) -> DataFrame:
-    common.importable(docs.sparkSession)
+def sketch(rows: DataFrame) -> DataFrame:
+    """uid, ord, doc_id, word-sequence hashes, band keys and signature of rows (uid, ord, doc_id, text)."""
+    common.importable(rows.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for b in common.slices(whole, 1):
-                h, first, k1, k2 = shingles(*common.raw(b.column(1)))
+            for b in common.slices(whole, 3):
+                h, first, k1, k2 = shingles(*common.raw(b.column(3)))
                 sig = signatures(h, first)
                 keys = np.where((np.diff(first) > 0)[:, None], band_keys(sig), 0)
                 n = b.num_rows
                 empty = np.diff(first) == 0
                 lists = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(np.where(empty, 0, BANDS))].astype(np.int32)), pa.array(keys[~empty].ravel(), pa.int64()))
                 packed = pa.Array.from_buffers(pa.binary(), n, [None, pa.py_buffer((np.arange(n + 1) * HASHES * 4).astype(np.int32)), pa.py_buffer(sig.tobytes())])
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), lists, packed], ["doc_id", "k1", "k2", "bands", "sig"])
+                yield pa.RecordBatch.from_arrays([*(b.column(c) for c in range(3)), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), lists, packed], ["uid", "ord", "doc_id", "k1", "k2", "bands", "sig"])
 
-    rows = docs.select(common.col(key).cast("long").alias("doc_id"), common.clean_text(common.col(text)).alias("text"))
-    return rows.mapInArrow(run, "doc_id long, k1 long, k2 long, bands array<long>, sig binary")
+    return rows.select("uid", "ord", "doc_id", "text").mapInArrow(run, "uid long, ord long, doc_id long, k1 long, k2 long, bands array<long>, sig binary")
 
 
 def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", threshold: float = 0.8) -> DataFrame:
     """One row per input row: doc_id, class_id (least id of its class), n_links (other rows at or over the threshold)."""
-    spark, least = docs.sparkSession, least_matches(threshold)
-    seen = common.stage(sketch(docs, text, key), "near-sketch")
-    nodes = seen.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.first("bands").alias("bands"), F.first("sig").alias("sig"))
+    flat = docs.select(common.col(key).cast("long").alias("doc_id"), common.clean_text(common.col(text)).alias("text"))
+    return linked(common.identified(flat, "doc_id", ["doc_id", "text"]), threshold).select("doc_id", "class_id", "n_links")
+
+
+def linked(rows: DataFrame, threshold: float = 0.8) -> DataFrame:
+    """uid, doc_id, class_id, class_uid (the row of a class that is first by id, nulls last, then uid), n_links of rows (uid, ord, doc_id, text)."""
+    spark, least = rows.sparkSession, least_matches(threshold)
+    seen = common.stage(sketch(rows), "near-sketch")
+    nodes = seen.groupBy("k1", "k2").agg(
+        F.min(F.struct("ord", "uid")).alias("head"), F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.first("bands").alias("bands"), F.first("sig").alias("sig")
+    )
     nodes = common.stage(nodes.withColumn("node", F.monotonically_increasing_id()), "near-nodes")
 
     # step 2: crowded buckets, then tiles of their members
@@ -196,24 +205,19 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
 
     # step 3: exact verification within components
     sizes = common.stage(first.groupBy("comp").agg(F.count(F.lit(1)).alias("size")), "near-sizes")
-    near = first.join(sizes, "comp").join(nodes.select("node", "rep", "copies", "k1", "k2"), "node")
+    near = first.join(sizes, "comp").join(nodes.select("node", F.col("head.uid").alias("uid"), "copies"), "node")
     near = common.stage(near, "near-members")
-    texts = docs.select(common.col(key).cast("long").alias("rep"), common.clean_text(common.col(text)).alias("text"))
 
     def prepare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for b in common.slices(whole, 0):
-                h, at, k1, k2 = shingles(*common.raw(b.column(0)))
+                h, at, _, _ = shingles(*common.raw(b.column(0)))
                 sig = signatures(h, at)
-                fits = (b.column(5).to_numpy() == k1.view(np.int64)) & (b.column(6).to_numpy() == k2.view(np.int64))
-                row = np.flatnonzero(fits)
-                sets = [np.unique(h[at[r] : at[r + 1]]).tobytes() for r in row]
-                pick = pa.array(row)
-                yield pa.RecordBatch.from_arrays([*[b.column(c).take(pick) for c in (1, 2, 3, 4)], pa.array([sig[r].tobytes() for r in row], pa.binary()), pa.array(sets, pa.binary())], ["comp", "size", "node", "copies", "sig", "grams"])
-
-    full = common.sifted(texts, "rep", common.sieve(near, "rep")).join(near.hint("merge"), "rep").select("text", "comp", "size", "node", "copies", "k1", "k2")
-    full = full.mapInArrow(prepare, "comp long, size long, node long, copies long, sig binary, grams binary").dropDuplicates(["node"])
-    full = common.stage(full, "near-sets")
+                sets = [np.unique(h[at[r] : at[r + 1]]).tobytes() for r in range(b.num_rows)]
+                yield pa.RecordBatch.from_arrays([*(b.column(c) for c in range(1, 5)), pa.array([x.tobytes() for x in sig], pa.binary()), pa.array(sets, pa.binary())], ["comp", "size", "node", "copies", "sig", "grams"])
+
+    full = common.sifted(rows.select("uid", "text"), "uid", common.sieve(near, "uid")).join(near.hint("merge"), "uid").select("text", "comp", "size", "node", "copies")
+    full = common.stage(full.mapInArrow(prepare, "comp long, size long, node long, copies long, sig binary, grams binary"), "near-sets")
     common.unstage(near)
     common.unstage(sizes)
     blocks = tiles(full, "comp", "size", "node").select("comp", "i", "j", "block", "node", "copies", "sig", "grams")
@@ -240,15 +244,16 @@ def near_links(docs: DataFrame, text: str = "text", key: str = "doc_id", thresho
     common.unstage(full)
     final = common.components(exact.filter("a <> b").select("a", "b"))
     links = exact.groupBy(F.col("a").alias("node")).agg(F.sum("links").alias("links"))
-    told = nodes.select("node", "k1", "k2", "rep", "copies").join(final, "node", "left").join(links, "node", "left")
+    told = nodes.select("node", "k1", "k2", "head", "rep", "copies").join(final, "node", "left").join(links, "node", "left")
     told = common.stage(told.withColumn("comp", F.coalesce("comp", "node")), "near-told")
-    least_id = common.stage(told.groupBy("comp").agg(F.min("rep").alias("class_id")), "near-classes")
-    named = told.join(least_id, "comp").select("k1", "k2", "class_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).cast("long").alias("n_links"))
+    first_row = common.stage(told.groupBy("comp").agg(F.min("head").alias("head"), F.min("rep").alias("class_id")), "near-classes")
+    named = told.select("comp", "k1", "k2", "copies", "links").join(first_row, "comp")
+    named = named.select("k1", "k2", "class_id", F.col("head.uid").alias("class_uid"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).cast("long").alias("n_links"))
     named = common.stage(named, "near-named")
-    for old in (exact, told, least_id, nodes):
+    for old in (exact, told, first_row, nodes):
         common.unstage(old)
     common.sweep(spark)
-    return seen.select("doc_id", "k1", "k2").join(named.hint("merge"), ["k1", "k2"]).select("doc_id", "class_id", "n_links")
+    return seen.select("uid", "doc_id", "k1", "k2").join(named.hint("merge"), ["k1", "k2"]).select("uid", "doc_id", "class_id", "class_uid", "n_links")
 
 
 def verified(h: np.ndarray, first: np.ndarray, sig: np.ndarray, block: np.ndarray, cross: bool, least: dict[int, int], threshold: float) -> tuple[np.ndarray, np.ndarray]:
@@ -291,17 +296,11 @@ def verified(h: np.ndarray, first: np.ndarray, sig: np.ndarray, block: np.ndarra
 def kept_documents(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """One row of each near-duplicate class, the one with the least id; columns of docs. Of equal ids one row, null ids last."""
     kept_as = {c: f"p{i}" for i, c in enumerate(docs.columns)}
-    flat = docs.select(common.col(key).cast("long").alias("k"), common.col(text).alias("t"), *[common.col(c).alias(p) for c, p in kept_as.items()])
-    rows = common.identified(flat, "k", ["t", *kept_as.values()])
-    links = near_links(rows, "t", "uid")
-    if hasattr(rows, "_staged_path"):  # ids are repeated or null: uids are row numbers, and the row to keep is looked up
-        ranked = common.stage(links.join(rows.select("uid", "ord"), F.col("doc_id") == F.col("uid")).select("uid", "ord", "class_id"), "near-ranked")
-        stays = ranked.groupBy("class_id").agg(F.min(F.struct("ord", "uid")).alias("best"))
-        drop = ranked.join(stays, "class_id").filter("uid <> best.uid").select("uid")
-    else:
-        drop = links.filter("doc_id <> class_id").select(F.col("doc_id").alias("uid"))
-    drop = common.stage(drop.withColumnRenamed("uid", "near_copy"), "near-drop")
-    return rows.join(drop, F.col("uid") == F.col("near_copy"), "left_anti").select(*[F.col(p).alias(c) for c, p in kept_as.items()])
+    flat = docs.select(common.col(key).cast("long").alias("k"), common.clean_text(common.col(text)).alias("t"), *[common.col(c).alias(p) for c, p in kept_as.items()])
+    rows = common.identified(flat, "k", ["k", "t", *kept_as.values()])
+    links = linked(rows.select("uid", "ord", F.col("k").alias("doc_id"), F.col("t").alias("text")))
+    drop = common.stage(links.filter("uid <> class_uid").select(F.col("uid").alias("copy")), "near-drop")
+    return rows.join(drop, F.col("uid") == F.col("copy"), "left_anti").select(*[F.col(p).alias(c) for c, p in kept_as.items()])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

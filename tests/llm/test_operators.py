@@ -38,7 +38,7 @@ def odd_documents(spark):
 
 def clashing(df):
     """Extra columns named as the operators' own."""
-    extra = ["keep_id", "kept", "group_size", "head", "rid", "n", "best", "uid", "ord", "bucket", "k1", "node", "score", "path", "part", "length", "rank", "spans", "p0", "text_sha256", "a.b"]
+    extra = ["keep_id", "kept", "group_size", "head", "rid", "n", "best", "uid", "ord", "bucket", "k1", "node", "score", "path", "part", "length", "rank", "spans", "p0", "text_sha256", "a.b", "near_copy", "copy", "k", "t", "doc", "class_id", "comp", "kept_as"]
     return df.withColumns({c: F.lit("x") for c in extra})
 
 
