@@ -146,16 +146,20 @@ def powers(n: int, base: int = BASE) -> np.ndarray:
 INV = pow(BASE, -1, 1 << 64)
 
 
-def prefix_hash(data: np.ndarray) -> np.ndarray:
-    """P[i] = sum of (byte + 1) * BASE**j over j < i, modulo 2**64."""
+def inverse(base: int) -> int:
+    return pow(base, -1, 1 << 64)
+
+
+def prefix_hash(data: np.ndarray, base: int = BASE) -> np.ndarray:
+    """P[i] = sum of (byte + 1) * base**j over j < i, modulo 2**64; base is odd."""
     out = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * powers(len(data)), out=out[1:])
+    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * powers(len(data), base), out=out[1:])
     return out
 
 
-def span_hash(prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+def span_hash(prefix: np.ndarray, start: np.ndarray, end: np.ndarray, base: int = BASE) -> np.ndarray:
     """Polynomial hash of bytes start..end, moved to a common exponent, then scrambled."""
-    return mix((prefix[end] - prefix[start]) * powers(len(prefix), INV)[start] + (end - start).astype(np.uint64))
+    return mix((prefix[end] - prefix[start]) * powers(len(prefix), inverse(base))[start] + (end - start).astype(np.uint64))
 
 
 _SPACE = np.zeros(256, bool)
@@ -266,14 +270,27 @@ def identified(docs: DataFrame, key: str, keep: list[str]) -> DataFrame:
     return stage(docs.select(F.monotonically_increasing_id().alias("uid"), order.alias("ord"), *[col(c) for c in keep]), "identified")
 
 
-SIEVE = 1 << 20
+#: Bits of a sieve, in bitmaps of 2**15 bits. All of them together are 4 MiB, which is what a sieve broadcasts at most.
+SIEVE = 1 << 25
+
+
+def _place(key: str) -> Column:
+    return F.pmod(F.xxhash64(col(key)), F.lit(SIEVE))
 
 
 def sieve(wanted: DataFrame, key: str) -> DataFrame:
-    """Hash buckets of the wanted keys: at most SIEVE numbers, so a broadcast of them has a fixed bound."""
-    return F.broadcast(wanted.select(F.pmod(F.xxhash64(col(key)), F.lit(SIEVE)).alias("bucket")).distinct())
+    """A bit for each hash of the wanted keys, as at most 1,024 bitmaps of 4 KiB: a broadcast of a fixed bound, pre-aggregated by each task.
+
+    With more than some ten million keys most bits are set and fewer rows are held back: the join after it then shuffles up to all
+    rows once, in proportion to the input, and its result stays the same.
+    """
+    place = _place(key)
+    return F.broadcast(wanted.groupBy(F.bitmap_bucket_number(place).alias("map")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(place)).alias("bits")))
 
 
-def sifted(rows: DataFrame, key: str, buckets: DataFrame, how: str = "left_semi") -> DataFrame:
-    """Rows whose bucket is (left_semi) or isn't (left_anti) among those of `sieve`: a filter before a shuffle, not a result."""
-    return rows.join(buckets, F.pmod(F.xxhash64(col(key)), F.lit(SIEVE)) == buckets["bucket"], how)
+def sifted(rows: DataFrame, key: str, bits: DataFrame, how: str = "left_semi") -> DataFrame:
+    """Rows whose bit is set (left_semi) or isn't (left_anti) in a `sieve`: a filter before a shuffle, not a result."""
+    place = F.bitmap_bit_position(_place(key))
+    byte = F.conv(F.hex(F.substring(bits["bits"], (F.shiftright(place, 3) + 1).cast("int"), F.lit(1))), 16, 10).cast("int")
+    set_ = F.call_function("getbit", byte, place.bitwiseAND(F.lit(7)).cast("int")) == 1
+    return rows.join(bits, (F.bitmap_bucket_number(_place(key)) == bits["map"]) & set_, how)

@@ -1,16 +1,23 @@
 """Removal of repeated passages: every byte covered by a string of `WINDOW` bytes that a document with a smaller id has too.
 
 Each window of 50 bytes is found by its anchor, the least-hashed string of `ANCHOR` bytes in it; equal windows have equal anchors at equal
-places, so only what shares an anchor is compared.
-
-1. Each document's anchors, with a hash of all bytes their windows span, are dealt by anchor. Where anchor and span agree
-   with a smaller document, the whole span goes. Within a task only the smallest document of a span is sent.
-2. Where an anchor is shared but spans differ, that is at the edges of repeated passages, the spans' bytes are fetched and
+places, so only what shares an anchor is compared. No removal rests on a hash alone: every one is checked on the bytes.
+
+1. Each document's anchors, with a hash of all bytes their windows span, are dealt by anchor. Spans that agree stand side by side in the
+   order of (anchor, span, document); the task that has both texts compares their bytes at once, and sends only the smallest
+   document of a span on.
+2. Where spans of documents of different tasks agree, each document's predecessor in that order is asked for its bytes, ranges that touch
+   as one. The bytes go to the document, which compares them with its own when it is cut. Predecessors form a chain to the smallest
+   document, so no document, however often copied, is asked by many. If any bytes differed, a hash has collided: all is then done
+   again under another hash.
+3. Where an anchor is shared but spans differ, that is at the edges of repeated passages, the spans' bytes are fetched and
    their suffixes from the anchor on are sorted: a merge sort whose comparisons find the common extension of two
    suffixes by binary search over prefix polynomial hashes. Runs of the sorted suffixes that share enough to the right are
    parted by what stands to the left. Neighbours in the order and every match are checked on the bytes;
    were a hash to collide, the batch would be sorted by its bytes instead.
-3. Ranges are gathered per document and cut out.
+4. An anchor with more than `HOT` different spans is not sorted in one task: its windows become rows, sorted by their bytes and document
+   over ranges that may part even one window's rows, with a running least document handed on from range to range.
+5. Ranges are gathered per document and cut out.
 
 Defined results: a null text is empty. Rows with equal ids remove nothing from each other; a null id counts as the largest.
 Texts shorter than a window keep everything. Documents of any length are handled whole.
@@ -32,10 +39,21 @@ WINDOW, ANCHOR = 50, 20
 SPAN = WINDOW - ANCHOR + 1
 #: Anchors a task gathers before it sends them.
 FLUSH = 400_000
+#: Different spans of one anchor that are sorted in one task.
+HOT = 1024
+#: Bytes of text per bucket of anchors.
+BUCKET_BYTES = 64 << 20
+#: Bits kept of a span's hash, beside the 64 of its anchor's.
+SPAN_BITS = 48
 _MOST = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
-def anchors(data: np.ndarray, off: np.ndarray) -> dict[str, np.ndarray]:
+def base_of(seed: int) -> int:
+    """The odd base of the polynomial hash at a trial."""
+    return (common.BASE + 2 * seed * 0x2545F4914F6CDD1D) & 0xFFFFFFFFFFFFFFFF
+
+
+def anchors(data: np.ndarray, off: np.ndarray, seed: int = 0, bits: int = SPAN_BITS) -> dict[str, np.ndarray]:
     """Anchors of concatenated texts: row, place in the text, first and last window start (as distances back), anchor and span hashes."""
     n, none = len(data), np.zeros(0, np.int64)
     starts = np.arange(n)
@@ -43,26 +61,38 @@ def anchors(data: np.ndarray, off: np.ndarray) -> dict[str, np.ndarray]:
     valid = starts[starts + WINDOW <= end]
     if not len(valid):
         return {k: none for k in ("row", "at", "back", "ahead")} | {"h": none.astype(np.uint64), "x": none.astype(np.uint64)}
-    p = common.prefix_hash(data)
+    base = base_of(seed)
+    p = common.prefix_hash(data, base)
     whole = np.flatnonzero(starts + ANCHOR <= end)
     g = np.full(n, _MOST)
-    g[whole] = common.mix((p[whole + ANCHOR] - p[whole]) * common.powers(n + 1, common.INV)[whole])
-    bits = np.uint64(max(24, n.bit_length()))
-    least = ((g >> bits) << bits) | starts.astype(np.uint64)
+    g[whole] = common.mix((p[whole + ANCHOR] - p[whole]) * common.powers(n + 1, common.inverse(base))[whole])
+    # the least of the next SPAN hashes and its place, the leftmost of equals, by doubling
+    least, where = g.copy(), np.arange(n, dtype=np.int32 if n < 1 << 31 else np.int64)
     width = 1
-    while width * 2 <= SPAN:
-        least[:-width] = np.minimum(least[:-width], least[width:])
-        width *= 2
-    rest = SPAN - width
-    if rest:
-        least[:-rest] = np.minimum(least[:-rest], least[rest:])
-    place = (least[valid] & ((np.uint64(1) << bits) - np.uint64(1))).astype(np.int64)
+    while width < SPAN:
+        step = min(width, SPAN - width)
+        later = least[step:] < least[:-step]
+        where[:-step] = np.where(later, where[step:], where[:-step])
+        least[:-step] = np.where(later, least[step:], least[:-step])
+        width += step
+    place = where[valid].astype(np.int64)
     new = np.flatnonzero(np.r_[True, (place[1:] != place[:-1]) | (valid[1:] != valid[:-1] + 1)])
     lo, hi, at = valid[new], valid[np.r_[new[1:], len(valid)] - 1], place[new]
     row = np.searchsorted(off, at, side="right") - 1
     # the least of many hashes is a small number: h is scrambled anew, so that its top bits deal evenly
-    x = common.span_hash(p, lo, hi + WINDOW) ^ common.mix((at - lo).astype(np.uint64))
-    return {"row": row, "at": at - off[row], "back": at - lo, "ahead": at - hi, "h": common.mix(g[at] + np.uint64(common.BASE)), "x": x & np.uint64(0xFFFFFFFFFFFF)}
+    x = common.span_hash(p, lo, hi + WINDOW, base) ^ common.mix((at - lo).astype(np.uint64))
+    return {"row": row, "at": at - off[row], "back": at - lo, "ahead": at - hi, "h": common.mix(g[at] + np.uint64(common.BASE)), "x": x & np.uint64((1 << bits) - 1)}
+
+
+def same_bytes(data: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether the `size` bytes (at most a span's) at a and at b agree."""
+    out = np.zeros(len(a), bool)
+    step, top = np.arange(WINDOW + SPAN - 1), len(data) - 1
+    for lo in range(0, len(a), 1 << 15):
+        x, y, n = (v[lo : lo + (1 << 15), None] for v in (a, b, size))
+        differ = (data[np.minimum(x + step, top)] != data[np.minimum(y + step, top)]) & (step < n)
+        out[lo : lo + (1 << 15)] = ~differ.any(1)
+    return out
 
 
 _FIELDS = (("h", "<u8"), ("x4", "<u4"), ("x2", "<u2"), ("doc", "<u4"), ("at", "<u4"), ("back", "u1"), ("ahead", "u1"))
@@ -131,27 +161,33 @@ def _batch(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
 
 _DEALT = pa.schema([("bucket", pa.int32()), ("kind", pa.int32()), ("uid", pa.int64()), ("blob", pa.binary())])
 _TOLD = pa.schema([("kind", pa.int32()), ("uid", pa.int64()), ("blob", pa.binary())])
-#: kinds of rows: anchors to compare, ranges to cut, spans to look at closely
-SENT, CUT, LOOK = 0, 1, 2
+#: kinds of rows: anchors to compare, ranges to cut, spans to look at closely, ranges whose bytes another document asks for, a collision
+SENT, CUT, LOOK, ASK, COLLIDED = 0, 1, 2, 3, 4
+#: kinds of fetched rows: a span of a shared anchor, a window of a hot one, bytes that a document has asked for
+NEAR, WINDOWED, PROOF = 0, 1, 2
 
 
-def deal(buckets: int):
-    """A task function: texts to anchors by bucket; spans that a smaller document of the same task has become ranges at once."""
+def deal(buckets: int, seed: int = 0, bits: int = SPAN_BITS):
+    """A task function: texts to anchors by bucket; spans that a smaller document of the same task has, byte by byte, become ranges at once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[dict] = []
         tables: list[np.ndarray] = []
-        count = docs = 0
+        texts: list[np.ndarray] = []
+        count = docs = size = 0
 
         def flush() -> pa.RecordBatch:
             rows = {k: np.concatenate([a[k] for a in held]) for k in held[0]}
-            table = np.concatenate(tables)
+            table, data = np.concatenate(tables), np.concatenate(texts)
             order = np.lexsort((table[rows["doc"], 1], rows["x"], rows["h"]))
             rows = {k: v[order] for k, v in rows.items()}
+            first = rows.pop("base") + rows["at"] - rows["back"]  # where each span begins in data
             group = _edges(rows["h"], rows["x"])
-            least = table[rows["doc"], 1][np.flatnonzero(group)][np.cumsum(group) - 1]
-            over = table[rows["doc"], 1] > least
+            head = np.flatnonzero(group)[np.cumsum(group) - 1]
+            over = table[rows["doc"], 1] > table[rows["doc"][head], 1]
             out = []
+            if not same_bytes(data, first[over], first[head[over]], (rows["back"] - rows["ahead"])[over] + WINDOW).all():
+                out.append((0, COLLIDED, 0, b""))
             for uid, blob in _by_doc(table[rows["doc"][over], 0], (rows["at"] - rows["back"])[over], (rows["at"] - rows["ahead"] + WINDOW)[over]):
                 out.append((uid % buckets, CUT, uid, blob))
             rows = {k: v[~over] for k, v in rows.items()}
@@ -163,23 +199,33 @@ def deal(buckets: int):
 
         for whole in batches:
             for b in common.slices(whole, 2):
-                a = anchors(*common.raw(b.column(2)))
+                data, off = common.raw(b.column(2))
+                a = anchors(data, off, seed, bits)
+                a["base"] = off[a["row"]] + size
                 a["doc"] = a.pop("row") + docs
                 held.append(a)
+                texts.append(data)
                 tables.append(np.stack([b.column(0).to_numpy(), b.column(1).to_numpy()], 1))
                 docs += b.num_rows
+                size += len(data)
                 count += len(a["doc"])
-                if count >= FLUSH:
+                if count >= FLUSH or size >= FLUSH * SPAN:
                     yield flush()
-                    held, tables, count, docs = [], [], 0, 0
+                    held, tables, texts, count, docs, size = [], [], [], 0, 0, 0
         if held:
             yield flush()
 
     return run
 
 
+def _halves(v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """64-bit words as two 32-bit ones."""
+    v = np.ascontiguousarray(v).view(np.uint64)
+    return (v & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32), (v >> np.uint64(32)).astype(np.uint32).view(np.int32)
+
+
 def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Buckets of anchors to ranges (a smaller document has the same span) and spans to look at (it has the anchor only)."""
+    """Buckets of anchors to ranges to ask for (the next smaller document has the same span) and spans to look at (it has the anchor only)."""
     bucket, held = None, []
 
     def settle() -> Iterator[pa.RecordBatch]:
@@ -192,16 +238,20 @@ def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         by_h, by_x = _edges(rows["h"]), _edges(rows["h"], rows["x"])
         least = rows["ord"][np.flatnonzero(by_x)][np.cumsum(by_x) - 1]
         over = rows["ord"] > least
-        at, out = rows["at"].astype(np.int64), []
-        for uid, blob in _by_doc(rows["uid"][over], (at - rows["back"])[over], (at - rows["ahead"] + WINDOW)[over]):
-            out.append((CUT, uid, blob))
+        out = []
+        at, back, ahead = (rows[k].astype(np.int64) for k in ("at", "back", "ahead"))
+        after = np.flatnonzero(over)  # each one's predecessor stands before it, with the same span
+        after = after[np.lexsort((at[after], rows["uid"][after]))]
+        before = after - 1
+        for uid, blob in _by_doc(rows["uid"][before], (at - back)[before], (back - ahead)[before] + WINDOW, *_halves(rows["uid"][after]), (at - back)[after]):
+            out.append((ASK, uid, blob))
         number = np.cumsum(by_h) - 1
         first = np.flatnonzero(by_h)
         low, high = np.minimum.reduceat(rows["ord"], first), np.maximum.reduceat(rows["ord"], first)
-        look = (np.bincount(number, by_x) > 1) & (high > low)
-        pick = look[number] & ~over
-        h = rows["h"][pick]
-        for uid, blob in _by_doc(rows["uid"][pick], (h & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32), (h >> np.uint64(32)).astype(np.uint32).view(np.int32), at[pick], rows["back"][pick].astype(np.int64), rows["ahead"][pick].astype(np.int64)):
+        different = np.bincount(number, by_x)
+        pick = ((different > 1) & (high > low))[number] & ~over
+        hot = np.bincount(number[pick], minlength=len(first)) > HOT
+        for uid, blob in _by_doc(rows["uid"][pick], *_halves(rows["h"][pick]), at[pick], back[pick], ahead[pick], hot[number[pick]]):
             out.append((LOOK, uid, blob))
         yield _batch(out, _TOLD)
 
@@ -221,22 +271,42 @@ def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The bytes of the spans to look at: h, ord, uid, at, back, ahead, span."""
+    """What is asked of each document (uid, ord, text, looks, asks): spans of shared anchors, windows of hot ones, and bytes for other documents."""
+    names = ["kind", "h", "ord", "uid", "at", "back", "ahead", "span"]
     for whole in batches:
         for b in common.slices(whole, 2):
-            uid, order = b.column(0).to_numpy(), b.column(1).to_numpy()
-            out = {k: [] for k in ("h", "ord", "uid", "at", "back", "ahead", "span")}
+            own, order = b.column(0).to_numpy(), b.column(1).to_numpy()
+            out: list[list] = [[] for _ in names]
+
+            def put(n: int, *values, out: list[list] = out) -> None:
+                for o, v in zip(out[:-1], values[:-1], strict=True):
+                    o.append(np.broadcast_to(v, (n,)))
+                out[-1].extend(values[-1])
+
             for r in range(b.num_rows):
                 data = b.column(2)[r].as_py().encode()
-                q = np.frombuffer(b"".join(b.column(3)[r].as_py()), "<i4").reshape(-1, 5)
+                q = np.frombuffer(b"".join(b.column(3)[r].as_py()), "<i4").reshape(-1, 6)
+                hot = q[:, 5] > 0
+                for at, back, ahead in q[hot, 2:5].tolist():
+                    first = np.arange(at - back, at - ahead + 1)
+                    put(len(first), WINDOWED, 0, order[r], own[r], first, 0, 0, [data[x : x + WINDOW] for x in first.tolist()])
+                q = q[~hot]
                 lo, hi = q[:, 2] - q[:, 3], q[:, 2] - q[:, 4] + WINDOW
-                out["h"].append(np.ascontiguousarray(q[:, :2]).view("<i8").ravel())
-                for k, v in (("ord", order[r]), ("uid", uid[r])):
-                    out[k].append(np.full(len(q), v, np.int64))
-                for k, v in (("at", q[:, 2]), ("back", q[:, 3]), ("ahead", q[:, 4])):
-                    out[k].append(v)
-                out["span"] += [data[x:y] for x, y in zip(lo.tolist(), hi.tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([*[pa.array(np.concatenate(v)) for k, v in out.items() if k != "span"], pa.array(out["span"], pa.binary())], list(out))
+                h = np.ascontiguousarray(q[:, :2]).view("<i8").ravel()
+                put(len(q), NEAR, h, order[r], own[r], q[:, 2], q[:, 3], q[:, 4], [data[x:y] for x, y in zip(lo.tolist(), hi.tolist(), strict=True)])
+                a = np.frombuffer(b"".join(b.column(4)[r].as_py()), "<i4").reshape(-1, 5)
+                if len(a):  # ranges that one document asks for at one distance, joined where they touch
+                    who, far = np.ascontiguousarray(a[:, 2:4]).view("<i8").ravel(), a[:, 4].astype(np.int64) - a[:, 0]
+                    by = np.lexsort((a[:, 0], far, who))
+                    who, far, lo, hi = who[by], far[by], a[by, 0].astype(np.int64), (a[by, 0] + a[by, 1]).astype(np.int64)
+                    group = np.cumsum(_edges(who, far))
+                    width = np.int64(len(data) + 1)  # groups are kept apart by shifting their ranges
+                    start, end = merged(lo + group * width, hi + group * width)
+                    pick = np.searchsorted(group * width + lo, start)
+                    x, y = start - group[pick] * width, end - group[pick] * width
+                    put(len(x), PROOF, 0, 0, who[pick], x + far[pick], 0, 0, [data[u:v] for u, v in zip(x.tolist(), y.tolist(), strict=True)])
+            kinds = [np.int32, np.int64, np.int64, np.int64, np.int32, np.int32, np.int32]
+            yield pa.RecordBatch.from_arrays([*[pa.array(np.concatenate(o).astype(k)) for o, k in zip(out[:-1], kinds, strict=True)], pa.array(out[-1], pa.binary())], names)
 
 
 class Suffixes:
@@ -395,55 +465,151 @@ def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield _batch(out, _TOLD)
 
 
-def ranges(docs: DataFrame) -> DataFrame:
-    """uid and the ranges to cut (list of packed pairs) of documents (uid, ord, text)."""
+#: kinds of what a range of sorted windows tells: a window to cut, one that an earlier range decides, the last window and its least document
+DONE, OPEN, TAIL = 0, 1, 2
+
+
+def scan_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Windows (w, ord, uid, at) in order of (w, ord) to those a smaller document has; only a range's first window may hang on another range."""
+    names = ["kind", "w", "ord", "uid", "at"]
+    first = last = None
+    least = 0
+
+    def told(kind: int, b: pa.RecordBatch) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(np.full(b.num_rows, kind, np.int32)), *(b.column(c) for c in range(4))], names)
+
+    for b in batches:
+        if not b.num_rows:
+            continue
+        data, off = common.raw(b.column(0))
+        w, order = data.reshape(len(off) - 1, WINDOW), b.column(1).to_numpy()
+        new = np.ones(len(w), bool)
+        new[1:] = (w[1:] != w[:-1]).any(1)
+        head = w[0].tobytes()
+        if first is None:
+            first = head
+        new[0] = head != last
+        run = np.cumsum(new)
+        lowest = np.r_[least, order[new]][run]  # the first row of a window has its least document
+        over = order > lowest
+        at_first = (w == np.frombuffer(first, np.uint8)).all(1)
+        yield told(DONE, b.filter(pa.array(over)))
+        yield told(OPEN, b.filter(pa.array(~over & at_first)))
+        last, least = w[-1].tobytes(), int(lowest[-1])
+    if last is not None:
+        yield pa.RecordBatch.from_arrays([pa.array([TAIL], pa.int32()), pa.array([last], pa.binary()), pa.array([least]), pa.array([0]), pa.array([0], pa.int32())], names)
+
+
+def hot_ranges(windows: DataFrame) -> DataFrame:
+    """uid and start of each of the windows (w, ord, uid, at) that a smaller document has, in ranges that no window can overfill."""
+    parts = common.parts(windows.sparkSession)
+    ranges_ = windows.repartitionByRange(parts, "w", "ord").sortWithinPartitions("w", "ord")
+    told = common.stage(ranges_.mapInArrow(scan_windows, "kind int, w binary, ord long, uid long, at int"), "passages-windows")
+    tails = told.filter(F.col("kind") == TAIL).groupBy(F.col("w").alias("w2")).agg(F.min("ord").alias("least"))  # one row a range at most
+    late = told.filter(F.col("kind") == OPEN).join(F.broadcast(tails), (F.col("w") == F.col("w2")) & (F.col("ord") > F.col("least")), "left_semi")
+    return told.filter(F.col("kind") == DONE).select("uid", "at").union(late.select("uid", "at"))
+
+
+def bucket_count(docs: DataFrame) -> int:
+    """Buckets of anchors: as many as keep each one's share of the text bounded."""
+    size = docs.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
+    return max(2 * common.parts(docs.sparkSession), -(-size // BUCKET_BYTES))
+
+
+def ranges(docs: DataFrame, seed: int = 0, bits: int = SPAN_BITS) -> tuple[DataFrame, bool]:
+    """What to cut of documents (uid, ord, text), and whether hashes collided within a task.
+
+    Rows are uid with packed ranges (blob), a window's start (at), or a range's start and the bytes it should have (at, proof).
+    """
     spark = docs.sparkSession
     common.importable(spark)
-    buckets = 2 * common.parts(spark)
-    dealt = docs.select("uid", "ord", "text").mapInArrow(deal(buckets), "bucket int, kind int, uid long, blob binary")
-    told = dealt.repartition("bucket").sortWithinPartitions("bucket", "kind").mapInArrow(compare, "kind int, uid long, blob binary")
+    buckets = bucket_count(docs)
+    dealt = docs.select("uid", "ord", "text").mapInArrow(deal(buckets, seed, bits), "bucket int, kind int, uid long, blob binary")
+    told = dealt.repartition(buckets, "bucket").sortWithinPartitions("bucket", "kind").mapInArrow(compare, "kind int, uid long, blob binary")
     told = common.stage(told, "passages-told")
     common.sweep(spark)
-    wanted = told.filter(F.col("kind") == LOOK).groupBy("uid").agg(F.collect_list("blob").alias("blobs"))
-    near = common.sifted(docs.select("uid", "ord", "text"), "uid", common.sieve(told.filter(F.col("kind") == LOOK), "uid"))
-    spans = near.join(wanted.hint("merge"), "uid").select("uid", "ord", "text", "blobs")
-    spans = spans.mapInArrow(fetch, "h long, ord long, uid long, at int, back int, ahead int, span binary")
+    collided = not told.filter(F.col("kind") == COLLIDED).isEmpty()
+    asked = told.filter(F.col("kind").isin(LOOK, ASK))
+    of = lambda kind: F.filter(F.collect_list(F.when(F.col("kind") == kind, F.col("blob"))), lambda x: x.isNotNull())
+    wanted = asked.groupBy("uid").agg(of(LOOK).alias("looks"), of(ASK).alias("asks"))  # no more than a document's own anchors
+    texts = common.sifted(docs.select("uid", "ord", "text"), "uid", common.sieve(asked, "uid"))
+    fetched = texts.join(wanted.hint("merge"), "uid").select("uid", "ord", "text", "looks", "asks")
+    fetched = common.stage(fetched.mapInArrow(fetch, "kind int, h long, ord long, uid long, at int, back int, ahead int, span binary"), "passages-fetched")
+    common.sweep(spark)
+    spans = fetched.filter(F.col("kind") == NEAR).select("h", "ord", "uid", "at", "back", "ahead", "span")
     close = spans.repartition("h").sortWithinPartitions("h").mapInArrow(look, "kind int, uid long, blob binary")
     close = common.stage(close, "passages-close")
     common.sweep(spark)
-    return told.filter(F.col("kind") == CUT).select("uid", "blob").union(close.select("uid", "blob"))
+    windows = fetched.filter(F.col("kind") == WINDOWED).select(F.col("span").alias("w"), "ord", "uid", "at")
+    none = F.lit(None).cast("binary")
+    cuts = told.filter(F.col("kind") == CUT).select("uid", "blob").union(close.select("uid", "blob")).select("uid", "blob", F.lit(0).alias("at"), none.alias("proof"))
+    proofs = fetched.filter(F.col("kind") == PROOF).select("uid", none.alias("blob"), "at", F.col("span").alias("proof"))
+    if not windows.isEmpty():
+        hot = hot_ranges(windows)
+        cuts = cuts.union(hot.select("uid", none.alias("blob"), "at", none.alias("proof")))
+    return cuts.union(proofs), collided
+
+
+def cut_out(data: bytes, blobs: list[bytes], windows: list[int], proofs: list[tuple[int, bytes]]) -> tuple[list[bytes], int, int, bool]:
+    """What stays of a document, bytes and runs removed, and whether it lacks bytes that it should have."""
+    pairs = np.frombuffer(b"".join(blobs), "<i4").reshape(-1, 2).astype(np.int64)
+    start, end = [pairs[:, 0], np.array(windows, np.int64)], [pairs[:, 1], np.array(windows, np.int64) + WINDOW]
+    start.append(np.array([a for a, _ in proofs], np.int64))
+    end.append(np.array([a + len(p) for a, p in proofs], np.int64))
+    collided = any(data[a : a + len(p)] != p for a, p in proofs)
+    first, last = merged(np.concatenate(start), np.concatenate(end))
+    rest = [data[x:y] for x, y in zip([0, *last.tolist()], [*first.tolist(), len(data)], strict=True)]
+    return rest, len(data) - sum(map(len, rest)), len(first), collided
+
+
+def dedup(docs: DataFrame, text: str = "text", key: str = "doc_id", with_text: bool = False, bits: int = SPAN_BITS) -> DataFrame:
+    """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and what is left, with invalid sequences replaced).
+
+    bits of a span's hash are kept at the first trial; too few cost further trials, never a wrong result.
+    """
+    flat = docs.select(common.col(key).cast("long").alias("doc_id"), common.clean_text(common.col(text)).alias("text"))
+    rows = common.identified(flat, "doc_id", ["doc_id", "text"])
+    seed = 0
+    while (out := attempt(rows, with_text, seed, SPAN_BITS if seed else bits)) is None:
+        seed += 1  # a collision: other hashes
+    return out
 
 
-def dedup(docs: DataFrame, text: str = "text", key: str = "doc_id", with_text: bool = False) -> DataFrame:
-    """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and what is left, with invalid sequences replaced)."""
-    rows = common.identified(docs.withColumn("__key", common.col(key).cast("long")).withColumn("__text", common.clean_text(common.col(text))).select("__key", "__text"), "__key", ["__key", "__text"])
-    rows = rows.select("uid", "ord", F.col("__key").alias("doc_id"), F.col("__text").alias("text"))
-    cuts = ranges(rows)
-    buckets = common.sieve(cuts, "uid")
+def attempt(rows: DataFrame, with_text: bool, seed: int, bits: int) -> DataFrame | None:
+    """`dedup` of rows (uid, ord, doc_id, text) under one hash; nothing where bytes told that hashes had collided."""
+    cuts, collided = ranges(rows, seed, bits)
+    if collided:
+        return None
+    touched_bits = common.sieve(cuts, "uid")
+    names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "collided", *(["text"] if with_text else [])]
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for b in common.slices(whole, 1):
-                out = [[] for _ in range(5)]
-                for t, blobs in zip(b.column(1), b.column(2).to_pylist(), strict=True):
+                out: list[list] = [[] for _ in names[1:]]
+                for t, got in zip(b.column(1), b.column(2), strict=True):
                     data = t.as_py().encode()
-                    pairs = np.frombuffer(b"".join(blobs or []), "<i4").reshape(-1, 2)
-                    start, end = merged(pairs[:, 0], pairs[:, 1])
-                    rest = b"".join(data[x:y] for x, y in zip([0, *end.tolist()], [*start.tolist(), len(data)], strict=True))
-                    for o, v in zip(out, (len(data), len(data) - len(rest), len(start), hashlib.sha256(rest).hexdigest(), rest.decode("utf-8", "replace")), strict=True):
+                    some = got.as_py() or []
+                    proofs = [(g["at"], g["proof"]) for g in some if g["proof"] is not None]
+                    rest, removed, runs, bad = cut_out(data, [g["blob"] for g in some if g["blob"] is not None], [g["at"] for g in some if g["blob"] is None and g["proof"] is None], proofs)
+                    kept = b"".join(rest)
+                    for o, v in zip(out, (len(data), removed, runs, hashlib.sha256(kept).hexdigest(), bad, *([kept.decode("utf-8", "replace")] if with_text else [])), strict=True):
                         o.append(v)
-                cols = [b.column(0), *[pa.array(o, pa.int64()) for o in out[:3]], pa.array(out[3], pa.string())]
-                yield pa.RecordBatch.from_arrays([*cols, *([pa.array(out[4], pa.string())] if with_text else [])], names)
-
-    names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", *(["text"] if with_text else [])]
-    kinds = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", text string" * with_text
-    per = cuts.groupBy("uid").agg(F.collect_list("blob").alias("blobs"))
-    touched = common.sifted(rows, "uid", buckets).join(per.hint("merge"), "uid", "left").select("doc_id", "text", "blobs").mapInArrow(cut, kinds)
+                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_(), pa.string()]
+                yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(o, k) for o, k in zip(out, kinds, strict=False)]], names)
+
+    kinds = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, collided boolean" + ", text string" * with_text
+    per = cuts.groupBy("uid").agg(F.collect_list(F.struct("blob", "at", "proof")).alias("cuts"))  # no more than the document's own spans
+    touched = common.sifted(rows, "uid", touched_bits).join(per.hint("merge"), "uid", "left").select("doc_id", "text", "cuts").mapInArrow(cut, kinds)
+    touched = common.stage(touched, "passages-cut")
+    common.sweep(rows.sparkSession)
+    if not touched.filter("collided").isEmpty():
+        return None
     zero = F.lit(0).cast("long")
-    whole = common.sifted(rows, "uid", buckets, "left_anti").select(
+    whole = common.sifted(rows, "uid", touched_bits, "left_anti").select(
         "doc_id", F.octet_length("text").cast("long").alias("n_bytes"), zero.alias("n_removed"), zero.alias("n_spans"), F.sha2(F.col("text").cast("binary"), 256).alias("kept_sha256"), *(["text"] if with_text else [])
     )
-    return touched.union(whole)
+    return touched.drop("collided").union(whole)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -174,16 +174,7 @@ def test_passages_brute(spark, sf):
 
 def test_passages_patchwork(spark):
     """Pieces of a few texts in every arrangement: edges of matches on all sides, periodic texts, flushes within a task."""
-    r = random.Random(8)
-    source = [prose(i, 60) for i in range(4)] + ["ab" * 200, "x" * 300, "é" * 120]
-    rows = []
-    for i in range(120):
-        parts = []
-        for _ in range(r.randrange(1, 5)):
-            s = r.choice(source)
-            a = r.randrange(len(s))
-            parts.append(s[a : a + r.randrange(1, 140)])
-        rows.append((i, r.choice(["", " ", "|"]).join(parts)))
+    rows = patchwork(8, 120)
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
     assert {x.doc_id: tuple(x)[1:] for x in substring_dedup.dedup(df).collect()} == passages_brute(rows)
 
@@ -219,6 +210,60 @@ def test_merge_sort_of_suffixes():
         assert [texts[i] for i in got] == sorted(texts)
 
 
+def patchwork(seed, n):
+    r = random.Random(seed)
+    source = [prose(i, 60) for i in range(4)] + ["ab" * 200, "x" * 300, "é" * 120]
+    rows = []
+    for i in range(n):
+        parts = []
+        for _ in range(r.randrange(1, 5)):
+            s = r.choice(source)
+            a = r.randrange(len(s))
+            parts.append(s[a : a + r.randrange(1, 140)])
+        rows.append((i, r.choice(["", " ", "|"]).join(parts)))
+    return rows
+
+
+@pytest.mark.parametrize("parts", [1, 60])
+def test_passages_collide_and_start_anew(spark, monkeypatch, parts):
+    """Span hashes of no bits make all spans of an anchor equal: within a task and between tasks the bytes tell, and the next trial is right."""
+    rows, trials, real = patchwork(3, 60), [], substring_dedup.attempt
+    monkeypatch.setattr(substring_dedup, "attempt", lambda *a: trials.append(real(*a)) or trials[-1])
+    df = spark.sparkContext.parallelize(rows, parts).toDF("doc_id long, text string")
+    assert {x.doc_id: tuple(x)[1:] for x in substring_dedup.dedup(df, bits=0).collect()} == passages_brute(rows)
+    assert trials[0] is None and trials[1] is not None
+
+
+def test_passages_of_hot_anchors(spark):
+    """A line that many documents share, each going on in its own way: more spans of one anchor than a task sorts."""
+    r, line = random.Random(4), "this line of more than fifty bytes stands in every document of the table, "
+    own = lambda: "".join(r.choice("abcdef ") for _ in range(r.randrange(3, 60)))
+    rows = [(i, own() + line + own() + (line if i % 7 == 0 else "")) for i in range(2600)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(6)
+    assert {x.doc_id: tuple(x)[1:] for x in substring_dedup.dedup(df).collect()} == passages_brute(rows)
+
+
+def test_windows_over_ranges():
+    """A window's rows over several ranges: the running least document decides, equal documents remove nothing."""
+    r = np.random.default_rng(4)
+    rows = sorted((bytes([97 + int(k)]) * 50, int(o), int(o), i) for i, (k, o) in enumerate(r.integers(0, [3, 12], (60, 2))))
+    want = sorted(i for w, o, _, i in rows if o > min(q[1] for q in rows if q[0] == w))
+    schema = pa.schema([("w", pa.binary()), ("ord", pa.int64()), ("uid", pa.int64()), ("at", pa.int32())])
+    for cut in ([0, 60], [0, 7, 8, 30, 60], [0, 1, 2, 3, 20, 21, 59, 60]):
+        done, opened, tails = [], [], {}
+        for a, b in zip(cut[:-1], cut[1:], strict=True):
+            batches = [pa.RecordBatch.from_arrays([pa.array(list(c), f.type) for c, f in zip(zip(*rows[k : min(k + 5, b)], strict=True), schema, strict=True)], schema=schema) for k in range(a, b, 5)]
+            for out in substring_dedup.scan_windows(iter(batches)):
+                for kind, w, o, _, i in zip(*(c.to_pylist() for c in out.columns), strict=True):
+                    if kind == substring_dedup.DONE:
+                        done.append(i)
+                    elif kind == substring_dedup.OPEN:
+                        opened.append((w, o, i))
+                    else:
+                        tails[w] = min(o, tails.get(w, o))
+        assert sorted(done + [i for w, o, i in opened if tails.get(w, o) < o]) == want
+
+
 def test_passages_odd(spark):
     got = Counter((x.doc_id, x.n_removed > 0) for x in substring_dedup.dedup(clashing(odd_documents(spark))).collect())
     assert sum(got.values()) == 14 and got[(7, True)] == 1 and got[(6, False)] == 1 and got[(12, True)] == 2
