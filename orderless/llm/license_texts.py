@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common, licenses
-from .licenses import TRIGGER, directories, terms
+from .licenses import TRIGGER, directories, inherited, terms
 
 # fixed values: notices beside those of the line scan; texts of the licences stand in the folder
 NOTICES = (
@@ -105,9 +105,7 @@ def license_scan(docs: DataFrame, path: Column, text: str = "text", key: str = "
     files = told.filter(F.col("whole.similarity") >= FILE_LEAST).withColumn("dir", F.element_at(directories(F.col("path")), -1))
     given = files.groupBy("dir").agg(F.max(F.struct("whole.similarity", (-F.col("ord")).alias("o"), "whole.license")).alias("best"))
     given = common.stage(given.select(F.col("dir").alias("licence_dir"), F.col("best.license").alias("dir_license")), "license-dirs")
-    bare = told.filter(F.col("license").isNull()).select("uid", F.posexplode(directories(F.col("path"))).alias("depth", "dir"))
-    taken = bare.join(given.hint("merge"), F.col("dir") == F.col("licence_dir")).groupBy("uid").agg(F.max(F.struct("depth", "licence_dir", "dir_license")).alias("got"))
-    out = told.join(taken.hint("merge"), "uid", "left")
+    out = told.join(inherited(told, given).hint("merge"), "uid", "left")
     origin = F.when(F.col("license").isNotNull(), F.lit("notice")).when(F.col("got").isNotNull(), F.lit("inherited")).otherwise(F.lit("none"))
     return out.select("doc_id", "path", F.coalesce("license", "got.dir_license").alias("license"), "similarity", "part", origin.alias("origin"), F.col("got.licence_dir").alias("licence_dir"))
 

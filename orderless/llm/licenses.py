@@ -90,6 +90,23 @@ def directories(path: Column) -> Column:
     return F.transform(F.sequence(F.lit(1), F.greatest(F.size(part) - 1, F.lit(1))), lambda i: F.array_join(F.slice(part, F.lit(1), i), "/"))
 
 
+#: Parts that the documents of one directory are dealt to when they look for its licence.
+SALTS = 16
+
+
+def inherited(told: DataFrame, given: DataFrame) -> DataFrame:
+    """uid and got (depth, licence_dir, dir_license) of documents without a notice: their nearest directory that has a licence.
+
+    told has uid, path, license; given licence_dir, dir_license. A directory may hold a third of all documents: these are dealt to
+    `SALTS` parts by their uid, and the licences, a row per licence file's directory, stand in each part.
+    """
+    bare = told.filter(F.col("license").isNull()).select("uid", F.posexplode(directories(F.col("path"))).alias("depth", "dir"))
+    bare = bare.withColumn("salt", F.pmod(F.xxhash64("uid"), F.lit(SALTS)).cast("int"))
+    every = given.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    met = bare.join(every.hint("merge"), (F.col("dir") == F.col("licence_dir")) & (F.col("salt") == F.col("part")))
+    return met.groupBy("uid").agg(F.max(F.struct("depth", "licence_dir", "dir_license")).alias("got"))
+
+
 def license_scan(docs: DataFrame, path: Column, text: str = "text", key: str = "doc_id") -> DataFrame:
     """Per row: doc_id, path, license, similarity, origin (notice, inherited or none), licence_dir."""
     rows = docs.select(common.col(key).cast("long").alias("doc_id"), path.alias("path"), common.clean_text(common.col(text)).alias("text"))
@@ -103,9 +120,7 @@ def license_scan(docs: DataFrame, path: Column, text: str = "text", key: str = "
     files = told.filter(F.col("share") >= FILE_SHARE).withColumn("dir", last(F.col("path")))
     given = files.groupBy("dir").agg(F.max(F.struct("similarity", (-F.col("ord")).alias("o"), "license")).alias("best"))
     given = common.stage(given.select(F.col("dir").alias("licence_dir"), F.col("best.license").alias("dir_license")), "license-dirs")
-    bare = told.filter(F.col("license").isNull()).select("uid", F.posexplode(directories(F.col("path"))).alias("depth", "dir"))
-    taken = bare.join(given.hint("merge"), F.col("dir") == F.col("licence_dir")).groupBy("uid").agg(F.max(F.struct("depth", "licence_dir", "dir_license")).alias("got"))
-    out = told.join(taken.hint("merge"), "uid", "left")
+    out = told.join(inherited(told, given).hint("merge"), "uid", "left")
     origin = F.when(F.col("license").isNotNull(), F.lit("notice")).when(F.col("got").isNotNull(), F.lit("inherited")).otherwise(F.lit("none"))
     return out.select("doc_id", "path", F.coalesce("license", "got.dir_license").alias("license"), "similarity", origin.alias("origin"), F.col("got.licence_dir").alias("licence_dir"))
 
