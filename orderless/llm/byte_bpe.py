@@ -2,8 +2,8 @@
 
 Text is cut by the vocabulary's split pattern; words not met before are encoded together: their symbols lie in one
 flat array, every adjacent pair is looked up by binary search in the sorted pair keys, and in each round every
-word merges its lowest-ranked pair wherever it occurs. Known words come from a bounded cache, so memory doesn't
-grow with the vocabulary of the corpus. Ids decode through a table of token bytes. All of it is narrow: no shuffle.
+word merges its lowest-ranked pair wherever it occurs. Known words come from a cache bounded in words and in their
+length, so memory doesn't grow with the vocabulary of the corpus. Ids decode through a table of token bytes. All of it is narrow: no shuffle.
 
 Defined results: null and empty texts have no ids and decode to an empty text. Special tokens written out in a text
 become their single id, as the tokenizers library does. Extra columns are not read. Repeated rows are encoded each.
@@ -23,8 +23,8 @@ from pyspark.sql import DataFrame, SparkSession
 from . import common
 
 VOCABULARY = "byte_bpe_50k.json"
-#: Words a worker remembers (about 200 bytes each) before it starts anew.
-CACHE_WORDS = 600_000
+#: Words a worker remembers before it starts anew, and their length in bytes at most: some 200 MB. Longer words are merged where they stand.
+CACHE_WORDS, CACHE_LENGTH = 600_000, 64
 
 
 def byte_letters() -> dict[int, str]:
@@ -146,10 +146,13 @@ class ByteBpe:
         for s in self.special.keys() & new:
             known[s] = self.special[s]
             new.discard(s)
+        long: dict[str, bytes] = {}
         if new:
-            fresh = list(new)
-            known.update(zip(fresh, self.merge([w.encode() for w in fresh]), strict=True))
-        return [b"".join(map(known.__getitem__, words)) for words in cut]
+            for w, code in zip(new, self.merge([w.encode() for w in new]), strict=True):
+                (known if len(w) <= CACHE_LENGTH else long)[w] = code
+        if not long:
+            return [b"".join(map(known.__getitem__, words)) for words in cut]
+        return [b"".join(known[w] if w in known else long[w] for w in words) for words in cut]
 
     def decode(self, ids: np.ndarray) -> str:
         return b"".join(map(self.token.__getitem__, ids.tolist())).decode("utf-8", errors="replace")
