@@ -311,6 +311,14 @@ def test_byte_bpe_query(spark, sf):
     assert byte_bpe.encode_documents(empty(spark), *args).count() == 0
 
 
+def test_cache_of_words_is_bounded():
+    lib, mine = library(byte_bpe.VOCABULARY), byte_bpe.ByteBpe(tokenizers.path(byte_bpe.VOCABULARY), tokenizers.PATTERN)
+    texts = ["x" * 5000 + " a", "y z " + "qz" * 40, "x" * 5000 + " a", ""]
+    for t, code in zip(texts, mine.encode(texts), strict=True):
+        assert np.frombuffer(code, "<u4").tolist() == lib.encode(t, add_special_tokens=False).ids
+    assert max(map(len, mine.known)) <= byte_bpe.CACHE_LENGTH
+
+
 def best_fit_brute(lengths, capacity):
     bins = []
     for n in sorted(lengths, reverse=True):
@@ -455,14 +463,39 @@ def test_secret_query(spark, sf):
 # fingerprints
 
 
+def sha(t):
+    return hashlib.sha256(t.encode()).hexdigest()
+
+
+def print_brute(t):
+    """The fingerprint string, by hand."""
+    tree = [[sha(p) for p in re.findall(r"[^.!?]{1,32}[.!?]*|[.!?]+", s)] for s in t.split("\n")]
+    node = [sha(",".join(x)) for x in tree]
+    return sha(",".join(node)) + "|" + ";".join(n[:16] + ":" + ",".join(x[:8] for x in leaves) for n, leaves in zip(node, tree, strict=True))
+
+
+def likeness_brute(p, q):
+    a, b = (x.split("|")[1].split(";") for x in (p, q))
+    if a == b:
+        return 1.0
+    leaves = lambda some: [x for s in some for x in s.split(":")[1].split(",") if x]
+    both = len(leaves(set(a) & set(b)))
+    x, y = (set(leaves(set(m) - set(n))) for m, n in ((a, b), (b, a)))
+    total = 2 * both + len(x) + len(y)
+    return 2 * (both + len(x & y)) / total if total else 0.0
+
+
 def test_fingerprints_brute(spark, sf):
     docs = texts_of(spark, sf)[::-1]
     got = {r.doc_id: r for r in fingerprints.query(spark, sf).collect()}
     for i, (d, t) in enumerate(docs):
         after, cut = docs[(i + 1) % len(docs)], len(t) // 3
         edited = t[: len(t) - cut] + after[1][:cut]
-        assert got[d].n_chars == len(t) and got[d].edited_sha256 == hashlib.sha256(edited.encode()).hexdigest()
-        assert 0 <= got[d].near_edited <= 1 and 0 <= got[d].near_next <= 1
+        r, own, other = got[d], print_brute(t), print_brute(edited)
+        assert (r.n_chars, r.edited_sha256, r.fingerprint, r.edited_fingerprint) == (len(t), sha(edited), own, other)
+        assert r.near_edited == pytest.approx(likeness_brute(own, other)) and r.near_next == pytest.approx(likeness_brute(own, print_brute(after[1])))
+        a, b = (x.split("|")[1].split(";") for x in (own, other))
+        assert r.changed_sections == [k for k in range(max(len(a), len(b))) if a[k : k + 1] != b[k : k + 1]]
     prints = defaultdict(set)
     for d, t in docs:
         prints[t].add(got[d].fingerprint)
@@ -471,6 +504,16 @@ def test_fingerprints_brute(spark, sf):
     assert 0.5 < np.mean([r.near_edited for r in long]) < 0.8
 
 
+def test_successors_of_any_ids(spark):
+    """Sparse, negative, repeated and null ids: every row follows the one before it, whatever the ranges."""
+    r = random.Random(6)
+    ids = [r.randrange(-(1 << 62), 1 << 62) for _ in range(300)] + [7, 7, 8, None, None]
+    rows = common.identified(spark.createDataFrame([(i,) for i in ids], "doc_id long").repartition(3), "doc_id", ["doc_id"])
+    order = sorted(((x.ord, x.uid) for x in rows.collect()), reverse=True)
+    got = {x.uid: x.next_uid for x in fingerprints.successors(rows.select("uid", "ord")).collect()}
+    assert got == {a[1]: b[1] for a, b in zip(order, order[1:] + order[:1], strict=True)}
+
+
 def test_fingerprints_odd(spark):
     got = fingerprints.compare_with_edits(clashing(odd_documents(spark))).collect()
     assert len(got) == 14 and all(r.near_edited is not None and r.near_next is not None for r in got)
@@ -481,9 +524,9 @@ def test_fingerprints_odd(spark):
 
 def test_changed_sections(spark):
     df = spark.createDataFrame([("a b.\nc d.\ne f.", "a b.\nc x.\ne f.\ng")], "s string, t string")
-    p = lambda c: fingerprints.fingerprint(fingerprints.tree(F.col(c)))
-    r = df.select(p("s").alias("s"), p("t").alias("t")).select(fingerprints.changed_sections(F.col("s"), F.col("t")).alias("c"), F.size(fingerprints.parsed_leaves(F.col("s"))).alias("n")).first()
-    assert r.c == [1, 3] and r.n == 3
+    p = lambda c: fingerprints.sections(fingerprints.fingerprint(fingerprints.tree(F.col(c))))
+    r = df.select(p("s").alias("s"), p("t").alias("t")).select(fingerprints.changed_sections(F.col("s"), F.col("t")).alias("c"), F.size(fingerprints.leaves_of(F.col("s"))).alias("n"), fingerprints.likeness(F.col("s"), F.col("t")).alias("l")).first()
+    assert r.c == [1, 3] and r.n == 3 and r.l == pytest.approx(4 / 7)
 
 
 def test_native_plans_hold_no_python(spark, sf):
@@ -541,6 +584,42 @@ def test_quality_odd(spark):
     assert empty(spark).select(score(F.col("text")).alias("s")).count() == 0
 
 
+def score_brute(weights, t):
+    """A score from weights, by plain arithmetic: runs of letters and digits and runs of marks, alone and in pairs."""
+    mask = (1 << 64) - 1
+
+    def mixed(x):
+        for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+            x = ((x ^ (x >> shift)) * factor) & mask
+        return x ^ (x >> 31)
+
+    tokens = re.findall(rb"[a-zA-Z0-9\x80-\xff]+|[!-/:-@\[-`{-~]+", t.encode())
+    one = [mixed((sum((c + 1) * pow(common.BASE, k, 1 << 64) for k, c in enumerate(w)) + len(w)) & mask) for w in tokens]
+    features = [x >> (64 - quality.BITS) for x in one]
+    features += [mixed((x * 31 + y) & mask) >> (64 - quality.BITS) for x, y in zip(one, one[1:], strict=False)]
+    features += [quality.REPEAT for x, y in zip(one, one[1:], strict=False) if x == y]
+    total = sum(weights[f] for f in features)
+    return 1 / (1 + np.exp(-(quality.SCALE * total / max(1, len(features)) + weights[-1])))
+
+
+def test_quality_scores_brute(spark, sf):
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    weights = quality.train(docs, labels).astype(np.float32).astype(float)
+    assert np.count_nonzero(weights) > 100
+    got = {r.doc_id: r.score for r in quality.query(spark, sf).collect()}
+    for d, t in texts_of(spark, sf):
+        if len(t) < 20_000:
+            assert got[d] == pytest.approx(score_brute(weights, t), abs=1e-9)
+
+
+def test_quality_learns_alike_in_any_order(spark):
+    """Repeated ids and any partitioning: the same weights."""
+    rows = [(i % 40, prose(i, 30)) for i in range(120)]
+    labels = spark.createDataFrame([(i, i % 2) for i in range(40)], "doc_id long, quality int")
+    w = [quality.train(spark.createDataFrame(r, "doc_id long, text string").repartition(n), labels) for r, n in ((rows, 2), (rows[::-1], 7))]
+    assert (w[0] == w[1]).all() and w[0].any()
+
+
 def test_leader_learns_and_stays_sparse():
     r = np.random.default_rng(0)
     rows = [(np.array([i % 2, 2 + r.integers(0, 50), 60]), np.array([1.0, 1.0, 1.0])) for i in range(400)]
@@ -569,6 +648,20 @@ def test_components(spark):
     assert common.components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_pipeline_stages_on_odd_rows(spark, sf):
+    """Nulls, empties, ties, repeats and clashing columns through every stage; and an empty table."""
+    import corpus_pipeline
+
+    for docs in (clashing(odd_documents(spark)), clashing(empty(spark))):
+        n, first = docs.count(), docs
+        for name, f in corpus_pipeline.STAGES:
+            new = common.stage(f(spark, docs, sf), "test")
+            if name != "best-fit packing":
+                assert new.columns == first.columns and new.count() <= n, name
+                docs, n = new, new.count()
+        assert n == new.filter("piece = 0").count()
+
+
 def test_pipeline(spark, sf):
     import corpus_pipeline
 
