@@ -57,12 +57,14 @@ class Flat:
         return self.n + (32 * len(self.counts) if directory else 0)
 
     def to_bytes(self) -> bytes:
-        return np.array([self.n], "<i8").tobytes() + self.packed.tobytes()
+        """Length, counts, bits: opening it again costs nothing, and no read looks at more than one count and 64 bytes."""
+        return np.array([self.n], "<i8").tobytes() + self.counts.astype("<u4").tobytes() + self.packed.tobytes()
 
     @classmethod
     def from_bytes(cls, data: bytes) -> Flat:
         n = int(np.frombuffer(data, "<i8", 1)[0])
-        return cls(np.frombuffer(data, np.uint8, offset=8), n)
+        m = -(-n // cls.EVERY) + 1
+        return cls(np.frombuffer(data, np.uint8, offset=8 + 4 * m), n, np.frombuffer(data, "<u4", m, 8))
 
 
 @functools.cache
@@ -71,30 +73,50 @@ def _choose(block: int) -> np.ndarray:
 
 
 class RRR:
-    """Blocks of bits stored as their number of ones and a place among the blocks with as many; counts every 32 blocks."""
+    """Blocks of bits stored as their number of ones and a place among the blocks with as many.
 
-    SUPER = 32
+    Numbers of ones have a fixed width, places the width that their number of ones needs; every `SUPER` blocks a count of the ones
+    before and the bit where the places go on. That is what is stored and counted, and a read opens one such stretch.
+    """
 
-    def __init__(self, classes: np.ndarray, offsets: np.ndarray, n: int, block: int):
-        self.classes, self.offsets, self.n, self.block = classes, offsets, n, block
-        self.counts = np.r_[0, np.cumsum(classes.astype(np.int64))]
+    SUPER = 64
+
+    def __init__(self, n: int, block: int, marks: np.ndarray, classes: np.ndarray, places: np.ndarray):
+        self.n, self.block, self.marks = n, block, marks  # marks: ones before, first bit of the places
+        self.classes, self.places = (np.r_[x, np.zeros(16, np.uint8)] for x in (classes, places))  # room for reads of whole words
+        self.blocks = -(-n // block)
 
     @classmethod
-    def of(cls, bits: np.ndarray, block: int = 15) -> RRR:
+    def of(cls, bits: np.ndarray, block: int = 63) -> RRR:
         choose, n = _choose(block), len(bits)
         m = np.zeros((-(-n // block), block), np.int64)
         m.ravel()[:n] = bits
         left = m.sum(1)
-        classes, place = left.astype(np.uint8), np.zeros(len(m), np.int64)
+        classes, place = left.copy(), np.zeros(len(m), np.int64)
         for j in range(block):  # place in the enumeration: every block with 0 here comes before
             one = m[:, j] == 1
             place[one] += choose[block - 1 - j, left[one]]
             left = left - m[:, j]
-        return cls(classes, place, n, block)
-
-    def _blocks(self, k: np.ndarray) -> np.ndarray:
-        choose, left, place = _choose(self.block), self.classes[k].astype(np.int64), self.offsets[k].copy()
-        out = np.zeros((len(k), self.block), np.int64)
+        widths = _offset_widths(block)[classes]
+        before = np.stack([np.r_[0, np.cumsum(classes)], np.r_[0, np.cumsum(widths)]], 1)[: len(m) : cls.SUPER]
+        packed = [np.frombuffer(pack_bits(v, w), np.uint8) for v, w in ((classes, block.bit_length()), (place, widths))]
+        return cls(n, block, before.astype("<u4"), *packed)
+
+    def _stretch(self, s: np.ndarray) -> np.ndarray:
+        """Numbers of ones of the blocks of each asked stretch, 0 beyond the last."""
+        k = s[:, None] * self.SUPER + np.arange(self.SUPER)
+        width = self.block.bit_length()
+        got = read_bits(self.classes, np.minimum(k, max(0, self.blocks - 1)).ravel() * width, width).reshape(k.shape)
+        return np.where(k < self.blocks, got, 0)
+
+    def _blocks(self, k: np.ndarray, classes: np.ndarray) -> np.ndarray:
+        """Bits of blocks k; classes are the numbers of ones of their stretches."""
+        choose, widths = _choose(self.block), _offset_widths(self.block)
+        inner = k % self.SUPER
+        ahead = np.where(np.arange(self.SUPER) < inner[:, None], widths[classes], 0).sum(1)
+        left = classes[np.arange(len(k)), inner]
+        place = read_bits(self.places, self.marks[k // self.SUPER, 1].astype(np.int64) + ahead, widths[left])
+        out = np.zeros((len(k), self.block), np.int8)
         for j in range(self.block):
             zero_first = choose[self.block - 1 - j, left]
             one = (place >= zero_first) & (left > 0)
@@ -107,37 +129,59 @@ class RRR:
         at = np.asarray(at, np.int64)
         if not self.n:
             return np.zeros(len(at), np.int64)
-        k = np.minimum(at // self.block, len(self.classes) - 1)
-        ones = self.counts[k] + np.where(np.arange(self.block) < (at - k * self.block)[:, None], self._blocks(k), 0).sum(1)
+        k = np.minimum(at // self.block, self.blocks - 1)
+        classes = self._stretch(k // self.SUPER)
+        ones = self.marks[k // self.SUPER, 0].astype(np.int64) + np.where(np.arange(self.SUPER) < (k % self.SUPER)[:, None], classes, 0).sum(1)
+        ones += np.where(np.arange(self.block) < (at - k * self.block)[:, None], self._blocks(k, classes), 0).sum(1, dtype=np.int64)
         return ones if bit else at - ones
 
     def select(self, i: np.ndarray, bit: int = 1) -> np.ndarray:
         i = np.asarray(i, np.int64)
-        have = self.counts if bit else np.arange(len(self.counts)) * self.block - self.counts
-        k = np.searchsorted(have, i, side="right") - 1
-        run = np.cumsum(self._blocks(k) == bit, 1)
-        return k * self.block + (run <= (i - have[k])[:, None]).sum(1)
+        ones = self.marks[:, 0].astype(np.int64)
+        have = ones if bit else np.arange(len(ones)) * self.SUPER * self.block - ones
+        s = np.searchsorted(have, i, side="right") - 1
+        classes = self._stretch(s)
+        run = np.cumsum(classes if bit else self.block - classes, 1)
+        left = i - have[s]
+        inner = np.minimum((run <= left[:, None]).sum(1), self.SUPER - 1)
+        left = left - np.where(inner > 0, run[np.arange(len(i)), inner - 1], 0)
+        k = s * self.SUPER + inner
+        run = np.cumsum(self._blocks(k, classes) == bit, 1)
+        return k * self.block + (run <= left[:, None]).sum(1)
 
     def access(self, at: np.ndarray) -> np.ndarray:
         at = np.asarray(at, np.int64)
-        return self._blocks(at // self.block)[np.arange(len(at)), at % self.block]
+        k = at // self.block
+        return self._blocks(k, self._stretch(k // self.SUPER))[np.arange(len(at)), at % self.block].astype(np.int64)
 
     def bits(self, directory: bool = True) -> int:
-        """Classes and places in as many bits as they need; the directory has a count and a pointer per 32 blocks."""
-        widths = _offset_widths(self.block)
-        body = len(self.classes) * self.block.bit_length() + int(widths[self.classes].sum())
-        return body + (64 * -(-len(self.classes) // self.SUPER) if directory else 0)
+        """Bits of numbers of ones and places; the directory has a count and a pointer, 32 bits each, per stretch."""
+        body = 8 * (len(self.classes) + len(self.places) - 32)
+        return body + (64 * len(self.marks) if directory else 0)
 
     def to_bytes(self) -> bytes:
-        widths = _offset_widths(self.block)[self.classes]
-        return np.array([self.n, self.block], "<i8").tobytes() + self.classes.tobytes() + pack_bits(self.offsets, widths)
+        cut = (self.blocks * self.block.bit_length() + 7) // 8
+        return np.array([self.n, self.block], "<i8").tobytes() + self.marks.tobytes() + self.classes[:cut].tobytes() + self.places[:-16].tobytes()
 
     @classmethod
     def from_bytes(cls, data: bytes) -> RRR:
         n, block = np.frombuffer(data, "<i8", 2).tolist()
         m = -(-n // block)
-        classes = np.frombuffer(data, np.uint8, m, 16)
-        return cls(classes, unpack_bits(data[16 + m :], _offset_widths(block)[classes]), n, block)
+        s = -(-m // cls.SUPER)
+        cut = 16 + 8 * s
+        end = cut + (m * block.bit_length() + 7) // 8
+        raw = np.frombuffer(data, np.uint8)
+        return cls(n, block, np.frombuffer(data, "<u4", 2 * s, 16).reshape(s, 2), raw[cut:end], raw[end:])
+
+
+def read_bits(data: np.ndarray, first: np.ndarray, widths: np.ndarray | int) -> np.ndarray:
+    """Numbers of up to 63 bits that begin at bits `first`; data has 16 bytes to spare at its end."""
+    first = np.asarray(first, np.int64)
+    rows = data[(first >> 3)[:, None] + np.arange(16)].view("<u8").reshape(-1, 2)
+    shift = (first & 7).astype(np.uint64)
+    high = np.where(shift > 0, rows[:, 1] << ((np.uint64(64) - shift) & np.uint64(63)), np.uint64(0))
+    mask = (np.uint64(1) << np.asarray(widths, np.uint64)) - np.uint64(1)
+    return (((rows[:, 0] >> shift) | high) & mask).astype(np.int64)
 
 
 @functools.cache

@@ -9,7 +9,8 @@ from __future__ import annotations
 import numpy as np
 
 from . import setcodec
-from .bitvec import Flat, pack_bits, unpack_bits
+from .models import Falling
+from .bitvec import Flat, pack_bits, read_bits, unpack_bits
 
 
 def width_of(universe: int) -> int:
@@ -31,8 +32,8 @@ class Raw:
     def decode(self, payload: list[bytes], size: np.ndarray) -> np.ndarray:
         return np.frombuffer(b"".join(payload), f"<i{self.word // 8}").astype(np.int64)
 
-    def get(self, payload: bytes, n: int, i: int) -> int:
-        return int(np.frombuffer(payload, f"<i{self.word // 8}")[i])
+    def get_many(self, payload: bytes, n: int, i: np.ndarray) -> np.ndarray:
+        return np.frombuffer(payload, f"<i{self.word // 8}")[i].astype(np.int64)
 
 
 class Packed:
@@ -50,10 +51,8 @@ class Packed:
         out = [unpack_bits(p, np.full(int(n), self.width)) for p, n in zip(payload, size, strict=True)]
         return np.concatenate(out) if out else np.zeros(0, np.int64)
 
-    def get(self, payload: bytes, n: int, i: int) -> int:
-        first = i * self.width
-        some = int.from_bytes(payload[first // 8 : (first + self.width + 7) // 8], "little")
-        return some >> first % 8 & (1 << self.width) - 1
+    def get_many(self, payload: bytes, n: int, i: np.ndarray) -> np.ndarray:
+        return read_bits(np.frombuffer(payload + bytes(16), np.uint8), np.asarray(i, np.int64) * self.width, self.width)
 
 
 class EliasFano:
@@ -61,8 +60,8 @@ class EliasFano:
 
     name = "ef"
 
-    def __init__(self, universe: int, low_bits: str = "floor", account: str = "streams"):
-        self.universe, self.low_bits, self.account = universe, low_bits, account
+    def __init__(self, universe: int, low_bits: str = "floor", account: str = "streams", directory: bool = False):
+        self.universe, self.low_bits, self.account, self.directory = universe, low_bits, account, directory
 
     def low(self, n: int | np.ndarray) -> np.ndarray:
         n = np.maximum(np.asarray(n, np.int64), 1)
@@ -73,8 +72,12 @@ class EliasFano:
         return out
 
     def size_bits(self, n: np.ndarray) -> np.ndarray:
+        n = np.asarray(n, np.int64)
         low = self.low(n)
-        streams = np.where(n > 0, n * low + n + (self.universe >> low) + 1, 0)
+        high = n + (self.universe >> low) + 1
+        streams = np.where(n > 0, n * low + high, 0)
+        if self.directory:
+            streams = streams + np.where(n > 0, 32 * (-(-high // Flat.EVERY) + 1), 0)
         return streams + (128 if self.account == "full" else 0)
 
     def encode(self, flat: np.ndarray, at: np.ndarray) -> tuple[list[bytes], np.ndarray]:
@@ -87,57 +90,72 @@ class EliasFano:
                 continue
             high = np.zeros(n + (self.universe >> low) + 1, np.uint8)
             high[(ids >> low) + np.arange(n)] = 1
-            out.append(pack_bits(ids & ((1 << low) - 1), low).ljust((n * low + 7) // 8, b"\0") + np.packbits(high, bitorder="little").tobytes())
+            counts = Flat.of(high).counts.astype("<u4").tobytes() if self.directory else b""
+            out.append(counts + pack_bits(ids & ((1 << low) - 1), low).ljust((n * low + 7) // 8, b"\0") + np.packbits(high, bitorder="little").tobytes())
         return out, self.size_bits(size)
 
-    def _parts(self, payload: bytes, n: int) -> tuple[int, np.ndarray, Flat]:
+    def open(self, payload: bytes, n: int) -> EliasFanoView:
+        """The list ready for reads: nothing is decoded, and with a stored directory nothing but what a read asks for is looked at."""
         low = int(self.low(n))
-        cut = (n * low + 7) // 8
-        return low, payload[:cut], Flat(np.frombuffer(payload, np.uint8, offset=cut), n + (self.universe >> low) + 1)
+        size = n + (self.universe >> low) + 1
+        m = -(-size // Flat.EVERY) + 1 if self.directory else 0
+        cut = 4 * m + (n * low + 7) // 8
+        counts = np.frombuffer(payload, "<u4", m) if self.directory else None
+        return EliasFanoView(n, low, np.frombuffer(payload[4 * m : cut] + bytes(16), np.uint8), Flat(np.frombuffer(payload, np.uint8, offset=cut), size, counts))
 
     def decode(self, payload: list[bytes], size: np.ndarray) -> np.ndarray:
         out = [np.zeros(0, np.int64)]
         for p, n in zip(payload, np.asarray(size).tolist(), strict=True):
             if n:
-                low, lows, high = self._parts(p, n)
-                ones = np.flatnonzero(np.unpackbits(high.packed, bitorder="little")[: high.n])
-                out.append(((ones - np.arange(n)) << low) | unpack_bits(lows, np.full(n, low)))
+                v = self.open(p, n)
+                ones = np.flatnonzero(np.unpackbits(v.high.packed, bitorder="little")[: v.high.n])
+                out.append(((ones - np.arange(n)) << v.low) | unpack_bits(v.lows[:-16].tobytes(), np.full(n, v.low)))
         return np.concatenate(out)
 
-    def _low_at(self, lows: bytes, low: int, i: int) -> int:
-        first = i * low
-        return int.from_bytes(lows[first // 8 : (first + low + 7) // 8], "little") >> first % 8 & (1 << low) - 1
-
-    def get(self, payload: bytes, n: int, i: int) -> int:
-        low, lows, high = self._parts(payload, n)
-        return (int(high.select(np.array([i]))[0]) - i) << low | self._low_at(lows, low, i)
+    def get_many(self, payload: bytes, n: int, i: np.ndarray) -> np.ndarray:
+        return self.open(payload, n).get(np.asarray(i, np.int64))
 
     def next_geq(self, payload: bytes, n: int, value: int) -> int | None:
-        """The least id that isn't under value, by a jump to its bucket."""
-        if not n or value >= self.universe:
-            return None
-        low, lows, high = self._parts(payload, n)
-        bucket = max(value, 0) >> low
-        i = int(high.select(np.array([bucket - 1]), 0)[0]) + 1 - bucket if bucket else 0
-        while i < n:
-            got = (int(high.select(np.array([i]))[0]) - i) << low | self._low_at(lows, low, i)
-            if got >= value:
-                return got
-            i += 1
-        return None
-
-    def intersect(self, a: bytes, n: int, b: bytes, m: int) -> list[int]:
-        out, at = [], self.next_geq(a, n, 0)
-        while at is not None:
-            other = self.next_geq(b, m, at)
-            if other is None:
-                break
-            if other == at:
-                out.append(at)
-                at = self.next_geq(a, n, at + 1)
-            else:
-                at = self.next_geq(a, n, other)
-        return out
+        """The least id that isn't under value."""
+        got = int(self.open(payload, n).next_geq(np.array([value]))[0]) if n else -1
+        return got if got >= 0 else None
+
+    def intersect(self, a: bytes, n: int, b: bytes, m: int) -> np.ndarray:
+        """Common ids of two lists: those of the shorter one that a jump into the longer one finds."""
+        (p, k), (q, other) = sorted(((a, n), (b, m)), key=lambda x: x[1])
+        ids = self.decode([p], np.array([k]))
+        return ids[self.open(q, other).next_geq(ids) == ids] if k and other else ids[:0]
+
+
+class EliasFanoView:
+    """Reads of one list: by place, and by value; each in logarithmic time."""
+
+    def __init__(self, n: int, low: int, lows: np.ndarray, high: Flat):
+        self.n, self.low, self.lows, self.high = n, low, lows, high
+
+    def _low(self, i: np.ndarray) -> np.ndarray:
+        return read_bits(self.lows, i * self.low, self.low)
+
+    def get(self, i: np.ndarray) -> np.ndarray:
+        return ((self.high.select(i) - i) << self.low) | self._low(i)
+
+    def next_geq(self, value: np.ndarray) -> np.ndarray:
+        """The least id not under each value; -1 where there is none."""
+        value = np.maximum(np.asarray(value, np.int64), 0)
+        zeros, bucket = self.high.n - self.n, value >> self.low
+        inside = bucket < zeros
+        b = np.where(inside, bucket, 0)
+        # ids of a bucket stand between its zero and the one before
+        first = np.where(b > 0, self.high.select(np.maximum(b - 1, 0), 0) + 1 - b, 0)
+        last = self.high.select(b, 0) - b
+        low, rest = first.copy(), last.copy()
+        while (low < rest).any():
+            mid = (low + rest) // 2
+            less = self._low(np.minimum(mid, self.n - 1)) < (value & ((1 << self.low) - 1))
+            active = low < rest
+            low, rest = np.where(active & less, mid + 1, low), np.where(active & ~less, mid, rest)
+        found = inside & (low < self.n)
+        return np.where(found, self.get(np.where(found, low, 0)), -1)
 
 
 class RandomOrder:
@@ -160,14 +178,14 @@ class ExactRandomOrder:
 
     name = "roc_exact"
 
-    def __init__(self, universe: int, distinct: bool = False):
-        self.universe, self.distinct = universe, distinct
+    def __init__(self, universe: int, distinct: bool = False, model=None):
+        self.universe, self.distinct, self.model = universe, distinct, model
 
     def encode(self, flat: np.ndarray, at: np.ndarray) -> tuple[list[bytes], np.ndarray]:
         out, bits = [], []
         for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
             state = setcodec.ExactState(0)
-            setcodec.encode_set(state, flat[a:b].tolist(), self.universe, self.distinct)
+            setcodec.encode_set(state, flat[a:b].tolist(), self.universe, self.distinct, self.model)
             out.append(state.to_bytes())
             bits.append(state.bits)
         return out, np.array(bits, np.int64)
@@ -175,7 +193,7 @@ class ExactRandomOrder:
     def decode(self, payload: list[bytes], size: np.ndarray) -> np.ndarray:
         out: list[int] = []
         for p, n in zip(payload, np.asarray(size).tolist(), strict=True):
-            out += setcodec.decode_set(setcodec.ExactState.from_bytes(p), n, self.universe, self.distinct)
+            out += setcodec.decode_set(setcodec.ExactState.from_bytes(p), n, self.universe, self.distinct, self.model)
         return np.array(out, np.int64)
 
 
@@ -205,11 +223,18 @@ class BucketedRandomOrder:
 
 CODECS = {c.name: c for c in (Raw, Packed, EliasFano, RandomOrder, ExactRandomOrder, BucketedRandomOrder)}
 CODECS["raw32"] = lambda universe: Raw(universe, 32)
+CODECS["ef_dir"] = lambda universe: EliasFano(universe, directory=True)
 CODECS["ef_ceil"] = lambda universe: EliasFano(universe, "ceil")
 CODECS["roc_seeded"] = lambda universe: RandomOrder(universe, 7)
+CODECS["roc_falling"] = lambda universe: ExactRandomOrder(universe, model=Falling(universe))
 CODECS["roc_distinct"] = lambda universe: ExactRandomOrder(universe, True)
 
 
+def get_many(c, payload: bytes, n: int, i: np.ndarray) -> np.ndarray:
+    """Ids at places of one list: read alone where the codec can, else from the decoded list."""
+    return c.get_many(payload, n, i) if hasattr(c, "get_many") else c.decode([payload], np.array([n]))[i]
+
+
 def codec(name: str, universe: int):
     if name not in CODECS:
         raise ValueError(f"no codec {name!r}; there are {sorted(CODECS)}")

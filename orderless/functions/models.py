@@ -34,6 +34,26 @@ class Table:
         return symbol, self.starts[symbol], self.weights[symbol]
 
 
+class Falling:
+    """Symbol s weighs total - s: low ids are likelier, as where ids go by popularity. Spans in closed form, so any universe fits."""
+
+    def __init__(self, size: int):
+        self.size, self.total = size, size * (size + 1) // 2
+
+    def _start(self, symbol: int) -> int:
+        return symbol * self.size - symbol * (symbol - 1) // 2
+
+    def span(self, symbol: int) -> tuple[int, int]:
+        return self._start(symbol), self.size - symbol
+
+    def find(self, slot: int) -> tuple[int, int, int]:
+        low, high = 0, self.size - 1
+        while low < high:
+            mid = (low + high + 1) // 2
+            low, high = (mid, high) if self._start(mid) <= slot else (low, mid - 1)
+        return low, *self.span(low)
+
+
 class Bernoulli(Table):
     def __init__(self, ones: int, total: int):
         super().__init__([total - ones, ones])

@@ -15,8 +15,11 @@ from .order_stats import Fenwick, SortedRanks
 State = ExactState | WordState
 
 
-def encode_set(state: State, ids: list[int], universe: int, distinct: bool = False) -> None:
-    """distinct codes each id among the ids not used yet (exactly log2 of the number of sets); else among all."""
+def encode_set(state: State, ids: list[int], universe: int, distinct: bool = False, model=None) -> None:
+    """distinct codes each id among the ids not used yet (exactly log2 of the number of sets); else among all.
+
+    A model of the elements (span, find, total; exact states only) takes the place of the uniform one.
+    """
     left = sorted(ids)
     if distinct:  # the decoder's last id comes first here; ids coded later by the decoder are those still left here
         tree = Fenwick(len(left), ones=True)
@@ -30,10 +33,10 @@ def encode_set(state: State, ids: list[int], universe: int, distinct: bool = Fal
     for i in range(len(left), 0, -1):
         at = tree.find(state.pop_uniform(i))
         tree.add(at, -1)
-        state.push_uniform(left[at], universe)
+        state.push_uniform(left[at], universe) if model is None else state.encode(model, left[at])
 
 
-def decode_set(state: State, n: int, universe: int, distinct: bool = False) -> list[int]:
+def decode_set(state: State, n: int, universe: int, distinct: bool = False, model=None) -> list[int]:
     got = SortedRanks()
     for i in range(1, n + 1):
         if distinct:
@@ -47,7 +50,7 @@ def decode_set(state: State, n: int, universe: int, distinct: bool = False) -> l
                 value = gap + at
             rank = at
         else:
-            value = state.pop_uniform(universe)
+            value = state.pop_uniform(universe) if model is None else state.decode(model)
             rank = got.rank(value)
         got.insert(value)
         state.push_uniform(rank, i)

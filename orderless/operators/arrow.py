@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import os
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -65,18 +66,33 @@ def vectors(column: pa.Array) -> np.ndarray:
     return flat.reshape(len(column), -1) if len(column) else flat.reshape(0, 0)
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder all executors share; a temporary one only where a local session names none."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named:
+        return named.rstrip("/")
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    if not _OWN:
+        _OWN.append(tempfile.mkdtemp(prefix="orderless-"))
+    return "file://" + _OWN[0]
+
+
+def fresh(spark: SparkSession, tag: str) -> str:
+    """A path in the shared folder that nothing else uses; it goes when the driver process ends."""
+    path = f"{shared_dir(spark)}/orderless/{spark.sparkContext.applicationId}/{tag}-{uuid.uuid4().hex}"
+    atexit.register(_delete, spark, path)
+    return path
+
+
 def stage(df: DataFrame, tag: str) -> DataFrame:
-    """Cuts lineage by a Parquet table in the folder that spark.checkpoint.dir names (a temporary one where it names none)."""
+    """Cuts lineage: writes df to the shared folder as Parquet, which survives lost executors, and reads it back."""
     spark = df.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        if not _OWN:
-            _OWN.append(tempfile.mkdtemp(prefix="orderless-"))
-        base = "file://" + _OWN[0]
-    path = f"{base.rstrip('/')}/orderless/{spark.sparkContext.applicationId}/{tag}-{uuid.uuid4().hex}"
+    path = fresh(spark, tag)
     df.write.option("compression", "zstd").parquet(path)
-    atexit.register(_delete, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._staged_path = path  # type: ignore[attr-defined]
+    return out
 
 
 def _delete(spark: SparkSession, path: str) -> None:

@@ -10,11 +10,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import listcodecs
-from . import arrow
+from . import arrow, ops
 
 #: Ids that a task decodes at a time, at most, but for a longer list.
 DECODE_IDS = 1 << 18
@@ -100,42 +100,98 @@ def decode_lists(encoded: DataFrame) -> DataFrame:
     return encoded.select("k", "n", "lo", "codec", "universe", "payload").mapInArrow(run, f"k {kind}, id long")
 
 
+#: Places, or ids, that one bin of a look-up for segments covers.
+BIN = 4096
+
+
+def places(encoded: DataFrame) -> DataFrame:
+    """(k, seg, first, end): which places of its list each segment holds; reads sizes alone."""
+    before = Window.partitionBy("k").orderBy("seg").rowsBetween(Window.unboundedPreceding, -1)
+    first = F.coalesce(F.sum("n").over(before), F.lit(0))
+    return encoded.select("k", "seg", "n").withColumn("first", first).select("k", "seg", "first", (F.col("first") + F.col("n")).alias("end"))
+
+
+def _grouped(rows: DataFrame, keys: list[str], keep: list[str], read, got: str = "long") -> DataFrame:
+    """Adds got: read(codec, payload, n, batch of one list's rows); rows are brought together by list, so a payload is opened once."""
+    arrow.importable(rows.sparkSession)
+    types = dict(rows.dtypes)
+    rows = rows.select(*keys, *keep, "n", "lo", "codec", "universe", "payload").repartition(*keys).sortWithinPartitions(*keys)
+    n = len(keys)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at = arrow.edges([b.column(k) for k in range(n)])
+            for x, y in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+                part = b.slice(x, y - x)
+                size, lo, name, universe, payload = (part.column(part.num_columns - 5 + k)[0].as_py() for k in range(5))
+                value = read(listcodecs.codec(name, universe), payload, size, part, lo)
+                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in range(n + len(keep))), value], [*keys, *keep, "got"])
+
+    return rows.mapInArrow(run, ", ".join(f"`{c}` {types[c]}" for c in [*keys, *keep]) + f", got {got}")
+
+
 def get(encoded: DataFrame, asked: DataFrame) -> DataFrame:
-    """id at an offset of a list, for asked rows (k, off); lists in one segment, codecs with point reads (raw, packed, ef)."""
-    arrow.importable(encoded.sparkSession)
-    rows = asked.join(encoded.filter("seg = 0").select("k", "n", "codec", "universe", "payload"), "k").filter("off >= 0 AND off < n")
+    """id at a place of a list, for asked rows (k, off), whatever the number of segments; places that a list lacks give no row.
 
-    @F.arrow_udf("long")
-    def read(off: pa.Array, n: pa.Array, codec: pa.Array, universe: pa.Array, payload: pa.Array) -> pa.Array:
-        return pa.array([listcodecs.codec(c, u).get(p, m, o) for o, m, c, u, p in zip(*(x.to_pylist() for x in (off, n, codec, universe, payload)), strict=True)], pa.int64())
+    Fixed width, raw and Elias-Fano lists are read at the place alone; of others the segment that holds it is decoded.
+    """
+    at = ops.range_join(asked.select("k", "off"), "off", places(encoded), "first", "end", BIN, ["k"]).withColumn("place", F.col("off") - F.col("first"))
+    rows = at.select("k", "seg", "off", "place").join(encoded, ["k", "seg"])
 
-    return rows.select("k", "off", read("off", "n", "codec", "universe", "payload").alias("id"))
+    def read(c, payload: bytes, n: int, part: pa.RecordBatch, lo: int) -> pa.Array:
+        return pa.array(listcodecs.get_many(c, payload, n, part.column(3).to_numpy()) + lo)
 
+    return _grouped(rows, ["k", "seg"], ["off", "place"], read).select("k", "off", F.col("got").alias("id"))
 
-def next_geq(encoded: DataFrame, asked: DataFrame) -> DataFrame:
-    """The least id not under a value, for asked rows (k, value); Elias-Fano lists in one segment; null where there is none."""
-    arrow.importable(encoded.sparkSession)
-    rows = asked.join(encoded.filter("seg = 0 AND codec = 'ef'").select("k", "n", "universe", "payload"), "k")
 
-    @F.arrow_udf("long")
-    def read(value: pa.Array, n: pa.Array, universe: pa.Array, payload: pa.Array) -> pa.Array:
-        return pa.array([listcodecs.EliasFano(u).next_geq(p, m, v) for v, m, u, p in zip(*(x.to_pylist() for x in (value, n, universe, payload)), strict=True)], pa.int64())
+def next_geq(encoded: DataFrame, asked: DataFrame) -> DataFrame:
+    """The least id not under a value, for asked rows (k, value) of lists that exist; Elias-Fano lists of any number of segments; null where there is none.
 
-    return rows.select("k", "value", read("value", "n", "universe", "payload").alias("id"))
+    The segment that covers the value is asked; where there is none, or no id in it, the answer is the first id of the next one that exists.
+    """
+    ef = encoded.filter(F.col("codec").isin("ef", "ef_dir"))
+    own = ef.groupBy("k").agg(F.max("universe").alias("own"))  # of one size within a list
+    rows = asked.select("k", "value").join(own, "k")
+    rows = rows.withColumn("at", F.greatest("value", F.lit(0)).cast("long")).withColumn("seg", F.floor(F.col("at") / F.col("own")).cast("long"))
+    stored = ef.withColumn("seg", F.col("seg").cast("long"))
+
+    def read(c, payload: bytes, n: int, part: pa.RecordBatch, lo: int) -> pa.Array:
+        got = c.open(payload, n).next_geq(part.column(2).to_numpy() - lo)
+        return pa.array(got + lo, mask=got < 0)
+
+    inside = _grouped(rows.select("k", "seg", "at", "value").join(stored, ["k", "seg"]), ["k", "seg"], ["at", "value"], read)
+    here = inside.filter("got IS NOT NULL").select("k", "value", F.col("got").alias("id"))
+    # each segment answers for the missing ones before it
+    before = F.lag("seg").over(Window.partitionBy("k").orderBy("seg"))
+    gaps = stored.select("k", F.col("seg").alias("next"), F.coalesce(before + 1, F.lit(0)).alias("from"), (F.col("seg") + 1).alias("to"))
+    rest = rows.join(here.select("k", "value"), ["k", "value"], "left_anti").select("k", "value", (F.col("seg") + 1).alias("seg"))
+    # a value before all segments is covered by a gap too, one over them all by none
+    met = ops.range_join(rest, "seg", gaps, "from", "to", BIN, ["k"]).select("k", F.col("next").alias("seg"), "value")
+    start = lambda c, payload, n, part, lo: pa.array(c.get_many(payload, n, np.zeros(part.num_rows, np.int64)) + lo)
+    later = _grouped(met.join(stored, ["k", "seg"]), ["k", "seg"], ["value"], start).select("k", "value", F.col("got").alias("id"))
+    none = rest.select("k", "value").join(met.select("k", "value"), ["k", "value"], "left_anti").withColumn("id", F.lit(None).cast("long"))
+    return here.union(later).union(none)
 
 
 def intersect(encoded: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Common ids of two lists, for pairs (a, b), by leaps on the compressed forms (Elias-Fano, one segment)."""
+    """Common ids of two lists, for pairs (a, b), by jumps on the compressed forms (Elias-Fano); segments meet segments of the same range."""
     arrow.importable(encoded.sparkSession)
-    side = encoded.filter("seg = 0 AND codec = 'ef'").select("k", "n", "universe", "payload")
-    left = side.select(F.col("k").alias("a"), F.col("n").alias("n1"), "universe", F.col("payload").alias("p1"))
-    right = side.select(F.col("k").alias("b"), F.col("n").alias("n2"), F.col("payload").alias("p2"))
+    side = encoded.filter(F.col("codec").isin("ef", "ef_dir")).select("k", "lo", "n", "universe", "codec", "payload")
+    left = side.select(F.col("k").alias("a"), "lo", F.col("n").alias("n1"), "universe", "codec", F.col("payload").alias("p1"))
+    right = side.select(F.col("k").alias("b"), "lo", F.col("n").alias("n2"), "universe", "codec", F.col("payload").alias("p2"))
 
     @F.arrow_udf("array<long>")
-    def both(u: pa.Array, p1: pa.Array, n1: pa.Array, p2: pa.Array, n2: pa.Array) -> pa.Array:
-        return pa.array([listcodecs.EliasFano(x).intersect(a, n, b, m) for x, a, n, b, m in zip(*(c.to_pylist() for c in (u, p1, n1, p2, n2)), strict=True)], pa.list_(pa.int64()))
+    def both(lo: pa.Array, u: pa.Array, codec: pa.Array, p1: pa.Array, n1: pa.Array, p2: pa.Array, n2: pa.Array) -> pa.Array:
+        rows = zip(*(c.to_pylist() for c in (lo, u, codec, p1, n1, p2, n2)), strict=True)
+        return pa.array([listcodecs.codec(name, x).intersect(a, n, b, m) + first for first, x, name, a, n, b, m in rows], pa.list_(pa.int64()))
+
+    met = pairs.join(left, "a").join(right, ["b", "lo", "universe", "codec"])
+    return met.select("a", "b", F.explode(both("lo", "universe", "codec", "p1", "n1", "p2", "n2")).alias("id"))
+
 
-    return pairs.join(left, "a").join(right, "b").select("a", "b", F.explode(both("universe", "p1", "n1", "p2", "n2")).alias("id"))
+def unite(a: DataFrame, b: DataFrame, codec: str, universe: int, segment_bits: int | None = None) -> DataFrame:
+    """The lists of two encoded frames put together key by key, coded anew; ids in both once."""
+    return encode_lists(decode_lists(a).unionByName(decode_lists(b)), "k", "id", codec, universe, segment_bits)
 
 
 def bits_per_id(encoded: DataFrame) -> DataFrame:

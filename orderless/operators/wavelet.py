@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.bitvec import RRR, Flat
-from . import arrow
+from . import arrow, ops
 
 
 class UnsupportedError(ValueError):
@@ -34,7 +34,7 @@ class Tree:
         self.below = np.r_[0, np.cumsum(counts)]
 
     @classmethod
-    def of(cls, seq: np.ndarray, levels: int, kind: str = "flat", block: int = 15) -> Tree:
+    def of(cls, seq: np.ndarray, levels: int, kind: str = "flat", block: int = 63) -> Tree:
         labels, counts = np.unique(seq, return_counts=True)
         bits, order = [], seq
         for level in range(levels):
@@ -92,7 +92,7 @@ class Tree:
 INDEX = "shard int, levels int, kind string, n long, labels array<long>, counts array<long>, payload array<binary>, bits long, payload_bits long"
 
 
-def build(df: DataFrame, id: str, k: str, vocabulary: int, kind: str = "flat", shard_bits: int = 20, block: int = 15) -> DataFrame:
+def build(df: DataFrame, id: str, k: str, vocabulary: int, kind: str = "flat", shard_bits: int = 20, block: int = 63) -> DataFrame:
     """Index rows of a partition: every id of a shard's range must occur exactly once, or an error says so."""
     arrow.importable(df.sparkSession)
     levels = levels_of(vocabulary)
@@ -144,15 +144,25 @@ def _by_shard(asked: DataFrame, index: DataFrame, read, schema: str, shard_bits:
         return q.append_column("got", pa.array(got, pa.int64())).drop(["shard", "local"])
 
     own = index.select(*[F.col(c).alias(c) for c in index.columns])  # asked may stem from the same index
+    own = own.join(asked.select("shard").distinct(), "shard", "left_semi")  # payloads of asked shards alone are moved
     return asked.groupBy("shard").cogroup(own.groupBy("shard")).applyInArrow(run, schema)
 
 
+#: Offsets that one bin of the directory's look-up covers.
+BIN = 4096
+
+
+def located(index: DataFrame, asked: DataFrame) -> DataFrame:
+    """asked (k, off, ...) with shard and local, the offset within the shard: one shard a row, by bins of offsets."""
+    d = directory(index).withColumn("end", F.col("cum") + F.col("count")).select("k", "shard", "cum", "end")
+    return ops.range_join(asked, "off", d, "cum", "end", BIN, ["k"]).withColumn("local", F.col("off") - F.col("cum")).drop("cum", "end")
+
+
 def select(index: DataFrame, asked: DataFrame, shard_bits: int = 20) -> DataFrame:
     """asked (k, off, ...) with id: the off-th id of cluster k, found in logarithmic time per row. Other columns are kept."""
     keep = [c for c in asked.columns if c not in ("k", "off")]
     types = dict(asked.dtypes)
-    rows = asked.join(directory(index), "k").filter("cum <= off AND off < cum + count")
-    rows = rows.select("k", "off", *keep, "shard", (F.col("off") - F.col("cum")).alias("local"))
+    rows = located(index, asked).select("k", "off", *keep, "shard", "local")
     schema = ", ".join(f"`{c}` {types[c]}" for c in ["k", "off", *keep]) + ", got long"
     read = lambda t, q, first: first + t.select(q["k"].to_numpy(), q["local"].to_numpy())
     return _by_shard(rows, index, read, schema, shard_bits).withColumnRenamed("got", "id")
@@ -165,9 +175,20 @@ def access(index: DataFrame, ids: DataFrame, shard_bits: int = 20) -> DataFrame:
 
 
 def rank(index: DataFrame, asked: DataFrame, shard_bits: int = 20) -> DataFrame:
-    """asked (k, pos) with rank: how many ids under pos are in cluster k."""
+    """asked (k, pos) with rank: how many ids under pos are in cluster k, 0 for a cluster that has none.
+
+    What stands in earlier shards is the directory's sum up to the position's shard, found by bins of shards: no pairs.
+    """
+    of_k = Window.partitionBy("k").orderBy("shard")
     d = directory(index)
-    rows = asked.select("k", "pos", F.shiftright("pos", shard_bits).cast("int").alias("shard"))
-    last = d.join(asked.select("k", "pos").distinct(), "k").filter(F.col("shard") < F.shiftright("pos", shard_bits)).groupBy("k", "pos").agg(F.sum("count").alias("before"))
-    got = _by_shard(rows.withColumn("local", F.col("pos")), index, lambda t, q, first: t.rank(q["k"].to_numpy(), q["pos"].to_numpy() - first), "k long, pos long, got long", shard_bits)
-    return got.join(last, ["k", "pos"], "left").select("k", "pos", (F.col("got") + F.coalesce("before", F.lit(0))).cast("long").alias("rank"))
+    after = d.select("k", (F.col("cum") + F.col("count")).alias("before"), F.col("shard").cast("long").alias("from"), F.lead("shard").over(of_k).alias("to"))
+    start = d.groupBy("k").agg(F.min("shard").alias("to")).select("k", F.lit(0).cast("long").alias("before"), F.lit(-1).cast("long").alias("from"), "to")
+    rows = asked.select("k", "pos", F.shiftright("pos", shard_bits).cast("long").alias("shard"))
+    shards = index.agg(F.max("shard").cast("long") + 1).first()[0] or 0
+    spans = after.withColumn("to", F.coalesce("to", F.lit(shards))).union(start)
+    spans = spans.withColumns({"from": F.col("from") + 1, "to": F.col("to").cast("long") + 1})
+    met = ops.range_join(rows, "shard", spans, "from", "to", 64, ["k"]).select("k", "pos", F.col("shard").cast("int").alias("shard"), "before", F.col("pos").alias("local"))
+    read = lambda t, q, first: q["before"].to_numpy() + t.rank(q["k"].to_numpy(), q["pos"].to_numpy() - first)
+    got = _by_shard(met, index, read, "k long, pos long, before long, got long", shard_bits).select("k", "pos", F.col("got").alias("rank"))
+    unknown = rows.join(start.select("k"), "k", "left_anti").select("k", "pos", F.lit(0).cast("long").alias("rank"))
+    return got.union(unknown)

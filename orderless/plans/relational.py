@@ -35,20 +35,12 @@ def op_scan_pruned(spark, sf_dir):
 
 def _roundtrip(fmt: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     """Parts written in a format and read back with an explicit schema."""
-    import uuid
-
     df = t(spark, sf_dir, "part", "p_partkey", "p_name", "p_size")
-    path = f"{spark.conf.get('spark.checkpoint.dir', None) or 'file://' + _folder()}/orderless-formats/{uuid.uuid4().hex}"
+    path = arrow.fresh(spark, "format")
     store.write(df, fmt, path)
     return store.read(spark, fmt, path, df.schema)
 
 
-def _folder() -> str:
-    import tempfile
-
-    return tempfile.mkdtemp(prefix="orderless-")
-
-
 for _fmt in ("csv", "json", "orc", "parquet"):
     Q[f"op_{_fmt}_roundtrip"], SQL[f"op_{_fmt}_roundtrip"] = partial(_roundtrip, _fmt), "SELECT p_partkey, p_name, p_size FROM part"
 
@@ -56,10 +48,8 @@ for _fmt in ("csv", "json", "orc", "parquet"):
 @query("SELECT o_custkey AS k, o_orderkey AS id FROM orders WHERE o_custkey IN (7, 100, 1000)")
 def op_index_reopen(spark, sf_dir):
     """Lists saved in key buckets; three read back with bucket and key pruning."""
-    import uuid
-
     df = tables.id_lists(spark, sf_dir, "customer_order")
-    path = f"{spark.conf.get('spark.checkpoint.dir', None) or 'file://' + _folder()}/orderless-index/{uuid.uuid4().hex}"
+    path = arrow.fresh(spark, "index")
     store.save_index(frames.encode_lists(df, "k", "id", "roc", tables.universe(df)), path)
     return frames.decode_lists(store.open_index(spark, path, [7, 100, 1000]))
 
@@ -355,10 +345,8 @@ def sql_aggregate_and_table_function(spark, sf_dir):
 @query("SELECT o_custkey AS k, o_orderkey AS id FROM orders WHERE o_custkey = 7")
 def source_idlists(spark, sf_dir):
     """One list decoded while scanning, by the data source's own key filter."""
-    import uuid
-
     df = tables.id_lists(spark, sf_dir, "customer_order")
-    path = f"{spark.conf.get('spark.checkpoint.dir', None) or 'file://' + _folder()}/orderless-index/{uuid.uuid4().hex}"
+    path = arrow.fresh(spark, "index")
     store.save_index(frames.encode_lists(df, "k", "id", "roc", tables.universe(df)), path)
     store.register(spark)
     arrow.importable(spark)

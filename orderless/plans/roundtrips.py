@@ -22,12 +22,12 @@ def _lists(name: str, codec: str, segment: int | None, spark: SparkSession, sf_d
     return frames.decode_lists(frames.encode_lists(df, "k", "id", codec, tables.universe(df), segment))
 
 
-for _codec in ("raw", "packed", "ef", "ef_ceil", "roc", "roc_seeded"):
+for _codec in ("raw", "packed", "ef", "ef_dir", "ef_ceil", "roc", "roc_seeded"):
     for _name in ("customer_order", "part_order", "user_event", "label_vec"):
         Q[f"roundtrip_{_codec}_{_name}"] = partial(_lists, _name, _codec, None)
 for _name in ("supplier_order", "type_event", "type_part"):
     Q[f"roundtrip_roc_segmented_{_name}"] = partial(_lists, _name, "roc", 8)
-for _codec in ("roc_exact", "roc_distinct", "roc_buckets"):
+for _codec in ("roc_exact", "roc_distinct", "roc_buckets", "roc_falling"):
     Q[f"roundtrip_{_codec}_customer_order"] = partial(_lists, "customer_order", _codec, None)
 for _q in list(Q):
     SQL[_q] = tables.lists_sql(next(n for n in sorted(tables.LISTS, key=len, reverse=True) if _q.endswith(n)))
@@ -168,35 +168,64 @@ Q["roundtrip_code_sets"] = roundtrip_code_sets
 SQL["roundtrip_code_sets"] = "SELECT l_suppkey AS k, CAST(l_quantity AS INT) AS quantity, l_linenumber AS line, count(*) AS n FROM lineitem GROUP BY ALL"
 
 
-def _get(codec: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+def _get(codec: str, segment: int | None, spark: SparkSession, sf_dir: str) -> DataFrame:
     """The middle order of each customer, read from the compressed list alone."""
     df = tables.id_lists(spark, sf_dir, "customer_order")
-    enc = frames.encode_lists(df, "k", "id", codec, tables.universe(df))
-    return frames.get(enc, enc.select("k", F.floor(F.col("n") / 2).cast("long").alias("off")))
+    enc = frames.encode_lists(df, "k", "id", codec, tables.universe(df), segment)
+    return frames.get(enc, enc.groupBy("k").agg(F.floor(F.sum("n") / 2).cast("long").alias("off")))
 
 
-for _codec in ("raw", "packed", "ef"):
-    Q[f"get_{_codec}"] = partial(_get, _codec)
-    SQL[f"get_{_codec}"] = f"""WITH l AS ({tables.lists_sql("customer_order")}), o AS (SELECT k, id, row_number() OVER (PARTITION BY k ORDER BY id) - 1 AS off, count(*) OVER (PARTITION BY k) AS n FROM l) SELECT k, off, id FROM o WHERE off = n // 2"""
+for _codec in ("raw", "packed", "ef", "ef_dir", "roc"):
+    for _q, _segment in ((f"get_{_codec}", None), (f"get_{_codec}_segmented", 8)):
+        Q[_q] = partial(_get, _codec, _segment)
+        SQL[_q] = f"""WITH l AS ({tables.lists_sql("customer_order")}), o AS (SELECT k, id, row_number() OVER (PARTITION BY k ORDER BY id) - 1 AS off, count(*) OVER (PARTITION BY k) AS n FROM l) SELECT k, off, id FROM o WHERE off = n // 2"""
 
 
-def ef_next_geq(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Each user's first event from number 5,000 on."""
+def _next_geq(codec: str, segment: int | None, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each user's first event from some numbers on: before all, within, and beyond all of them."""
     df = tables.id_lists(spark, sf_dir, "user_event")
-    enc = frames.encode_lists(df, "k", "id", "ef", tables.universe(df))
-    return frames.next_geq(enc, enc.select("k", F.lit(5000).cast("long").alias("value")))
+    enc = frames.encode_lists(df, "k", "id", codec, tables.universe(df), segment)
+    asked = df.select("k").distinct().select(F.col("k"), F.explode(F.array(*[F.lit(v).cast("long") for v in VALUES])).alias("value"))
+    return frames.next_geq(enc, asked)
 
 
-Q["ef_next_geq"] = ef_next_geq
-SQL["ef_next_geq"] = "SELECT user_id AS k, 5000::BIGINT AS value, min(CASE WHEN event_id >= 5000 THEN event_id END) AS id FROM events GROUP BY user_id"
+VALUES = (-5, 0, 300, 5000, 1 << 40)
+for _codec in ("ef", "ef_dir"):
+    for _q, _segment in ((_codec, None), (f"{_codec}_segmented", 6)):
+        Q[f"next_geq_{_q}"] = partial(_next_geq, _codec, _segment)
+        SQL[f"next_geq_{_q}"] = f"SELECT user_id AS k, v AS value, min(CASE WHEN event_id >= v THEN event_id END) AS id FROM events, (SELECT unnest({list(VALUES)}::BIGINT[]) AS v) GROUP BY user_id, v"
 
 
-def ef_intersect(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Orders that two neighbouring suppliers share, by leaps on the compressed lists."""
+def _intersect(codec: str, segment: int | None, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders that two neighbouring suppliers share, by jumps on the compressed lists."""
     df = tables.id_lists(spark, sf_dir, "supplier_order")
-    enc = frames.encode_lists(df, "k", "id", "ef", tables.universe(df))
-    return frames.intersect(enc, enc.select(F.col("k").alias("a"), (F.col("k") + 1).alias("b")))
+    enc = frames.encode_lists(df, "k", "id", codec, tables.universe(df), segment)
+    return frames.intersect(enc, enc.select(F.col("k").alias("a"), (F.col("k") + 1).alias("b")).distinct())
 
 
-Q["ef_intersect"] = ef_intersect
-SQL["ef_intersect"] = f"WITH l AS ({tables.lists_sql('supplier_order')}) SELECT x.k AS a, y.k AS b, x.id FROM l x JOIN l y ON y.k = x.k + 1 AND y.id = x.id"
+for _q, _args in {"ef_intersect": ("ef", None), "ef_intersect_segmented": ("ef", 9), "ef_dir_intersect": ("ef_dir", None)}.items():
+    Q[_q] = partial(_intersect, *_args)
+    SQL[_q] = f"WITH l AS ({tables.lists_sql('supplier_order')}) SELECT x.k AS a, y.k AS b, x.id FROM l x JOIN l y ON y.k = x.k + 1 AND y.id = x.id"
+
+
+def lists_united(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders of each supplier and of the one after, put together from two compressed frames."""
+    df = tables.id_lists(spark, sf_dir, "supplier_order")
+    u = tables.universe(df)
+    a, b = frames.encode_lists(df, "k", "id", "ef", u), frames.encode_lists(df.withColumn("k", F.col("k") - 1), "k", "id", "roc", u)
+    return frames.decode_lists(frames.unite(a, b, "roc", u, 14))
+
+
+Q["lists_united"] = lists_united
+SQL["lists_united"] = f"WITH l AS ({tables.lists_sql('supplier_order')}) SELECT k, id FROM l UNION SELECT k - 1, id FROM l"
+
+
+def roundtrip_codes_1024(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Symbols of 10 bits (part numbers modulo 1,024) by supplier, coded under running counts and back."""
+    df = tables.table(spark, sf_dir, "lineitem", ["l_suppkey", "l_orderkey", "l_partkey"])
+    codes = df.selectExpr("l_suppkey AS k", "0 AS sub", "l_orderkey AS id", "CAST(l_partkey % 1024 AS INT) AS code")
+    return codecodec.decode(codecodec.encode(codes, alphabet=1024)).groupBy("k", "code").agg(F.count(F.lit(1)).cast("long").alias("n"))
+
+
+Q["roundtrip_codes_1024"] = roundtrip_codes_1024
+SQL["roundtrip_codes_1024"] = "SELECT l_suppkey AS k, CAST(l_partkey % 1024 AS INT) AS code, count(*) AS n FROM lineitem GROUP BY ALL"

@@ -201,17 +201,17 @@ def rrr_class_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
     # nodes side by side in a level: place = labels in earlier nodes + place in the own node
     own = lv.withColumn("p", F.row_number().over(Window.partitionBy("level", "node").orderBy("id")) - 1)
     start = lv.groupBy("level", "node").agg(F.count(F.lit(1)).alias("c")).withColumn("s", F.coalesce(F.sum("c").over(Window.partitionBy("level").orderBy("node").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    blocks = own.join(F.broadcast(start), ["level", "node"]).groupBy("level", F.floor((F.col("p") + F.col("s")) / 15).alias("block")).agg(F.sum("bit").alias("ones"))
+    blocks = own.join(F.broadcast(start), ["level", "node"]).groupBy("level", F.floor((F.col("p") + F.col("s")) / 63).alias("block")).agg(F.sum("bit").alias("ones"))
     ones = F.col("ones")
-    width = F.ceil(F.round(m.log2_factorial_col(F.lit(15)) - m.log2_factorial_col(ones) - m.log2_factorial_col(15 - ones), 6))
-    return blocks.agg(F.count(F.lit(1)).cast("long").alias("blocks"), F.sum(4 + width).cast("long").alias("bits"))
+    width = F.ceil(F.round(m.log2_factorial_col(F.lit(63)) - m.log2_factorial_col(ones) - m.log2_factorial_col(63 - ones), 6))
+    return blocks.agg(F.count(F.lit(1)).cast("long").alias("blocks"), F.sum(6 + width).cast("long").alias("bits"))
 
 
 Q["rrr_class_bits"] = rrr_class_bits
 SQL["rrr_class_bits"] = """WITH k AS (SELECT event_id AS id, dense_rank() OVER (ORDER BY event_type) - 1 AS k FROM events), l AS (SELECT unnest([0, 1, 2]) AS level),
 b AS (SELECT level, (k >> (2 - level)) & 1 AS bit, row_number() OVER (PARTITION BY level ORDER BY k >> (3 - level), id) - 1 AS place FROM k, l),
-o AS (SELECT level, place // 15 AS block, sum(bit) AS ones FROM b GROUP BY ALL)
-SELECT count(*) AS blocks, CAST(sum(4 + ceil(round((lgamma(16) - lgamma(ones + 1) - lgamma(16 - ones)) / ln(2), 6))) AS BIGINT) AS bits FROM o"""
+o AS (SELECT level, place // 63 AS block, sum(bit) AS ones FROM b GROUP BY ALL)
+SELECT count(*) AS blocks, CAST(sum(6 + ceil(round((lgamma(64) - lgamma(ones + 1) - lgamma(64 - ones)) / ln(2), 6))) AS BIGINT) AS bits FROM o"""
 
 
 def projection(spark: SparkSession, sf_dir: str) -> DataFrame:

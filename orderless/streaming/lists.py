@@ -30,7 +30,7 @@ def run(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Runs a stream to its present end and returns what it wrote; append goes to files, update and complete to memory."""
     spark = stream.sparkSession
     name = "s" + uuid.uuid4().hex
-    base = f"{_shared(spark)}/orderless-streams/{name}"
+    base = arrow.fresh(spark, "stream")
     w = stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{base}/checkpoint")
     if mode == "append":
         w.format("parquet").start(f"{base}/out").awaitTermination()
@@ -42,24 +42,13 @@ def run(stream: DataFrame, mode: str = "append") -> DataFrame:
 def run_with_state(stream: DataFrame, state: str) -> tuple[DataFrame, DataFrame]:
     """What `run` gives in append mode, and the named state variable as it stands at that end (key, value)."""
     spark = stream.sparkSession
-    base = f"{_shared(spark)}/orderless-streams/s{uuid.uuid4().hex}"
+    base = arrow.fresh(spark, "stream")
     w = stream.writeStream.outputMode("append").trigger(availableNow=True).option("checkpointLocation", f"{base}/checkpoint")
     w.format("parquet").start(f"{base}/out").awaitTermination()
     held = spark.read.format("statestore").option("stateVarName", state).load(f"{base}/checkpoint")
     return spark.read.schema(stream.schema).parquet(f"{base}/out"), held.select("key", "value")
 
 
-def _shared(spark: SparkSession) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if base:
-        return base.rstrip("/")
-    if not arrow._OWN:
-        import tempfile
-
-        arrow._OWN.append(tempfile.mkdtemp(prefix="orderless-"))
-    return "file://" + arrow._OWN[0]
-
-
 def window_sets(stream: DataFrame, window: F.Column, by: str = "user_id", late: str = "0 seconds") -> DataFrame:
     """start, by, n and the ids (ascending) of each window that the watermark has closed."""
     sets = stream.withWatermark("ts", late).groupBy(window.alias("w"), by).agg(F.array_sort(F.collect_set("event_id")).alias("ids"))

@@ -148,6 +148,49 @@ def test_bit_vectors(bits, block):
                 assert (v.select(np.arange(len(at)), b) == at).all()
 
 
+def test_block_compressed_bits_are_what_is_stored():
+    """Numbers of ones in their width, places in theirs, a count and a pointer per stretch: the payload but for its head; smaller than flat bits."""
+    r = np.random.default_rng(3)
+    for p in (0.5, 0.1):
+        bits = (r.random(1 << 18) < p).astype(np.int64)
+        v, flat = RRR.of(bits), Flat.of(bits)
+        assert len(v.to_bytes()) * 8 - 128 == v.bits() and len(flat.to_bytes()) * 8 - 64 == flat.bits()
+        assert v.bits() < flat.bits() * (1.0 if p == 0.5 else 0.6)
+
+
+def test_wavelet_sizes_as_published():
+    """Block-compressed trees take less than flat ones, on uniform labels too; on skewed ones much less."""
+    r = np.random.default_rng(1)
+    for labels, most in ((r.integers(0, 256, 1 << 17), 1.0), ((r.random(1 << 17) ** 4 * 256).astype(np.int64), 0.85)):
+        flat, small = (Tree.of(labels, 8, kind).size_bits() for kind in ("flat", "rrr"))
+        assert small < flat * most
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.sets(st.integers(0, 4999), min_size=1, max_size=700), st.booleans())
+def test_elias_fano_reads(ids, directory):
+    ids = np.array(sorted(ids))
+    e = EliasFano(5000, directory=directory)
+    payload, bits = e.encode(ids, np.array([0, len(ids)]))
+    assert (e.get_many(payload[0], len(ids), np.arange(len(ids))) == ids).all()
+    asked = np.r_[-3, np.arange(0, 5200, 37), ids, ids + 1]
+    at = np.searchsorted(ids, asked)
+    want = np.where(at < len(ids), ids[np.minimum(at, len(ids) - 1)], -1)
+    assert (e.open(payload[0], len(ids)).next_geq(asked) == want).all()
+    other, _ = e.encode(np.arange(0, 5000, 3), np.array([0, 1667]))
+    assert e.intersect(payload[0], len(ids), other[0], 1667).tolist() == [i for i in ids.tolist() if i % 3 == 0]
+
+
+def test_reads_with_a_directory_open_no_list():
+    """A stored directory is used as it is, and a jump looks at a bounded part of the list."""
+    ids = np.arange(0, 1 << 22, 4)
+    e = EliasFano(1 << 22, directory=True)
+    payload, bits = e.encode(ids, np.array([0, len(ids)]))
+    v = e.open(payload[0], len(ids))
+    assert v.high.counts.base is not None and bits[0] < EliasFano(1 << 22).size_bits(np.array([len(ids)]))[0] * 1.06
+    assert v.get(np.array([1000])).tolist() == [4000] and v.next_geq(np.array([4001])).tolist() == [4004]
+
+
 def test_packed_bits():
     values, widths = np.array([5, 0, 1, 1023]), np.array([3, 0, 1, 10])
     assert (unpack_bits(pack_bits(values, widths), widths) == values).all()
