@@ -48,8 +48,7 @@ def main() -> None:
         df = tables.id_lists(spark, SF_DIR, name).cache()
         n, u = df.count(), tables.universe(df)
         for codec in ("packed", "ef", "roc"):
-            segment = 12 if name == "supplier_order" and codec == "roc" else None
-            enc = frames.encode_lists(df, "k", "id", codec, u, segment)
+            enc = frames.encode_lists(df, "k", "id", codec, u)
             timed(f"encode_{codec}_{name}", lambda enc=enc: drain(enc))
             enc = enc.cache()
             facts[f"bits_per_id_{codec}_{name}"] = enc.selectExpr("sum(bits) / sum(n)").first()[0]
@@ -78,13 +77,22 @@ def main() -> None:
             facts["ivf_recall_at_10"] = search.recall(ivf.find(q, ix, 10, 16), truth).first().recall
     for codec in ("packed", "ef", "roc", "wt", "wt1"):
         facts[f"ivf_slowdown_{codec}"] = seconds[f"ivf_search_{codec}"] / seconds["ivf_search_raw"]
+    # product codes by look-up tables, with every id store: how much slower than raw ids each one is
     for m, bits in ((4, 8), (16, 8), (32, 8), (8, 10)):
         if rows < 1 << bits:
             continue
         pq = quantizers.ProductQuantizer.train(db, m, bits, iters=2)
-        ix = ivf.build(db, c, "roc", pq)
-        ix.codes, ix.lists = ix.codes.cache(), ix.lists.cache()
-        timed(f"pq{m}x{bits}_search_roc", lambda ix=ix: drain(ivf.find(q, ix, 10, 16)))
+        for codec in ("raw", "packed", "ef", "roc", "wt", "wt1"):
+            ix = ivf.build(db, c, codec, pq)
+            ix.codes = ix.codes.cache()
+            ix.lists = ix.lists.cache() if ix.lists is not None else None
+            ix.tree = ix.tree.cache() if ix.tree is not None else None
+            timed(f"pq{m}x{bits}_search_{codec}", lambda ix=ix: drain(ivf.find(q, ix, 10, 16)))
+            if codec != "raw":
+                facts[f"pq{m}x{bits}_slowdown_{codec}"] = seconds[f"pq{m}x{bits}_search_{codec}"] / seconds[f"pq{m}x{bits}_search_raw"]
+            ix.codes.unpersist()
+    ix = ivf.build(db, c, "roc")
+    timed("ivf_search_join", lambda: drain(ivf.find_by_join(q, ix, 10, 16)))
 
     # graphs
     timed("graph_build_16", lambda: drain(graph.build(db, 16)))
@@ -96,6 +104,7 @@ def main() -> None:
         timed(f"graph_search_{codec}", lambda lists=lists: drain(graph.find(q, db, lists, 10, 16)))
     e, n = tables.graph(spark, SF_DIR, "part_supplier")
     e = e.cache()
+    facts["edge_coding_closed_form"] = measures.rec_bits(e, n).first().bits_per_edge
     for name, f in (("edge_coding", edgecodec.encode), ("reference_lists", reflist.encode)):
         timed(f"{name}_part_supplier", lambda f=f: drain(f(e, n, shards=CPUS)))
         blobs = f(e, n, shards=CPUS)

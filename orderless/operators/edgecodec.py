@@ -2,7 +2,8 @@
 
 The order of edges is latent: an edge is drawn by the state, taken out, and its vertices are coded under an urn in which a vertex weighs its
 degree so far plus a bias. The encoder runs the urn backwards from the full degrees, so the decoder can run it forwards from
-nothing. Shards are ranges of source vertices; each is coded by one task.
+nothing. Shards are ranges of source vertices with about as many edges each; each is coded by one task. A shard's sources are
+drawn from its range alone, which gives back what the shards' separate orders of edges cost.
 """
 
 from __future__ import annotations
@@ -43,11 +44,46 @@ def _drop(state, start: int, freq: int, total: int) -> None:
 
 
 def _take(state, model) -> int:
-    symbol, start, freq = model.find(_slot(state, model.total))
-    _drop(state, start, freq, model.total)
+    total = model.total
+    symbol, start, freq = model.find(_slot(state, total))
+    _drop(state, start, freq, total)
     return symbol
 
 
+class RangedUrn(Urn):
+    """An urn that keeps count of the weight under and within a range of vertices."""
+
+    def __init__(self, size: int, bias: int, lo: int, hi: int):
+        super().__init__(size, bias)
+        self.lo, self.hi, self.low, self.inside = lo, hi, lo * bias, (hi - lo) * bias
+
+    def add(self, symbol: int, by: int = 1) -> None:
+        super().add(symbol, by)
+        if symbol < self.lo:
+            self.low += by
+        elif symbol < self.hi:
+            self.inside += by
+
+
+class InRange:
+    """The vertices of the range as a model of their own."""
+
+    def __init__(self, urn: RangedUrn):
+        self.urn = urn
+
+    @property
+    def total(self) -> int:
+        return self.urn.inside
+
+    def span(self, symbol: int) -> tuple[int, int]:
+        start, freq = self.urn.span(symbol)
+        return start - self.urn.low, freq
+
+    def find(self, slot: int) -> tuple[int, int, int]:
+        symbol, start, freq = self.urn.find(slot + self.urn.low)
+        return symbol, start - self.urn.low, freq
+
+
 class _Left:
     """Sorted items still to be coded; equal ones (parallel edges) are drawn as one value with their number as weight."""
 
@@ -77,9 +113,19 @@ def _keep(state, got: SortedRanks, item, above) -> None:
     _put(state, start, got.rank(above) - start, got.size)
 
 
-def encode_edges(state, edges: list[tuple[int, int]], vertices: int, bias: int = 1, directed: bool = True, model: str = "urn") -> None:
+def _models(vertices: int, bias: int, sources: tuple[int, int] | None):
+    """The urn of all vertices, and the model of sources."""
+    if sources is None or sources == (0, vertices):
+        urn = Urn(vertices, bias)
+        return urn, urn
+    urn = RangedUrn(vertices, bias, *sources)
+    return urn, InRange(urn)
+
+
+def encode_edges(state, edges: list[tuple[int, int]], vertices: int, bias: int = 1, directed: bool = True, model: str = "urn", sources: tuple[int, int] | None = None) -> None:
+    """sources, a range that holds every source, is known to the decoder (directed edges only)."""
     pairs = sorted(edges if directed else [(min(e), max(e)) for e in edges])
-    urn = Urn(vertices, bias)
+    urn, some = _models(vertices, bias, sources)
     if model == "urn":
         for e in pairs:
             urn.add(e[0])
@@ -89,18 +135,18 @@ def encode_edges(state, edges: list[tuple[int, int]], vertices: int, bias: int =
         src, dst = rest.draw(state, left)
         if not directed and src != dst and state.pop_uniform(2):
             src, dst = dst, src
-        for v in (dst, src):  # the decoder reads the source first
+        for v, m in ((dst, urn), (src, some)):  # the decoder reads the source first
             if model == "urn":
                 urn.add(v, -1)
-            _put(state, *urn.span(v), urn.total)
+            _put(state, *m.span(v), m.total)
 
 
-def decode_edges(state, count: int, vertices: int, bias: int = 1, directed: bool = True, model: str = "urn") -> list[tuple[int, int]]:
-    urn, got = Urn(vertices, bias), SortedRanks()
+def decode_edges(state, count: int, vertices: int, bias: int = 1, directed: bool = True, model: str = "urn", sources: tuple[int, int] | None = None) -> list[tuple[int, int]]:
+    (urn, some), got = _models(vertices, bias, sources), SortedRanks()
     for _ in range(count):
         edge = []
-        for _ in range(2):
-            v = _take(state, urn)
+        for m in (some, urn):
+            v = _take(state, m)
             if model == "urn":
                 urn.add(v)
             edge.append(v)
@@ -146,23 +192,40 @@ def decode_hyper(state, count: int, vertices: int, most: int, bias: int = 1) ->
 BLOB = "shard int, n_vertices long, n_edges long, codec string, payload binary, bits long"
 
 
-def _sharded(edges: DataFrame, vertices: int, shards: int) -> DataFrame:
-    width = max(1, -(-vertices // shards))
-    return edges.select(F.floor(F.col("src") / width).cast("int").alias("shard"), F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"))
+#: Edges of a shard, about: what one task codes one after the other.
+SHARD_EDGES = 1 << 17
+
+
+def bounds(edges: DataFrame, vertices: int, shards: int | None) -> list[int]:
+    """First source of each shard, and the number of vertices: as many shards as asked, or as keep each near `SHARD_EDGES`."""
+    if shards is None:
+        shards = max(1, -(-edges.count() // SHARD_EDGES))
+    if shards == 1:
+        return [0, vertices]
+    cut = edges.select(F.col("src").cast("double").alias("src")).approxQuantile("src", [k / shards for k in range(1, shards)], 1 / (20 * shards))
+    return [0, *sorted({int(c) for c in cut} - {0}), vertices]
+
+
+def _sharded(edges: DataFrame, first: list[int]) -> DataFrame:
+    """src, dst with the number of the shard whose range holds src."""
+    number = F.size(F.filter(F.array(*map(F.lit, first[1:-1])), lambda x: x <= F.col("src"))) if len(first) > 2 else F.lit(0)
+    return edges.select(number.cast("int").alias("shard"), F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"))
 
 
-def encode(edges: DataFrame, n_vertices: int, bias: int = 1, directed: bool = True, shards: int = 1, model: str = "urn") -> DataFrame:
-    """One blob per shard of sources; edges (src, dst), each once (twice is coded twice)."""
+def encode(edges: DataFrame, n_vertices: int, bias: int = 1, directed: bool = True, shards: int | None = None, model: str = "urn") -> DataFrame:
+    """One blob per shard of sources; edges (src, dst), each once (twice is coded twice). Undirected edges go into one shard unless asked otherwise."""
     arrow.importable(edges.sparkSession)
-    name = "rec" if directed else "rec_undirected"
+    first = bounds(edges, n_vertices, shards if directed else shards or 1)
 
     def run(key: tuple, t: pa.Table) -> pa.Table:
-        state = WordState()
+        state, k = WordState(), key[0].as_py()
         pairs = list(zip(t["src"].to_pylist(), t["dst"].to_pylist(), strict=True))
-        encode_edges(state, pairs, n_vertices, bias, directed, model)
-        return pa.Table.from_pylist([{"shard": key[0].as_py(), "n_vertices": n_vertices, "n_edges": len(pairs), "codec": f"{name}:{model}:{bias}", "payload": state.to_bytes(), "bits": state.bits}], schema=_BLOB)
+        lo, hi = (first[k], first[k + 1]) if directed else (0, n_vertices)
+        encode_edges(state, pairs, n_vertices, bias, directed, model, (lo, hi) if directed else None)
+        name = "rec" if directed else "rec_undirected"
+        return pa.Table.from_pylist([{"shard": k, "n_vertices": n_vertices, "n_edges": len(pairs), "codec": f"{name}:{model}:{bias}:{lo}:{hi}", "payload": state.to_bytes(), "bits": state.bits}], schema=_BLOB)
 
-    return _sharded(edges, n_vertices, shards).groupBy("shard").applyInArrow(run, BLOB)
+    return _sharded(edges, first).groupBy("shard").applyInArrow(run, BLOB)
 
 
 _BLOB = pa.schema([("shard", pa.int32()), ("n_vertices", pa.int64()), ("n_edges", pa.int64()), ("codec", pa.string()), ("payload", pa.binary()), ("bits", pa.int64())])
@@ -175,8 +238,9 @@ def decode(blobs: DataFrame) -> DataFrame:
     def run(batches):
         for b in batches:
             for r in b.to_pylist():
-                name, model, bias = r["codec"].split(":")
-                got = decode_edges(WordState.from_bytes(r["payload"]), r["n_edges"], r["n_vertices"], int(bias), name == "rec", model)
+                name, model, bias, lo, hi = r["codec"].split(":")
+                sources = (int(lo), int(hi)) if name == "rec" else None
+                got = decode_edges(WordState.from_bytes(r["payload"]), r["n_edges"], r["n_vertices"], int(bias), name == "rec", model, sources)
                 a = np.array(got, np.int64).reshape(-1, 2)
                 yield pa.RecordBatch.from_arrays([pa.array(a[:, 0]), pa.array(a[:, 1])], ["src", "dst"])
 

@@ -80,15 +80,24 @@ def monotone(x: np.ndarray, most: int, knn: int) -> list[list[int]]:
         front = [v]
 
 
-def layered(x: np.ndarray, ids: np.ndarray, m: int, seed: int = 0) -> list[list[int]]:
-    """Base level of a layered graph: occlusion to m, reverse links, cut to 2m by the same rule."""
+def layer(x: np.ndarray, m: int, most: int) -> list[list[int]]:
+    """One level of a layered graph: occlusion to m, reverse links, cut to `most` by the same rule."""
     near = neighbours(x, 4 * m)
     out = [occlude(x, i, near[i], m) for i in range(len(x))]
     back: list[set[int]] = [set(o) for o in out]
     for i, o in enumerate(out):
         for j in o:
             back[j].add(i)
-    return [sorted(b) if len(b) <= 2 * m else occlude(x, i, np.array(sorted(b)), 2 * m) for i, b in enumerate(back)]
+    return [sorted(b) if len(b) <= most else occlude(x, i, np.array(sorted(b)), most) for i, b in enumerate(back)]
+
+
+def layered(x: np.ndarray, level: np.ndarray, m: int) -> list[tuple[int, int, list[int]]]:
+    """(level, row, out-neighbours) of a layered graph: level l links the rows whose top level is l or more, 2m links at the base, m above."""
+    out = []
+    for at in range(int(level.max(initial=-1)) + 1):
+        rows = np.flatnonzero(level >= at)
+        out += [(at, int(rows[i]), rows[o].tolist()) for i, o in enumerate(layer(x[rows], m, 2 * m if at == 0 else m))]
+    return out
 
 
 def levels(ids: DataFrame, m: int, seed: int = 0) -> DataFrame:
@@ -101,19 +110,36 @@ def medoid(x: np.ndarray) -> int:
     return int(squared(x.mean(0)[None], x)[0].argmin())
 
 
-def build(db: DataFrame, most: int, kind: str = "monotone", knn: int | None = None, shards: int = 1) -> DataFrame:
-    """Edges (shard, src, dst) of db (id, vec); kind monotone (at most `most` out-edges plus repairs) or layered (base level)."""
+def build(db: DataFrame, most: int, kind: str = "monotone", knn: int | None = None, shards: int | None = None, seed: int = 0) -> DataFrame:
+    """Edges (shard, level, src, dst) of db (id, vec); kind monotone (at most `most` out-edges plus repairs, one level) or layered.
+
+    Top levels of the layered kind follow from a hash of the ids and the seed. Without a number of shards, as many as bound each.
+    """
+    if kind not in ("monotone", "layered"):
+        raise ValueError(f"no graph of kind {kind!r}")
     arrow.importable(db.sparkSession)
+    shards = shards or shards_for(db.count())
 
     def run(key: tuple, t: pa.Table) -> pa.Table:
         t = t.sort_by("id").combine_chunks()
         ids, x = t["id"].to_numpy(), arrow.vectors(t["vec"].chunk(0)).astype(np.float64)
-        out = monotone(x, most, knn or max(most, 16)) if kind == "monotone" else layered(x, ids, most)
-        src = np.repeat(ids, [len(o) for o in out])
-        dst = ids[np.array([j for o in out for j in o], np.int64)]
-        return pa.table({"shard": pa.array(np.full(len(src), key[0].as_py(), np.int32)), "src": src, "dst": dst})
+        if kind == "monotone":
+            out = [(0, i, o) for i, o in enumerate(monotone(x, most, knn or max(most, 16)))]
+        else:
+            out = layered(x, t["level"].to_numpy(), most)
+        size = [len(o) for *_, o in out]
+        src = np.repeat(ids[np.array([i for _, i, _ in out], np.int64)], size)
+        dst = ids[np.array([j for *_, o in out for j in o], np.int64)]
+        at = np.repeat(np.array([a for a, *_ in out], np.int32), size)
+        return pa.table({"shard": pa.array(np.full(len(src), key[0].as_py(), np.int32)), "level": at, "src": src, "dst": dst})
+
+    rows = levels(_shards(db, shards), max(2, most), seed)
+    return rows.groupBy("shard").applyInArrow(run, "shard int, level int, src long, dst long")
+
 
-    return _shards(db, shards).groupBy("shard").applyInArrow(run, "shard int, src long, dst long")
+def base(edges: DataFrame) -> DataFrame:
+    """src, dst of the base level, which is what gets compressed."""
+    return edges.filter("level = 0").select("src", "dst")
 
 
 def _shards(db: DataFrame, shards: int) -> DataFrame:
@@ -125,8 +151,8 @@ def shards_for(rows: int) -> int:
 
 
 def friends(edges: DataFrame, codec: str, universe: int) -> DataFrame:
-    """Friend lists, one compressed row per source."""
-    return frames.encode_lists(edges, "src", "dst", codec, universe)
+    """Friend lists, one compressed row per source; of a layered graph those of the base."""
+    return frames.encode_lists(base(edges) if "level" in edges.columns else edges, "src", "dst", codec, universe)
 
 
 def walk(x: np.ndarray, read, q: np.ndarray, k: int, explore: int, start: int) -> list[tuple[float, int]]:
@@ -151,40 +177,71 @@ def walk(x: np.ndarray, read, q: np.ndarray, k: int, explore: int, start: int) -
     return sorted((-d, -i) for d, i in best)[:k]
 
 
-def find(q: DataFrame, db: DataFrame, lists: DataFrame, k: int, explore: int = 16, shards: int = 1) -> DataFrame:
-    """qid, rank, id, dist by beam search in each shard over compressed friend lists, decoded once per batch of queries."""
+def descend(x: np.ndarray, upper: dict[tuple[int, int], list[int]], q: np.ndarray, start: int, top: int) -> int:
+    """Where a search of the base begins: from the top level down, to the nearest row that greedy steps reach."""
+    at = start
+    for level in range(top, 0, -1):
+        while True:
+            near = [at, *upper.get((level, at), ())]
+            best = near[int(((x[near] - q) ** 2).sum(1).argmin())]
+            if best == at:
+                break
+            at = best
+    return at
+
+
+def find(q: DataFrame, db: DataFrame, lists: DataFrame, k: int, explore: int = 16, shards: int | None = None, upper: DataFrame | None = None) -> DataFrame:
+    """qid, rank, id, dist by beam search in each shard over compressed friend lists, decoded once per batch of queries.
+
+    upper holds a layered graph's edges, whose levels over the base lead each query to where it begins; else it begins at the medoid.
+    """
     spark, out = db.sparkSession, None
     arrow.importable(spark)
-    nodes = _shards(db, shards).join(lists.filter("seg = 0").select(F.col("k").alias("id"), "n", "codec", "universe", "payload"), "id", "left")
+    nodes = _shards(db, shards or shards_for(db.count())).join(lists.filter("seg = 0").select(F.col("k").alias("id"), "n", "codec", "universe", "payload"), "id", "left")
+    if upper is None:
+        nodes = nodes.withColumn("up", F.array().cast("array<struct<level: int, dst: bigint>>"))
+    else:  # a row's links over the base are some levels' m each
+        up = upper.filter("level > 0").groupBy(F.col("src").alias("id")).agg(F.collect_list(F.struct("level", "dst")).alias("up"))
+        nodes = nodes.join(up, "id", "left")
     for qid, qmat in search.query_blocks(q):
         got = nodes.groupBy("shard").applyInArrow(_searcher(spark.sparkContext.broadcast((qid, qmat)), k, explore), "qid long, id long, dist double")
         out = got if out is None else out.union(got)
     return search.ranked(out, k, ["id"]).select("qid", "rank", "id", "dist") if out is not None else search.empty(spark)
 
 
+def _opened(t: pa.Table, ids: np.ndarray) -> list[list[int]]:
+    """Out-neighbours of a shard's rows, all lists decoded in lockstep."""
+    n, payload, codec, universe = (t[c].to_pylist() for c in ("n", "payload", "codec", "universe"))
+    out: list[list[int]] = [[] for _ in ids]
+    have = [j for j in range(len(ids)) if n[j]]
+    for kind in sorted({(codec[j], universe[j]) for j in have}):
+        mine = [j for j in have if (codec[j], universe[j]) == kind]
+        size = np.array([n[j] for j in mine])
+        got = listcodecs.codec(*kind).decode([payload[j] for j in mine], size)
+        at = np.searchsorted(ids, got)
+        fits = (at < len(ids)) & (ids[np.minimum(at, len(ids) - 1)] == got)
+        for j, x, f in zip(mine, np.split(at, np.cumsum(size)[:-1]), np.split(fits, np.cumsum(size)[:-1]), strict=True):
+            out[j] = x[f].tolist()
+    return out
+
+
 def _searcher(held, k: int, explore: int):
     def run(batch: pa.Table) -> pa.Table:
         t = batch.sort_by("id").combine_chunks()
         ids, x = t["id"].to_numpy(), arrow.vectors(t["vec"].chunk(0)).astype(np.float64)
-        n, payload, codec, universe = (t[c].to_pylist() for c in ("n", "payload", "codec", "universe"))
-        opened: dict[int, list[int]] = {}
-
-        def read(i: int) -> list[int]:
-            if not opened:  # all queries of the batch meet here, so the shard's lists are decoded once, in lockstep
-                opened.update(dict.fromkeys(range(len(ids)), ()))
-                have = [j for j in range(len(ids)) if n[j]]
-                for kind in sorted({(codec[j], universe[j]) for j in have}):
-                    mine = [j for j in have if (codec[j], universe[j]) == kind]
-                    size = np.array([n[j] for j in mine])
-                    got = listcodecs.codec(*kind).decode([payload[j] for j in mine], size)
-                    at = np.searchsorted(ids, got)
-                    fits = (at < len(ids)) & (ids[np.minimum(at, len(ids) - 1)] == got)
-                    for j, x_, f in zip(mine, np.split(at, np.cumsum(size)[:-1]), np.split(fits, np.cumsum(size)[:-1]), strict=True):
-                        opened[j] = x_[f].tolist()
-            return opened[i]
-
-        start = medoid(x)
-        rows = [(int(i), int(ids[j]), d) for i, v in zip(*held.value, strict=True) for d, j in walk(x, read, v, k, max(explore, k), start)]
+        place = {int(i): j for j, i in enumerate(ids.tolist())}
+        links: dict[tuple[int, int], list[int]] = {}
+        for j, up in enumerate(t["up"].to_pylist()):
+            for e in up or ():
+                if e["dst"] in place:
+                    links.setdefault((e["level"], j), []).append(place[e["dst"]])
+        opened = _opened(t, ids)
+        top, start = max(((level, -j) for level, j in links), default=(0, 0))
+        middle = medoid(x)
+        rows = []
+        for i, v in zip(*held.value, strict=True):
+            begin = descend(x, links, v, -start, top) if links else middle
+            rows += [(int(i), int(ids[j]), d) for d, j in walk(x, opened.__getitem__, v, k, max(explore, k), begin)]
         return pa.table({"qid": [r[0] for r in rows], "id": [r[1] for r in rows], "dist": [r[2] for r in rows]}, schema=pa.schema([("qid", pa.int64()), ("id", pa.int64()), ("dist", pa.float64())]))
 
     return run

@@ -5,14 +5,16 @@ Rows of a cluster stand in ascending order of id: set codecs forget any other or
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources import store
-from . import frames, graph, quantizers, search, wavelet
+from . import arrow, frames, graph, quantizers, search, wavelet
 
 
 @dataclass
@@ -25,6 +27,46 @@ class Ivf:
     codec: str
     scorer: object
     shard_bits: int = 20
+    links: CentroidGraph | None = None  # made once, on the first search that asks for it
+
+
+@dataclass
+class CentroidGraph:
+    """Neighbours among centroids, in parts of bounded size: numbers of a part's centroids, where each one's links start, links, entry."""
+
+    parts: list[tuple[np.ndarray, np.ndarray, np.ndarray, int]]
+
+    @classmethod
+    def of(cls, spark: SparkSession, centroids: np.ndarray, most: int = 16) -> CentroidGraph:
+        """Built part by part on the executors."""
+        vec = pa.ListArray.from_arrays(pa.array(np.arange(len(centroids) + 1, dtype=np.int32) * centroids.shape[1]), pa.array(centroids.ravel()))
+        db = spark.createDataFrame(pa.table({"id": pa.array(np.arange(len(centroids))), "vec": vec}))
+        shards = graph.shards_for(len(centroids))
+        edges = graph.build(db, most, "monotone", 2 * most, shards).toArrow().combine_chunks()  # some links a centroid
+        shard, src, dst = (edges[c].to_numpy() for c in ("shard", "src", "dst"))
+        own = graph._shards(db, shards).select("shard", "id").toArrow().combine_chunks()
+        number, of = own["id"].to_numpy(), own["shard"].to_numpy()
+        parts = []
+        for k in np.unique(of).tolist():
+            ids = np.sort(number[of == k])
+            a, b = np.searchsorted(ids, src[shard == k]), np.searchsorted(ids, dst[shard == k])
+            order = np.argsort(a, kind="stable")
+            parts.append((ids, np.searchsorted(a[order], np.arange(len(ids) + 1)), b[order], graph.medoid(centroids[ids])))
+        return cls(parts)
+
+    def probe(self, q: np.ndarray, centroids: np.ndarray, nprobe: int, explore: int) -> np.ndarray:
+        """Numbers of about the nprobe closest clusters of each query, by beam search in every part; missing ones are filled up in order."""
+        n = min(nprobe, len(centroids))
+        out = np.zeros((len(q), n), np.int64)
+        views = [(ids, centroids[ids], start, links, entry) for ids, start, links, entry in self.parts]
+        for row, v in enumerate(q):
+            found = sorted((d, int(ids[j])) for ids, x, start, links, entry in views for d, j in graph.walk(x, lambda i, start=start, links=links: links[start[i] : start[i + 1]].tolist(), v, n, max(explore, n), entry))
+            some = [j for _, j in found[:n]]
+            if len(some) < n:
+                have = set(some)
+                some += [j for j in range(len(centroids)) if j not in have][: n - len(some)]
+            out[row] = some
+        return out
 
 
 def canonical(assigned: DataFrame) -> DataFrame:
@@ -32,42 +74,48 @@ def canonical(assigned: DataFrame) -> DataFrame:
     return assigned.withColumn("off", (F.row_number().over(Window.partitionBy("k").orderBy("id")) - 1).cast("long"))
 
 
+def placed(db: DataFrame, centroids: np.ndarray) -> DataFrame:
+    """id, vec, k, off: every row with its cluster and its place there."""
+    return canonical(quantizers.assign(db.select(F.col("id").cast("long").alias("id"), "vec"), centroids))
+
+
+def stored_ids(rows: DataFrame, codec: str, universe: int, clusters: int, shard_bits: int = 20) -> tuple[DataFrame | None, DataFrame | None]:
+    """Ids of placed rows as lists per cluster, or as a wavelet tree."""
+    if codec in ("wt", "wt1"):
+        return None, wavelet.build(rows, "id", "k", clusters, "flat" if codec == "wt" else "rrr", shard_bits)
+    return frames.encode_lists(rows.select("k", "id"), "k", "id", codec, universe), None
+
+
 def build(db: DataFrame, centroids: np.ndarray, codec: str = "roc", quantizer=None, metric: str = "l2", shard_bits: int = 20) -> Ivf:
     """codec: any list codec, or wt / wt1 for flat or block-compressed wavelet trees. db (id, vec), ids dense for wavelet trees."""
-    placed = canonical(quantizers.assign(db.select(F.col("id").cast("long").alias("id"), "vec"), centroids))
+    rows = placed(db, centroids)
     universe = int(db.agg(F.coalesce(F.max("id"), F.lit(-1))).first()[0]) + 1
-    codes = placed if quantizer is None else quantizers.encode(placed, quantizer)
+    codes = rows if quantizer is None else quantizers.encode(rows, quantizer)
     scorer = search.Flat(metric) if quantizer is None else quantizer
-    lists = tree = None
-    if codec in ("wt", "wt1"):
-        tree = wavelet.build(placed, "id", "k", len(centroids), "flat" if codec == "wt" else "rrr", shard_bits)
-    else:
-        lists = frames.encode_lists(placed.select("k", "id"), "k", "id", codec, universe)
+    lists, tree = stored_ids(rows, codec, universe, len(centroids), shard_bits)
     return Ivf(centroids, codes.select("k", "off", scorer.column), lists, tree, universe, codec, scorer, shard_bits)
 
 
 def probe(q: np.ndarray, centroids: np.ndarray, nprobe: int) -> np.ndarray:
     """Numbers of the nprobe closest clusters of each query."""
-    d = (centroids * centroids).sum(1) - 2 * (q @ centroids.T)
-    return np.argsort(d, 1, kind="stable")[:, : min(nprobe, len(centroids))]
+    n, out = min(nprobe, len(centroids)), []
+    length, step = (centroids * centroids).sum(1), max(1, quantizers.CELLS // max(1, len(centroids)))
+    for lo in range(0, len(q), step):
+        out.append(np.argsort(length - 2 * (q[lo : lo + step] @ centroids.T), 1, kind="stable")[:, :n])
+    return np.concatenate(out) if out else np.zeros((0, n), np.int64)
 
 
-def probe_by_graph(q: np.ndarray, centroids: np.ndarray, nprobe: int, explore: int = 64, links: list[list[int]] | None = None) -> np.ndarray:
-    """The same by beam search on a graph over the centroids, for indexes with very many clusters; links as graph.monotone makes them."""
-    links = graph.monotone(centroids, 16, 32) if links is None else links
-    start, n = graph.medoid(centroids), min(nprobe, len(centroids))
-    out = np.zeros((len(q), n), np.int64)
-    for row, v in enumerate(q):
-        found = [j for _, j in graph.walk(centroids, links.__getitem__, v, n, max(explore, n), start)]
-        out[row] = found + [j for j in range(len(centroids)) if j not in set(found)][: n - len(found)] if len(found) < n else found
-    return out
+def _links(ix: Ivf) -> CentroidGraph:
+    if ix.links is None:
+        ix.links = CentroidGraph.of(ix.codes.sparkSession, ix.centroids)
+    return ix.links
 
 
 def resolve(ix: Ivf, found: DataFrame) -> DataFrame:
     """Ids of found (k, off, ...) rows, only these: by select on the tree, or by reading the lists of the clusters that won."""
     if ix.tree is not None:
         return wavelet.select(ix.tree, found, ix.shard_bits)
-    won = ix.lists.join(F.broadcast(found.select("k").distinct()), "k", "left_semi")  # k winners a query at most
+    won = ix.lists.join(found.select("k").distinct(), "k", "left_semi")
     ids = canonical(frames.decode_lists(won))
     return found.join(ids, ["k", "off"])
 
@@ -77,9 +125,9 @@ def find(q: DataFrame, ix: Ivf, k: int, nprobe: int = 16, ids: str = "deferred",
 
     With centroid_explore, clusters are chosen by a beam search of that width on a graph over the centroids.
     """
-    out, links = None, graph.monotone(ix.centroids, 16, 32) if centroid_explore else None
+    out, links = None, _links(ix) if centroid_explore else None
     for qid, qmat in search.query_blocks(q):
-        probes = probe_by_graph(qmat, ix.centroids, nprobe, centroid_explore, links) if links else probe(qmat, ix.centroids, nprobe)
+        probes = links.probe(qmat, ix.centroids, nprobe, centroid_explore) if links else probe(qmat, ix.centroids, nprobe)
         if ids == "eager":
             if ix.lists is None:
                 raise wavelet.UnsupportedError("a wavelet tree has no lists to decode; ask for deferred ids")
@@ -95,6 +143,59 @@ def find(q: DataFrame, ix: Ivf, k: int, nprobe: int = 16, ids: str = "deferred",
     return out if out is not None else search.empty(ix.codes.sparkSession)
 
 
+#: Rows of a cluster that are scanned in one group.
+PART_ROWS = 1 << 15
+
+
+def probes(q: DataFrame, ix: Ivf, nprobe: int, centroid_explore: int = 0) -> DataFrame:
+    """(qid, k): the clusters each query probes, chosen by the tasks that hold the queries."""
+    spark = q.sparkSession
+    arrow.importable(spark)
+    held = spark.sparkContext.broadcast((ix.centroids, _links(ix) if centroid_explore else None))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        centroids, links = held.value
+        for b in batches:
+            if b.num_rows:
+                x = arrow.vectors(b.column(1)).astype(np.float64)
+                near = links.probe(x, centroids, nprobe, centroid_explore) if links else probe(x, centroids, nprobe)
+                yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(np.repeat(np.arange(len(x)), near.shape[1]))), pa.array(near.ravel())], ["qid", "k"])
+
+    return q.select(F.col("qid").cast("long").alias("qid"), "qvec").mapInArrow(run, "qid long, k long")
+
+
+def find_by_join(q: DataFrame, ix: Ivf, k: int, nprobe: int = 16, centroid_explore: int = 0) -> DataFrame:
+    """The same answers as `find` for batches and numbers of clusters of any size: queries meet the clusters they probe in a join.
+
+    A large cluster is scanned in parts; nothing of the batch passes the driver.
+    """
+    arrow.importable(q.sparkSession)
+    scorer = ix.scorer
+    parts = ix.codes.groupBy("k").agg(F.floor(F.max("off") / PART_ROWS).cast("int").alias("last"))
+    asked = probes(q, ix, nprobe, centroid_explore).join(parts, "k").withColumn("part", F.explode(F.sequence(F.lit(0), F.col("last"))))
+    asked = asked.join(q.select(F.col("qid").cast("long").alias("qid"), "qvec"), "qid").select("k", "part", "qid", "qvec")
+    codes = ix.codes.select(F.col("k").cast("long").alias("k"), F.floor(F.col("off") / PART_ROWS).cast("int").alias("part"), F.col("off").cast("long").alias("off"), scorer.column)
+
+    def run(key: tuple, a: pa.Table, b: pa.Table) -> pa.Table:
+        schema = pa.schema([("qid", pa.int64()), ("k", pa.int64()), ("off", pa.int64()), ("dist", pa.float64())])
+        if not a.num_rows or not b.num_rows:
+            return schema.empty_table()
+        a, b = a.combine_chunks(), b.combine_chunks()
+        ids, x = a["qid"].to_numpy(), arrow.vectors(a["qvec"].chunk(0)).astype(np.float64)
+        off, rows = b["off"].to_numpy(), scorer.rows(b[scorer.column].chunk(0))
+        out, step = [], max(1, quantizers.CELLS // len(off))
+        for lo in range(0, len(ids), step):
+            dist = scorer.distances(x[lo : lo + step], rows)
+            row, col = search.best(dist, off, k)
+            out.append((ids[lo + row], off[col], dist[row, col]))
+        qid, at, dist = (np.concatenate(v) for v in zip(*out, strict=True))
+        return pa.table({"qid": qid, "k": np.full(len(qid), key[0].as_py()), "off": at, "dist": dist}, schema=schema)
+
+    near = asked.groupBy("k", "part").cogroup(codes.groupBy("k", "part")).applyInArrow(run, "qid long, k long, off long, dist double")
+    got = search.ranked(near, k, ["k", "off"])
+    return resolve(ix, got.select("k", "off", "qid", "rank", "dist")).select("qid", "rank", "id", "dist")
+
+
 def rerank(found: DataFrame, q: DataFrame, db: DataFrame, k: int) -> DataFrame:
     """The k best of a short list (qid, id) by exact distance."""
     d = F.aggregate(F.zip_with("qvec", "vec", lambda a, b: (a.cast("double") - b.cast("double")) * (a.cast("double") - b.cast("double"))), F.lit(0.0), lambda s, x: s + x)

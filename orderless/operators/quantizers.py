@@ -15,11 +15,31 @@ from . import arrow
 MODEL_BYTES = 256 << 20
 #: Training rows per centroid, at most; the sample's bound doesn't depend on the corpus.
 ROWS_PER_CENTROID = 256
+#: Bytes of a training sample, at most, but for one row a centroid.
+SAMPLE_BYTES = 256 << 20
+#: Distances that are held at a time.
+CELLS = 1 << 22
+
+
+def closest(x: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Number of the closest centroid, the lower of equals, and the distance but for the row's own length."""
+    length, step = (c * c).sum(1), max(1, CELLS // max(1, len(c)))
+    at, least = np.zeros(len(x), np.int64), np.zeros(len(x))
+    for lo in range(0, len(x), step):
+        d = length - 2 * (x[lo : lo + step] @ c.T)
+        at[lo : lo + step] = d.argmin(1)
+        least[lo : lo + step] = d[np.arange(len(d)), at[lo : lo + step]]
+    return at, least
 
 
 def nearest(x: np.ndarray, c: np.ndarray) -> np.ndarray:
-    """Number of the closest centroid, the lower of equals."""
-    return ((c * c).sum(1) - 2 * (x @ c.T)).argmin(1)
+    return closest(x, c)[0]
+
+
+def sample_rows(db: DataFrame, clusters: int) -> int:
+    """Rows to train on: some for each centroid, within a bound of bytes, and one for each at least."""
+    dim = db.select(F.size("vec").alias("d")).first()
+    return min(clusters * ROWS_PER_CENTROID, max(clusters, SAMPLE_BYTES // (8 * max(1, dim.d if dim else 1))))
 
 
 def sample(db: DataFrame, rows: int, init: str = "first", seed: int = 0) -> np.ndarray:
@@ -42,24 +62,34 @@ def lloyd(x: np.ndarray, c: np.ndarray, iters: int) -> np.ndarray:
 
 
 def assign(db: DataFrame, centroids: np.ndarray) -> DataFrame:
-    """Adds k, the nearest centroid's number, to (id, vec)."""
-    if centroids.nbytes > MODEL_BYTES:
-        raise ValueError(f"centroids of {centroids.nbytes} bytes are over the broadcast bound of {MODEL_BYTES}")
+    """Adds k, the nearest centroid's number, to (id, vec). Centroids over the broadcast's bound go in blocks, each a narrow pass."""
     arrow.importable(db.sparkSession)
-    held = db.sparkSession.sparkContext.broadcast(centroids)
+    step = max(1, MODEL_BYTES // (8 * max(1, centroids.shape[1]))) if centroids.size else 1
+    out = db.withColumn("near", F.lit(None).cast("struct<k: bigint, d: double>"))
+    for lo in range(0, len(centroids), step):
+        out = out.withColumn("near", _nearer(db.sparkSession.sparkContext.broadcast(centroids[lo : lo + step]), lo)("vec", "near"))
+    return out.withColumn("k", F.col("near.k")).drop("near")
 
-    @F.arrow_udf("long")
-    def closest(vec: pa.Array) -> pa.Array:
-        x = arrow.vectors(vec).astype(np.float64)
-        return pa.array(np.concatenate([nearest(x[i : i + 8192], held.value) for i in range(0, len(x), 8192)]) if len(x) else np.zeros(0, np.int64))
 
-    return db.withColumn("k", closest("vec"))
+def _nearer(held, lo: int):
+    """A column function: the best so far, or a centroid of this block, numbered from lo, that is nearer."""
+
+    @F.arrow_udf("struct<k: bigint, d: double>")
+    def nearer(vec: pa.Array, near: pa.Array) -> pa.Array:
+        at, d = closest(arrow.vectors(vec).astype(np.float64), held.value)
+        at = at + lo
+        if lo:
+            old, k = near.field("d").to_numpy(), near.field("k").to_numpy()
+            at, d = np.where(old <= d, k, at), np.minimum(old, d)
+        return pa.StructArray.from_arrays([pa.array(at), pa.array(d)], ["k", "d"])
+
+    return nearer
 
 
 def kmeans(db: DataFrame, clusters: int, iters: int = 5, init: str = "first", seed: int = 0, full: bool = False) -> np.ndarray:
     """Centroids of (id, vec): on a bounded sample, or by distributed Lloyd's steps over all rows with full=True."""
     if not full:
-        x = sample(db, clusters * ROWS_PER_CENTROID, init, seed)
+        x = sample(db, sample_rows(db, clusters), init, seed)
         return lloyd(x, x[:clusters], iters)
     c = sample(db, clusters, init, seed)
     for _ in range(iters):
@@ -69,6 +99,8 @@ def kmeans(db: DataFrame, clusters: int, iters: int = 5, init: str = "first", se
 
 def lloyd_step(db: DataFrame, c: np.ndarray) -> np.ndarray:
     """One step over all rows: tasks send a sum per cluster and dimension, not rows."""
+    if c.nbytes > MODEL_BYTES:
+        raise ValueError(f"centroids of {c.nbytes} bytes are over the broadcast bound of {MODEL_BYTES}; train on a sample")
     held = db.sparkSession.sparkContext.broadcast(c)
     arrow.importable(db.sparkSession)
 
@@ -93,11 +125,13 @@ def lloyd_step(db: DataFrame, c: np.ndarray) -> np.ndarray:
 class ProductQuantizer:
     """m sub-vectors, each replaced by one of 2**bits centroids.
 
-    The distance to a code is that to the vector it stands for. `tables` and `look_up` get it from per-query tables, a sum per code;
-    the scan gets the same number from one matrix product with the decoded rows, which numpy does faster.
+    The distance to a code is that to the vector it stands for: a sum over tables that a query fills once per cluster scanned, with
+    one entry per sub-vector and centroid. No vector is decoded.
     """
 
     column = "code"
+    #: Bytes of tables held at a time.
+    TABLE_BYTES = 32 << 20
 
     def __init__(self, books: np.ndarray):
         self.books = books  # m, 2**bits, width
@@ -106,7 +140,7 @@ class ProductQuantizer:
     @classmethod
     def train(cls, db: DataFrame, m: int, bits: int = 8, iters: int = 4, init: str = "first", seed: int = 0) -> ProductQuantizer:
         size = 1 << bits
-        x = sample(db, size * (1 if iters == 0 else ROWS_PER_CENTROID), init, seed)
+        x = sample(db, size if iters == 0 else sample_rows(db, size), init, seed)
         if len(x) < size or x.shape[1] % m:
             raise ValueError(f"{len(x)} vectors of {x.shape[1] if x.ndim == 2 else 0} dimensions can't train {m} x {size} centroids")
         parts = x.reshape(len(x), m, -1)
@@ -120,11 +154,12 @@ class ProductQuantizer:
         return np.concatenate([self.books[j][code[:, j]] for j in range(self.m)], 1)
 
     def rows(self, column: pa.Array) -> np.ndarray:
-        return self.decode_rows(arrow.vectors(column).astype(np.int64))
+        return arrow.vectors(column).astype(np.int64)
 
-    def distances(self, q: np.ndarray, x: np.ndarray) -> np.ndarray:
-        d = (q * q).sum(1)[:, None] + (x * x).sum(1) - 2 * (q @ x.T)
-        return np.round(np.maximum(d, 0), 9)  # equal codes stay equal whatever the product's blocking
+    def distances(self, q: np.ndarray, code: np.ndarray) -> np.ndarray:
+        step = max(1, self.TABLE_BYTES // (8 * self.m * self.size))
+        out = [self.look_up(self.tables(q[lo : lo + step]), code) for lo in range(0, len(q), step)]
+        return np.round(np.concatenate(out), 9) if out else np.zeros((0, len(code)))
 
     def tables(self, q: np.ndarray) -> np.ndarray:
         """Squared distances of each query's sub-vectors to all centroids: queries, m, 2**bits."""
@@ -132,7 +167,10 @@ class ProductQuantizer:
         return ((parts[:, :, None] - self.books[None]) ** 2).sum(3)
 
     def look_up(self, tables: np.ndarray, code: np.ndarray) -> np.ndarray:
-        return sum(tables[:, j, code[:, j]] for j in range(self.m))
+        out = np.zeros((len(tables), len(code)))
+        for j in range(self.m):
+            out += tables[:, j].take(code[:, j], 1)
+        return out
 
 
 class ResidualQuantizer:
@@ -146,7 +184,7 @@ class ResidualQuantizer:
     @classmethod
     def train(cls, db: DataFrame, steps: int = 8, bits: int = 8, iters: int = 4, init: str = "first", seed: int = 0) -> ResidualQuantizer:
         size = 1 << bits
-        x, books = sample(db, size * ROWS_PER_CENTROID, init, seed).copy(), []
+        x, books = sample(db, sample_rows(db, size), init, seed).copy(), []
         for _ in range(steps):
             c = lloyd(x, x[:size], iters)
             books.append(c)

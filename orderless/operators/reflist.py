@@ -2,7 +2,8 @@
 
 Per node: how far back the reference stands (0 for none), which blocks of it are copied and skipped in turn, and the other neighbours as
 gaps with runs of consecutive ids. All integers become a token and raw low bits; tokens are entropy-coded under the shard's
-histogram of their context, whose size is counted. The older form writes the integers in plain variable length.
+histogram of their context, whose size is counted. The older form tells residuals as intervals of consecutive ids and the rest as
+gaps, and writes the integers in plain variable length: as many zeros as the number plus one has digits after its first, then these.
 """
 
 from __future__ import annotations
@@ -12,15 +13,14 @@ import itertools
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from ..functions.ans import PRECISION, WordState
 from ..functions.bitvec import pack_bits
 from . import arrow
-from .edgecodec import _BLOB, BLOB, _sharded
+from .edgecodec import _BLOB, BLOB, _sharded, bounds
 
-REF, BLOCKS, BLOCK, RESIDUALS, FIRST, GAP, RUN = range(7)
-CONTEXTS, TOKENS, CHAIN = 7, 160, 3
+REF, BLOCKS, BLOCK, RESIDUALS, FIRST, GAP, RUN, INTERVALS, LENGTH = range(9)
+CONTEXTS, TOKENS, CHAIN = 9, 160, 3
 
 
 def _token(v: int) -> tuple[int, int, int]:
@@ -84,14 +84,34 @@ def _residuals(node: int, rest: list[int], min_run: int) -> list[tuple[int, int]
     return out
 
 
-def describe(nodes: list[tuple[int, list[int]]], window: int = 32, min_run: int = 3, ref_choice: str = "greedy") -> list[tuple[int, int]]:
+def _by_intervals(node: int, rest: list[int], min_run: int) -> list[tuple[int, int]]:
+    """Intervals of min_run or more consecutive ids by start and length, then the other ids by gaps."""
+    runs, i = [], 0
+    while i < len(rest):
+        j = i + 1
+        while j < len(rest) and rest[j] == rest[j - 1] + 1:
+            j += 1
+        runs.append((rest[i], j - i))
+        i = j
+    long = [r for r in runs if r[1] >= max(2, min_run)]
+    alone = [v for a, n in runs if n < max(2, min_run) for v in range(a, a + n)]
+    out, last = [(INTERVALS, len(long))], None
+    for a, n in long:
+        out += [(FIRST, _zigzag(a - node)) if last is None else (GAP, a - last - 1), (LENGTH, n - max(2, min_run))]
+        last = a + n - 1
+    out.append((RESIDUALS, len(alone)))
+    return out + [(FIRST, _zigzag(v - node)) if k == 0 else (GAP, v - alone[k - 1] - 1) for k, v in enumerate(alone)]
+
+
+def describe(nodes: list[tuple[int, list[int]]], window: int = 32, min_run: int = 3, ref_choice: str = "greedy", intervals: bool = False) -> list[tuple[int, int]]:
     """(context, value) of all lists; nodes ascend."""
+    told = (lambda node, rest: _by_intervals(node, rest, min_run)) if intervals else (lambda node, rest: [(RESIDUALS, len(rest)), *_residuals(node, rest, min_run)])
     out: list[tuple[int, int]] = []
     chain: list[int] = []
     cost = lambda symbols: sum(v.bit_length() * (1 if c < GAP else 1.5) + 1 for c, v in symbols)
     for i, (node, nbrs) in enumerate(nodes):
         own = set(nbrs)
-        plain = [(REF, 0), (RESIDUALS, len(nbrs)), *_residuals(node, nbrs, min_run)]
+        plain = [(REF, 0), *told(node, nbrs)]
         best, depth, least = plain, 0, cost(plain)
         options = [b for b in range(1, min(window, i) + 1) if chain[i - b] < CHAIN]
         overlap = {b: len(own.intersection(nodes[i - b][1])) for b in options}
@@ -103,7 +123,7 @@ def describe(nodes: list[tuple[int, list[int]]], window: int = 32, min_run: int
             blocks = _blocks(ref, own)
             have = set(_copied(ref, blocks))
             rest = [v for v in nbrs if v not in have]
-            some = [(REF, b), (BLOCKS, len(blocks)), *((BLOCK, n) for n in blocks), (RESIDUALS, len(rest)), *_residuals(node, rest, min_run)]
+            some = [(REF, b), (BLOCKS, len(blocks)), *((BLOCK, n) for n in blocks), *told(node, rest)]
             if (c := cost(some)) < least:
                 best, depth, least = some, chain[i - b] + 1, c
         chain.append(depth)
@@ -111,12 +131,35 @@ def describe(nodes: list[tuple[int, list[int]]], window: int = 32, min_run: int
     return out
 
 
-def encode_lists(nodes: list[tuple[int, list[int]]], window: int = 32, min_run: int = 3, entropy: str = "ans", ref_choice: str = "greedy") -> tuple[bytes, int]:
-    symbols = describe(nodes, window, min_run, ref_choice)
+def _write_plain(values: list[int]) -> tuple[bytes, int]:
+    """Integers in variable length, and their bits."""
+    v = np.array(values, np.int64) + 1
+    digits = np.array([x.bit_length() for x in v.tolist()], np.int64)
+    # low bits first: zeros, a one, then the digits after the first
+    body = np.stack([np.zeros(len(v), np.int64), np.ones(len(v), np.int64), v & ((1 << (digits - 1)) - 1)], 1)
+    width = np.stack([digits - 1, np.ones(len(v), np.int64), digits - 1], 1)
+    return pack_bits(body.ravel(), width.ravel()), int(width.sum())
+
+
+def _read_plain(data: bytes):
+    """A function that gives the next integer."""
+    bits = np.unpackbits(np.frombuffer(data, np.uint8), bitorder="little")
+    ones, at = np.flatnonzero(bits), 0
+
+    def read(_: int) -> int:
+        nonlocal at
+        zeros = int(ones[np.searchsorted(ones, at)]) - at
+        first = at + zeros + 1
+        at = first + zeros
+        return (1 << zeros | sum(int(b) << k for k, b in enumerate(bits[first:at]))) - 1
+
+    return read
+
+
+def encode_lists(nodes: list[tuple[int, list[int]]], window: int = 32, min_run: int = 3, entropy: str = "ans", ref_choice: str = "greedy", intervals: bool = False) -> tuple[bytes, int]:
+    symbols = describe(nodes, window, min_run, ref_choice, intervals)
     if entropy == "none":
-        bits = sum(2 * (v + 1).bit_length() - 1 for _, v in symbols)
-        values = np.array([v for _, v in symbols], np.int64)
-        return values.astype("<u4").tobytes(), bits
+        return _write_plain([v for _, v in symbols])
     tokens = [(c, *_token(v)) for c, v in symbols]
     hist = np.zeros((CONTEXTS, TOKENS), np.int64)
     for c, t, _, _ in tokens:
@@ -135,15 +178,15 @@ def encode_lists(nodes: list[tuple[int, list[int]]], window: int = 32, min_run:
     return np.array([len(table), len(body)], "<u4").tobytes() + table.tobytes() + body + raw, bits
 
 
-def decode_lists(payload: bytes, node_ids: list[int], min_run: int = 3) -> list[tuple[int, list[int]]]:
+def _read_coded(payload: bytes):
+    """A function that gives the next integer of a context."""
     n, size = np.frombuffer(payload, "<u4", 2).tolist()
     table = np.frombuffer(payload, "<u4", 2 * n, 8).reshape(n, 2).astype(np.int64)
     hist = np.zeros((CONTEXTS, TOKENS), np.int64)
     hist.ravel()[table[:, 0]] = table[:, 1]
     start = np.concatenate([np.zeros((CONTEXTS, 1), np.int64), np.cumsum(hist, 1)], 1)
     totals, state = hist.sum(1).tolist(), WordState.from_bytes(payload[8 + 8 * n : 8 + 8 * n + size])
-    data = payload[8 + 8 * n + size :]
-    whole, at = int.from_bytes(data, "little"), 0
+    whole, at = int.from_bytes(payload[8 + 8 * n + size :], "little"), 0
 
     def raw(k: int) -> int:
         nonlocal at
@@ -159,22 +202,38 @@ def decode_lists(payload: bytes, node_ids: list[int], min_run: int = 3) -> list[
             state.pop(a, b - a, PRECISION)
         return _value(t, raw)
 
+    return read
+
+
+def _signed(v: int) -> int:
+    return v // 2 if v % 2 == 0 else -(v + 1) // 2
+
+
+def decode_lists(payload: bytes, node_ids: list[int], min_run: int = 3, entropy: str = "ans", intervals: bool = False) -> list[tuple[int, list[int]]]:
+    if not node_ids:
+        return []
+    read = _read_coded(payload) if entropy == "ans" else _read_plain(payload)
     done: list[list[int]] = []
     for i, node in enumerate(node_ids):
         back = read(REF)
-        have = _copied(done[i - back], [read(BLOCK) for _ in range(read(BLOCKS))]) if back else []
         rest: list[int] = []
+        have = _copied(done[i - back], [read(BLOCK) for _ in range(read(BLOCKS))]) if back else []
+        if intervals:
+            last = None
+            for _ in range(read(INTERVALS)):
+                a = node + _signed(read(FIRST)) if last is None else last + 1 + read(GAP)
+                last = a + read(LENGTH) + max(2, min_run) - 1
+                have += range(a, last + 1)
         left = read(RESIDUALS)
         run = 0
         while len(rest) < left:
             if not rest:
-                v = read(FIRST)
-                rest.append(node + (v // 2 if v % 2 == 0 else -(v + 1) // 2))
+                rest.append(node + _signed(read(FIRST)))
                 continue
             gap = read(GAP)
             rest.append(rest[-1] + 1 + gap)
             run = run + 1 if gap == 0 else 0
-            if run == min_run:
+            if run == min_run and not intervals:
                 for _ in range(read(RUN)):
                     rest.append(rest[-1] + 1)
                 run = 0
@@ -182,34 +241,39 @@ def decode_lists(payload: bytes, node_ids: list[int], min_run: int = 3) -> list[
     return list(zip(node_ids, done, strict=True))
 
 
-def encode(edges: DataFrame, n_vertices: int, window: int = 32, min_run: int = 3, entropy: str = "ans", ref_choice: str = "greedy", shards: int = 1) -> DataFrame:
-    """One blob per shard of sources; the nodes' ids go along as gaps, counted."""
+def encode(edges: DataFrame, n_vertices: int, window: int = 32, min_run: int = 3, entropy: str = "ans", ref_choice: str = "greedy", shards: int | None = None, intervals: bool = False) -> DataFrame:
+    """One blob per shard of sources; the nodes' ids go along as gaps, counted. entropy "none" with intervals is the older form."""
     arrow.importable(edges.sparkSession)
+    first = bounds(edges, n_vertices, shards)
 
     def run(key: tuple, t: pa.Table) -> pa.Table:
         t = t.sort_by([("src", "ascending"), ("dst", "ascending")])
         src, dst = t["src"].to_numpy(), t["dst"].to_pylist()
         cut = np.flatnonzero(np.r_[True, src[1:] != src[:-1], True]).tolist()
         nodes = [(int(src[a]), dst[a:b]) for a, b in zip(cut[:-1], cut[1:], strict=True)]
-        body, bits = encode_lists(nodes, window, min_run, entropy, ref_choice)
-        ids = np.diff(np.array([-1, *(n for n, _ in nodes)])) - 1
-        head = np.array([len(nodes), len(ids), min_run], "<u4").tobytes() + ids.astype("<u4").tobytes()
-        bits += sum(2 * int(g + 1).bit_length() - 1 for g in ids)
-        return pa.Table.from_pylist([{"shard": key[0].as_py(), "n_vertices": n_vertices, "n_edges": len(dst), "codec": f"reflist:{entropy}", "payload": head + body, "bits": bits}], schema=_BLOB)
+        body, bits = encode_lists(nodes, window, min_run, entropy, ref_choice, intervals)
+        ids, more = _write_plain((np.diff(np.array([-1, *(n for n, _ in nodes)])) - 1).tolist())
+        head = np.array([len(nodes), len(ids), min_run], "<u4").tobytes() + ids
+        name = f"reflist:{entropy}:{'intervals' if intervals else 'runs'}"
+        return pa.Table.from_pylist([{"shard": key[0].as_py(), "n_vertices": n_vertices, "n_edges": len(dst), "codec": name, "payload": head + body, "bits": bits + more}], schema=_BLOB)
 
-    return _sharded(edges, n_vertices, shards).groupBy("shard").applyInArrow(run, BLOB)
+    return _sharded(edges, first).groupBy("shard").applyInArrow(run, BLOB)
 
 
 def decode(blobs: DataFrame) -> DataFrame:
-    """(src, dst) of entropy-coded blobs."""
+    """(src, dst) of blobs of any form; a blob of another coder is an error."""
     arrow.importable(blobs.sparkSession)
 
     def run(batches):
         for b in batches:
             for r in b.to_pylist():
-                n, m, min_run = np.frombuffer(r["payload"], "<u4", 3).tolist()
-                ids = np.cumsum(np.frombuffer(r["payload"], "<u4", m, 12).astype(np.int64) + 1) - 1
-                got = decode_lists(r["payload"][12 + 4 * m :], ids.tolist(), min_run)
+                name, *form = r["codec"].split(":")
+                if name != "reflist":
+                    raise ValueError(f"no reference-list blob: {r['codec']!r}")
+                n, size, min_run = np.frombuffer(r["payload"], "<u4", 3).tolist()
+                read = _read_plain(r["payload"][12 : 12 + size])
+                ids = np.cumsum([read(0) + 1 for _ in range(n)]) - 1
+                got = decode_lists(r["payload"][12 + size :], ids.tolist(), min_run, form[0], form[1] == "intervals")
                 yield pa.RecordBatch.from_arrays([pa.array([i for i, x in got for _ in x], pa.int64()), pa.array([v for _, x in got for v in x], pa.int64())], ["src", "dst"])
 
-    return blobs.filter(F.col("codec") == "reflist:ans").mapInArrow(run, "src long, dst long")
+    return blobs.mapInArrow(run, "src long, dst long")

@@ -41,14 +41,14 @@ class Flat:
 
 
 def query_blocks(q: DataFrame) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(qid, matrix) in blocks that fit a broadcast; q has qid and qvec."""
-    t = q.select(F.col("qid").cast("long").alias("qid"), F.col("qvec").cast("array<double>").alias("qvec")).toArrow().combine_chunks()
-    if not t.num_rows:
-        return
-    ids, mat = t["qid"].to_numpy(), arrow.vectors(t["qvec"].chunk(0))
-    step = max(1, BLOCK_BYTES // (8 * max(1, mat.shape[1])))
-    for lo in range(0, len(ids), step):
-        yield ids[lo : lo + step], mat[lo : lo + step]
+    """(qid, matrix) in blocks that fit a broadcast, brought to the driver one at a time; q has qid and qvec."""
+    rows = q.select(F.col("qid").cast("long").alias("qid"), F.col("qvec").cast("array<double>").alias("qvec"))
+    size = rows.agg(F.sum(F.size("qvec").cast("long")).alias("s")).first().s or 0
+    blocks = max(1, -(-8 * size // BLOCK_BYTES))
+    for b in range(blocks):
+        t = (rows if blocks == 1 else rows.filter(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == b)).toArrow().combine_chunks()
+        if t.num_rows:
+            yield t["qid"].to_numpy(), arrow.vectors(t["qvec"].chunk(0))
 
 
 def best(dist: np.ndarray, tie: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -102,7 +102,10 @@ def scan(codes: DataFrame, q: tuple[np.ndarray, np.ndarray], probes: np.ndarray,
     arrow.importable(spark)
     held = spark.sparkContext.broadcast((*q, probes, scorer))
     wanted = sorted({int(c) for c in probes.ravel()})
-    near = codes.filter(F.col("k").isin(wanted)) if len(wanted) <= 4096 else codes.join(F.broadcast(spark.range(1).select(F.explode(F.array(*map(F.lit, wanted))).alias("k"))), "k", "left_semi")
+    if len(wanted) <= 256:  # few enough for the filter to reach the files
+        near = codes.filter(F.col("k").isin(wanted))
+    else:  # a number per cluster that the block probes
+        near = codes.join(F.broadcast(spark.createDataFrame(pa.table({"k": pa.array(wanted, pa.int64())}))), "k", "left_semi")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, mat, probed, score = held.value

@@ -98,6 +98,8 @@ def _edges(name: str, directed: bool, model: str, shards: int, spark: SparkSessi
 
 for _q, _args in {
     "roundtrip_rec_part_supplier": ("part_supplier", True, "urn", 8),
+    "roundtrip_rec_whole": ("part_supplier", True, "urn", 1),
+    "roundtrip_rec_customer_part": ("customer_part", True, "urn", 8),
     "roundtrip_rec_order_part": ("order_part", True, "urn", 8),
     "roundtrip_rec_undirected": ("part_supplier", False, "urn", 8),
     "roundtrip_rec_uniform": ("part_supplier", True, "uniform", 8),
@@ -118,13 +120,13 @@ SQL["roundtrip_rec_hyper"] = """WITH e AS (SELECT l_orderkey, count(*) AS size,
 SELECT size, least, most, total, count(*) AS edges FROM e GROUP BY ALL"""
 
 
-def _reflist(choice: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+def _reflist(choice: str, entropy: str, intervals: bool, spark: SparkSession, sf_dir: str) -> DataFrame:
     edges, n = tables.graph(spark, sf_dir, "part_supplier")
-    return reflist.decode(reflist.encode(edges, n, ref_choice=choice, shards=8))
+    return reflist.decode(reflist.encode(edges, n, entropy=entropy, ref_choice=choice, shards=8, intervals=intervals))
 
 
-for _choice in ("greedy", "overlap"):
-    Q[f"roundtrip_reflist_{_choice}"], SQL[f"roundtrip_reflist_{_choice}"] = partial(_reflist, _choice), tables.GRAPHS["part_supplier"][0]
+for _q, _args in {"greedy": ("greedy", "ans", False), "overlap": ("overlap", "ans", False), "plain": ("greedy", "none", True), "plain_runs": ("greedy", "none", False), "intervals": ("greedy", "ans", True)}.items():
+    Q[f"roundtrip_reflist_{_q}"], SQL[f"roundtrip_reflist_{_q}"] = partial(_reflist, *_args), tables.GRAPHS["part_supplier"][0]
 
 
 def roundtrip_friend_roc(spark: SparkSession, sf_dir: str) -> DataFrame:

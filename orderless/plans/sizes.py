@@ -231,6 +231,138 @@ SQL["projection"] = """WITH g(n, clusters) AS (VALUES (1000000::BIGINT, 256::BIG
 SELECT n, clusters, round(log2(n) - lgamma(size + 1) / ln(2) / size, 3) AS roc, round(log2(clusters) + 2, 3) AS ef, round((lgamma(n + 1) - clusters * lgamma(size + 1)) / ln(2) / n, 3) AS partition, round(lgamma(clusters + 1) / ln(2) / n, 6) AS relabel_gain FROM s"""
 
 
+def compression_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every kind of list: how many times smaller than raw and than fixed-width ids Elias-Fano and the set bound are."""
+    out = None
+    for name in tables.LISTS:
+        r = _rates(name, spark, sf_dir)
+        of = lambda a, b: F.round(F.col(a) / F.col(b), 4)
+        r = r.select(F.lit(name).alias("workload"), of("raw", "ef").alias("raw_over_ef"), of("raw", "set_bound").alias("raw_over_set"), of("packed", "ef").alias("packed_over_ef"), of("packed", "set_bound").alias("packed_over_set"))
+        out = r if out is None else out.union(r)
+    return out
+
+
+Q["compression_ratios"] = compression_ratios
+SQL["compression_ratios"] = " UNION ALL ".join(
+    f"SELECT '{n}' AS workload, round(raw / ef, 4) AS raw_over_ef, round(raw / set_bound, 4) AS raw_over_set, round(packed / ef, 4) AS packed_over_ef, round(packed / set_bound, 4) AS packed_over_set FROM ({SQL[f'rates_{n}']})"
+    for n in tables.LISTS
+)
+
+
+def _latent(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Parts as a model with a latent variable: counts n of (z, v) = (brand's first digits, size), every of all, nz of z, nv of v, kv latents seen with v."""
+    from pyspark.sql import Window
+
+    c = tables.table(spark, sf_dir, "part", ["p_brand", "p_size"]).select(F.substring("p_brand", 1, 7).alias("z"), F.col("p_size").cast("int").alias("v")).groupBy("z", "v").agg(F.count(F.lit(1)).cast("double").alias("n"))
+    total = lambda *by: F.sum("n").over(Window.partitionBy(*by))
+    return c.withColumns({"every": total(), "nz": total("z"), "nv": total("v"), "kv": F.count(F.lit(1)).over(Window.partitionBy("v"))})
+
+
+def bits_back_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bits a value with a uniform posterior over the latents seen with it (the negative evidence bound), with the exact one, and the divergence between."""
+    c = _latent(spark, sf_dir)
+    # model p(z) = nz / every, p(v | z) = n / nz; posterior exact n / nv, or 1 / kv; each value weighs nv / every
+    joint, w = F.log2(F.col("n") / F.col("every")), F.col("nv") / F.col("every")
+    loose = F.sum(w / F.col("kv") * (F.log2(1 / F.col("kv")) - joint))
+    exact = F.sum(w * F.col("n") / F.col("nv") * (F.log2(F.col("n") / F.col("nv")) - joint))
+    gap = F.sum(w / F.col("kv") * (F.log2(1 / F.col("kv")) - F.log2(F.col("n") / F.col("nv"))))
+    return c.agg(F.round(loose, 6).alias("negative_elbo"), F.round(exact, 6).alias("marginal"), F.round(gap, 6).alias("divergence"))
+
+
+Q["bits_back_bounds"] = bits_back_bounds
+SQL["bits_back_bounds"] = """WITH c AS (SELECT substring(p_brand, 1, 7) AS z, p_size AS v, count(*)::DOUBLE AS n FROM part GROUP BY ALL),
+m AS (SELECT v, sum(n) AS nv, count(*) AS kv FROM c GROUP BY v), t AS (SELECT sum(n) AS every FROM c),
+e AS (SELECT sum(nv / every * log2(every / nv)) AS marginal FROM m, t),
+g AS (SELECT sum(nv / every / kv * log2(nv / (kv * n))) AS divergence FROM c JOIN m USING (v), t)
+SELECT round(marginal + divergence, 6) AS negative_elbo, round(marginal, 6) AS marginal, round(divergence, 6) AS divergence FROM e, g"""
+
+
+def bits_back_measured(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Part sizes coded with bits back, by part type, beside the bound: net bits a value with either posterior, decoded again."""
+    import pyarrow as pa
+
+    from ..functions import bitsback, models
+    from ..functions.ans import ExactState
+    from ..operators import arrow
+
+    arrow.importable(spark)
+    counts = {(r.z, r.v): int(r.n) for r in _latent(spark, sf_dir).select("z", "v", "n").collect()}  # brands by sizes, at most 250
+    zs, vs = sorted({z for z, _ in counts}), sorted({v for _, v in counts})
+    values = tables.table(spark, sf_dir, "part", ["p_type", "p_size"]).select(F.col("p_type").alias("k"), F.col("p_size").cast("int").alias("v"))
+
+    def run(key: tuple, t: pa.Table) -> pa.Table:
+        rows, out = [vs.index(v) for v in t["v"].to_pylist()], []
+        prior = models.Table([sum(counts.get((z, v), 0) for v in vs) for z in zs])
+        given = [models.Table([counts.get((z, v), 0) for v in vs]) for z in zs]
+        for name, weigh in (("uniform", lambda n: int(n > 0)), ("exact", lambda n: n)):
+            posterior = [models.Table([weigh(counts.get((z, v), 0)) for z in zs]) for v in vs]
+            state = ExactState.seeded(1 << 14, 1)
+            before, value = state.bits, state.value
+            for v in rows:
+                bitsback.encode(state, v, prior, given.__getitem__, posterior.__getitem__)
+            net = state.bits - before
+            back = [bitsback.decode(state, prior, given.__getitem__, posterior.__getitem__) for _ in rows]
+            out.append({"k": key[0].as_py(), "posterior": name, "n": len(rows), "bits": net, "lossless": back == rows[::-1] and state.value == value})
+        return pa.Table.from_pylist(out, schema=pa.schema([("k", pa.string()), ("posterior", pa.string()), ("n", pa.int64()), ("bits", pa.int64()), ("lossless", pa.bool_())]))
+
+    got = values.groupBy("k").applyInArrow(run, "k string, posterior string, n long, bits long, lossless boolean")
+    return got.groupBy("posterior").agg(F.sum("n").cast("long").alias("values"), F.round(F.sum("bits") / F.sum("n"), 3).alias("bits_per_value"), F.min("lossless").alias("lossless"))
+
+
+Q["bits_back_measured"] = bits_back_measured
+
+
+def coder_redundancy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bits an operation that a word state takes over its model, on line quantities by supplier under their own frequencies in 2**20 slots."""
+    import pyarrow as pa
+
+    from ..functions.ans import WordState
+    from ..operators import arrow
+
+    arrow.importable(spark)
+    df = tables.table(spark, sf_dir, "lineitem", ["l_suppkey", "l_quantity"]).select(F.col("l_suppkey").alias("k"), F.col("l_quantity").cast("int").alias("v"))
+    count = {r.v: r.n for r in df.groupBy("v").agg(F.count(F.lit(1)).alias("n")).collect()}  # fifty quantities
+    symbols, total, slots = sorted(count), sum(count.values()), 20
+
+    def run(key: tuple, t: pa.Table) -> pa.Table:
+        import math
+
+        start, edge = 0, {}
+        for v in symbols:  # shares of the slots
+            edge[v] = ((start << slots) // total, ((start + count[v]) << slots) // total)
+            start += count[v]
+        rows = t["v"].to_pylist()
+        state = WordState.seeded(1)
+        before = math.log2(state.head)
+        for v in rows:
+            state.push(edge[v][0], edge[v][1] - edge[v][0], slots)
+        used = 32 * len(state.stack) + math.log2(state.head) - before
+        model = sum(math.log2((1 << slots) / (edge[v][1] - edge[v][0])) for v in rows)
+        return pa.table({"n": [len(rows)], "used": [used], "model": [model]})
+
+    got = df.groupBy("k").applyInArrow(run, "n long, used double, model double")
+    over = (F.sum("used") - F.sum("model")) / F.sum("n")
+    return got.agg(F.sum("n").cast("long").alias("operations"), (over <= 2.2e-5).alias("within_published"))
+
+
+Q["coder_redundancy"] = coder_redundancy
+SQL["coder_redundancy"] = "SELECT count(*) AS operations, true AS within_published FROM lineitem"
+
+
+def measured_fixed_codecs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the codecs without a state really take for orders by customer, from their payloads' bits."""
+    df, out = tables.id_lists(spark, sf_dir, "customer_order"), None
+    u = tables.universe(df)
+    for codec in ("raw", "packed", "ef", "ef_ceil"):
+        r = frames.bits_per_id(frames.encode_lists(df, "k", "id", codec, u)).select("codec", "ids", "bits_per_id")
+        out = r if out is None else out.union(r)
+    return out
+
+
+Q["measured_fixed_codecs"] = measured_fixed_codecs
+SQL["measured_fixed_codecs"] = f"SELECT unnest(['raw', 'packed', 'ef', 'ef_ceil']) AS codec, ids, unnest([raw, packed, ef, ef_ceil]) AS bits_per_id FROM ({SQL['rates_customer_order']})"
+
+
 def measured_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What each codec really takes for orders by customer, beside the bounds' names; measured, so it has no SQL."""
     df, out = tables.id_lists(spark, sf_dir, "customer_order"), None

@@ -45,23 +45,44 @@ Q["stream_static_probe"] = stream_static_probe
 SQL["stream_static_probe"] = "SELECT user_id, event_id, n FROM events JOIN (SELECT user_id, count(*) AS n FROM events GROUP BY user_id) USING (user_id) WHERE event_type = 'error'"
 
 
+def stream_type_counts_update(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same counts in update mode: each micro-batch tells what it has changed, and the largest of a type is the last."""
+    return lists.run(lists.counts(lists.events(spark, sf_dir)), "update").groupBy("event_type").agg(F.max("n").alias("n"))
+
+
+Q["stream_type_counts_update"], SQL["stream_type_counts_update"] = stream_type_counts_update, SQL["stream_type_counts"]
+
+
 def _closed(df: DataFrame) -> DataFrame:
     return lists.run(df).select(F.col("start").cast("timestamp_ntz").alias("start"), "user_id", "n")
 
 
 def stream_tumbling_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sets of a day that the watermark has closed."""
+    """Sets of a day that the watermark has closed: those that end by the last event's time."""
     return _closed(lists.tumbling(lists.events(spark, sf_dir)))
 
 
 def stream_sliding_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sets of a day, a window every six hours, that the watermark has closed."""
     return _closed(lists.sliding(lists.events(spark, sf_dir)))
 
 
 def stream_session_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sets of sessions with gaps under 30 minutes that the watermark has closed."""
     return _closed(lists.sessions(lists.events(spark, sf_dir)))
 
 
+_LAST = "(SELECT date_trunc('millisecond', max(ts)) FROM events)"  # watermarks count milliseconds
+for _f in (stream_tumbling_sets, stream_sliding_sets, stream_session_sets):
+    Q[_f.__name__] = _f
+SQL["stream_tumbling_sets"] = f"SELECT date_trunc('day', ts)::TIMESTAMP AS start, user_id, count(DISTINCT event_id) AS n FROM events GROUP BY 1, 2 HAVING date_trunc('day', min(ts)) + INTERVAL 1 DAY <= {_LAST}"
+SQL["stream_sliding_sets"] = f"""WITH w AS (SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') - i * INTERVAL 6 HOUR AS start, user_id, event_id FROM events, range(4) r(i))
+SELECT start, user_id, count(DISTINCT event_id) AS n FROM w GROUP BY start, user_id HAVING start + INTERVAL 1 DAY <= {_LAST}"""
+SQL["stream_session_sets"] = f"""WITH o AS (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS before FROM events),
+s AS (SELECT *, sum(CASE WHEN before IS NULL OR ts >= before + INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS session FROM o)
+SELECT min(ts)::TIMESTAMP AS start, user_id, count(DISTINCT event_id) AS n FROM s GROUP BY user_id, session HAVING max(ts) + INTERVAL 30 MINUTE <= {_LAST}"""
+
+
 def stream_growing_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sealed Elias-Fano segments of users' lists, decoded; needs the RocksDB state store, set for the query alone."""
     key = "spark.sql.streaming.stateStore.providerClass"
@@ -92,5 +113,4 @@ def stream_whole_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 Q["stream_whole_lists"], SQL["stream_whole_lists"] = stream_whole_lists, "SELECT user_id, event_id FROM events"
 
-for _f in (stream_tumbling_sets, stream_sliding_sets, stream_session_sets, stream_growing_lists):
-    Q[_f.__name__] = _f
+Q["stream_growing_lists"] = stream_growing_lists

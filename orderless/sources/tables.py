@@ -47,13 +47,30 @@ def universe(df: DataFrame, id: str = "id") -> int:
 GRAPHS = {
     # name -> (SQL for src, dst over the tables; vertices)
     "part_supplier": ("SELECT DISTINCT l_partkey AS src, l_suppkey + (SELECT count(*) FROM part) AS dst FROM lineitem", "(SELECT count(*) FROM part) + (SELECT count(*) FROM supplier)"),
+    "customer_part": ("SELECT DISTINCT o_custkey AS src, l_partkey + (SELECT count(*) FROM customer) AS dst FROM orders JOIN lineitem ON o_orderkey = l_orderkey", "(SELECT count(*) FROM customer) + (SELECT count(*) FROM part)"),
     "order_part": ("SELECT DISTINCT l_orderkey AS src, l_partkey + (SELECT count(*) FROM orders) AS dst FROM lineitem", "(SELECT count(*) FROM orders) + (SELECT count(*) FROM part)"),
 }
 
 
 def graph(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, int]:
     """Edges (src, dst) of a relational graph and its number of vertices; the second side is numbered after the first."""
-    first, key, other, size = {"part_supplier": ("part", "l_partkey", "l_suppkey", "supplier"), "order_part": ("orders", "l_orderkey", "l_partkey", "part")}[name]
+    first, key, other, size = {
+        "part_supplier": ("part", "l_partkey", "l_suppkey", "supplier"), "order_part": ("orders", "l_orderkey", "l_partkey", "part"), "customer_part": ("customer", "o_custkey", "l_partkey", "part"),
+    }[name]
     left, right = table(spark, sf_dir, first).count(), table(spark, sf_dir, size).count()
-    edges = table(spark, sf_dir, "lineitem", [key, other]).select(F.col(key).cast("long").alias("src"), (F.col(other) + left).cast("long").alias("dst")).distinct()
+    if name == "customer_part":
+        lines = table(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"]).join(table(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey"]), F.col("o_orderkey") == F.col("l_orderkey"))
+    else:
+        lines = table(spark, sf_dir, "lineitem", [key, other])
+    edges = lines.select(F.col(key).cast("long").alias("src"), (F.col(other) + left).cast("long").alias("dst")).distinct()
     return edges, left + right
+
+
+def event_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(id, vec) of events: hour and weekday on the circle, kind, value (logarithm), a hashed place of the user in four dimensions."""
+    e = table(spark, sf_dir, "events", ["event_id", "ts", "user_id", "event_type", "value"])
+    turn = lambda c, n: [f(c * (2 * 3.141592653589793 / n)) for f in (F.sin, F.cos)]
+    user = [F.pmod(F.xxhash64("user_id", F.lit(i)), F.lit(1000)) / 500.0 - 1 for i in range(4)]
+    kind = [F.pmod(F.xxhash64("event_type", F.lit(i)), F.lit(1000)) / 500.0 - 1 for i in range(3)]
+    parts = [*turn(F.hour("ts"), 24), *turn(F.dayofweek("ts"), 7), *kind, F.log1p(F.abs(F.coalesce("value", F.lit(0.0)))), *user]
+    return e.select(F.col("event_id").cast("long").alias("id"), F.array(*[p.cast("double") for p in parts]).alias("vec"))

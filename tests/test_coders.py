@@ -258,11 +258,28 @@ def test_edge_rate_equals_closed_form():
 
 
 @settings(max_examples=25, deadline=None)
-@given(st.lists(st.sets(st.integers(0, 99), max_size=25), max_size=40), st.sampled_from([1, 3]), st.sampled_from(["greedy", "overlap"]))
-def test_reference_lists_return(lists, min_run, choice):
+@given(st.lists(st.sets(st.integers(0, 99), max_size=25), max_size=40), st.sampled_from([1, 3]), st.sampled_from(["greedy", "overlap"]), st.sampled_from(["ans", "none"]), st.booleans())
+def test_reference_lists_return(lists, min_run, choice, entropy, intervals):
     nodes = [(2 * i, sorted(x)) for i, x in enumerate(lists)]
-    payload, _ = reflist.encode_lists(nodes, 8, min_run, "ans", choice)
-    assert reflist.decode_lists(payload, [n for n, _ in nodes], min_run) == nodes
+    payload, bits = reflist.encode_lists(nodes, 8, min_run, entropy, choice, intervals)
+    assert reflist.decode_lists(payload, [n for n, _ in nodes], min_run, entropy, intervals) == nodes
+    assert entropy == "ans" or len(payload) == -(-bits // 8)
+
+
+def test_sources_of_a_shard_cost_less():
+    """Two shards that know their ranges take about what one stream does: the order lost is given back by the smaller choice of sources."""
+    r = random.Random(2)
+    edges = sorted({(r.randrange(400), r.randrange(400)) for _ in range(6000)})
+    whole, parts, blind = ExactState(0), 0, 0
+    edgecodec.encode_edges(whole, edges, 400)
+    for lo, hi in ((0, 200), (200, 400)):
+        some = [e for e in edges if lo <= e[0] < hi]
+        for known in (True, False):
+            state = ExactState(0)
+            edgecodec.encode_edges(state, some, 400, sources=(lo, hi) if known else None)
+            assert edgecodec.decode_edges(ExactState(state.value), len(some), 400, sources=(lo, hi) if known else None) == some
+            parts, blind = (parts + state.bits, blind) if known else (parts, blind + state.bits)
+    assert parts < whole.bits * 1.03 and blind > whole.bits * 1.05
 
 
 def test_reference_lists_gain_from_overlap():

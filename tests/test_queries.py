@@ -11,7 +11,8 @@ from orderless.plans import catalog, searches
 from orderless.sources import store, tables
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"graph_search", "graph_offline", "pq_recall", "ivf_bits_table", "index_size"}
+SLOW = {"graph_search", "graph_offline", "pq_recall", "ivf_bits_table", "ivf_bits_events", "index_size", "centroid_graph_recall"}
+SLOW |= {f"pq_search_{m}_{store}" for m in (4, 16) for store in ("packed", "ef", "wt")}
 
 
 @pytest.fixture(scope="session")
@@ -105,7 +106,8 @@ def test_product_codes_agree_with_tables(spark, sf):
     pq = quantizers.ProductQuantizer.train(db, 8, 4, iters=1)
     x = quantizers.sample(db, 50)
     code = pq.encode_rows(x)
-    assert abs(pq.look_up(pq.tables(x[:5]), code) - pq.distances(x[:5], pq.decode_rows(code))).max() < 1e-8
+    assert abs(pq.look_up(pq.tables(x[:5]), code) - search.Flat().distances(x[:5], pq.decode_rows(code))).max() < 1e-8
+    assert abs(pq.look_up(pq.tables(x[:5]), code) - pq.distances(x[:5], code)).max() < 1e-8
 
 
 def test_range_join_has_no_cross_product(spark):
@@ -116,6 +118,64 @@ def test_range_join_has_no_cross_product(spark):
     assert "CartesianProduct" not in got._jdf.queryExecution().executedPlan().toString()
 
 
+def test_reads_of_a_tree_move_asked_shards_only(spark, sf):
+    """The index is cut down to the shards that are asked before its payloads are exchanged, and a place finds its shard by an equality join."""
+    df = tables.id_lists(spark, sf, "user_event").select(F.col("k").cast("long").alias("k"), "id")
+    ix = wavelet.build(df, "id", "k", 200, "flat", 6)
+    asked = spark.createDataFrame([(3, 0), (5, 1)], "k long, off long")
+    assert wavelet.located(ix, asked).select("shard").distinct().count() <= 2 < ix.count()
+    plan = wavelet.select(ix, asked, 6)._jdf.queryExecution().optimizedPlan().toString()
+    assert "LeftSemi" in plan and "Join Cross" not in plan
+    assert "payload" not in wavelet.located(ix, asked)._jdf.queryExecution().optimizedPlan().toString().split("MapInArrow")[0]
+
+
+def test_reads_over_segments(spark):
+    """Places and values in the first, a middle and the last segment, in missing ones, and beyond; ids of several codecs."""
+    ids = [*range(0, 300, 3), 5000, 5001, 9000]
+    df = spark.createDataFrame([("a", i) for i in ids] + [("b", 7)], "k string, id long")
+    for codec in ("raw", "packed", "ef", "ef_dir", "roc"):
+        enc = frames.encode_lists(df, "k", "id", codec, 10_000, 7)
+        asked = spark.createDataFrame([("a", o) for o in (0, 60, 99, 100, 102, 103, -1)] + [("b", 0), ("b", 1), ("c", 0)], "k string, off long")
+        got = {(r.k, r.off): r.id for r in frames.get(enc, asked).collect()}
+        assert got == {("a", o): ids[o] for o in (0, 60, 99, 100, 102)} | {("b", 0): 7}
+    for codec in ("ef", "ef_dir"):
+        enc = frames.encode_lists(df, "k", "id", codec, 10_000, 7)
+        values = [-9, 0, 1, 297, 298, 4000, 5001, 5002, 9000, 9001, 20_000]
+        asked = spark.createDataFrame([("a", v) for v in values] + [("b", 7), ("b", 8), ("c", 1)], "k string, value long")
+        got = {(r.k, r.value): r.id for r in frames.next_geq(enc, asked).collect()}
+        assert got == {("a", v): next((i for i in ids if i >= v), None) for v in values} | {("b", 7): 7, ("b", 8): None}
+
+
+def test_many_centroids_fit_in_memory(spark, monkeypatch):
+    """65,536 centroids in blocks under the broadcast's bound: the nearest is the nearest."""
+    import numpy as np
+
+    r = np.random.default_rng(5)
+    c, x = r.normal(size=(1 << 16, 8)), r.normal(size=(400, 8))
+    monkeypatch.setattr(quantizers, "MODEL_BYTES", 1 << 20)
+    db = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>")
+    got = {row.id: row.k for row in quantizers.assign(db, c).select("id", "k").collect()}
+    want = np.concatenate([((x[i : i + 50, None] - c[None]) ** 2).sum(2).argmin(1) for i in range(0, 400, 50)])
+    assert [got[i] for i in range(400)] == want.tolist()
+
+
+def test_search_by_join_in_parts(spark, sf, monkeypatch):
+    """Clusters scanned in parts, and as many queries as rows: the answers of the other way."""
+    db = searches.vectors(spark, sf)
+    ix = ivf.build(db, searches.first_rows(db, 8), "ef")
+    q = db.selectExpr("id AS qid", "vec AS qvec")
+    want = ivf.find(q, ix, 5, 4).select("qid", "rank", "id")
+    monkeypatch.setattr(ivf, "PART_ROWS", 16)
+    assert frames.lost_or_added(want, ivf.find_by_join(q, ix, 5, 4).select("qid", "rank", "id")).count() == 0
+
+
+def test_query_blocks_come_one_at_a_time(spark, sf, monkeypatch):
+    db = searches.vectors(spark, sf)
+    monkeypatch.setattr(search, "BLOCK_BYTES", 8 * 64 * 20)
+    blocks = list(search.query_blocks(searches.batch(db)))
+    assert len(blocks) > 1 and sorted(i for ids, _ in blocks for i in ids.tolist()) == sorted(r.qid for r in searches.batch(db).select("qid").collect())
+
+
 def test_saved_index_opens_by_key(spark, sf, tmp_path):
     df = tables.id_lists(spark, sf, "customer_order")
     store.save_index(frames.encode_lists(df, "k", "id", "ef", tables.universe(df)), f"{tmp_path}/ix")

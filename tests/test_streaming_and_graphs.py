@@ -1,5 +1,7 @@
 """Streaming sinks and late rows, graph levels, distributed Lloyd's steps, and measured rates against their closed forms."""
 
+from collections import Counter
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -94,6 +96,35 @@ def test_graph_search_is_the_same_for_all_codecs(spark, sf):
     assert search.recall(found[0], search.exact(q, db, 5)).first().recall > 0.9
 
 
+def test_layered_graph_has_levels(spark, sf):
+    """Levels thin out by ids and seed, upper ones link their own rows only, and lead searches of the base."""
+    db, q = searches.vectors(spark, sf), searches.batch(searches.vectors(spark, sf))
+    edges = graph.build(db, 6, "layered", seed=1).cache()
+    top = {r.id: r.level for r in graph.levels(db.select("id"), 6, 1).collect()}
+    rows = edges.collect()
+    assert max(r.level for r in rows) >= 1 and all(min(top[r.src], top[r.dst]) >= r.level for r in rows)
+    assert max(Counter((r.level, r.src) for r in rows if r.level).values()) <= 6 and max(Counter(r.src for r in rows if not r.level).values()) <= 12
+    other = {r.id: r.level for r in graph.levels(db.select("id"), 6, 2).collect()}
+    assert other != top
+    truth, lists = search.exact(q, db, 5), graph.friends(edges, "roc", 500)
+    assert search.recall(graph.find(q, db, lists, 5, 24, upper=edges), truth).first().recall > 0.85
+
+
+def test_shards_of_a_graph_are_bounded(spark, sf, monkeypatch):
+    monkeypatch.setattr(graph, "SHARD_ROWS", 100)
+    db, q = searches.vectors(spark, sf), searches.batch(searches.vectors(spark, sf))
+    edges = graph.build(db, 8)
+    assert edges.select("shard").distinct().count() == 5
+    assert search.recall(graph.find(q, db, graph.friends(edges, "ef", 500), 5, 24), search.exact(q, db, 5)).first().recall > 0.9
+
+
+def test_shards_of_edges_lose_little(spark, sf):
+    """Several streams that know their sources' ranges take not much more than one, though each of 600 edges learns its urn anew."""
+    edges, n = tables.graph(spark, sf, "part_supplier")
+    one, many = (edgecodec.encode(edges, n, shards=k).agg((F.sum("bits") / F.sum("n_edges")).alias("b")).first().b for k in (1, 8))
+    assert many < one * 1.08
+
+
 def test_index_sizes_shrink(spark, sf):
     db = searches.vectors(spark, sf)
     c = searches.first_rows(db, 8)
@@ -104,7 +135,7 @@ def test_index_sizes_shrink(spark, sf):
 def test_clusters_found_on_a_centroid_graph(spark, sf):
     x = np.random.default_rng(3).normal(size=(400, 12))
     q = np.random.default_rng(4).normal(size=(30, 12))
-    a, b = ivf.probe(q, x, 8), ivf.probe_by_graph(q, x, 8)
+    a, b = ivf.probe(q, x, 8), ivf.CentroidGraph.of(spark, x).probe(q, x, 8, 64)
     assert np.mean([len(set(i) & set(j)) / 8 for i, j in zip(a.tolist(), b.tolist(), strict=True)]) > 0.9
     db = searches.vectors(spark, sf)
     ix = ivf.build(db, searches.first_rows(db, 8), "ef")
