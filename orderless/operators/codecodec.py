@@ -18,6 +18,19 @@ from ..functions.ans import ExactState, WordStateBatch
 from . import arrow
 
 
+#: Cells of the matrices that columns coded in step share.
+CELLS = 1 << 21
+
+
+def portions(sizes: np.ndarray, alphabet: int) -> Iterator[list[int]]:
+    """Numbers of columns of like length that are coded together, so that neither codes nor counts of them exceed a bound."""
+    order, lo = np.argsort(-sizes, kind="stable"), 0
+    while lo < len(order):
+        n = max(1, CELLS // max(1, int(sizes[order[lo]]), alphabet))
+        yield order[lo : lo + n].tolist()
+        lo += n
+
+
 def encode_columns(columns: list[np.ndarray], alphabet: int) -> tuple[list[bytes], np.ndarray]:
     """Many columns in lockstep, longest first; payloads and bits in the order given."""
     order = sorted(range(len(columns)), key=lambda i: -len(columns[i]))
@@ -83,7 +96,11 @@ def encode(codes: DataFrame, cluster: str = "k", sub: str = "sub", order: str =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in arrow.whole_groups(batches, 2):
             at, code = arrow.edges([b.column(0), b.column(1)]), b.column(3).to_numpy().astype(np.int64)
-            payload, bits = encode_columns([code[x:y] for x, y in zip(at[:-1], at[1:], strict=True)], alphabet)
+            payload, bits = [b""] * (len(at) - 1), np.zeros(len(at) - 1, np.int64)
+            for some in portions(np.diff(at), alphabet):
+                got, bits[some] = encode_columns([code[at[i] : at[i + 1]] for i in some], alphabet)
+                for i, p in zip(some, got, strict=True):
+                    payload[i] = p
             pick = pa.array(at[:-1])
             yield pa.RecordBatch.from_arrays([b.column(0).take(pick), b.column(1).take(pick), pa.array(np.diff(at)), pa.array(np.full(len(payload), alphabet, np.int32)), pa.array(payload, pa.binary()), pa.array(bits.astype(np.int64))], ["k", "sub", "n", "alphabet", "payload", "bits"])
 

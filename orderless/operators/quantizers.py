@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import arrow
+from .search import Scorer
 
 #: Centroids and codebooks are broadcast; they may have this many bytes.
 MODEL_BYTES = 256 << 20
@@ -122,10 +123,10 @@ def lloyd_step(db: DataFrame, c: np.ndarray) -> np.ndarray:
     return out
 
 
-class ProductQuantizer:
+class ProductQuantizer(Scorer):
     """m sub-vectors, each replaced by one of 2**bits centroids.
 
-    The distance to a code is that to the vector it stands for: a sum over tables that a query fills once per cluster scanned, with
+    The distance to a code is that to the vector it stands for: a sum over tables that a query fills once, with
     one entry per sub-vector and centroid. No vector is decoded.
     """
 
@@ -156,15 +157,28 @@ class ProductQuantizer:
     def rows(self, column: pa.Array) -> np.ndarray:
         return arrow.vectors(column).astype(np.int64)
 
+    @property
+    def step(self) -> int:
+        return max(1, self.TABLE_BYTES // (8 * self.m * self.size))
+
+    def prepare(self, q: np.ndarray) -> np.ndarray:
+        return self.tables(q)
+
+    def score(self, ready: np.ndarray, mine: np.ndarray, code: np.ndarray) -> np.ndarray:
+        return np.round(self.look_up(ready[mine], code), 9)
+
     def distances(self, q: np.ndarray, code: np.ndarray) -> np.ndarray:
-        step = max(1, self.TABLE_BYTES // (8 * self.m * self.size))
-        out = [self.look_up(self.tables(q[lo : lo + step]), code) for lo in range(0, len(q), step)]
-        return np.round(np.concatenate(out), 9) if out else np.zeros((0, len(code)))
+        every = [self.tables(q[lo : lo + self.step]) for lo in range(0, len(q), self.step)]
+        return np.round(np.concatenate([self.look_up(t, code) for t in every]), 9) if every else np.zeros((0, len(code)))
 
     def tables(self, q: np.ndarray) -> np.ndarray:
         """Squared distances of each query's sub-vectors to all centroids: queries, m, 2**bits."""
         parts = q.reshape(len(q), self.m, self.width)
-        return ((parts[:, :, None] - self.books[None]) ** 2).sum(3)
+        out = np.empty((len(q), self.m, self.size))
+        for j in range(self.m):
+            x, c = parts[:, j], self.books[j]
+            out[:, j] = (x * x).sum(1)[:, None] + (c * c).sum(1) - 2 * (x @ c.T)
+        return np.maximum(out, 0, out=out)
 
     def look_up(self, tables: np.ndarray, code: np.ndarray) -> np.ndarray:
         out = np.zeros((len(tables), len(code)))
@@ -173,7 +187,7 @@ class ProductQuantizer:
         return out
 
 
-class ResidualQuantizer:
+class ResidualQuantizer(Scorer):
     """Codes that add up: each step quantizes what the steps before left over."""
 
     column = "code"

@@ -19,7 +19,20 @@ from . import arrow
 BLOCK_BYTES = 32 << 20
 
 
-class Flat:
+class Scorer:
+    """What a scan asks of a scorer: what it needs of some queries, made once for all clusters of a batch, and distances from that."""
+
+    #: Queries made ready at a time.
+    step = 1 << 30
+
+    def prepare(self, q: np.ndarray) -> np.ndarray:
+        return q
+
+    def score(self, ready: np.ndarray, mine: np.ndarray, rows: np.ndarray) -> np.ndarray:
+        return self.distances(ready[mine], rows)
+
+
+class Flat(Scorer):
     """Exact distances to full vectors: squared Euclidean, cosine distance or negative inner product."""
 
     column = "vec"
@@ -112,13 +125,15 @@ def scan(codes: DataFrame, q: tuple[np.ndarray, np.ndarray], probes: np.ndarray,
         for b in batches:
             cluster, tie = b.column(0).to_numpy(), b.column(1).to_numpy()
             rows = score.rows(b.column(2))
-            for c in np.unique(cluster).tolist():
-                here, mine = np.flatnonzero(cluster == c), np.flatnonzero((probed == c).any(1))
-                if not len(mine):
-                    continue
-                dist = score.distances(mat[mine], rows[here])
-                row, col = best(dist, tie[here], k)
-                yield pa.RecordBatch.from_arrays([pa.array(ids[mine][row]), pa.array(np.full(len(row), c)), pa.array(tie[here][col]), pa.array(dist[row, col])], ["qid", "k", carry, "dist"])
+            for lo in range(0, len(ids), score.step):
+                ready, part, own = score.prepare(mat[lo : lo + score.step]), probed[lo : lo + score.step], ids[lo : lo + score.step]
+                for c in np.unique(cluster).tolist():
+                    here, mine = np.flatnonzero(cluster == c), np.flatnonzero((part == c).any(1))
+                    if not len(mine):
+                        continue
+                    dist = score.score(ready, mine, rows[here])
+                    row, col = best(dist, tie[here], k)
+                    yield pa.RecordBatch.from_arrays([pa.array(own[mine][row]), pa.array(np.full(len(row), c)), pa.array(tie[here][col]), pa.array(dist[row, col])], ["qid", "k", carry, "dist"])
 
     cols = [F.col("k").cast("long").alias("k"), F.col(carry).cast("long").alias(carry), scorer.column]
     return near.select(*cols).mapInArrow(run, f"qid long, k long, {carry} long, dist double")
