@@ -2,12 +2,7 @@
 
 from __future__ import annotations
 
-import atexit
 import gc
-import os
-import re
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -15,8 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_ROOT = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
-_OWN: list[str] = []
+from ..operators.arrow import _delete, importable, shared_dir, stage  # noqa: F401
 
 
 def col(name: str) -> Column:
@@ -24,50 +18,6 @@ def col(name: str) -> Column:
     return F.col("`" + name.replace("`", "``") + "`")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; a temporary one only where a local session names none."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    if not re.match(r"local(\[|$)", spark.sparkContext.master):
-        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-    if not _OWN:
-        _OWN.append(tempfile.mkdtemp(prefix="orderless-"))
-    return "file://" + _OWN[0]
-
-
-def importable(spark: SparkSession) -> None:
-    """Lets Python workers import this package from where the driver found it."""
-    env = spark.sparkContext.environment
-    if _ROOT not in env.get("PYTHONPATH", "").split(os.pathsep):
-        env["PYTHONPATH"] = os.pathsep.join(filter(None, [_ROOT, env.get("PYTHONPATH", "")]))
-
-
-def _delete(spark: SparkSession, path: str) -> None:
-    try:
-        jvm = spark.sparkContext._jvm
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
-    except Exception:  # the session may have ended; the folder's owner clears it then
-        pass
-
-
-def stage(df: DataFrame, tag: str) -> DataFrame:
-    """Cuts lineage: writes df to the shared folder as Parquet and reads it back.
-
-    The table survives lost executors. It goes when the driver process ends.
-    """
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/orderless/{spark.sparkContext.applicationId}/{tag}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    atexit.register(_delete, spark, path)
-    schema = df.schema
-    del df
-    out = spark.read.schema(schema).parquet(path)
-    out._staged_path = path  # type: ignore[attr-defined]
-    return out
-
-
 def unstage(df: DataFrame) -> None:
     """Deletes a staged table that nothing reads any more."""
     _delete(df.sparkSession, df._staged_path)  # type: ignore[attr-defined]
