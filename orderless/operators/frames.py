@@ -194,6 +194,15 @@ def unite(a: DataFrame, b: DataFrame, codec: str, universe: int, segment_bits: i
     return encode_lists(decode_lists(a).unionByName(decode_lists(b)), "k", "id", codec, universe, segment_bits)
 
 
+def append(encoded: DataFrame, more: DataFrame, key: str, id: str, codec: str, universe: int, segment_bits: int | None = None) -> DataFrame:
+    """Encoded lists with further (key, id) rows: only segments that gain ids are coded anew; parameters as they were encoded with."""
+    new = more.select(F.col(key).alias("k"), F.col(id).cast("long").alias("id"))
+    seg = F.lit(0) if segment_bits is None else F.shiftright("id", segment_bits).cast("int")
+    touched = new.select("k", seg.alias("seg")).distinct()
+    again = decode_lists(encoded.join(touched, ["k", "seg"], "left_semi")).unionByName(new)
+    return encoded.join(touched, ["k", "seg"], "left_anti").unionByName(encode_lists(again, "k", "id", codec, universe, segment_bits))
+
+
 def bits_per_id(encoded: DataFrame) -> DataFrame:
     """One row: codec, ids, lists, bits per id; reads no payload."""
     return encoded.groupBy("codec").agg(F.sum("n").cast("long").alias("ids"), F.count(F.lit(1)).cast("long").alias("lists"), F.round(F.sum("bits") / F.sum("n"), 4).alias("bits_per_id"))

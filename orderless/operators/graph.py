@@ -10,7 +10,7 @@ import heapq
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import listcodecs
@@ -209,6 +209,31 @@ def find(q: DataFrame, db: DataFrame, lists: DataFrame, k: int, explore: int = 1
     return search.ranked(out, k, ["id"]).select("qid", "rank", "id", "dist") if out is not None else search.empty(spark)
 
 
+def find_by_join(q: DataFrame, db: DataFrame, lists: DataFrame, entry: DataFrame, k: int, explore: int = 16) -> DataFrame:
+    """qid, rank, id, dist by beam search over one graph of any size: a round is a join of all queries' frontiers with lists and vectors.
+
+    entry (id) are the rows where each query begins. A round opens what of a query's best `explore` rows isn't opened yet, decodes only
+    the lists of these rows, and ends where no query has such a row left. Rows met are written between rounds.
+    """
+    rows, ask = db.select(F.col("id").cast("long").alias("id"), "vec"), q.select(F.col("qid").cast("long").alias("qid"), "qvec")
+    d = F.aggregate(F.zip_with("qvec", "vec", lambda a, b: (a.cast("double") - b.cast("double")) * (a.cast("double") - b.cast("double"))), F.lit(0.0), lambda s, x: s + x)
+    far = lambda pairs: pairs.join(ask, "qid").join(rows, "id").select("qid", "id", d.alias("dist"))
+    first = far(ask.select("qid").crossJoin(F.broadcast(entry.select("id"))))  # a few rows
+    seen = arrow.stage(first.withColumn("opened", F.lit(False)), "beam")
+    best = Window.partitionBy("qid").orderBy("dist", "id")
+    while True:
+        beam = seen.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= max(explore, k))
+        front = arrow.stage(beam.filter(~F.col("opened")).select("qid", "id"), "frontier")
+        if front.isEmpty():
+            out = beam.filter(F.col("rank") <= k).select("qid", "rank", "id", "dist")
+            return out
+        opened = frames.decode_lists(lists.join(front.select(F.col("id").alias("k")).distinct(), "k", "left_semi"))
+        met = front.join(opened.select(F.col("k").alias("id"), F.col("id").alias("to")), "id").select("qid", F.col("to").alias("id")).distinct()
+        new = far(met.join(seen.select("qid", "id"), ["qid", "id"], "left_anti")).withColumn("opened", F.lit(False))
+        done = seen.join(front.withColumn("now", F.lit(True)), ["qid", "id"], "left").select("qid", "id", "dist", (F.col("opened") | F.coalesce("now", F.lit(False))).alias("opened"))
+        seen = arrow.stage(done.union(new), "beam")
+
+
 def _opened(t: pa.Table, ids: np.ndarray) -> list[list[int]]:
     """Out-neighbours of a shard's rows, all lists decoded in lockstep."""
     n, payload, codec, universe = (t[c].to_pylist() for c in ("n", "payload", "codec", "universe"))

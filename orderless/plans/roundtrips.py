@@ -222,6 +222,18 @@ Q["lists_united"] = lists_united
 SQL["lists_united"] = f"WITH l AS ({tables.lists_sql('supplier_order')}) SELECT k, id FROM l UNION SELECT k - 1, id FROM l"
 
 
+def _appended(codec: str, segment: int | None, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Users' events in two deliveries: the second goes onto the compressed lists of the first."""
+    df = tables.id_lists(spark, sf_dir, "user_event")
+    u = tables.universe(df)
+    first = frames.encode_lists(df.filter("id % 3 > 0"), "k", "id", codec, u, segment)
+    return frames.decode_lists(frames.append(first, df.filter("id % 3 = 0"), "k", "id", codec, u, segment))
+
+
+for _q, _args in {"lists_appended_ef": ("ef", None), "lists_appended_roc_segmented": ("roc", 8)}.items():
+    Q[_q], SQL[_q] = partial(_appended, *_args), tables.lists_sql("user_event")
+
+
 def roundtrip_codes_1024(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Symbols of 10 bits (part numbers modulo 1,024) by supplier, coded under running counts and back."""
     df = tables.table(spark, sf_dir, "lineitem", ["l_suppkey", "l_orderkey", "l_partkey"])

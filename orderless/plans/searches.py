@@ -273,6 +273,19 @@ def graph_search(spark: SparkSession, sf_dir: str) -> DataFrame:
 Q["graph_search"] = graph_search
 
 
+def graph_search_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Beam search over one graph by joins of frontiers, beside the search within tasks: recall of both."""
+    db = vectors(spark, sf_dir)
+    truth, u = search.exact(batch(db), db, NEAREST), tables.universe(db)
+    lists = arrow.stage(graph.friends(graph.build(db, 16), "roc", u), "lists")
+    joined = graph.find_by_join(batch(db), db, lists, db.orderBy("id").limit(4), NEAREST, 32)
+    out = search.recall(joined, truth).select(F.lit("joins").alias("by"), "recall")
+    return out.union(search.recall(graph.find(batch(db), db, lists, NEAREST, 32), truth).select(F.lit("tasks"), "recall"))
+
+
+Q["graph_search_join"] = graph_search_join
+
+
 def graph_offline(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bits per edge of whole graphs: edge coding beside the reference-list baseline in both its forms, closed forms, and the share of 32-bit words."""
     db, out = vectors(spark, sf_dir), None

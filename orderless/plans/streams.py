@@ -84,7 +84,7 @@ SELECT min(ts)::TIMESTAMP AS start, user_id, count(DISTINCT event_id) AS n FROM
 
 
 def stream_growing_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sealed Elias-Fano segments of users' lists, decoded; needs the RocksDB state store, set for the query alone."""
+    """Sealed Elias-Fano segments of users' lists, decoded, without the open tails (stream_whole_lists has both); needs the RocksDB state store, set for the query alone."""
     key = "spark.sql.streaming.stateStore.providerClass"
     had = spark.conf.get(key, None)
     spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
@@ -113,4 +113,3 @@ def stream_whole_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 Q["stream_whole_lists"], SQL["stream_whole_lists"] = stream_whole_lists, "SELECT user_id, event_id FROM events"
 
-Q["stream_growing_lists"] = stream_growing_lists

@@ -11,7 +11,7 @@ from orderless.plans import catalog, searches
 from orderless.sources import store, tables
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"graph_search", "graph_offline", "pq_recall", "ivf_bits_table", "ivf_bits_events", "index_size", "centroid_graph_recall"}
+SLOW = {"graph_search", "graph_offline", "pq_recall", "ivf_bits_table", "ivf_bits_events", "index_size", "centroid_graph_recall", "graph_search_join"}
 SLOW |= {f"pq_search_{m}_{store}" for m in (4, 16) for store in ("packed", "ef", "wt")}
 
 

@@ -118,6 +118,15 @@ def test_shards_of_a_graph_are_bounded(spark, sf, monkeypatch):
     assert search.recall(graph.find(q, db, graph.friends(edges, "ef", 500), 5, 24), search.exact(q, db, 5)).first().recall > 0.9
 
 
+def test_search_by_frontiers(spark, sf):
+    """Joins of frontiers find what a search within a task finds, or more; the plan decodes lists of opened rows only."""
+    db, q = searches.vectors(spark, sf), searches.batch(searches.vectors(spark, sf)).limit(12)
+    lists, truth = graph.friends(graph.build(db, 16), "ef", 500).cache(), search.exact(q, db, 5)
+    got = graph.find_by_join(q, db, lists, db.orderBy("id").limit(2), 5, 24).cache()
+    assert search.recall(got, truth).first().recall > 0.9
+    assert got.groupBy("qid").count().filter("count <> 5").isEmpty()
+
+
 def test_shards_of_edges_lose_little(spark, sf):
     """Several streams that know their sources' ranges take not much more than one, though each of 600 edges learns its urn anew."""
     edges, n = tables.graph(spark, sf, "part_supplier")
