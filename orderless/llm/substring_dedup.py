@@ -43,6 +43,8 @@ FLUSH = 400_000
 HOT = 1024
 #: Bytes of text per bucket of anchors.
 BUCKET_BYTES = 64 << 20
+#: Bytes of a text whose windows are hashed at a time.
+PART = 1 << 22
 #: Bits kept of a span's hash, beside the 64 of its anchor's.
 SPAN_BITS = 48
 _MOST = np.uint64(0xFFFFFFFFFFFFFFFF)
@@ -84,6 +86,22 @@ def anchors(data: np.ndarray, off: np.ndarray, seed: int = 0, bits: int = SPAN_B
     return {"row": row, "at": at - off[row], "back": at - lo, "ahead": at - hi, "h": common.mix(g[at] + np.uint64(common.BASE)), "x": x & np.uint64((1 << bits) - 1)}
 
 
+def anchors_in_parts(data: np.ndarray, off: np.ndarray, seed: int = 0, bits: int = SPAN_BITS, part: int = PART) -> dict[str, np.ndarray]:
+    """`anchors`, of a text longer than a part by the parts that its windows begin in, so that memory doesn't grow with a text.
+
+    An anchor whose windows begin in two parts gives two spans; these differ from an undivided one, so they are looked at closely.
+    """
+    if len(data) <= part:
+        return anchors(data, off, seed, bits)
+    some = []
+    for row, (a, b) in enumerate(zip(off[:-1].tolist(), off[1:].tolist(), strict=True)):
+        for lo in range(a, max(a + 1, b - WINDOW + 1), part):
+            piece = data[lo : min(b, lo + part + WINDOW - 1)]
+            got = anchors(piece, np.array([0, len(piece)]), seed, bits)
+            some.append(got | {"row": got["row"] + row, "at": got["at"] + lo - a})
+    return {k: np.concatenate([x[k] for x in some]) for k in some[0]}
+
+
 def same_bytes(data: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray) -> np.ndarray:
     """Whether the `size` bytes (at most a span's) at a and at b agree."""
     out = np.zeros(len(a), bool)
@@ -200,7 +218,7 @@ def deal(buckets: int, seed: int = 0, bits: int = SPAN_BITS):
         for whole in batches:
             for b in common.slices(whole, 2):
                 data, off = common.raw(b.column(2))
-                a = anchors(data, off, seed, bits)
+                a = anchors_in_parts(data, off, seed, bits)
                 a["base"] = off[a["row"]] + size
                 a["doc"] = a.pop("row") + docs
                 held.append(a)

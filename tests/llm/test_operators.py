@@ -68,6 +68,16 @@ def test_exact_dedup_brute(spark, sf):
             assert got[d].text_sha256 == hashlib.sha256(text.encode()).hexdigest()
 
 
+def test_exact_dedup_of_blank_runs(spark):
+    """Runs of white space longer than what a round normalises, before, between and after words; texts that differ late."""
+    r = random.Random(9)
+    run = lambda: "".join(r.choice(" \t\n\r\x0b\x0c") for _ in range(r.choice((0, 1, 2, 40))))
+    rows = [(i, "".join(run() + r.choice(("ab", "é", "c")) for _ in range(r.randrange(6))) + run()) for i in range(500)]
+    got = exact_dedup.exact_groups(spark.createDataFrame(rows, "doc_id long, text string"), first=3, widen=2).collect()
+    want = {d: (min(ids), len(ids)) for ids in by_text(rows).values() for d in ids}
+    assert {x.p0: (x.keep_key, x.group_size) for x in got} == want and len(want) > len(set(want.values())) > 20
+
+
 def test_exact_dedup_odd(spark):
     df = clashing(odd_documents(spark))
     got = exact_dedup.exact_groups(df, first=4, widen=4).collect()
@@ -199,6 +209,22 @@ def test_passages_survive_collisions():
     assert want[0].tolist() == [5, 6, 7, 8, 9]
 
 
+def test_anchors_of_long_texts_in_parts():
+    """Every window has the anchor it has in the undivided text, whatever the parts."""
+    r = np.random.default_rng(7)
+    texts = [bytes(r.integers(97, 100, n, dtype=np.uint8)) for n in (0, 49, 50, 51, 700, 333)]
+    off = np.r_[0, np.cumsum([len(t) for t in texts])]
+    data = np.frombuffer(b"".join(texts), np.uint8)
+
+    def windows(a):
+        return sorted((row, at - d, at, h) for row, at, back, ahead, h in zip(*(a[k].tolist() for k in ("row", "at", "back", "ahead", "h")), strict=True) for d in range(ahead, back + 1))
+
+    want = windows(substring_dedup.anchors(data, off))
+    assert len(want) == sum(max(0, len(t) - 49) for t in texts)
+    for part in (1, 31, 64, 500):
+        assert windows(substring_dedup.anchors_in_parts(data, off, part=part)) == want
+
+
 def test_merge_sort_of_suffixes():
     r = np.random.default_rng(5)
     for n in (1, 2, 3, 7, 33, 100):
