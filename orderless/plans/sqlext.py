@@ -46,8 +46,12 @@ def ids_count(data: pa.Array) -> pa.Array:
 def ids_get(data: pa.Array, off: pa.Array) -> pa.Array:
     out = []
     for d, o in zip(data.to_pylist(), off.to_pylist(), strict=True):
-        ids = _decode(d) if d is not None else []
-        out.append(int(ids[o]) if o is not None and 0 <= o < len(ids) else None)
+        if d is None or o is None:
+            out.append(None)
+            continue
+        n, universe = np.frombuffer(d, "<i8", 2).tolist()
+        cut = 17 + d[16]
+        out.append(int(listcodecs.get_many(listcodecs.codec(d[17:cut].decode(), universe), d[cut:], n, np.array([o]))[0]) if 0 <= o < n else None)
     return pa.array(out, pa.int64())
 
 
