@@ -173,8 +173,17 @@ class RandomOrder:
         return setcodec.decode_sets(payload, np.asarray(size), self.universe)
 
 
+#: Ids of a list that an exact state takes: its work grows with the square of the length. Longer lists go in segments.
+EXACT_IDS = 1 << 17
+
+
+def _within(sizes: np.ndarray) -> None:
+    if len(sizes) and int(sizes.max()) > EXACT_IDS:
+        raise ValueError(f"a list of {int(sizes.max())} ids is too long for an exact state; cut it by segment_bits, or take roc")
+
+
 class ExactRandomOrder:
-    """Random-order coding on exact states: no word to fill, so short lists lose nothing. Scalar."""
+    """Random-order coding on exact states: no word to fill, so short lists lose nothing. Scalar; lists of up to `EXACT_IDS` ids."""
 
     name = "roc_exact"
 
@@ -182,6 +191,7 @@ class ExactRandomOrder:
         self.universe, self.distinct, self.model = universe, distinct, model
 
     def encode(self, flat: np.ndarray, at: np.ndarray) -> tuple[list[bytes], np.ndarray]:
+        _within(np.diff(at))
         out, bits = [], []
         for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
             state = setcodec.ExactState(0)
@@ -206,6 +216,7 @@ class BucketedRandomOrder:
         self.universe, self.shift = universe, max(0, width_of(universe) - (buckets - 1).bit_length())
 
     def encode(self, flat: np.ndarray, at: np.ndarray) -> tuple[list[bytes], np.ndarray]:
+        _within(np.diff(at))
         out, bits = [], []
         for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
             state = setcodec.ExactState(0)

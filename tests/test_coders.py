@@ -80,6 +80,13 @@ def test_codecs_at_the_edges(universe, name):
     assert (c.decode(payload, np.diff(at)) == flat).all()
 
 
+def test_exact_states_say_what_is_too_long():
+    ids = np.arange((1 << 17) + 1)
+    for name in ("roc_exact", "roc_buckets"):
+        with pytest.raises(ValueError, match="segment_bits"):
+            codec(name, 1 << 20).encode(ids, np.array([0, len(ids)]))
+
+
 def test_lockstep_equals_scalar():
     r = random.Random(0)
     for universe in (10**6, 10**9):
