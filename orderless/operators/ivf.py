@@ -10,9 +10,12 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.dataset as ds
+import pyarrow.parquet as pq
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions import listcodecs
 from ..sources import store
 from . import arrow, frames, graph, quantizers, search, wavelet
 
@@ -242,14 +245,66 @@ def save(ix: Ivf, path: str, buckets: int = 16) -> None:
 META = "codec string, universe long, shard_bits int, buckets int, scorer string, shape array<int>, centroids array<double>, book_shape array<int>, books array<double>"
 
 
+def _scorer(kind: str, shape: list[int], books: list[float]):
+    if kind.startswith("flat:"):
+        return search.Flat(kind[5:])
+    return {c.__name__: c for c in (quantizers.ProductQuantizer, quantizers.ResidualQuantizer)}[kind](np.array(books).reshape(shape))
+
+
 def load(spark: SparkSession, path: str) -> Ivf:
     """The index that save wrote; codes and ids are read when a search asks for them."""
     m = spark.read.schema(META).parquet(f"{path}/meta").first()
-    if m.scorer.startswith("flat:"):
-        scorer = search.Flat(m.scorer[5:])
-    else:
-        scorer = {c.__name__: c for c in (quantizers.ProductQuantizer, quantizers.ResidualQuantizer)}[m.scorer](np.array(m.books).reshape(m.book_shape))
+    scorer = _scorer(m.scorer, m.book_shape, m.books)
     coded = m.codec in ("wt", "wt1")
     lists = None if coded else store.open_index(spark, f"{path}/lists", buckets=m.buckets)
     tree = spark.read.parquet(f"{path}/tree") if coded else None
     return Ivf(np.array(m.centroids).reshape(m.shape), spark.read.parquet(f"{path}/codes").drop("bucket"), lists, tree, m.universe, m.codec, scorer, m.shard_bits)
+
+
+class OpenIvf:
+    """A saved index as one task opens it, from a folder that every executor can open: models at once, clusters and id lists as they are asked for."""
+
+    #: Clusters that are kept once they are read.
+    KEPT = 64
+
+    def __init__(self, path: str):
+        self.path = path.removeprefix("file://")
+        m = pq.read_table(f"{self.path}/meta").to_pylist()[0]
+        if m["codec"] in ("wt", "wt1"):
+            raise wavelet.UnsupportedError("a task opens lists, not trees; search trees by ivf.find")
+        self.centroids, self.scorer = np.array(m["centroids"]).reshape(m["shape"]), _scorer(m["scorer"], m["book_shape"], m["books"])
+        self.kept: dict[int, tuple] = {}
+
+    def _read(self, folder: str, k: int, columns: list[str]) -> pa.Table:
+        return ds.dataset(f"{self.path}/{folder}", format="parquet", partitioning="hive").to_table(columns=columns, filter=ds.field("k") == k).combine_chunks()
+
+    def cluster(self, k: int) -> tuple:
+        """Rows of a cluster in order of their places, and its id lists."""
+        if k not in self.kept:
+            if len(self.kept) >= self.KEPT:
+                self.kept.pop(next(iter(self.kept)))
+            t = self._read("codes", k, ["off", self.scorer.column]).sort_by("off").combine_chunks()
+            lists = self._read("lists", k, ["seg", "n", "lo", "universe", "codec", "payload"]).sort_by("seg").to_pylist()
+            self.kept[k] = (self.scorer.rows(t[self.scorer.column].chunk(0)) if t.num_rows else None, lists)
+        return self.kept[k]
+
+    def _ids(self, lists: list[dict], off: np.ndarray) -> np.ndarray:
+        out, first = np.zeros(len(off), np.int64), 0
+        for x in lists:
+            mine = np.flatnonzero((off >= first) & (off < first + x["n"]))
+            if len(mine):
+                out[mine] = listcodecs.get_many(listcodecs.codec(x["codec"], x["universe"]), x["payload"], x["n"], off[mine] - first) + x["lo"]
+            first += x["n"]
+        return out
+
+    def search(self, q: np.ndarray, k: int, nprobe: int) -> list[tuple[int, int, float]]:
+        """rank, id, dist of one query."""
+        found = []
+        for c in probe(q[None], self.centroids, nprobe)[0].tolist():
+            rows, lists = self.cluster(c)
+            if rows is not None:
+                dist = self.scorer.distances(q[None], rows)
+                _, off = search.best(dist, np.arange(len(rows)), k)
+                found += [(float(dist[0, o]), c, int(o), lists) for o in off.tolist()]
+        found = sorted(found, key=lambda f: f[:3])[:k]
+        return [(rank, int(self._ids(lists, np.array([o]))[0]), d) for rank, (d, _, o, lists) in enumerate(found, 1)]

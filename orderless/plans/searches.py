@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from ..functions import measures
 from ..operators import arrow, codecodec, edgecodec, frames, graph, ivf, quantizers, reflist, search, wavelet
 from ..sources import tables
+from . import sqlext
 
 Q: dict = {}
 SQL: dict[str, str] = {}
@@ -111,7 +112,17 @@ def ivf_search_centroid_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _told(ivf.find_by_join(batch(db), ivf.build(db, first_rows(db, CLUSTERS), "roc"), NEAREST, PROBES, 64))
 
 
-for _f in (ivf_search_join, ivf_search_centroid_graph):
+def sql_ivf_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same search as a table function over a saved index."""
+    db = vectors(spark, sf_dir)
+    path = arrow.fresh(spark, "index")
+    ivf.save(ivf.build(db, first_rows(db, CLUSTERS), "ef"), path)
+    sqlext.register(spark)
+    batch(db).createOrReplaceTempView("query_vectors")
+    return _told(spark.sql(f"SELECT * FROM ivf_search(TABLE(SELECT qid, qvec FROM query_vectors), '{path}', {NEAREST}, {PROBES})"))
+
+
+for _f in (ivf_search_join, ivf_search_centroid_graph, sql_ivf_search):
     Q[_f.__name__], SQL[_f.__name__] = _f, SQL["ivf_search_deferred_roc"]
 
 

@@ -5,13 +5,13 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import SparkSession
+from pyspark.sql import Row, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.functions import udtf
 
 from ..functions import listcodecs
-from ..operators import arrow
+from ..operators import arrow, ivf
 
 
 def _encode(ids: list[int], universe: int, codec: str) -> bytes:
@@ -72,9 +72,24 @@ class IdsUnnest:
             yield (i,)
 
 
+@udtf(returnType="qid bigint, rank int, id bigint, dist double")
+class IvfSearch:
+    """ivf_search(TABLE(queries), path, k, nprobe): queries have qid and qvec, path leads to a saved index; each task opens what its queries probe."""
+
+    def __init__(self):
+        self.index = None
+
+    def eval(self, row: Row, path: str, k: int, nprobe: int):
+        if self.index is None:
+            self.index = ivf.OpenIvf(path)
+        for rank, id, dist in self.index.search(np.array(row["qvec"], np.float64), k, nprobe):
+            yield row["qid"], rank, id, dist
+
+
 def register(spark: SparkSession) -> None:
-    """ids_encode(ids, universe, codec), ids_decode, ids_count, ids_get, ids_contains; aggregate ids_encode_agg(id, universe); table function ids_unnest."""
+    """ids_encode(ids, universe, codec), ids_decode, ids_count, ids_get, ids_contains; aggregate ids_encode_agg(id, universe); table functions ids_unnest, ivf_search."""
     arrow.importable(spark)
     for name, f in (("ids_encode", ids_encode), ("ids_decode", ids_decode), ("ids_count", ids_count), ("ids_get", ids_get), ("ids_contains", ids_contains), ("ids_encode_agg", ids_encode_agg)):
         spark.udf.register(name, f)
     spark.udtf.register("ids_unnest", IdsUnnest)
+    spark.udtf.register("ivf_search", IvfSearch)
