@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, exact_dedup, fingerprints, license_texts, licenses, near_dedup, packing, pii, quality, secrets, substring_dedup
+from . import byte_bpe, exact_dedup, fingerprints, license_texts, near_dedup, packing, pii, quality, secrets, substring_dedup
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -20,7 +20,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_best_fit_packing": packing.query,
         "op2_fingerprints": fingerprints.query,
         "op3_suffix_array": substring_dedup.query,
-        "op4_license_scan": licenses.query,
         "op4_license_texts": license_texts.query,
         "op5_pii": pii.query,
         "op6_exact_dedup": exact_dedup.query,
@@ -33,4 +32,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_license_scan": licenses.SQL, "op4_license_texts": license_texts.sql(), "op6_exact_dedup": exact_dedup.SQL}
+    return {"op4_license_texts": license_texts.sql(), "op6_exact_dedup": exact_dedup.SQL}

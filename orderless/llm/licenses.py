@@ -1,6 +1,6 @@
-"""License scans: TF-IDF cosine of notice lines to templates, then inheritance from the nearest directory with a licence file.
+"""License scans line by line: TF-IDF cosine of notice lines to templates, then inheritance from the nearest directory with a licence file.
 
-All in built-in functions. Every line of every text that holds a trigger word is a candidate. Terms are weighted by
+The smaller form of the scan, for tables of short notices; `license_texts` does the whole job and is the one that is registered. All in built-in functions. Every line of every text that holds a trigger word is a candidate. Terms are weighted by
 inverse document frequencies counted over all documents; a line's vector holds all its terms, those outside the templates
 with the weight of a term never seen. A line's similarity is its best cosine over the templates. A document that is
 mostly notice is a licence file and speaks for its directory; a document without a notice of its own takes the licence

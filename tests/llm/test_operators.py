@@ -11,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from orderless.llm import byte_bpe, catalog, common, exact_dedup, fingerprints, licenses, near_dedup, packing, pii, quality, secrets, substring_dedup
+from orderless.llm import byte_bpe, catalog, common, exact_dedup, fingerprints, license_texts, licenses, near_dedup, packing, pii, quality, secrets, substring_dedup
 
 tokenizers = pytest.importorskip("public_tokenizers")
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
@@ -556,7 +556,7 @@ def test_changed_sections(spark):
 
 
 def test_native_plans_hold_no_python(spark, sf):
-    for q in (fingerprints.query, licenses.query):
+    for q in (fingerprints.query, licenses.query, license_texts.query):
         plan = q(spark, sf)._jdf.queryExecution().executedPlan().toString()
         assert not re.search("Python|Pandas|Arrow", plan)
 
@@ -573,18 +573,23 @@ def test_licences_inherit(spark):
     assert licenses.license_scan(spark.createDataFrame([], "doc_id long, text string"), F.lit("a/b")).count() == 0
 
 
-@pytest.mark.parametrize("name", ["op4_license_scan", "op6_exact_dedup"])
-def test_oracle(spark, sf, name):
+@pytest.mark.parametrize("query", [licenses, exact_dedup])
+def test_oracle(spark, sf, query):
     import duckdb
 
     c = duckdb.connect()
     c.execute(f"CREATE VIEW documents AS SELECT * FROM '{sf}/documents.parquet'")
-    df = catalog.queries()[name](spark, sf)
-    r = c.sql(catalog.oracle_sql()[name])
+    df = query.query(spark, sf)
+    r = c.sql(query.SQL)
     at = [r.columns.index(x) for x in df.columns]
     assert sorted(map(repr, map(tuple, df.collect()))) == sorted(repr(tuple(x[i] for i in at)) for x in r.fetchall())
 
 
+def test_one_query_an_operator():
+    names = [n for n in catalog.queries() if n.startswith("op")]
+    assert sorted(int(n[2:].split("_")[0]) for n in names) == list(range(1, 11)) and "pipeline" in catalog.queries()
+
+
 # quality
 
 
