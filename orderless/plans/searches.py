@@ -393,6 +393,27 @@ def pq_code_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
 Q["pq_code_bits"] = pq_code_bits
 
 
+#: Added to every coordinate; the coordinates of the given vectors deviate by 0.125.
+SHIFTS = (0.0, 0.0625, 0.125, 0.25, 0.5)
+
+
+def shifted_code_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bits a product code of vectors that have moved away from those its codebooks come from, under running counts."""
+    db = vectors(spark, sf_dir)
+    moved = db.select("id", F.explode(F.array(*map(F.lit, SHIFTS))).alias("shift"), "vec")
+    moved = moved.withColumn("vec", F.transform(F.col("vec").cast("array<double>"), lambda x: x + F.col("shift")))
+    long = quantizers.encode(moved, _fixed_pq(db)).select("shift", F.posexplode("code").alias("sub", "code"))
+    bits = measures.adaptive_code_bits(long, ["shift", "sub"], "code", 1 << BITS)
+    return bits.groupBy("shift").agg(F.sum("n").cast("long").alias("codes"), F.round(F.sum("bits") / F.sum("n"), 4).alias("bits_per_code"))
+
+
+Q["shifted_code_bits"] = shifted_code_bits
+SQL["shifted_code_bits"] = f"""WITH {_PQ}, w AS (SELECT id, shift, sub, list_transform(y, lambda z: z + shift) AS y FROM s, (SELECT CAST(unnest([{", ".join(map(str, SHIFTS))}]) AS DOUBLE) AS shift)),
+e AS (SELECT w.id, w.shift, w.sub, arg_min(b.id, list_distance(w.y, b.y)) AS code FROM w JOIN s b ON b.sub = w.sub AND b.id < {1 << BITS} GROUP BY w.id, w.shift, w.sub),
+c AS (SELECT shift, sub, code, count(*) AS c FROM e GROUP BY ALL), g AS (SELECT shift, sub, sum(c) AS n, sum(lgamma(c + 1)) AS lf FROM c GROUP BY shift, sub)
+SELECT shift, CAST(sum(n) AS BIGINT) AS codes, round(sum(lgamma({1 << BITS} + n) - lgamma({1 << BITS}) - lf) / ln(2) / sum(n), 4) AS bits_per_code FROM g GROUP BY shift"""
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """An index with random-order coded ids, searched with ids resolved for the winners only."""
     db = vectors(spark, sf_dir)
