@@ -17,6 +17,8 @@ from . import arrow
 
 #: Bytes of queries broadcast at once, at most.
 BLOCK_BYTES = 32 << 20
+#: Distances of an exact search computed at a time, and answers a task of it holds, at most.
+CELLS = 1 << 21
 
 
 class Scorer:
@@ -79,6 +81,38 @@ def best(dist: np.ndarray, tie: np.ndarray, k: int) -> tuple[np.ndarray, np.ndar
     return row[place < k], col[place < k]
 
 
+def _merged(found: list[tuple[np.ndarray, np.ndarray, np.ndarray]], k: int) -> tuple[np.ndarray, ...]:
+    """The k least of each query among (query number, id, distance), ties by id."""
+    row, tie, dist = (np.concatenate(x) for x in zip(*found, strict=True))
+    order = np.lexsort((tie, dist, row))
+    row = row[order]
+    keep = np.arange(len(row)) - np.searchsorted(row, row) < k
+    order = order[keep]
+    return row[keep], tie[order], dist[order]
+
+
+def nearest_of(q: tuple[np.ndarray, np.ndarray], batches: Iterator[pa.RecordBatch], k: int, scorer: Scorer) -> Iterator[pa.RecordBatch]:
+    """qid, id, dist: a task's own best k per query, told once it has seen its rows; distances are computed in tiles of `CELLS`."""
+    ids, mat = q
+    none = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+    told = lambda x: pa.RecordBatch.from_arrays([pa.array(ids[x[0]]), pa.array(x[1]), pa.array(x[2])], ["qid", "id", "dist"])
+    kept = none
+    for b in batches:
+        for lo in range(0, b.num_rows, 4096):
+            part = b.slice(lo, 4096)
+            tie, rows = part.column(0).to_numpy(), scorer.rows(part.column(1))
+            step, found = max(1, CELLS // len(tie)), [kept]
+            for at in range(0, len(ids), step):
+                dist = scorer.distances(mat[at : at + step], rows)
+                row, col = best(dist, tie, k)
+                found.append((row + at, tie[col], dist[row, col]))
+            kept = _merged(found, k)
+            if len(kept[0]) > CELLS:  # many answers to many queries: the ranking sorts them out
+                yield told(kept)
+                kept = none
+    yield told(kept)
+
+
 def ranked(rows: DataFrame, k: int, tie: list[str]) -> DataFrame:
     """The k least distances per query with their rank from 1."""
     w = Window.partitionBy("qid").orderBy("dist", *tie)
@@ -93,14 +127,7 @@ def exact(q: DataFrame, db: DataFrame, k: int, metric: str = "l2") -> DataFrame:
         held = spark.sparkContext.broadcast((qid, qmat))
 
         def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
-            ids, mat = held.value
-            for b in batches:
-                for lo in range(0, b.num_rows, 4096):
-                    part = b.slice(lo, 4096)
-                    tie = part.column(0).to_numpy()
-                    dist = scorer.distances(mat, scorer.rows(part.column(1)))
-                    row, col = best(dist, tie, k)
-                    yield pa.RecordBatch.from_arrays([pa.array(ids[row]), pa.array(tie[col]), pa.array(dist[row, col])], ["qid", "id", "dist"])
+            yield from nearest_of(held.value, batches, k, scorer)
 
         got = db.select(F.col("id").cast("long").alias("id"), "vec").mapInArrow(run, "qid long, id long, dist double")
         out = got if out is None else out.union(got)
