@@ -67,6 +67,7 @@ def _tree(name: str, kind: str, spark: SparkSession, sf_dir: str) -> tuple[DataF
 def _select(name: str, kind: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every (cluster, offset) resolved to its id."""
     df, ix = _tree(name, kind, spark, sf_dir)
+    ix = arrow.stage(ix, "tree")  # built once, read for its directory and for its bits
     return wavelet.select(ix, ops.with_offsets(df, "k", "id").select("k", "off"), SHARD_BITS)
 
 
@@ -186,7 +187,7 @@ for _codec in ("raw", "packed", "ef", "ef_dir", "roc"):
 def _next_geq(codec: str, segment: int | None, spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each user's first event from some numbers on: before all, within, and beyond all of them."""
     df = tables.id_lists(spark, sf_dir, "user_event")
-    enc = frames.encode_lists(df, "k", "id", codec, tables.universe(df), segment)
+    enc = arrow.stage(frames.encode_lists(df, "k", "id", codec, tables.universe(df), segment), "lists")  # coded once, read three times
     asked = df.select("k").distinct().select(F.col("k"), F.explode(F.array(*[F.lit(v).cast("long") for v in VALUES])).alias("value"))
     return frames.next_geq(enc, asked)
 
