@@ -8,6 +8,11 @@ drawn from its range alone, which gives back what the shards' separate orders of
 
 from __future__ import annotations
 
+import bisect
+import math
+from array import array
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -50,40 +55,6 @@ def _take(state, model) -> int:
     return symbol
 
 
-class RangedUrn(Urn):
-    """An urn that keeps count of the weight under and within a range of vertices."""
-
-    def __init__(self, size: int, bias: int, lo: int, hi: int):
-        super().__init__(size, bias)
-        self.lo, self.hi, self.low, self.inside = lo, hi, lo * bias, (hi - lo) * bias
-
-    def add(self, symbol: int, by: int = 1) -> None:
-        super().add(symbol, by)
-        if symbol < self.lo:
-            self.low += by
-        elif symbol < self.hi:
-            self.inside += by
-
-
-class InRange:
-    """The vertices of the range as a model of their own."""
-
-    def __init__(self, urn: RangedUrn):
-        self.urn = urn
-
-    @property
-    def total(self) -> int:
-        return self.urn.inside
-
-    def span(self, symbol: int) -> tuple[int, int]:
-        start, freq = self.urn.span(symbol)
-        return start - self.urn.low, freq
-
-    def find(self, slot: int) -> tuple[int, int, int]:
-        symbol, start, freq = self.urn.find(slot + self.urn.low)
-        return symbol, start - self.urn.low, freq
-
-
 class _Left:
     """Sorted items still to be coded; equal ones (parallel edges) are drawn as one value with their number as weight."""
 
@@ -113,48 +84,194 @@ def _keep(state, got: SortedRanks, item, above) -> None:
     _put(state, start, got.rank(above) - start, got.size)
 
 
-def _models(vertices: int, bias: int, sources: tuple[int, int] | None):
-    """The urn of all vertices, and the model of sources."""
-    if sources is None or sources == (0, vertices):
-        urn = Urn(vertices, bias)
-        return urn, urn
-    urn = RangedUrn(vertices, bias, *sources)
-    return urn, InRange(urn)
+#: Numbers above which a list is held as machine words instead of Python's own.
+PLAIN = 1 << 22
+
+
+def _cells(a: np.ndarray):
+    """Numbers to be read and changed one at a time: a list is faster, a view of the array smaller."""
+    return a.tolist() if len(a) <= PLAIN else memoryview(a)
+
+
+def _ones(n: int):
+    """A Fenwick tree of n places that hold one each."""
+    i = np.arange(n + 1, dtype=np.int32 if n < 1 << 31 else np.int64)
+    return _cells(i & -i)
+
+
+def _tree(count: np.ndarray):
+    """A Fenwick tree of counts."""
+    n = len(count)
+    total, i = np.r_[0, np.cumsum(count)], np.arange(n + 1)
+    return _cells(total - total[i - (i & -i)])
+
+
+def _keys(edges, vertices: int, directed: bool) -> np.ndarray:
+    """Edges as sorted numbers, the source's place times the vertices plus the other end."""
+    a = np.asarray(edges, np.int64).reshape(-1, 2)
+    src, dst = (a[:, 0], a[:, 1]) if directed else (a.min(1), a.max(1))
+    return np.sort(src * vertices + dst)
 
 
 def encode_edges(state, edges: list[tuple[int, int]], vertices: int, bias: int = 1, directed: bool = True, model: str = "urn", sources: tuple[int, int] | None = None) -> None:
     """sources, a range that holds every source, is known to the decoder (directed edges only)."""
-    pairs = sorted(edges if directed else [(min(e), max(e)) for e in edges])
-    urn, some = _models(vertices, bias, sources)
-    if model == "urn":
-        for e in pairs:
-            urn.add(e[0])
-            urn.add(e[1])
-    rest = _Left(pairs)
-    for left in range(len(pairs), 0, -1):
-        src, dst = rest.draw(state, left)
-        if not directed and src != dst and state.pop_uniform(2):
-            src, dst = dst, src
-        for v, m in ((dst, urn), (src, some)):  # the decoder reads the source first
-            if model == "urn":
-                urn.add(v, -1)
-            _put(state, *m.span(v), m.total)
+    encode_keys(state, _keys(edges, vertices, directed), vertices, bias, directed, model, sources)
+
+
+def encode_keys(state, keys: np.ndarray, vertices: int, bias: int = 1, directed: bool = True, model: str = "urn", sources: tuple[int, int] | None = None) -> None:
+    """`encode_edges` of sorted numbers src * vertices + dst; every step walks a tree once."""
+    lo, hi = sources or (0, vertices)
+    n, learns = len(keys), model == "urn"
+    src, dst = keys // vertices, keys % vertices
+    count = np.zeros(vertices, np.int64)
+    if learns:
+        count += np.bincount(src, minlength=vertices) + np.bincount(dst, minlength=vertices)
+    total, low, inside = vertices * bias + int(count.sum()), lo * bias + int(count[:lo].sum()), (hi - lo) * bias + int(count[lo:hi].sum())
+    urn, count = _tree(count), _cells(count)
+    repeats = bool((keys[1:] == keys[:-1]).any())
+    first, last = (_cells(np.searchsorted(keys, keys, side)) for side in ("left", "right")) if repeats else (None, None)
+    del src, dst
+    keys, rest, top = _cells(keys), _ones(n), 1 << max(0, n.bit_length() - 1)
+
+    def below(tree, at: int) -> int:
+        out = 0
+        while at:
+            out += tree[at]
+            at &= at - 1
+        return out
+
+    for left in range(n, 0, -1):
+        slot = left_slot = _slot(state, left)
+        if repeats:  # equal edges are drawn as one value with their number as weight
+            at, step = 0, top
+            while step:
+                to = at + step
+                if to <= n and rest[to] <= slot:
+                    slot -= rest[to]
+                    at = to
+                step >>= 1
+            start = below(rest, first[at])
+            _drop(state, start, below(rest, last[at]) - start, left)
+            to = at + 1
+            while to <= n:
+                rest[to] -= 1
+                to += to & -to
+        else:  # found and taken out on one way down
+            at, step = 0, top
+            while step:
+                to = at + step
+                if to <= n:
+                    share = rest[to]
+                    if share <= slot:
+                        slot -= share
+                        at = to
+                    else:
+                        rest[to] = share - 1
+                step >>= 1
+            _drop(state, left_slot, 1, left)
+        x, y = divmod(keys[at], vertices)
+        if not directed and x != y and state.pop_uniform(2):
+            x, y = y, x
+        for v, is_source in ((y, False), (x, True)):  # the decoder reads the source first
+            if learns:
+                count[v] -= 1
+                total -= 1
+                if v < lo:
+                    low -= 1
+                elif v < hi:
+                    inside -= 1
+                to = v + 1
+                while to <= vertices:
+                    urn[to] -= 1
+                    to += to & -to
+                start, to = v * bias, v
+                while to:
+                    start += urn[to]
+                    to &= to - 1
+            else:
+                start = v * bias
+            if is_source:
+                _put(state, start - low, count[v] + bias, inside)
+            else:
+                _put(state, start, count[v] + bias, total)
 
 
 def decode_edges(state, count: int, vertices: int, bias: int = 1, directed: bool = True, model: str = "urn", sources: tuple[int, int] | None = None) -> list[tuple[int, int]]:
-    (urn, some), got = _models(vertices, bias, sources), SortedRanks()
-    for _ in range(count):
+    return [(int(a), int(b)) for part in decode_parts(state, count, vertices, bias, directed, model, sources) for a, b in zip(*part, strict=True)]
+
+
+#: Edges told at a time, about.
+TOLD = 1 << 17
+
+
+def decode_parts(state, count: int, vertices: int, bias: int = 1, directed: bool = True, model: str = "urn", sources: tuple[int, int] | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Sorted edges as arrays of sources and other ends, some at a time; a source's ends stand in an array of their own."""
+    lo, hi = sources or (0, vertices)
+    learns = model == "urn"
+    total, low, inside = vertices * bias, lo * bias, (hi - lo) * bias
+    urn, seen, top = _cells(np.zeros(vertices + 1, np.int64)), _cells(np.zeros(vertices, np.int64)), 1 << max(0, vertices.bit_length() - 1)
+    ends: dict[int, array] = {}
+    width, got = hi - lo, _cells(np.zeros(hi - lo + 1, np.int64))
+    for size in range(1, count + 1):
         edge = []
-        for m in (some, urn):
-            v = _take(state, m)
-            if model == "urn":
-                urn.add(v)
+        for is_source in (True, False):
+            of, start = (inside, low) if is_source else (total, 0)
+            slot = whole = _slot(state, of) + start
+            v, step = 0, top
+            while step:
+                to = v + step
+                if to <= vertices:
+                    share = urn[to]
+                    weight = share + step * bias
+                    if weight <= slot:
+                        slot -= weight
+                        v = to
+                    elif learns:  # the places whose share holds the vertex gain it on the way down
+                        urn[to] = share + 1
+                step >>= 1
+            _drop(state, whole - slot - start, seen[v] + bias, of)
+            if learns:
+                seen[v] += 1
+                total += 1
+                if v < lo:
+                    low += 1
+                elif v < hi:
+                    inside += 1
             edge.append(v)
-        if not directed and edge[0] != edge[1]:
-            state.push_uniform(int(edge[0] > edge[1]), 2)
-            edge.sort()
-        _keep(state, got, tuple(edge), (edge[0], edge[1] + 1))
-    return list(got)
+        x, y = edge
+        if not directed and x != y:
+            state.push_uniform(int(x > y), 2)
+            if x > y:
+                x, y = y, x
+        mine = ends.get(x)
+        if mine is None:
+            mine = ends[x] = array("q")
+        at = bisect.bisect_left(mine, y)
+        same = bisect.bisect_right(mine, y, at) - at + 1
+        mine.insert(at, y)
+        start, to = at, x - lo
+        while to:
+            start += got[to]
+            to &= to - 1
+        to = x - lo + 1
+        while to <= width:
+            got[to] += 1
+            to += to & -to
+        _put(state, start, same, size)  # gives the draw back
+    some: list[int] = []
+    held = 0
+    for x in sorted(ends):
+        some.append(x)
+        held += len(ends[x])
+        if held >= TOLD:
+            yield _told(some, ends)
+            some, held = [], 0
+    if some:
+        yield _told(some, ends)
+
+
+def _told(some: list[int], ends: dict[int, array]) -> tuple[np.ndarray, np.ndarray]:
+    return np.repeat(np.array(some, np.int64), [len(ends[x]) for x in some]), np.concatenate([np.frombuffer(ends[x], np.int64) for x in some])
 
 
 def encode_hyper(state, edges: list[tuple[int, ...]], vertices: int, most: int, bias: int = 1) -> None:
@@ -197,9 +314,13 @@ SHARD_EDGES = 1 << 17
 
 
 def bounds(edges: DataFrame, vertices: int, shards: int | None) -> list[int]:
-    """First source of each shard, and the number of vertices: as many shards as asked, or as keep each near `SHARD_EDGES`."""
-    if shards is None:
-        shards = max(1, -(-edges.count() // SHARD_EDGES))
+    """First source of each shard, and the number of vertices.
+
+    One shard if one is asked. Else as many as keep each near `SHARD_EDGES`, and no fewer than asked: what a task holds and codes one after
+    the other stays the same as a graph grows.
+    """
+    if shards != 1:
+        shards = max(shards or 1, -(-edges.count() // SHARD_EDGES))
     if shards == 1:
         return [0, vertices]
     cut = edges.select(F.col("src").cast("double").alias("src")).approxQuantile("src", [k / shards for k in range(1, shards)], 1 / (20 * shards))
@@ -207,9 +328,17 @@ def bounds(edges: DataFrame, vertices: int, shards: int | None) -> list[int]:
 
 
 def _sharded(edges: DataFrame, first: list[int]) -> DataFrame:
-    """src, dst with the number of the shard whose range holds src."""
-    number = F.size(F.filter(F.array(*map(F.lit, first[1:-1])), lambda x: x <= F.col("src"))) if len(first) > 2 else F.lit(0)
-    return edges.select(number.cast("int").alias("shard"), F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"))
+    """shard, src, dst, dealt by shard: its range of sources, found among every so many bounds and then between two of these."""
+    cuts, src = first[1:-1], F.col("src").cast("long")
+    number = F.lit(0)
+    if cuts:
+        step = math.isqrt(len(cuts)) + 1
+        under = lambda a: F.size(F.filter(a, lambda x: x <= src))
+        longs = lambda some: F.array(*(F.lit(c).cast("long") for c in some))
+        at = F.greatest(under(longs(cuts[::step])) - 1, F.lit(0)) * step
+        number = at + under(F.slice(longs(cuts), at + 1, F.lit(step)))
+    rows = edges.select(number.cast("int").alias("shard"), src.alias("src"), F.col("dst").cast("long").alias("dst"))
+    return rows.repartition(len(cuts) + 1, "shard")
 
 
 def encode(edges: DataFrame, n_vertices: int, bias: int = 1, directed: bool = True, shards: int | None = None, model: str = "urn") -> DataFrame:
@@ -217,15 +346,35 @@ def encode(edges: DataFrame, n_vertices: int, bias: int = 1, directed: bool = Tr
     arrow.importable(edges.sparkSession)
     first = bounds(edges, n_vertices, shards if directed else shards or 1)
 
-    def run(key: tuple, t: pa.Table) -> pa.Table:
-        state, k = WordState(), key[0].as_py()
-        pairs = list(zip(t["src"].to_pylist(), t["dst"].to_pylist(), strict=True))
+    def blob(k: int, parts: list[np.ndarray]) -> pa.RecordBatch:
+        keys = np.concatenate(parts)
+        parts.clear()
+        if not directed:
+            keys = np.sort(keys)
+        state = WordState()
         lo, hi = (first[k], first[k + 1]) if directed else (0, n_vertices)
-        encode_edges(state, pairs, n_vertices, bias, directed, model, (lo, hi) if directed else None)
+        encode_keys(state, keys, n_vertices, bias, directed, model, (lo, hi) if directed else None)
         name = "rec" if directed else "rec_undirected"
-        return pa.Table.from_pylist([{"shard": k, "n_vertices": n_vertices, "n_edges": len(pairs), "codec": f"{name}:{model}:{bias}:{lo}:{hi}", "payload": state.to_bytes(), "bits": state.bits}], schema=_BLOB)
+        return pa.RecordBatch.from_pylist([{"shard": k, "n_vertices": n_vertices, "n_edges": len(keys), "codec": f"{name}:{model}:{bias}:{lo}:{hi}", "payload": state.to_bytes(), "bits": state.bits}], schema=_BLOB)
 
-    return _sharded(edges, first).groupBy("shard").applyInArrow(run, BLOB)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Sorted rows arrive batch by batch; of a shard, one number an edge is held."""
+        now, parts = -1, []
+        for b in batches:
+            src, dst = b.column(1).to_numpy(), b.column(2).to_numpy()
+            key = src * n_vertices + dst if directed else np.minimum(src, dst) * n_vertices + np.maximum(src, dst)
+            at = arrow.edges([b.column(0)])
+            for x, y in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+                k = b.column(0)[x].as_py()
+                if k != now and parts:
+                    yield blob(now, parts)
+                    parts = []
+                now = k
+                parts.append(key[x:y].copy())
+        if parts:
+            yield blob(now, parts)
+
+    return _sharded(edges, first).sortWithinPartitions("shard", "src", "dst").mapInArrow(run, BLOB)
 
 
 _BLOB = pa.schema([("shard", pa.int32()), ("n_vertices", pa.int64()), ("n_edges", pa.int64()), ("codec", pa.string()), ("payload", pa.binary()), ("bits", pa.int64())])
@@ -240,9 +389,8 @@ def decode(blobs: DataFrame) -> DataFrame:
             for r in b.to_pylist():
                 name, model, bias, lo, hi = r["codec"].split(":")
                 sources = (int(lo), int(hi)) if name == "rec" else None
-                got = decode_edges(WordState.from_bytes(r["payload"]), r["n_edges"], r["n_vertices"], int(bias), name == "rec", model, sources)
-                a = np.array(got, np.int64).reshape(-1, 2)
-                yield pa.RecordBatch.from_arrays([pa.array(a[:, 0]), pa.array(a[:, 1])], ["src", "dst"])
+                for src, dst in decode_parts(WordState.from_bytes(r["payload"]), r["n_edges"], r["n_vertices"], int(bias), name == "rec", model, sources):
+                    yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst)], ["src", "dst"])
 
     return blobs.mapInArrow(run, "src long, dst long")
 

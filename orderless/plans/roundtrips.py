@@ -94,6 +94,7 @@ SQL["wavelet_rank"] = f"SELECT k, id AS pos, row_number() OVER (PARTITION BY k O
 
 def _edges(name: str, directed: bool, model: str, shards: int, spark: SparkSession, sf_dir: str) -> DataFrame:
     edges, n = tables.graph(spark, sf_dir, name)
+    edges = arrow.stage(edges, "graph")  # counted, cut by quantiles and coded
     return edgecodec.decode(edgecodec.encode(edges, n, directed=directed, shards=shards, model=model))
 
 
@@ -123,6 +124,7 @@ SELECT size, least, most, total, count(*) AS edges FROM e GROUP BY ALL"""
 
 def _reflist(choice: str, entropy: str, intervals: bool, spark: SparkSession, sf_dir: str) -> DataFrame:
     edges, n = tables.graph(spark, sf_dir, "part_supplier")
+    edges = arrow.stage(edges, "graph")
     return reflist.decode(reflist.encode(edges, n, entropy=entropy, ref_choice=choice, shards=8, intervals=intervals))
 
 
