@@ -186,11 +186,11 @@ def _read_coded(payload: bytes):
     hist.ravel()[table[:, 0]] = table[:, 1]
     start = np.concatenate([np.zeros((CONTEXTS, 1), np.int64), np.cumsum(hist, 1)], 1)
     totals, state = hist.sum(1).tolist(), WordState.from_bytes(payload[8 + 8 * n : 8 + 8 * n + size])
-    whole, at = int.from_bytes(payload[8 + 8 * n + size :], "little"), 0
+    rest, at = payload[8 + 8 * n + size :], 0
 
     def raw(k: int) -> int:
         nonlocal at
-        out = whole >> at & ((1 << k) - 1) if k < 64 else 0
+        out = int.from_bytes(rest[at >> 3 : (at + k + 7) >> 3], "little") >> (at & 7) & ((1 << k) - 1) if k < 64 else 0
         at += k
         return out
 
