@@ -83,10 +83,13 @@ def placed(db: DataFrame, centroids: np.ndarray) -> DataFrame:
 
 
 def stored_ids(rows: DataFrame, codec: str, universe: int, clusters: int, shard_bits: int = 20) -> tuple[DataFrame | None, DataFrame | None]:
-    """Ids of placed rows as lists per cluster, or as a wavelet tree."""
+    """Ids of placed rows as lists per cluster, or as a wavelet tree. Lists too long for exact states are cut into ranges that can't be."""
     if codec in ("wt", "wt1"):
         return None, wavelet.build(rows, "id", "k", clusters, "flat" if codec == "wt" else "rrr", shard_bits)
-    return frames.encode_lists(rows.select("k", "id"), "k", "id", codec, universe), None
+    segment = None
+    if codec in listcodecs.EXACT and (rows.groupBy("k").count().agg(F.max("count")).first()[0] or 0) > listcodecs.EXACT_IDS:
+        segment = listcodecs.EXACT_IDS.bit_length() - 1
+    return frames.encode_lists(rows.select("k", "id"), "k", "id", codec, universe, segment), None
 
 
 def build(db: DataFrame, centroids: np.ndarray, codec: str = "roc", quantizer=None, metric: str = "l2", shard_bits: int = 20) -> Ivf:
