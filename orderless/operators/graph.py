@@ -41,13 +41,16 @@ def occlude(x: np.ndarray, i: int, candidates: np.ndarray, most: int) -> list[in
     d = squared(x[i : i + 1], x[candidates])[0]
     order = np.lexsort((candidates, d))
     cand, d = candidates[order], d[order]
-    between = squared(x[cand], x[cand])
-    taken: list[int] = []
-    for j in range(len(cand)):
-        if all(between[j, t] >= d[j] for t in taken):
-            taken.append(j)
-            if len(taken) == most:
-                break
+    rows, free = x[cand], np.ones(len(cand), bool)
+    length, taken, j = (rows * rows).sum(1), [], 0
+    while len(taken) < most:  # distances from the taken ones alone, never between all candidates
+        left = np.flatnonzero(free[j:])
+        if not len(left):
+            break
+        j += int(left[0])
+        taken.append(j)
+        free &= np.maximum(length[j] + length - 2 * (rows @ rows[j]), 0) >= d
+        j += 1
     return cand[taken].tolist()
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from functools import partial
 
 import numpy as np
@@ -265,19 +266,29 @@ SQL["knn_graph"] = f"WITH {_V}, d AS (SELECT a.id AS src, b.id AS dst, row_numbe
 DEGREES = (4, 8, 16, 32, 64)
 
 
+def _at_once(one) -> dict:
+    """one(kind, most) of every kind of graph and degree, by (kind, most). A graph of few shards is few tasks, so all are built side by side, the dearest first."""
+    keys = [(kind, most) for kind in ("monotone", "layered") for most in DEGREES]
+    with ThreadPoolExecutor(len(keys)) as pool:
+        got = {k: pool.submit(one, *k) for k in sorted(keys, key=lambda k: -k[1])}
+        return {k: got[k].result() for k in keys}
+
+
 def graph_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Beam search on pruned graphs with compressed friend lists: recall, measured bits per edge, and their share of 32-bit words."""
     db, out = vectors(spark, sf_dir), None
     truth, u = arrow.stage(search.exact(batch(db), db, NEAREST), "truth"), tables.universe(db)
-    for kind in ("monotone", "layered"):
-        for most in DEGREES:
-            edges = arrow.stage(graph.build(db, most, kind), "graph")
-            found = graph.find(batch(db), db, graph.friends(edges, "roc", u), NEAREST, 32, upper=edges if kind == "layered" else None)
-            recall = arrow.stage(search.recall(found, truth), "recall")  # one figure: the search is the same for every store
-            for codec in ("raw32", "packed", "ef", "roc"):
-                r = recall.crossJoin(frames.bits_per_id(graph.friends(edges, codec, u)).select("bits_per_id"))
-                r = r.select(F.lit(f"{kind}{most}").alias("graph"), F.lit(codec).alias("codec"), F.col("bits_per_id").alias("bits_per_edge"), F.round(F.col("bits_per_id") / 32, 4).alias("of_raw"), "recall")
-                out = r if out is None else out.union(r)
+
+    def one(kind: str, most: int) -> tuple[DataFrame, DataFrame]:
+        edges = arrow.stage(graph.build(db, most, kind), "graph")
+        found = graph.find(batch(db), db, graph.friends(edges, "roc", u), NEAREST, 32, upper=edges if kind == "layered" else None)
+        return edges, arrow.stage(search.recall(found, truth), "recall")  # one figure: the search is the same for every store
+
+    for (kind, most), (edges, recall) in _at_once(one).items():
+        for codec in ("raw32", "packed", "ef", "roc"):
+            r = recall.crossJoin(frames.bits_per_id(graph.friends(edges, codec, u)).select("bits_per_id"))
+            r = r.select(F.lit(f"{kind}{most}").alias("graph"), F.lit(codec).alias("codec"), F.col("bits_per_id").alias("bits_per_edge"), F.round(F.col("bits_per_id") / 32, 4).alias("of_raw"), "recall")
+            out = r if out is None else out.union(r)
     return out
 
 
@@ -301,10 +312,11 @@ def graph_offline(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bits per edge of whole graphs: edge coding beside the reference-list baseline in both its forms, closed forms, and the share of 32-bit words."""
     db, out = vectors(spark, sf_dir), None
     u = tables.universe(db)
-    graphs = {f"{kind}{most}": (graph.base(graph.build(db, most, kind)), u) for kind in ("monotone", "layered") for most in DEGREES}
+    built = _at_once(lambda kind, most: arrow.stage(graph.base(graph.build(db, most, kind)), "graph"))
+    graphs = {f"{kind}{most}": (edges, u) for (kind, most), edges in built.items()}
     graphs |= {name: tables.graph(spark, sf_dir, name) for name in ("part_supplier", "customer_part", "order_part")}
     for name, (edges, n) in graphs.items():
-        edges = arrow.stage(edges, "graph")
+        edges = edges if hasattr(edges, "_staged_path") else arrow.stage(edges, "graph")
         sizes = measures.list_sizes(edges, "src", "dst")
         form = measures.rec_bits(edges, n).crossJoin(sizes.agg(F.round(F.sum(measures.set_bound_col(F.col("n"), F.lit(n))) / F.sum("n"), 4).alias("set_bound")))
         form = arrow.stage(form.select(F.col("bits_per_edge").alias("closed_form"), "set_bound"), "forms")
