@@ -47,11 +47,15 @@ def occlude(x: np.ndarray, i: int, candidates: np.ndarray, most: int) -> list[in
         left = np.flatnonzero(free[j:])
         if not len(left):
             break
-        j += int(left[0])
-        taken.append(j)
-        free &= np.maximum(length[j] + length - 2 * (rows @ rows[j]), 0) >= d
+        if 2 * len(left) < len(cand) - j:  # most are out: go on with the others alone
+            left += j
+            cand, d, rows, length, free, j = cand[left], d[left], rows[left], length[left], free[left], 0
+        else:
+            j += int(left[0])
+        taken.append(int(cand[j]))
+        free[j + 1 :] &= np.maximum(length[j] + length[j + 1 :] - 2 * (rows[j + 1 :] @ rows[j]), 0) >= d[j + 1 :]
         j += 1
-    return cand[taken].tolist()
+    return taken
 
 
 def monotone(x: np.ndarray, most: int, knn: int) -> list[list[int]]:

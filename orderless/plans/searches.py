@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from concurrent.futures import ThreadPoolExecutor
-from functools import partial
+from functools import partial, reduce
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -266,12 +266,25 @@ SQL["knn_graph"] = f"WITH {_V}, d AS (SELECT a.id AS src, b.id AS dst, row_numbe
 DEGREES = (4, 8, 16, 32, 64)
 
 
-def _at_once(one) -> dict:
-    """one(kind, most) of every kind of graph and degree, by (kind, most). A graph of few shards is few tasks, so all are built side by side, the dearest first."""
+def _side_by_side(spark: SparkSession, jobs: dict) -> dict:
+    """What each of the jobs gives, by its name; they are begun in the order given.
+
+    A graph of few shards is few tasks, so graphs go side by side, as many as there are cores: plans held at a time cost the driver memory.
+    """
+    with ThreadPoolExecutor(max(1, min(len(jobs), spark.sparkContext.defaultParallelism))) as pool:
+        got = {k: pool.submit(f) for k, f in jobs.items()}
+        return {k: f.result() for k, f in got.items()}
+
+
+def _by_degree(one) -> dict:
+    """Jobs one(kind, most) of every kind of graph and degree, by (kind, most), the dearest first."""
     keys = [(kind, most) for kind in ("monotone", "layered") for most in DEGREES]
-    with ThreadPoolExecutor(len(keys)) as pool:
-        got = {k: pool.submit(one, *k) for k in sorted(keys, key=lambda k: -k[1])}
-        return {k: got[k].result() for k in keys}
+    return {k: partial(one, *k) for k in sorted(keys, key=lambda k: -k[1])}
+
+
+def _told_by_degree(got: dict) -> dict:
+    """The results in the order in which they are told."""
+    return {k: got[k] for k in sorted(got, key=lambda k: (k[0] != "monotone", k[1]))}
 
 
 def graph_search(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -284,7 +297,7 @@ def graph_search(spark: SparkSession, sf_dir: str) -> DataFrame:
         found = graph.find(batch(db), db, graph.friends(edges, "roc", u), NEAREST, 32, upper=edges if kind == "layered" else None)
         return edges, arrow.stage(search.recall(found, truth), "recall")  # one figure: the search is the same for every store
 
-    for (kind, most), (edges, recall) in _at_once(one).items():
+    for (kind, most), (edges, recall) in _told_by_degree(_side_by_side(spark, _by_degree(one))).items():
         for codec in ("raw32", "packed", "ef", "roc"):
             r = recall.crossJoin(frames.bits_per_id(graph.friends(edges, codec, u)).select("bits_per_id"))
             r = r.select(F.lit(f"{kind}{most}").alias("graph"), F.lit(codec).alias("codec"), F.col("bits_per_id").alias("bits_per_edge"), F.round(F.col("bits_per_id") / 32, 4).alias("of_raw"), "recall")
@@ -310,22 +323,26 @@ Q["graph_search_join"] = graph_search_join
 
 def graph_offline(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bits per edge of whole graphs: edge coding beside the reference-list baseline in both its forms, closed forms, and the share of 32-bit words."""
-    db, out = vectors(spark, sf_dir), None
+    db = vectors(spark, sf_dir)
     u = tables.universe(db)
-    built = _at_once(lambda kind, most: arrow.stage(graph.base(graph.build(db, most, kind)), "graph"))
-    graphs = {f"{kind}{most}": (edges, u) for (kind, most), edges in built.items()}
-    graphs |= {name: tables.graph(spark, sf_dir, name) for name in ("part_supplier", "customer_part", "order_part")}
-    for name, (edges, n) in graphs.items():
-        edges = edges if hasattr(edges, "_staged_path") else arrow.stage(edges, "graph")
-        sizes = measures.list_sizes(edges, "src", "dst")
-        form = measures.rec_bits(edges, n).crossJoin(sizes.agg(F.round(F.sum(measures.set_bound_col(F.col("n"), F.lit(n))) / F.sum("n"), 4).alias("set_bound")))
-        form = arrow.stage(form.select(F.col("bits_per_edge").alias("closed_form"), "set_bound"), "forms")
-        coders = {"edge_coding": lambda e, n: edgecodec.encode(e, n, shards=1), "reference_lists": reflist.encode, "reference_lists_older": partial(reflist.encode, entropy="none", intervals=True)}
+    coders = {"edge_coding": lambda e, n: edgecodec.encode(e, n, shards=1), "reference_lists": reflist.encode, "reference_lists_older": partial(reflist.encode, entropy="none", intervals=True)}
+
+    def sizes(name: str, edges: DataFrame, n: int) -> DataFrame:
+        edges, out = arrow.stage(edges, "graph"), None
+        lists = measures.list_sizes(edges, "src", "dst")
+        form = measures.rec_bits(edges, n).crossJoin(lists.agg(F.round(F.sum(measures.set_bound_col(F.col("n"), F.lit(n))) / F.sum("n"), 4).alias("set_bound")))
+        form = form.select(F.col("bits_per_edge").alias("closed_form"), "set_bound")
         for how, code in coders.items():
-            r = code(edges, n).agg(F.sum("n_edges").cast("long").alias("edges"), F.round(F.sum("bits") / F.sum("n_edges"), 4).alias("bits_per_edge")).crossJoin(form)
-            r = r.select(F.lit(name).alias("graph"), F.lit(how).alias("coder"), "edges", "bits_per_edge", F.round(F.col("bits_per_edge") / 32, 4).alias("of_raw"), "closed_form", "set_bound")
+            r = code(edges, n).agg(F.sum("n_edges").cast("long").alias("edges"), F.round(F.sum("bits") / F.sum("n_edges"), 4).alias("bits_per_edge"))
+            r = r.select(F.lit(how).alias("coder"), "edges", "bits_per_edge")
             out = r if out is None else out.union(r)
-    return out
+        out = out.crossJoin(form).select(F.lit(name).alias("graph"), "coder", "edges", "bits_per_edge", F.round(F.col("bits_per_edge") / 32, 4).alias("of_raw"), "closed_form", "set_bound")
+        return arrow.stage(out, "sizes")
+
+    built = _by_degree(lambda kind, most: sizes(f"{kind}{most}", graph.base(graph.build(db, most, kind)), u))
+    given = {name: partial(lambda name: sizes(name, *tables.graph(spark, sf_dir, name)), name) for name in ("part_supplier", "customer_part", "order_part")}
+    got = _side_by_side(spark, built | given)  # coding, too: one stream is one task
+    return reduce(DataFrame.union, [*_told_by_degree({k: got[k] for k in built}).values(), *(got[k] for k in given)])
 
 
 Q["graph_offline"] = graph_offline
