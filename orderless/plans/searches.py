@@ -266,12 +266,9 @@ SQL["knn_graph"] = f"WITH {_V}, d AS (SELECT a.id AS src, b.id AS dst, row_numbe
 DEGREES = (4, 8, 16, 32, 64)
 
 
-def _side_by_side(spark: SparkSession, jobs: dict) -> dict:
-    """What each of the jobs gives, by its name; they are begun in the order given.
-
-    A graph of few shards is few tasks, so graphs go side by side, as many as there are cores: plans held at a time cost the driver memory.
-    """
-    with ThreadPoolExecutor(max(1, min(len(jobs), spark.sparkContext.defaultParallelism))) as pool:
+def _side_by_side(jobs: dict, at_once: int) -> dict:
+    """What each of the jobs gives, by its name; they are begun in the order given. A graph of few shards is few tasks, so many graphs go side by side."""
+    with ThreadPoolExecutor(at_once) as pool:
         got = {k: pool.submit(f) for k, f in jobs.items()}
         return {k: f.result() for k, f in got.items()}
 
@@ -297,7 +294,7 @@ def graph_search(spark: SparkSession, sf_dir: str) -> DataFrame:
         found = graph.find(batch(db), db, graph.friends(edges, "roc", u), NEAREST, 32, upper=edges if kind == "layered" else None)
         return edges, arrow.stage(search.recall(found, truth), "recall")  # one figure: the search is the same for every store
 
-    for (kind, most), (edges, recall) in _told_by_degree(_side_by_side(spark, _by_degree(one))).items():
+    for (kind, most), (edges, recall) in _told_by_degree(_side_by_side(_by_degree(one), 2 * len(DEGREES))).items():
         for codec in ("raw32", "packed", "ef", "roc"):
             r = recall.crossJoin(frames.bits_per_id(graph.friends(edges, codec, u)).select("bits_per_id"))
             r = r.select(F.lit(f"{kind}{most}").alias("graph"), F.lit(codec).alias("codec"), F.col("bits_per_id").alias("bits_per_edge"), F.round(F.col("bits_per_id") / 32, 4).alias("of_raw"), "recall")
@@ -321,10 +318,14 @@ def graph_search_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 Q["graph_search_join"] = graph_search_join
 
 
+#: Graphs that are coded side by side: each one's plans take memory of the driver.
+CODED_AT_ONCE = 4
+
+
 def graph_offline(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bits per edge of whole graphs: edge coding beside the reference-list baseline in both its forms, closed forms, and the share of 32-bit words."""
     db = vectors(spark, sf_dir)
-    u = tables.universe(db)
+    u, shards = tables.universe(db), graph.shards_for(db.count())
     coders = {"edge_coding": lambda e, n: edgecodec.encode(e, n, shards=1), "reference_lists": reflist.encode, "reference_lists_older": partial(reflist.encode, entropy="none", intervals=True)}
 
     def sizes(name: str, edges: DataFrame, n: int) -> DataFrame:
@@ -333,15 +334,15 @@ def graph_offline(spark: SparkSession, sf_dir: str) -> DataFrame:
         form = measures.rec_bits(edges, n).crossJoin(lists.agg(F.round(F.sum(measures.set_bound_col(F.col("n"), F.lit(n))) / F.sum("n"), 4).alias("set_bound")))
         form = form.select(F.col("bits_per_edge").alias("closed_form"), "set_bound")
         for how, code in coders.items():
-            r = code(edges, n).agg(F.sum("n_edges").cast("long").alias("edges"), F.round(F.sum("bits") / F.sum("n_edges"), 4).alias("bits_per_edge"))
-            r = r.select(F.lit(how).alias("coder"), "edges", "bits_per_edge")
+            r = code(edges, n).select(F.lit(how).alias("coder"), "n_edges", "bits")
             out = r if out is None else out.union(r)
+        out = out.groupBy("coder").agg(F.sum("n_edges").cast("long").alias("edges"), F.round(F.sum("bits") / F.sum("n_edges"), 4).alias("bits_per_edge"))
         out = out.crossJoin(form).select(F.lit(name).alias("graph"), "coder", "edges", "bits_per_edge", F.round(F.col("bits_per_edge") / 32, 4).alias("of_raw"), "closed_form", "set_bound")
         return arrow.stage(out, "sizes")
 
-    built = _by_degree(lambda kind, most: sizes(f"{kind}{most}", graph.base(graph.build(db, most, kind)), u))
+    built = _by_degree(lambda kind, most: sizes(f"{kind}{most}", graph.base(graph.build(db, most, kind, shards=shards)), u))
     given = {name: partial(lambda name: sizes(name, *tables.graph(spark, sf_dir, name)), name) for name in ("part_supplier", "customer_part", "order_part")}
-    got = _side_by_side(spark, built | given)  # coding, too: one stream is one task
+    got = _side_by_side(built | given, CODED_AT_ONCE)  # coding, too: one stream is one task
     return reduce(DataFrame.union, [*_told_by_degree({k: got[k] for k in built}).values(), *(got[k] for k in given)])
 
 
