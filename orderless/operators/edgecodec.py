@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from ..functions.ans import PRECISION, ExactState, WordState
 from ..functions.models import Urn
 from ..functions.order_stats import Fenwick, SortedRanks
-from . import arrow
+from . import arrow, edgelanes
 
 
 def _put(state, start: int, freq: int, total: int) -> None:
@@ -312,6 +312,9 @@ BLOB = "shard int, n_vertices long, n_edges long, codec string, payload binary,
 #: Edges of a shard, about: what one task codes one after the other.
 SHARD_EDGES = 1 << 17
 
+#: Edges from which a stream's states step together, many at a time; parallel edges are always coded by one state.
+LANED = 1 << 20
+
 
 def bounds(edges: DataFrame, vertices: int, shards: int | None) -> list[int]:
     """First source of each shard, and the number of vertices.
@@ -345,20 +348,27 @@ def encode(edges: DataFrame, n_vertices: int, bias: int = 1, directed: bool = Tr
     """One blob per shard of sources; edges (src, dst), each once (twice is coded twice). Undirected edges go into one shard unless asked otherwise."""
     arrow.importable(edges.sparkSession)
     first = bounds(edges, n_vertices, shards if directed else shards or 1)
+    one = len(first) == 2
+    ordered = directed and not one
 
     def blob(k: int, parts: list[np.ndarray]) -> pa.RecordBatch:
         keys = np.concatenate(parts)
         parts.clear()
-        if not directed:
-            keys = np.sort(keys)
-        state = WordState()
+        if not ordered:
+            keys.sort()
         lo, hi = (first[k], first[k + 1]) if directed else (0, n_vertices)
-        encode_keys(state, keys, n_vertices, bias, directed, model, (lo, hi) if directed else None)
-        name = "rec" if directed else "rec_undirected"
-        return pa.RecordBatch.from_pylist([{"shard": k, "n_vertices": n_vertices, "n_edges": len(keys), "codec": f"{name}:{model}:{bias}:{lo}:{hi}", "payload": state.to_bytes(), "bits": state.bits}], schema=_BLOB)
+        name, how = "rec" if directed else "rec_undirected", (n_vertices, bias, directed, model, (lo, hi) if directed else None)
+        if len(keys) >= LANED and not (keys[1:] == keys[:-1]).any():
+            name += "_lanes"
+            payload, bits = edgelanes.encode(keys, *how)
+        else:
+            state = WordState()
+            encode_keys(state, keys, *how)
+            payload, bits = state.to_bytes(), state.bits
+        return pa.RecordBatch.from_pylist([{"shard": k, "n_vertices": n_vertices, "n_edges": len(keys), "codec": f"{name}:{model}:{bias}:{lo}:{hi}", "payload": payload, "bits": bits}], schema=_BLOB)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Sorted rows arrive batch by batch; of a shard, one number an edge is held."""
+        """Rows arrive batch by batch, sorted by shard; of a shard, one number an edge is held."""
         now, parts = -1, []
         for b in batches:
             src, dst = b.column(1).to_numpy(), b.column(2).to_numpy()
@@ -374,7 +384,8 @@ def encode(edges: DataFrame, n_vertices: int, bias: int = 1, directed: bool = Tr
         if parts:
             yield blob(now, parts)
 
-    return _sharded(edges, first).sortWithinPartitions("shard", "src", "dst").mapInArrow(run, BLOB)
+    rows = _sharded(edges, first)
+    return (rows if one else rows.sortWithinPartitions("shard", "src", "dst")).mapInArrow(run, BLOB)  # one shard's numbers alone are sorted
 
 
 _BLOB = pa.schema([("shard", pa.int32()), ("n_vertices", pa.int64()), ("n_edges", pa.int64()), ("codec", pa.string()), ("payload", pa.binary()), ("bits", pa.int64())])
@@ -388,8 +399,13 @@ def decode(blobs: DataFrame) -> DataFrame:
         for b in batches:
             for r in b.to_pylist():
                 name, model, bias, lo, hi = r["codec"].split(":")
-                sources = (int(lo), int(hi)) if name == "rec" else None
-                for src, dst in decode_parts(WordState.from_bytes(r["payload"]), r["n_edges"], r["n_vertices"], int(bias), name == "rec", model, sources):
+                directed = not name.startswith("rec_undirected")
+                how = (r["n_edges"], r["n_vertices"], int(bias), directed, model, (int(lo), int(hi)) if directed else None)
+                if name.endswith("_lanes"):
+                    parts = edgelanes.told(edgelanes.decode(r["payload"], *how), r["n_vertices"], TOLD)
+                else:
+                    parts = decode_parts(WordState.from_bytes(r["payload"]), *how)
+                for src, dst in parts:
                     yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst)], ["src", "dst"])
 
     return blobs.mapInArrow(run, "src long, dst long")
