@@ -103,31 +103,126 @@ def _by_intervals(node: int, rest: list[int], min_run: int) -> list[tuple[int, i
     return out + [(FIRST, _zigzag(v - node)) if k == 0 else (GAP, v - alone[k - 1] - 1) for k, v in enumerate(alone)]
 
 
+def _digits(v: np.ndarray) -> np.ndarray:
+    """Binary digits of numbers, none for zero."""
+    if v.max(initial=0) < 1 << 53:
+        return np.frexp(v.astype(np.float64))[1].astype(np.int64)
+    return np.array([x.bit_length() for x in v.tolist()], np.int64)
+
+
+#: Numbers of lists that are compared with their references together.
+COMPARED = 1 << 19
+
+
+def _near(flat: np.ndarray, owner: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
+    """Places of equal numbers of two lists at most `window` apart: in the later list and in the earlier one."""
+    order = np.argsort(flat, kind="stable")
+    v, o, late, early = flat[order], owner[order], [], []
+    for s in range(1, min(window, len(v) - 1) + 1):  # a number's lists ascend
+        hit = (v[s:] == v[:-s]) & (o[s:] - o[:-s] <= window)
+        if not hit.any():
+            break
+        late.append(order[s:][hit])
+        early.append(order[:-s][hit])
+    none = np.zeros(0, np.int64)
+    return np.concatenate([none, *late]), np.concatenate([none, *early])
+
+
+def _options(nodes: list[tuple[int, list[int]]], window: int, min_run: int, intervals: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(list, how far back, numbers in common, twice the cost) of every list with every reference that has two of its numbers or more."""
+    size = np.array([len(x) for _, x in nodes], np.int64)
+    at, name = np.r_[0, np.cumsum(size)], np.array([n for n, _ in nodes], np.int64)
+    flat = np.fromiter(itertools.chain.from_iterable(x for _, x in nodes), np.int64, int(at[-1]))
+    owner = np.repeat(np.arange(len(nodes)), size)
+    late, early = _near(flat, owner, window)
+    pair = owner[late] * (window + 1) + owner[late] - owner[early]
+    order = np.argsort(pair, kind="stable")
+    late, early = late[order], early[order]
+    pairs, common = np.unique(pair[order], return_counts=True)
+    wanted = (common > 1) & (pairs % (window + 1) > 0)
+    mine = np.repeat(wanted, common)
+    late, early, pairs, common = late[mine], early[mine], pairs[wanted], common[wanted]
+    one, back = pairs // (window + 1), pairs % (window + 1)
+    met = np.r_[0, np.cumsum(common)]
+    held = np.cumsum(size[one] + size[one - back]) // COMPARED
+    cuts = [0, *(np.flatnonzero(np.diff(held)) + 1).tolist(), len(pairs)]
+    cost = np.zeros(len(pairs), np.int64)
+    for x, y in zip(cuts[:-1], cuts[1:], strict=True):
+        if y > x:
+            cost[x:y] = _costs(flat, at, size, name, one[x:y], back[x:y], common[x:y], late[met[x] : met[y]], early[met[x] : met[y]], min_run, intervals)
+    return one, back, common, cost
+
+
+def _costs(flat, at, size, name, one, back, common, late, early, min_run: int, intervals: bool) -> np.ndarray:
+    """Twice what `describe` counts for each list under its reference; late and early are the places of the numbers in common."""
+    n, ref, of = len(one), one - back, np.repeat(np.arange(len(one)), common)
+    total = lambda i, c: np.bincount(i, c, n).astype(np.int64)
+    low, high = lambda v: 2 * _digits(v) + 2, lambda v: 3 * _digits(v) + 2  # contexts before GAP, and the others
+    zigzag = lambda v: np.where(v >= 0, 2 * v, -2 * v - 1)
+    # blocks of the reference
+    begin = np.r_[0, np.cumsum(size[ref])]
+    i, copied = np.repeat(np.arange(n), size[ref]), np.zeros(begin[-1], bool)
+    copied[begin[of] + early - at[ref][of]] = True
+    new = np.r_[True, (copied[1:] != copied[:-1]) | (i[1:] != i[:-1])]
+    start = np.flatnonzero(new)
+    length, whose = np.diff(np.r_[start, len(copied)]), i[start]
+    told = np.r_[whose[1:] == whose[:-1], False]  # a list's last block is implied
+    skips = ~copied[begin[:-1]]
+    out = low(back) + low(np.bincount(whose, minlength=n) - 1 + skips) + 2 * skips + total(whose[told], low(length[told]))
+    # what the reference doesn't have
+    begin = np.r_[0, np.cumsum(size[one])]
+    i, keep = np.repeat(np.arange(n), size[one]), np.ones(begin[-1], bool)
+    keep[begin[of] + late - at[one][of]] = False
+    v, i = flat[np.arange(begin[-1]) + (at[one] - begin[:-1])[i]][keep], i[keep]
+    if not intervals:
+        first = np.r_[True, i[1:] != i[:-1]][: len(i)]
+        gap = np.r_[0, v[1:] - v[:-1] - 1][: len(i)]
+        zero = ~first & (gap == 0)
+        far = ~first & ~zero
+        out += low(size[one] - common) + total(i[first], low(zigzag(v[first] - name[one][i[first]]))) + total(i[far], high(gap[far]))
+        start, stop = np.flatnonzero(zero & ~np.r_[False, zero[:-1]][: len(i)]), np.flatnonzero(zero & ~np.r_[zero[1:], False][: len(i)])
+        run = stop - start + 1
+        return out + total(i[start], 2 * np.minimum(run, min_run) + np.where(run >= min_run, high(np.maximum(run - min_run, 0)), 0))
+    least = max(2, min_run)
+
+    def numbers(i, v, gap):
+        """A list's first number by its distance from the node, the others by their gaps."""
+        first = np.r_[True, i[1:] != i[:-1]][: len(i)]
+        return total(i, np.where(first, low(zigzag(v - name[one][i])), high(np.where(first, 0, gap))))
+
+    start = np.flatnonzero(np.r_[True, (i[1:] != i[:-1]) | (v[1:] != v[:-1] + 1)][: len(i)])
+    length = np.diff(np.r_[start, len(i)])
+    long = length >= least
+    a, k, w = v[start[long]], length[long], i[start[long]]
+    out += high(np.bincount(w, minlength=n)) + numbers(w, a, np.r_[0, a[1:] - (a + k)[:-1]][: len(a)]) + total(w, high(k - least))
+    alone = np.repeat(~long, length)
+    v, i = v[alone], i[alone]
+    return out + low(np.bincount(i, minlength=n)) + numbers(i, v, np.r_[0, v[1:] - v[:-1] - 1][: len(v)])
+
+
 def describe(nodes: list[tuple[int, list[int]]], window: int = 32, min_run: int = 3, ref_choice: str = "greedy", intervals: bool = False) -> list[tuple[int, int]]:
-    """(context, value) of all lists; nodes ascend."""
+    """(context, value) of all lists; nodes ascend. What every reference would cost is computed for many lists at a time."""
     told = (lambda node, rest: _by_intervals(node, rest, min_run)) if intervals else (lambda node, rest: [(RESIDUALS, len(rest)), *_residuals(node, rest, min_run)])
     out: list[tuple[int, int]] = []
     chain: list[int] = []
-    cost = lambda symbols: sum(v.bit_length() * (1 if c < GAP else 1.5) + 1 for c, v in symbols)
+    cost = lambda symbols: sum(v.bit_length() * (2 if c < GAP else 3) + 2 for c, v in symbols)  # twice, a whole number
+    options = _options(nodes, window, min_run, intervals)
+    cuts = np.searchsorted(options[0], np.arange(len(nodes) + 1)).tolist()
+    _, back, common, costs = (x.tolist() for x in options)
     for i, (node, nbrs) in enumerate(nodes):
-        own = set(nbrs)
         plain = [(REF, 0), *told(node, nbrs)]
-        best, depth, least = plain, 0, cost(plain)
-        options = [b for b in range(1, min(window, i) + 1) if chain[i - b] < CHAIN]
-        overlap = {b: len(own.intersection(nodes[i - b][1])) for b in options}
-        options = [b for b in options if overlap[b] > 1]
-        if ref_choice == "overlap" and options:
-            options = [max(options, key=lambda b: (overlap[b], -b))]
-        for b in options:
-            ref = nodes[i - b][1]
-            blocks = _blocks(ref, own)
-            have = set(_copied(ref, blocks))
-            rest = [v for v in nbrs if v not in have]
-            some = [(REF, b), (BLOCKS, len(blocks)), *((BLOCK, n) for n in blocks), *told(node, rest)]
-            if (c := cost(some)) < least:
-                best, depth, least = some, chain[i - b] + 1, c
-        chain.append(depth)
-        out += best
+        some = [k for k in range(cuts[i], cuts[i + 1]) if chain[i - back[k]] < CHAIN]
+        if ref_choice == "overlap" and some:
+            some = [max(some, key=lambda k: (common[k], -back[k]))]
+        best = min(some, key=costs.__getitem__, default=None)  # the nearest of the cheapest
+        if best is None or costs[best] >= cost(plain):
+            chain.append(0)
+            out += plain
+            continue
+        b, ref = back[best], nodes[i - back[best]][1]
+        blocks, have = _blocks(ref, set(nbrs)), set(ref)
+        chain.append(chain[i - b] + 1)
+        out += [(REF, b), (BLOCKS, len(blocks)), *((BLOCK, n) for n in blocks), *told(node, [v for v in nbrs if v not in have])]
     return out
 
 
@@ -160,21 +255,22 @@ def encode_lists(nodes: list[tuple[int, list[int]]], window: int = 32, min_run:
     symbols = describe(nodes, window, min_run, ref_choice, intervals)
     if entropy == "none":
         return _write_plain([v for _, v in symbols])
-    tokens = [(c, *_token(v)) for c, v in symbols]
-    hist = np.zeros((CONTEXTS, TOKENS), np.int64)
-    for c, t, _, _ in tokens:
-        hist[c, t] += 1
+    context, value = np.array(symbols, np.int64).reshape(-1, 2).T
+    large = value >= 16
+    e = np.where(large, _digits(value) - 1, 1)  # of small values nothing but the token is told
+    token, low = np.where(large, 16 + (e - 4) * 2 + (value >> (e - 1) & 1), value), np.where(large, e - 1, 0)
+    hist = np.bincount(context * TOKENS + token, minlength=CONTEXTS * TOKENS).reshape(CONTEXTS, TOKENS)
     start = np.concatenate([np.zeros((CONTEXTS, 1), np.int64), np.cumsum(hist, 1)], 1)
-    totals, state = hist.sum(1).tolist(), WordState()
-    for c, t, _, _ in reversed(tokens):
-        a, b = (int(start[c, t + k] << PRECISION) // totals[c] for k in (0, 1))
-        if b - a < 1 << PRECISION:
-            state.push(a, b - a, PRECISION)
-    raw = pack_bits(np.array([r for *_, r, _ in tokens], np.uint64), np.array([n for *_, n in tokens], np.int64))
+    total, state = hist.sum(1)[context], WordState()
+    a, b = ((start[context, token + k] << PRECISION) // total for k in (0, 1))
+    for x, freq in zip(a[::-1].tolist(), (b - a)[::-1].tolist(), strict=True):
+        if freq < 1 << PRECISION:
+            state.push(x, freq, PRECISION)
+    raw = pack_bits((value & ((1 << low) - 1)).astype(np.uint64), low)
     used = np.argwhere(hist > 0)
     table = np.array([[c * TOKENS + t, hist[c, t]] for c, t in used], "<u4").reshape(-1, 2)
     body = state.to_bytes()
-    bits = state.bits + sum(n for *_, n in tokens) + sum(8 + 7 * max(1, -(-int(h).bit_length() // 7)) for h in table[:, 1])
+    bits = state.bits + int(low.sum()) + sum(8 + 7 * max(1, -(-int(h).bit_length() // 7)) for h in table[:, 1])
     return np.array([len(table), len(body)], "<u4").tobytes() + table.tobytes() + body + raw, bits
 
 
